@@ -6,10 +6,19 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .language import op2_language_id
+from .mixing import OP9_SQL, op9_mixing
 from .quality import op7_quality_rules
+from .warc import OP8_SQL, op8_warc_revisits
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_language_id": op2_language_id,
     "op7_quality_rules": op7_quality_rules,
+    "op8_warc_revisits": op8_warc_revisits,
+    "op9_mixing": op9_mixing,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op8_warc_revisits": OP8_SQL,
+    "op9_mixing": OP9_SQL,
+}
