@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .language import op2_language_id
+from .lm import OP10_SQL, op10_lm_scoring
 from .mixing import OP9_SQL, op9_mixing
 from .quality import op7_quality_rules
 from .warc import OP8_SQL, op8_warc_revisits
@@ -16,9 +17,11 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_quality_rules": op7_quality_rules,
     "op8_warc_revisits": op8_warc_revisits,
     "op9_mixing": op9_mixing,
+    "op10_lm_scoring": op10_lm_scoring,
 }
 
 ORACLES: dict[str, str] = {
     "op8_warc_revisits": OP8_SQL,
     "op9_mixing": OP9_SQL,
+    "op10_lm_scoring": OP10_SQL,
 }
