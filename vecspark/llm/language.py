@@ -163,7 +163,9 @@ def fit_languages(documents: DataFrame, params: LanguageParams = LanguageParams(
         rows = rows.where(where)
     top = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(params.languages)
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    ids = rows.join(F.broadcast(top.select("lang")), "lang").withColumn("at", F.row_number().over(order)).where(F.col("at") <= params.rows_per_language).select("doc_id", "lang").distinct()
+    # four times the rows wanted are let through, so that a frequent language doesn't meet in one task
+    share = (F.xxhash64("doc_id") / F.lit(float(2**64)) + 0.5) <= F.lit(4.0 * params.rows_per_language) / F.col("count")
+    ids = rows.join(F.broadcast(top), "lang").where(share).withColumn("at", F.row_number().over(order)).where(F.col("at") <= params.rows_per_language).select("doc_id", "lang").distinct()
     found = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").where(f"length(text) between 1 and {params.sample_chars}").join(F.broadcast(ids), ["doc_id", "lang"])
     samples: dict[str, list[str]] = {}
     for lang, text in found.groupBy("doc_id", "lang").agg(F.min("text").alias("text")).select("lang", "text").collect():
