@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .decontaminate import op1_decontamination
 from .language import op2_language_id
 from .lm import OP10_SQL, op10_lm_scoring
 from .mixing import OP9_SQL, op9_mixing
@@ -14,6 +15,7 @@ from .quality import op7_quality_rules
 from .warc import OP8_SQL, op8_warc_revisits
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_decontamination": op1_decontamination,
     "op2_language_id": op2_language_id,
     "op3_near_duplicates": op3_near_duplicates,
     "op7_quality_rules": op7_quality_rules,
