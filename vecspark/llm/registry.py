@@ -12,12 +12,14 @@ from .lm import OP10_SQL, op10_lm_scoring
 from .mixing import OP9_SQL, op9_mixing
 from .neardup import op3_near_duplicates
 from .quality import op7_quality_rules
+from .toxicity import op5_toxicity
 from .warc import OP8_SQL, op8_warc_revisits
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontamination": op1_decontamination,
     "op2_language_id": op2_language_id,
     "op3_near_duplicates": op3_near_duplicates,
+    "op5_toxicity": op5_toxicity,
     "op7_quality_rules": op7_quality_rules,
     "op8_warc_revisits": op8_warc_revisits,
     "op9_mixing": op9_mixing,
