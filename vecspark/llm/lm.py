@@ -91,6 +91,17 @@ def block_counts(texts: pa.Array, held: np.ndarray, order: int):
     return tokens, doc, keys, k[edge], counts
 
 
+def packed(counts: np.ndarray) -> bytes:
+    """Counts in the narrowest unsigned type that holds them, its width first."""
+    top = int(counts.max()) if len(counts) else 0
+    width = next(w for w in (1, 2, 4, 8) if top < 1 << (8 * w))
+    return bytes([width]) + counts.astype(f"u{width}").tobytes()
+
+
+def unpacked(blob: bytes) -> np.ndarray:
+    return np.frombuffer(blob, f"u{blob[0]}", offset=1).astype(np.int64)
+
+
 def cuts(keys: np.ndarray, ranges: int) -> np.ndarray:
     """Where in the sorted keys each of the equal ranges of their upper 32 bits begins and ends."""
     edges = np.array([(i << 32) // ranges for i in range(1, ranges)], np.uint64) << U64(32)
@@ -150,13 +161,13 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
                 "block": pa.array(np.full(ranges, block, np.int32)),
                 "part": pa.array(np.arange(ranges, dtype=np.int32)),
                 "keys": pa.array([keys[a:b].tobytes() for a, b in zip(at, at[1:])], pa.binary()),
-                "counts": pa.array([counts[a:b].astype(np.uint32).tobytes() for a, b in zip(at, at[1:])], pa.binary()),
+                "counts": pa.array([packed(counts[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
             }
         )
 
     def answer(group: pa.Table) -> pa.Table:
         blobs = [np.frombuffer(x.as_py(), np.uint64) for x in group["keys"]]
-        counts = np.concatenate([np.frombuffer(x.as_py(), np.uint32) for x in group["counts"]])
+        counts = np.concatenate([unpacked(x.as_py()) for x in group["counts"]])
         union, place = np.unique(np.concatenate(blobs), return_inverse=True)
         totals = np.bincount(place, counts, len(union)).astype(np.int64)
         single = (union & U64(3)) == 0
@@ -167,7 +178,7 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
             {
                 "block": group["block"],
                 "part": group["part"],
-                "found": pa.array([found[a:b].tobytes() for a, b in zip(at, at[1:])], pa.binary()),
+                "found": pa.array([packed(found[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
                 "tokens": pa.array(np.full(n, totals[single].sum(), np.int64)),
                 "kinds": pa.array(np.full(n, (totals[single] > 0).sum(), np.int64)),
             }
@@ -180,7 +191,7 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
         held = texts["held_out"].to_numpy()
         tokens, doc, keys, distinct, _ = block_counts(texts["text"].combine_chunks(), held, params.order)
         answers = answers.sort_by("part")
-        counts = np.concatenate([np.frombuffer(x.as_py(), np.int64) for x in answers["found"]])
+        counts = np.concatenate([unpacked(x.as_py()) for x in answers["found"]])
         total, kinds = int(answers["tokens"].to_numpy().sum()), int(answers["kinds"].to_numpy().sum())
         base, weight, c = BackoffAutomaton(distinct, counts, total, kinds, params).traverse(tokens, doc, keys)
         real = tokens != START_TOKEN
