@@ -12,6 +12,7 @@ from .lm import OP10_SQL, op10_lm_scoring
 from .mixing import OP9_SQL, op9_mixing
 from .neardup import op3_near_duplicates
 from .quality import op7_quality_rules
+from .secrets import op4_secret_scan
 from .toxicity import op5_toxicity
 from .warc import OP8_SQL, op8_warc_revisits
 
@@ -19,6 +20,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_decontamination": op1_decontamination,
     "op2_language_id": op2_language_id,
     "op3_near_duplicates": op3_near_duplicates,
+    "op4_secret_scan": op4_secret_scan,
     "op5_toxicity": op5_toxicity,
     "op7_quality_rules": op7_quality_rules,
     "op8_warc_revisits": op8_warc_revisits,
