@@ -13,6 +13,7 @@ from .mixing import OP9_SQL, op9_mixing
 from .neardup import op3_near_duplicates
 from .quality import op7_quality_rules
 from .secrets import op4_secret_scan
+from .substrings import op6_substring_dedup
 from .toxicity import op5_toxicity
 from .warc import OP8_SQL, op8_warc_revisits
 
@@ -22,6 +23,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_near_duplicates": op3_near_duplicates,
     "op4_secret_scan": op4_secret_scan,
     "op5_toxicity": op5_toxicity,
+    "op6_substring_dedup": op6_substring_dedup,
     "op7_quality_rules": op7_quality_rules,
     "op8_warc_revisits": op8_warc_revisits,
     "op9_mixing": op9_mixing,
