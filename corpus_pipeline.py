@@ -4,24 +4,50 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from vecspark.llm import quality, tables
+from vecspark.llm import decontaminate, mixing, neardup, quality, secrets, tables
+from vecspark.session import ship
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the quality rules reject go."""
+    ship(spark)
     return quality.filter_quality(docs, quality.fit_quality(docs, tables.table(spark, sf_dir, "labels")))
 
 
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates stays, that of the least id."""
+    return neardup.deduplicate(docs)
+
+
+def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that hold a copy of a test item, edited or not, go."""
+    return decontaminate.drop_leaks(docs, tables.table(spark, sf_dir, "benchmark"))
+
+
+def secret_scans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents stay; every secret in them is masked."""
+    return secrets.redact_secrets(docs, secrets.fit_secrets(docs))
+
+
+def source_mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents are replicated to the sources' target weights and shuffled; copies are numbered in copy_no."""
+    return mixing.mix_sources(docs)
+
+
 STAGES = [
     ("quality rules", quality_rules),
+    ("MinHash near-dedup", near_duplicates),
+    ("benchmark decontamination", benchmark_decontamination),
+    ("secret scans", secret_scans),
+    ("mixing sources to target weights", source_mix),
 ]
 
-#: SQL cannot express the stages' classifiers; tests hold each stage against a brute-force version.
+#: SQL cannot express the stages' models; tests hold each stage against a brute-force version.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = tables.table(spark, sf_dir, "documents")
     for name, stage in STAGES:
-        docs = tables.settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+        docs = tables.settle(stage(ship(spark), docs, sf_dir), name.replace(" ", "-").lower())
     return docs
