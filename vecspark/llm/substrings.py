@@ -42,7 +42,7 @@ FIRST_ID = -(1 << 63)
 class SubstringParams:
     length: int = 100
     gram: int = 24
-    block_bytes: int = 3 << 20
+    block_bytes: int = 2 << 20
     range_bytes: int = 6 << 20
 
 
@@ -61,18 +61,18 @@ def _slide(x: np.ndarray, width: int, take) -> np.ndarray:
 def gram_hashes(data: np.ndarray, gram: int) -> np.ndarray:
     """64-bit hash of the bytes from each place, by doubling."""
     base = 0xD1342543DE82EF95
-    parts, width, h = {}, 1, BYTE_CODE[data]
-    parts[1] = h
-    while width * 2 <= gram:
+    done, at = None, 0
+    width, h = 1, BYTE_CODE[data]
+    while width <= gram:
+        if gram & width:
+            # the widths that make up `gram` are put together, the narrower ones first
+            n = len(data) - (at + width) + 1
+            done = h[:n] if done is None else done[:n] * U64(pow(base, width, 2**64)) + h[at : at + n]
+            at += width
+        if width * 2 > gram:
+            break
         h = h[:-width] * U64(pow(base, width, 2**64)) + h[width:]
         width *= 2
-        parts[width] = h
-    done, at = parts[width], width
-    for w in sorted(parts, reverse=True):
-        if at + w <= gram:
-            n = len(data) - (at + w) + 1
-            done = done[:n] * U64(pow(base, w, 2**64)) + parts[w][at : at + n]
-            at += w
     return mix(done)
 
 
@@ -93,26 +93,27 @@ def anchors(data: np.ndarray, offsets: np.ndarray, p: SubstringParams) -> Anchor
         return Anchors(none.astype(np.uint64), none, none, none)
     key = gram_hashes(data, p.gram)
     rank = np.maximum((key >> U64(32)).astype(np.uint32), 1)
-    least = _slide(rank, width, np.minimum)
+    least = _slide(rank, width, np.minimum).copy()
     whole = np.zeros(n + 1, np.int8)
     long_ = np.flatnonzero(np.diff(offsets) >= p.length)
     np.add.at(whole, offsets[long_], 1)
     np.add.at(whole, offsets[long_ + 1] - p.length + 1, -1)
     least[np.cumsum(whole[: len(least)], dtype=np.int8) == 0] = 0
     ahead = np.concatenate([np.zeros(width - 1, np.uint32), least, np.zeros(width - 1, np.uint32)])
-    most = _slide(ahead, width, np.maximum)
-    place = np.flatnonzero(rank == most[: len(rank)])
+    place = np.flatnonzero(rank == _slide(ahead, width, np.maximum)[: len(rank)])
+    key = key[place]
+    ranked = rank[place]
     lo, hi = np.empty(len(place), np.int64), np.empty(len(place), np.int64)
-    for at in range(0, len(place), 50_000):
-        own = place[at : at + 50_000]
-        same = ahead[own[:, None] + np.arange(width)] == rank[own][:, None]
+    for at in range(0, len(place), 20_000):
+        own = place[at : at + 20_000]
+        same = ahead[own[:, None] + np.arange(width)] == ranked[at : at + 20_000][:, None]
         first = same.argmax(1)
-        lo[at : at + 50_000] = own - (width - 1) + first
-        hi[at : at + 50_000] = lo[at : at + 50_000] + same.sum(1) - 1
-    tie = np.flatnonzero((rank[place[1:]] == rank[place[:-1]]) & (place[:-1] >= lo[1:])) + 1
+        lo[at : at + 20_000] = own - (width - 1) + first
+        hi[at : at + 20_000] = lo[at : at + 20_000] + same.sum(1) - 1
+    tie = np.flatnonzero((ranked[1:] == ranked[:-1]) & (place[:-1] >= lo[1:])) + 1
     lo[tie] = place[tie - 1] + 1
     ok = lo <= hi
-    return Anchors(key[place[ok]], place[ok], lo[ok], hi[ok])
+    return Anchors(key[ok], place[ok], lo[ok], hi[ok])
 
 
 class Block:
