@@ -22,7 +22,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .tables import table
-from .textkit import blocks, crc_mod, has_letter, text_arrays
+from .textkit import blocks, crc_mod, has_letter, releasing, text_arrays
 
 ORDER = 4
 UNITS = 4096  #: code lengths are whole numbers of 1/4096 bit, so that sums are exact
@@ -170,7 +170,7 @@ def fit_languages(documents: DataFrame, params: LanguageParams = LanguageParams(
     samples: dict[str, list[str]] = {}
     for lang, text in found.groupBy("doc_id", "lang").agg(F.min("text").alias("text")).select("lang", "text").collect():
         samples.setdefault(lang, []).append(text)
-    return learn({k: sorted(v) for k, v in samples.items() if len(v) >= params.min_rows})
+    return releasing(learn)({k: sorted(v) for k, v in samples.items() if len(v) >= params.min_rows})
 
 
 def identify_language(documents: DataFrame, trees: ContextTrees, held_out=None) -> DataFrame:

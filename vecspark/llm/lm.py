@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .language import Lookup
 from .tables import table
-from .textkit import U64, crc_mod, lower_ascii, mix, segment_hash, text_arrays, words
+from .textkit import U64, crc_mod, lower_ascii, mix, releasing, segment_hash, text_arrays, words
 
 QUANTUM = 1e9
 END_TOKEN = U64(0xE4D0E4D0E4D0E4D1)
@@ -208,9 +208,9 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
             }
         )
 
-    asked = docs.groupBy("block").applyInArrow(ask, "block int, part int, keys binary, counts binary")
-    answered = asked.groupBy("part").applyInArrow(answer, "block int, part int, found binary, tokens long, kinds long")
-    return docs.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(score, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    asked = docs.groupBy("block").applyInArrow(releasing(ask), "block int, part int, keys binary, counts binary")
+    answered = asked.groupBy("part").applyInArrow(releasing(answer), "block int, part int, found binary, tokens long, kinds long")
+    return docs.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(releasing(score), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def op10_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 
 from .components import components
 from .tables import settle, table
-from .textkit import U64, blocks, mix, segment_hash, words
+from .textkit import U64, blocks, mix, releasing, segment_hash, words
 
 
 @dataclass(frozen=True)
@@ -221,7 +221,7 @@ def open_links(in_bucket: DataFrame, labels: DataFrame, sets: DataFrame, params:
     asked = F.transform(F.sequence(F.lit(0), blocks_1 - 1), lambda i: F.struct(i.alias("i"), (-1 - own).alias("j")))
     tasks = placed.withColumn("task", F.explode(F.when(F.col("side") == 1, F.concat(rivals, mains)).otherwise(asked))).select("field", F.col("task.i").alias("i"), F.col("task.j").alias("j"), "id", "label", "side")
     ready = tasks.join(sets.withColumnRenamed("doc_id", "id"), "id")
-    return settle(ready.groupBy("field", "i", "j").applyInArrow(lambda group: cross_links(group, params.similarity), "a long, b long"), "open-links")
+    return settle(ready.groupBy("field", "i", "j").applyInArrow(releasing(lambda group: cross_links(group, params.similarity)), "a long, b long"), "open-links")
 
 
 def near_duplicates(documents: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:

@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .tables import labelled_sample, table
-from .textkit import blocks, first_seen, gram_hash, lines, mix, repeated, segment_hash, text_arrays, words
+from .textkit import blocks, first_seen, gram_hash, lines, mix, releasing, repeated, segment_hash, text_arrays, words
 
 #: The symbols that the base rules count.
 SYMBOLS = "#*$%&|<>"
@@ -31,7 +31,7 @@ _SYMBOL[[ord(c) for c in SYMBOLS]] = True
 
 @dataclass(frozen=True)
 class QualityParams:
-    sample_rows: int = 2500  #: bound of the labelled sample
+    sample_rows: int = 1600  #: bound of the labelled sample
     sample_chars: int = 20_000  #: longest text of that sample
     min_words: int = 50
     repeat_percent: int = 50
@@ -89,15 +89,15 @@ def fit(rows: list, params: QualityParams) -> QualityModel:
         prior = min(max(prior, 1e-3), 1 - 1e-3)
         return QualityModel(np.zeros(DIMENSIONS), 0.0, 1.0, float(np.log(prior / (1 - prior))))
     doc_parts, feature_parts, value_parts = [], [], []
-    for at in range(0, len(rows), 200):
-        data, offsets = text_arrays(pa.array([r[1] for r in rows[at : at + 200]], pa.large_string()))
+    for at in range(0, len(rows), 100):
+        data, offsets = text_arrays(pa.array([r[1] for r in rows[at : at + 100]], pa.large_string()))
         n = len(offsets) - 1
         for doc, feature in features(data, offsets)[0]:
             key, count = np.unique(doc * DIMENSIONS + feature, return_counts=True)
             d = key // DIMENSIONS
-            doc_parts.append(d + at)
-            feature_parts.append(key % DIMENSIONS)
-            value_parts.append(count / np.maximum(1, np.bincount(doc, minlength=n))[d])
+            doc_parts.append((d + at).astype(np.int32))
+            feature_parts.append((key % DIMENSIONS).astype(np.int32))
+            value_parts.append((count / np.maximum(1, np.bincount(doc, minlength=n))[d]).astype(np.float32))
     doc, feature, value = map(np.concatenate, (doc_parts, feature_parts, value_parts))
     held = np.arange(len(y)) % 5 == 4
     fit_on = ~held
@@ -182,7 +182,7 @@ def assess_quality(documents: DataFrame, model: QualityModel, params: QualityPar
 
 
 def fit_quality(documents: DataFrame, labels: DataFrame, params: QualityParams = QualityParams()) -> QualityModel:
-    return fit(labelled_sample(documents, labels, "quality", params.sample_rows, params.sample_chars), params)
+    return releasing(fit)(labelled_sample(documents, labels, "quality", params.sample_rows, params.sample_chars), params)
 
 
 def filter_quality(documents: DataFrame, model: QualityModel, params: QualityParams = QualityParams()) -> DataFrame:

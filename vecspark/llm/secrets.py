@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .tables import table
-from .textkit import Segments, blocks, lower_ascii, segment_hash, text_arrays, words
+from .textkit import Segments, blocks, lower_ascii, releasing, segment_hash, text_arrays, words
 
 #: The base patterns, their least lengths, and the order of kinds.
 ASSIGN = re.compile(rb"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE)
@@ -337,7 +337,7 @@ def fit_secrets(documents: DataFrame, params: SecretParams = SecretParams()) ->
     short = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text").between(1, params.sample_chars))
     ids = short.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(params.sample_rows)
     rows = short.join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
-    return fit([r[1] for r in sorted(rows)], params)
+    return releasing(fit)([r[1] for r in sorted(rows)], params)
 
 
 def scan_block(data: np.ndarray, offsets: np.ndarray, model: SecretModel, params: SecretParams):

@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from .lm import cuts
 from .tables import table
-from .textkit import BYTE_CODE, U64, Segments, mix, segment_hash, text_arrays
+from .textkit import BYTE_CODE, U64, Segments, mix, releasing, segment_hash, text_arrays
 
 FIRST_ID = -(1 << 63)
 
@@ -373,11 +373,11 @@ def deduplicate_substrings(documents: DataFrame, p: SubstringParams = SubstringP
         digests = [hashlib.sha256(k).hexdigest() for k in kept]
         return pa.table([pa.array(b.ids, pa.int64(), mask=b.null), pa.array(np.diff(b.offsets)), pa.array(removed), pa.array(total(begins)), pa.array(digests), pa.array(kept, pa.binary()) if with_bytes else pa.nulls(len(kept), pa.binary())], schema=schema)
 
-    asked = docs.groupBy("block").applyInArrow(ask, "block int, part int, key binary, context binary, id binary, at binary")
-    answered = asked.groupBy("part").applyInArrow(answer, "block int, part int, state binary")
-    sent = docs.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(send, contexts)
-    found = sent.groupBy("part").applyInArrow(sort, "block int, lo binary, hi binary")
-    return docs.groupBy("block").cogroup(found.groupBy("block")).applyInArrow(cut, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    asked = docs.groupBy("block").applyInArrow(releasing(ask), "block int, part int, key binary, context binary, id binary, at binary")
+    answered = asked.groupBy("part").applyInArrow(releasing(answer), "block int, part int, state binary")
+    sent = docs.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(releasing(send), contexts)
+    found = sent.groupBy("part").applyInArrow(releasing(sort), "block int, lo binary, hi binary")
+    return docs.groupBy("block").cogroup(found.groupBy("block")).applyInArrow(releasing(cut), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
 
 
 def union_ranges(lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

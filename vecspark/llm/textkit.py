@@ -6,14 +6,16 @@ block of its own).  A null text counts as the empty text.
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+import ctypes
+from collections.abc import Callable, Iterable, Iterator
+from functools import wraps
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 20
 U64 = np.uint64
 
 #: The bytes that separate words, [\x20\x09-\x0D].
@@ -29,6 +31,28 @@ _BASE_INV = U64(pow(int(_BASE), -1, 2**64))
 _powers: dict[str, np.ndarray] = {}
 
 
+def release() -> None:
+    """Gives freed memory back to the system: an idle Python worker would keep it from the executor's other work."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # a C library without it
+        pass
+
+
+def releasing(f: Callable) -> Callable:
+    """f, with memory given back after each call."""
+
+    @wraps(f)
+    def call(*args):
+        try:
+            return f(*args)
+        finally:
+            release()
+
+    return call
+
+
 def crc_mod(doc_id: Column, n: int) -> Column:
     """crc32 of the id's decimal text, modulo n (a null id counts as empty text)."""
     return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(n))
@@ -84,6 +108,7 @@ def blocks(batches: Iterable[pa.RecordBatch], text: str = "text", limit: int = B
             to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + limit, "right")) - 1)
             yield batch.slice(at, to - at), data[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at]
             at = to
+    release()
 
 
 class Segments:
