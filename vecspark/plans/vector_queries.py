@@ -12,12 +12,12 @@ from vecspark.functions.kernels import BatchPlan
 from vecspark.operators import assign, measures
 from vecspark.operators.clustering import BoundedKMeans, LloydKMeans, MiniBatchKMeans, PhasedKMeans, TwoLevelKMeans, adjust_head, repair_empty, share_k
 from vecspark.operators.index import build_index, exact_knn, exact_knn_sql, index_search, match_explored, membership_recall, probe_curve, recall_at, route, vectors_explored
-from vecspark.operators.model import Model, collect_centroids
+from vecspark.operators.model import Model
 from vecspark.operators.rotation import random_rotation, rotate, rotate_sql
 from vecspark.operators.seeding import default_k, init_kmeanspp, init_random, sample_queries, sample_rows, start_matrix
 from vecspark.operators.stopping import RecallPlateau, plateau
 from vecspark.sources import featurize
-from vecspark.sources.files import settle, shared_path
+from vecspark.sources.files import shared_path
 from vecspark.sources.vectors import embeddings, normalise, read_table, validate
 
 K, SEED, D, D1, STEP, NQ, TOPK = 22, 0, 64, 8, 8, 100, 10
@@ -420,7 +420,7 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     from vecspark.operators.quantise import coarse_then_codes
 
-    return coarse_then_codes(embeddings(spark, sf_dir), k=16, parts=8, codes=16)[1]
+    return coarse_then_codes(embeddings(spark, sf_dir), k=16, parts=4, codes=16, iterations=3)[1]
 
 
 @query("tile_grid", f"""WITH {V}, t AS (SELECT vec_id, ntile(4) OVER (ORDER BY v[1], vec_id) - 1 AS a, ntile(4) OVER (ORDER BY v[2], vec_id) - 1 AS b FROM v) SELECT vec_id, a || '_' || b AS tile FROM t""")
@@ -725,5 +725,3 @@ def _(spark, sf_dir):
     t = read_table(spark, sf_dir, "embeddings")
     return t.groupBy("label").agg(udx.vec_mean("embedding").alias("mean")).select("label", F.posexplode("mean").alias("pos", "m")).select("label", "pos", F.round("m", 6).alias("m"))
 
-
-_ = (collect_centroids, settle)
