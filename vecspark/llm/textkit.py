@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import ctypes
 from collections.abc import Callable, Iterable, Iterator
-from functools import wraps
+from inspect import signature
 
 import numpy as np
 import pyarrow as pa
@@ -41,16 +41,21 @@ def release() -> None:
 
 
 def releasing(f: Callable) -> Callable:
-    """f, with memory given back after each call."""
+    """f of one or two arguments, with memory given back after each call (Spark looks at the number of arguments)."""
 
-    @wraps(f)
-    def call(*args):
+    def run(*args):
         try:
             return f(*args)
         finally:
             release()
 
-    return call
+    def one(x):
+        return run(x)
+
+    def two(x, y):
+        return run(x, y)
+
+    return one if len(signature(f).parameters) == 1 else two
 
 
 def crc_mod(doc_id: Column, n: int) -> Column:
