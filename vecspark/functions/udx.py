@@ -6,27 +6,28 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def vec_l2(a: pd.Series, b: pd.Series) -> pd.Series:
     x, y = np.stack(a.to_numpy()).astype(np.float64), np.stack(b.to_numpy()).astype(np.float64)
     return pd.Series(((x - y) ** 2).sum(1))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def vec_dot(a: pd.Series, b: pd.Series) -> pd.Series:
     x, y = np.stack(a.to_numpy()).astype(np.float64), np.stack(b.to_numpy()).astype(np.float64)
     return pd.Series((x * y).sum(1))
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def vec_mean(a: pd.Series) -> list:
     """Mean of a group's vectors."""
     return np.stack(a.to_numpy()).astype(np.float64).mean(0).tolist()
 
 
-@F.udtf(returnType="cid int, dist double")
+@F.udtf(returnType=T.StructType([T.StructField("cid", T.IntegerType()), T.StructField("dist", T.DoubleType())]))
 class NearestLists:
     """(cid, dist) of the n centroids nearest to a vector."""
 
@@ -37,7 +38,7 @@ class NearestLists:
             yield int(c), float(d[c])
 
 
-@F.udtf(returnType="blk int, vals array<float>")
+@F.udtf(returnType=T.StructType([T.StructField("blk", T.IntegerType()), T.StructField("vals", T.ArrayType(T.FloatType()))]))
 class DimensionBlocks:
     """The dimensions behind the head in blocks; the last may be shorter."""
 

@@ -87,7 +87,7 @@ def assign_sql(vectors: DataFrame, centroids: DataFrame) -> DataFrame:
     """The same in DataFrame functions: one broadcast row of all centroids and a row-local minimum, no shuffle."""
     every = centroids.agg(F.array_sort(F.collect_list(F.struct("cid", F.col("centroid").cast("array<double>").alias("y")))).alias("every"))
     dist = lambda y: F.aggregate(F.zip_with("vec", y, lambda a, b: (a.cast("double") - b) * (a.cast("double") - b)), F.lit(0.0), lambda s, v: s + v)
-    near = F.array_min(F.transform("every", lambda c: F.struct(F.round(dist(c["y"]), 9).alias("dist"), c["cid"].alias("cid"))))
+    near = F.array_min(F.transform("every", lambda c: F.struct(F.round(dist(c["y"]), 9).alias("at_nine"), c["cid"].alias("cid"), dist(c["y"]).alias("dist"))))
     return vectors.join(F.broadcast(every)).select("vec_id", near.alias("near")).select("vec_id", "near.cid", "near.dist")
 
 
