@@ -41,7 +41,7 @@ def release() -> None:
 
 
 def releasing(f: Callable) -> Callable:
-    """f of one or two arguments, with memory given back after each call (Spark looks at the number of arguments)."""
+    """f, with memory given back after each call; Spark looks at the number of arguments, so one and two stay so."""
 
     def run(*args):
         try:
@@ -55,7 +55,7 @@ def releasing(f: Callable) -> Callable:
     def two(x, y):
         return run(x, y)
 
-    return one if len(signature(f).parameters) == 1 else two
+    return {1: one, 2: two}.get(len(signature(f).parameters), run)
 
 
 def crc_mod(doc_id: Column, n: int) -> Column:
