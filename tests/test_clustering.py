@@ -137,8 +137,7 @@ def test_plans_have_no_products_and_prune_columns(spark, small, vectors):
     v = embeddings(spark, small)
     one = plan_of(assign_full(v, y))
     assert "Exchange" not in one and "label" not in one.split("ReadSchema")[-1]
-    merged, _ = merge_sums(iteration_sums(v, Kernel(y)))
-    assert plan_of(merged).split("Physical Plan")[-1].count("Exchange hashpartitioning") == 1
+    assert plan_of(merge_sums(iteration_sums(v, Kernel(y)))).split("Physical Plan")[-1].count("Exchange hashpartitioning") == 1
     p = spark.read.parquet(f"{small}/part.parquet").select("p_partkey", "p_retailprice")
     banded = plan_of(band_join(p, p.toDF("b", "y"), "p_retailprice", "y", 0.1))
     assert "CartesianProduct" not in banded and "NestedLoop" not in banded

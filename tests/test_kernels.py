@@ -43,12 +43,13 @@ def test_threshold_grows_and_ends_at_tau():
 @pytest.mark.parametrize("plan", [BatchPlan(), BatchPlan(64, 5), BatchPlan(1, 1), BatchPlan(7, 100)])
 @pytest.mark.parametrize("mode", ["head_nearest", "previous", "first_batch"])
 @pytest.mark.parametrize("progressive", [True, False])
-def test_without_pruning_every_shape_gives_the_nearest(data, plan, mode, progressive):
+@pytest.mark.parametrize("refinement", ["pairs", "grouped"])
+def test_without_pruning_every_shape_gives_the_nearest(data, plan, mode, progressive, refinement):
     x, y = data
     want = naive(x, y).argmin(1)
     assert (assign_full(x, y, plan)[0] == want).all()
     prev = np.random.default_rng(2).integers(0, len(y), len(x))
-    cid, dist = assign_pruned(x, CentroidBlocks(y, 25, 64), prev, np.inf, progressive, mode, plan)
+    cid, dist = assign_pruned(x, CentroidBlocks(y, 25, 64), prev, np.inf, progressive, mode, plan, refinement=refinement)
     assert (cid == want).all() and np.allclose(dist, naive(x, y).min(1))
 
 
@@ -61,6 +62,8 @@ def test_pruned_pair_is_never_assigned():
     cid, dist = assign_pruned(x, CentroidBlocks(y, 16, 16))
     assert np.allclose(dist, exact[np.arange(len(x)), cid])
     assert (cid != exact.argmin(1)).mean() < 0.01
+    grouped, dist = assign_pruned(x, CentroidBlocks(y, 16, 16), refinement="grouped")
+    assert np.allclose(dist, exact[np.arange(len(x)), grouped]) and (grouped != exact.argmin(1)).mean() < 0.01
 
 
 def test_pruning_saves_work_where_clusters_are_clear():

@@ -169,7 +169,8 @@ def w11_ablation(spark, sf_dir, fixture="doc", iterations=6) -> DataFrame:
     b, rows = Bench(spark, sf_dir, fixture), []
     variants = {"phased": {}, "no_first_threshold": {"seed_mode": "first_batch", "plan": BatchPlan(4096, 128)}, "no_layout": {"layout": "rows"}, "no_progressive": {"progressive": False}, "no_adaptation": {"adapt": False}}
     for name, options in variants.items():
-        rows += b.fit("w11", {"variant": name}, PhasedKMeans(k=b.k, max_iter=iterations, **options))[0]
+        rows += b.fit("w11", {"variant": name}, PhasedKMeans(k=b.k, max_iter=iterations, refinement="pairs", **options))[0]
+    rows += b.fit("w11", {"variant": "grouped_products"}, PhasedKMeans(k=b.k, max_iter=iterations))[0]
     rows += b.fit("w11", {"variant": "full"}, LloydKMeans(k=b.k, max_iter=iterations))[0]
     return frame(spark, rows)
 

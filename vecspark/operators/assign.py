@@ -27,14 +27,14 @@ def slices(centroids: np.ndarray, limit: int = BROADCAST_BYTES) -> list[tuple[in
 class Kernel:
     """How a batch is assigned: everything that a task needs, of the size of the centroids."""
 
-    def __init__(self, centroids: np.ndarray, pruned: bool = False, d1: int = 0, step: int = 64, epsilon0: float = 2.1, progressive: bool = True, layout: str = "blocks", seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), dtype=np.float32):
+    def __init__(self, centroids: np.ndarray, pruned: bool = False, d1: int = 0, step: int = 64, epsilon0: float = 2.1, progressive: bool = True, layout: str = "blocks", seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), dtype=np.float32, refinement: str = "grouped"):
         self.blocks = CentroidBlocks(np.ascontiguousarray(centroids, dtype), d1 if pruned else centroids.shape[1], step, layout)
-        self.pruned, self.epsilon0, self.progressive, self.seed_mode, self.plan, self.dtype = pruned, epsilon0, progressive, seed_mode, plan, dtype
+        self.pruned, self.epsilon0, self.progressive, self.seed_mode, self.plan, self.dtype, self.refinement = pruned, epsilon0, progressive, seed_mode, plan, dtype, refinement
 
     def __call__(self, x: np.ndarray, prev=None, work: Work | None = None):
         if not self.pruned:
             return kernels.assign_full(x, self.blocks, self.plan, work)
-        return kernels.assign_pruned(x, self.blocks, prev, self.epsilon0, self.progressive, self.seed_mode, self.plan, work)
+        return kernels.assign_pruned(x, self.blocks, prev, self.epsilon0, self.progressive, self.seed_mode, self.plan, work, refinement=self.refinement)
 
 
 def default_step(d: int) -> int:
@@ -133,30 +133,37 @@ def iteration_sums(vectors: DataFrame, kernel: Kernel) -> DataFrame:
     return vectors.select("vec").mapInArrow(scan, SUMS)
 
 
-def merge_sums(sums: DataFrame) -> tuple[dict[int, tuple[int, float, np.ndarray]], dict]:
-    """cid -> (n, wcss, sum), and the work of all tasks.  The shuffle is by centroid; k rows reach the driver."""
-
-    def add(group: pa.Table) -> pa.Table:
-        total = matrix(group["total"], np.float64).sum(0, keepdims=True)
-        return pa.table({"cid": group["cid"].slice(0, 1), "n": [sum(group["n"].to_pylist())], "wcss": [sum(group["wcss"].to_pylist())], "total": vector_rows(total)})
-
-    merged = sums.where("cid >= 0").select("cid", "n", "wcss", "total").groupBy("cid").applyInArrow(add, "cid int, n long, wcss double, total array<double>")
-    longest = lambda c: F.collect_list(F.when(F.size(c) > 0, F.col(c)))
-    stats = sums.where("cid < 0").agg(*(F.coalesce(F.sum(c), F.lit(0)).alias(c) for c in ("rows", "head_mul_adds", "tail_mul_adds", "tested", "rejected")), longest("block_tested").alias("block_tested"), longest("block_rejected").alias("block_rejected"))
-    return merged, stats
+def merge_sums(sums: DataFrame) -> DataFrame:
+    """One row for each centroid, and one of cid -1 with the work of all tasks: a single shuffle, by centroid."""
 
+    def longest(column: pa.ChunkedArray) -> list[int]:
+        lists = column.to_pylist()
+        width = max(map(len, lists))
+        return np.sum([np.pad(np.array(x, np.int64), (0, width - len(x))) for x in lists], axis=0).tolist()
 
-def collect_sums(sums: DataFrame):
-    merged, stats = merge_sums(sums)
-    out = {r["cid"]: (r["n"], r["wcss"], np.array(r["total"])) for r in merged.collect()}
-    s = stats.first().asDict()
-
-    def stack(lists):
-        width = max((len(x) for x in lists), default=0)
-        return np.sum([np.pad(x, (0, width - len(x))) for x in lists], axis=0).astype(int).tolist() if lists else []
-
-    s["block_tested"], s["block_rejected"] = stack(s["block_tested"]), stack(s["block_rejected"])
-    return out, s
+    def add(group: pa.Table) -> pa.Table:
+        out = {"cid": group["cid"].slice(0, 1)}
+        for c in ("n", "wcss"):
+            out[c] = pa.array([sum(group[c].to_pylist())])
+        out["total"] = vector_rows(matrix(group["total"], np.float64).sum(0, keepdims=True)) if group["cid"][0].as_py() >= 0 else pa.array([[]], pa.list_(pa.float64()))
+        for c in ("rows", "head_mul_adds", "tail_mul_adds", "tested", "rejected"):
+            out[c] = pa.array([sum(group[c].to_pylist())], pa.int64())
+        for c in ("block_tested", "block_rejected"):
+            out[c] = pa.array([longest(group[c])], pa.list_(pa.int64()))
+        return pa.table(out)
+
+    return sums.groupBy("cid").applyInArrow(add, SUMS)
+
+
+def collect_sums(sums: DataFrame) -> tuple[dict[int, tuple[int, float, np.ndarray]], dict]:
+    """cid -> (n, wcss, sum), and the work; one job, whose k rows reach the driver."""
+    out, work = {}, {c: 0 for c in ("rows", "head_mul_adds", "tail_mul_adds", "tested", "rejected")} | {"block_tested": [], "block_rejected": []}
+    for r in merge_sums(sums).collect():
+        if r["cid"] < 0:
+            work = {c: r[c] for c in work}
+        else:
+            out[r["cid"]] = (r["n"], r["wcss"], np.array(r["total"]))
+    return out, work
 
 
 def update_centroids_sql(vectors: DataFrame, assignment: DataFrame, centroids: DataFrame) -> DataFrame:

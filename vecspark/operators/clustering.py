@@ -179,6 +179,7 @@ class PhasedKMeans(LloydKMeans):
     progressive: bool = True
     layout: str = "blocks"
     seed_mode: str = "head_nearest"
+    refinement: str = "grouped"  #: "pairs": pair by pair, block by block; the ablations use it
     rotate: bool = True
 
     def prepare(self, vectors, d):
@@ -202,13 +203,13 @@ class PhasedKMeans(LloydKMeans):
 
     def pruned(self, centroids, d1):
         d = centroids.shape[1]
-        return Kernel(centroids, True, d1, self.step or default_step(d), self.epsilon0, self.progressive, self.layout, self.seed_mode, self.plan, self.dtype)
+        return Kernel(centroids, True, d1, self.step or default_step(d), self.epsilon0, self.progressive, self.layout, self.seed_mode, self.plan, self.dtype, self.refinement)
 
     def transform(self, vectors, model):
         """The last assignment, by the same pruned kernel."""
         if model.rotation is None:
             return super().transform(vectors, model)
-        options = {"progressive": self.progressive, "layout": self.layout, "seed_mode": self.seed_mode, "plan": self.plan, "dtype": self.dtype}
+        options = {"progressive": self.progressive, "layout": self.layout, "seed_mode": self.seed_mode, "plan": self.plan, "dtype": self.dtype, "refinement": self.refinement}
         return assign_pruned(rotate(vectors, model.rotation, self.dtype), model.centroids @ model.rotation, model.d1, self.step, self.epsilon0, **options)
 
 

@@ -285,8 +285,9 @@ def pruned(name: str, **options):
 
 
 pruned("assign_pruned_exact_head_nearest_seed")
-pruned("assign_pruned_exact_progressive_off", progressive=False)
-pruned("assign_pruned_exact_rows_layout", layout="rows")
+pruned("assign_pruned_exact_pairs", refinement="pairs")
+pruned("assign_pruned_exact_progressive_off", refinement="pairs", progressive=False)
+pruned("assign_pruned_exact_rows_layout", refinement="pairs", layout="rows")
 pruned("assign_pruned_exact_first_batch_seed", seed_mode="first_batch", plan=BatchPlan(4096, 7))
 pruned("assign_pruned_exact_sliced", limit=5 * D * 4)
 
