@@ -10,6 +10,10 @@ asks an anchor's key range about each distinct (anchor, context) that it holds,
 repeats an earlier one as a whole (all its strings go), or is the first of its kind while other contexts share
 its anchor.  Only the latter are sent on, so exact copies never are.
 
+Hot anchors.  A line that very many texts hold gives an anchor of very many contexts, all of which would meet in
+one key range.  The strings of such contexts are therefore dealt out by their own hash (of 128 bits), first of all
+inside the block, so that a string that is everywhere comes once a block and others spread over all ranges.
+
 Suffix sort.  In a key range the contexts of each anchor are suffix-sorted to the right of the anchor, and
 their reversed left sides to the left, by mergesort.  Two suffixes are compared by a binary search for their
 common extension over prefix polynomial hashes, then by the next byte, so a comparison takes a logarithmic number
@@ -44,6 +48,7 @@ class SubstringParams:
     gram: int = 24
     block_bytes: int = 2 << 20
     range_bytes: int = 6 << 20
+    hot: int = 1000  #: anchors of more distinct contexts than this are decided string by string
 
 
 def _slide(x: np.ndarray, width: int, take) -> np.ndarray:
@@ -147,6 +152,23 @@ class Block:
         self.context = context
 
 
+def hot_strings(b: Block, contexts: np.ndarray, p: SubstringParams) -> tuple[dict[str, np.ndarray], np.ndarray]:
+    """(the block's first occurrence of each string of these contexts, by hash; the starts of the others)."""
+    a = b.anchors
+    count = a.hi[contexts] - a.lo[contexts] + 1
+    which = np.repeat(contexts, count)
+    start = np.arange(count.sum()) + np.repeat(a.lo[contexts] - np.concatenate([[0], np.cumsum(count)])[:-1], count)
+    seg = Segments(start, start + p.length, start, len(b.ids))
+    key = segment_hash(b.data, seg) if len(start) else np.empty(0, np.uint64)
+    check = segment_hash(b.data[::-1], Segments(len(b.data) - seg.end, len(b.data) - seg.start, start, len(b.ids))) if len(start) else key
+    doc, at = b.id_of[which], b.at[which] + start - a.lo[which]
+    order = np.lexsort((at, doc, check, key))
+    k, c = key[order], check[order]
+    new = np.concatenate([[True], (k[1:] != k[:-1]) | (c[1:] != c[:-1])]) if len(order) else np.empty(0, bool)
+    first = order[new]
+    return {"key": key[first], "check": check[first], "id": doc[first], "at": at[first], "base": start[first]}, start[order[~new]]
+
+
 def merge_order(group: np.ndarray, prefix: np.ndarray, size: np.ndarray, text: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Mergesort of suffixes inside each group (groups stand together); (order, common extension with the one before).
 
@@ -311,7 +333,7 @@ def deduplicate_substrings(documents: DataFrame, p: SubstringParams = SubstringP
             new_key = np.concatenate([[True], k[1:] != k[:-1]])
             new = new_key | np.concatenate([[True], c[1:] != c[:-1]])
             kinds = np.bincount(np.cumsum(new_key) - 1, new)[np.cumsum(new_key) - 1]
-            state[order] = np.where(new, np.where(kinds > 1, 2, 0), 1)
+            state[order] = np.where(new, np.where(kinds > p.hot, 3, np.where(kinds > 1, 2, 0)), 1)
         return pa.table({"block": group["block"], "part": group["part"], "state": blob(state, at, np.uint8)})
 
     contexts = "part long, block int, key binary, id binary, at binary, base binary, left binary, size binary, bytes binary"
@@ -325,18 +347,22 @@ def deduplicate_substrings(documents: DataFrame, p: SubstringParams = SubstringP
         state = np.concatenate([np.frombuffer(x.as_py(), np.uint8) for x in answers.sort_by("part")["state"]])
         a = b.anchors
         gone = np.concatenate([b.again, b.asked[state == 1]])
-        lo, hi = union_ranges(a.lo[gone], a.hi[gone] + p.length)
+        number = texts["block"][0].as_py()
+        hot, again = hot_strings(b, b.asked[state == 3], p)
+        lo, hi = union_ranges(np.concatenate([a.lo[gone], again]), np.concatenate([a.hi[gone], again]) + p.length)
         i = b.asked[state == 2]
         at = cuts(a.key[i], ranges)
         length = a.hi[i] + p.length - a.lo[i]
         where = np.arange(length.sum()) + np.repeat(a.lo[i] - np.concatenate([[0], np.cumsum(length)])[:-1], length)
         text = b.data[where]
         ends = np.concatenate([[0], np.cumsum(length)])[at]
-        number = texts["block"][0].as_py()
         rows = {"part": pa.array(np.arange(ranges, dtype=np.int64)), "block": pa.array(np.full(ranges, number, np.int32)), "key": blob(a.key[i], at, np.uint64), "id": blob(b.id_of[i], at, np.int64), "at": blob(b.at[i], at, np.int64), "base": blob(a.lo[i], at, np.int64), "left": blob(a.place[i] - a.lo[i], at, np.uint8), "size": blob(length, at, np.uint16), "bytes": blob(text, ends, np.uint8)}
         out = pa.table(rows, schema=schema).filter(pa.array(np.diff(at) > 0))
         own = pa.table({"part": pa.array([-1 - number], pa.int64()), "block": pa.array([number], pa.int32()), "key": pa.array([lo.tobytes()], pa.binary()), "id": pa.array([hi.tobytes()], pa.binary()), **{c: pa.array([b""], pa.binary()) for c in ("at", "base", "left", "size", "bytes")}}, schema=schema)
-        return pa.concat_tables([out, own])
+        at = cuts(hot["key"], ranges)
+        empty = pa.array([b""] * ranges, pa.binary())
+        strings = pa.table({"part": pa.array(np.arange(ranges, 2 * ranges, dtype=np.int64)), "block": pa.array(np.full(ranges, number, np.int32)), **{c: blob(hot[c], at, hot[c].dtype) for c in ("key", "id", "at", "base")}, "left": empty, "size": empty, "bytes": blob(hot["check"], at, np.uint64)}, schema=schema).filter(pa.array(np.diff(at) > 0))
+        return pa.concat_tables([out, own, strings])
 
     def sort(group: pa.Table) -> pa.Table:
         if group["part"][0].as_py() < 0:
@@ -345,6 +371,13 @@ def deduplicate_substrings(documents: DataFrame, p: SubstringParams = SubstringP
         keys = read("key", np.uint64)
         row = np.repeat(np.arange(len(keys)), [len(k) for k in keys])
         key, doc, at, base = np.concatenate(keys), *(np.concatenate(read(c, np.int64)) for c in ("id", "at", "base"))
+        if group["part"][0].as_py() >= ranges:
+            check = np.concatenate(read("bytes", np.uint64))
+            order = np.lexsort((at, doc, check, key))
+            k, c = key[order], check[order]
+            again = order[1:][(k[1:] == k[:-1]) & (c[1:] == c[:-1])]
+            marks = [union_ranges(base[own], base[own] + p.length) for own in np.split(again[np.argsort(row[again], kind="stable")], np.searchsorted(np.sort(row[again]), np.arange(1, len(keys))))]
+            return pa.table({"block": group["block"], "lo": pa.array([m[0].tobytes() for m in marks], pa.binary()), "hi": pa.array([m[1].tobytes() for m in marks], pa.binary())})
         left, size = np.concatenate(read("left", np.uint8)).astype(np.int64), np.concatenate(read("size", np.uint16)).astype(np.int64)
         buffer = np.concatenate(read("bytes", np.uint8))
         start = np.concatenate([[0], np.cumsum(size)])[:-1]
