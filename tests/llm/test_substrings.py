@@ -28,7 +28,7 @@ def run(docs, p):
     return sorted((-1 if r["doc_id"] is None else r["doc_id"], r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in rows)
 
 
-@pytest.mark.parametrize("p", [SubstringParams(), SubstringParams(block_bytes=4000, range_bytes=3000), SubstringParams(length=40, gram=10, block_bytes=9000)])
+@pytest.mark.parametrize("p", [SubstringParams(), SubstringParams(block_bytes=4000, range_bytes=3000), SubstringParams(block_bytes=4000, range_bytes=3000, hot=2), SubstringParams(hot=1), SubstringParams(length=40, gram=10, block_bytes=9000)])
 def test_equals_brute_force(make_docs, text, p):
     a, b = text(1, 60), text(2, 80)
     line = "Copyright holders: permission is hereby granted, free of charge, to any person who reads this very line of text; no more."
