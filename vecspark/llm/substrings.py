@@ -47,7 +47,7 @@ class SubstringParams:
     length: int = 100
     gram: int = 24
     block_bytes: int = 2 << 20
-    range_bytes: int = 6 << 20
+    range_bytes: int = 4 << 20
     hot: int = 1000  #: anchors of more distinct contexts than this are decided string by string
 
 
@@ -106,7 +106,8 @@ def anchors(data: np.ndarray, offsets: np.ndarray, p: SubstringParams) -> Anchor
     least[np.cumsum(whole[: len(least)], dtype=np.int8) == 0] = 0
     ahead = np.concatenate([np.zeros(width - 1, np.uint32), least, np.zeros(width - 1, np.uint32)])
     place = np.flatnonzero(rank == _slide(ahead, width, np.maximum)[: len(rank)])
-    key = key[place]
+    # anchors have the least of hashes, so their keys are mixed once more to spread over the key ranges
+    key = mix(key[place] + U64(0xA24BAED4963EE407))
     ranked = rank[place]
     lo, hi = np.empty(len(place), np.int64), np.empty(len(place), np.int64)
     for at in range(0, len(place), 20_000):
