@@ -36,7 +36,7 @@ class NearDupParams:
     similarity: float = 0.8
     bands: int = 20
     rows: int = 4
-    block: int = 1000  #: documents of a block in the comparisons that stay open
+    block: int = 400  #: documents of a block in the comparisons that stay open
 
     @property
     def components(self) -> int:
