@@ -108,6 +108,18 @@ def test_validation_policies(spark):
     assert flaw(2) is not None
 
 
+def test_reduction_keeps_distances_on_average(spark):
+    from vecspark.operators.reduce import reduce_dimensions
+
+    v = blobs(spark, n=200)
+    x = np.array([r["vec"] for r in v.orderBy("vec_id").collect()])
+    for kind in ("prefix", "pca"):
+        low = np.array([r["vec"] for r in reduce_dimensions(v, 16, kind).orderBy("vec_id").collect()])
+        assert low.shape == (200, 16)
+        ratio = ((low[1:] - low[:-1]) ** 2).sum() / ((x[1:] - x[:-1]) ** 2).sum()
+        assert 0.7 < ratio < 1.3
+
+
 def test_model_round_trip(spark, tmp_path):
     Model(np.eye(3), np.arange(3), [{"iter": 1, "wcss": 2.0}], None, 5, {"k": 3}).save(spark, str(tmp_path / "m"))
     back = Model.load(spark, str(tmp_path / "m"))

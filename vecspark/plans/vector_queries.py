@@ -431,6 +431,17 @@ def _(spark, sf_dir):
     return tile_assign(embeddings(spark, sf_dir), dims=2, tiles=4)
 
 
+for kind in ("prefix", "pca"):
+
+    @query(f"reduced_{kind}_clusters")
+    def _(spark, sf_dir, kind=kind):
+        from vecspark.operators.reduce import reduce_dimensions
+
+        low = reduce_dimensions(embeddings(spark, sf_dir), 16, kind)
+        method = PhasedKMeans(k=K, max_iter=3, seed=SEED)
+        return method.transform(low, method.fit(low))
+
+
 # ---- search and measures ----------------------------------------------------------------------------------------
 
 QUERY_CTE = f"qs AS (SELECT vec_id AS qid, v AS qv FROM v ORDER BY md5(vec_id || ':1'), vec_id LIMIT {NQ})"
