@@ -32,6 +32,7 @@ UNITS = 4096  #: code lengths are whole numbers of 1/4096 bit, so that sums are
 class LanguageParams:
     rows_per_language: int = 300  #: bound of the sample
     languages: int = 400  #: bound of the number of languages, the most frequent first
+    total_rows: int = 12_000  #: bound over all languages, shared out evenly where there are many
     sample_chars: int = 20_000  #: longest text in the sample
     min_rows: int = 1
 
@@ -162,10 +163,11 @@ def fit_languages(documents: DataFrame, params: LanguageParams = LanguageParams(
     if where is not None:
         rows = rows.where(where)
     top = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(params.languages)
+    per_language = max(1, min(params.rows_per_language, params.total_rows // max(1, top.count())))
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
     # four times the rows wanted are let through, so that a frequent language doesn't meet in one task
-    share = (F.xxhash64("doc_id") / F.lit(float(2**64)) + 0.5) <= F.lit(4.0 * params.rows_per_language) / F.col("count")
-    ids = rows.join(F.broadcast(top), "lang").where(share).withColumn("at", F.row_number().over(order)).where(F.col("at") <= params.rows_per_language).select("doc_id", "lang").distinct()
+    share = (F.xxhash64("doc_id") / F.lit(float(2**64)) + 0.5) <= F.lit(4.0 * per_language) / F.col("count")
+    ids = rows.join(F.broadcast(top), "lang").where(share).withColumn("at", F.row_number().over(order)).where(F.col("at") <= per_language).select("doc_id", "lang").distinct()
     found = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").where(f"length(text) between 1 and {params.sample_chars}").join(F.broadcast(ids), ["doc_id", "lang"])
     samples: dict[str, list[str]] = {}
     for lang, text in found.groupBy("doc_id", "lang").agg(F.min("text").alias("text")).select("lang", "text").collect():
