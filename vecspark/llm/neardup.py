@@ -255,7 +255,8 @@ def deduplicate(documents: DataFrame, params: NearDupParams = NearDupParams()) -
     """The rows of one document of each class, that of the least id; rows with a null id stay."""
     classes = settle(near_duplicates(documents, params).groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.count(F.lit(1)).alias("rows")), "classes")
     gone = classes.where("doc_id is not null and doc_id <> class_id").select("doc_id")
-    keep = documents.join(gone, documents["doc_id"].cast("long") == gone["doc_id"], "left_anti")
+    # one plan at every size: what goes grows with the input, so it is never broadcast
+    keep = documents.join(gone.hint("merge"), documents["doc_id"].cast("long") == gone["doc_id"], "left_anti")
     twice = classes.where("doc_id = class_id and rows > 1").select(F.col("doc_id").alias("__twice"))
     if not twice.limit(1).count():
         return keep
