@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from vecspark.llm.lm import LmParams, packed, score_corpus, unpacked
+from vecspark.llm.lm import LmParams, packed, packed_keys, score_corpus, unpacked, unpacked_keys
 from vecspark.llm.mixing import CHUNK, MixParams, mix_sources
 from vecspark.llm.registry import ORACLES, QUERIES
 from vecspark.llm.warc import read_archives, write_archives
@@ -69,6 +69,8 @@ def test_lm_without_training_and_without_rows(make_docs, text):
     assert score_corpus(docs.where("false"), F.lit(False)).count() == 0
     for counts in ([], [0, 255], [256], [70_000], [2**40]):
         assert unpacked(packed(np.array(counts, np.int64))).tolist() == counts
+    for keys in ([], [5], [1, 2**64 - 1], [3, 4, 300, 70_000], [2**63, 2**63 + 2**47]):
+        assert unpacked_keys(packed_keys(np.array(keys, np.uint64))).tolist() == keys
 
 
 def test_archives_round_trip(spark, tmp_path):

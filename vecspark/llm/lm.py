@@ -102,6 +102,26 @@ def unpacked(blob: bytes) -> np.ndarray:
     return np.frombuffer(blob, f"u{blob[0]}", offset=1).astype(np.int64)
 
 
+def packed_keys(keys: np.ndarray) -> bytes:
+    """Sorted keys as the first one and the steps between them, in as many bytes as the largest step needs."""
+    if not len(keys):
+        return b""
+    steps = np.diff(keys)
+    top = int(steps.max()) if len(steps) else 0
+    width = next(w for w in range(1, 9) if top < 1 << (8 * w))
+    return bytes([width]) + keys[:1].tobytes() + steps.view(np.uint8).reshape(-1, 8)[:, :width].tobytes()
+
+
+def unpacked_keys(blob: bytes) -> np.ndarray:
+    if not blob:
+        return np.empty(0, np.uint64)
+    steps = np.frombuffer(blob, np.uint8, offset=9).reshape(-1, blob[0])
+    wide = np.zeros((len(steps) + 1, 8), np.uint8)
+    wide[0] = np.frombuffer(blob, np.uint8, 8, 1)
+    wide[1:, : blob[0]] = steps
+    return np.cumsum(wide.view(np.uint64).ravel(), dtype=np.uint64)
+
+
 def cuts(keys: np.ndarray, ranges: int) -> np.ndarray:
     """Where in the sorted keys each of the equal ranges of their upper 32 bits begins and ends."""
     edges = np.array([(i << 32) // ranges for i in range(1, ranges)], np.uint64) << U64(32)
@@ -160,13 +180,13 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
             {
                 "block": pa.array(np.full(ranges, block, np.int32)),
                 "part": pa.array(np.arange(ranges, dtype=np.int32)),
-                "keys": pa.array([keys[a:b].tobytes() for a, b in zip(at, at[1:])], pa.binary()),
+                "keys": pa.array([packed_keys(keys[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
                 "counts": pa.array([packed(counts[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
             }
         )
 
     def answer(group: pa.Table) -> pa.Table:
-        blobs = [np.frombuffer(x.as_py(), np.uint64) for x in group["keys"]]
+        blobs = [unpacked_keys(x.as_py()) for x in group["keys"]]
         counts = np.concatenate([unpacked(x.as_py()) for x in group["counts"]])
         union, place = np.unique(np.concatenate(blobs), return_inverse=True)
         totals = np.bincount(place, counts, len(union)).astype(np.int64)
