@@ -28,7 +28,7 @@ from vecspark.sources.vectors import embeddings, read_table
 SCHEMA = "workload string, fixture string, params map<string,string>, metric string, value double"
 FIXTURES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "emb": embeddings,
-    "doc": lambda s, d: featurize.document_vectors(s, d, 512, 2000),
+    "doc": lambda s, d: featurize.document_vectors(s, d, 512),
     "chunk": lambda s, d: featurize.chunk_vectors(s, d, 256),
     "line": featurize.order_vectors,
     "part": featurize.part_vectors,
@@ -124,7 +124,7 @@ def w06_sampling(spark, sf_dir, fixture="doc", fracs=(0.05, 0.1, 0.2, 0.3, 0.5,
 
 
 def w07_foreign_queries(spark, sf_dir, fracs=(0.1, 0.3, 1.0)) -> DataFrame:
-    items = featurize.text_vectors(read_table(spark, sf_dir, "benchmark"), "item_id", 512, 2000).select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
+    items = featurize.text_vectors(read_table(spark, sf_dir, "benchmark"), "item_id", 512).select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
     b, rows = Bench(spark, sf_dir, "doc", queries=items), []
     for frac in fracs:
         rows += b.fit("w07", {"frac": frac}, PhasedKMeans(k=40, max_iter=8, sample_frac=frac))[0]

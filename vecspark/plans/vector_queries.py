@@ -683,6 +683,21 @@ def _(spark, sf_dir):
     return featurize.trigram_cells(read_table(spark, sf_dir, "documents"), "doc_id", 64, 500)
 
 
+# the three queries on texts again, over every character; their SQL reads whole texts too
+WHOLE_GRAMS = GRAMS.replace("substr(lower(text), 1, 500)", "lower(text)")
+
+
+@query("doc_hash_vector_whole", "WITH " + WHOLE_GRAMS.format(key="doc_id", table="documents", d=64) + ", nz AS (SELECT vec_id, sqrt(sum(abs(n))) AS norm FROM cells GROUP BY 1) SELECT vec_id, dim, round((sign(n) * sqrt(abs(n)) / norm)::FLOAT::DOUBLE, 5) AS x FROM cells JOIN nz USING (vec_id)")
+def _(spark, sf_dir):
+    v = featurize.document_vectors(spark, sf_dir, 64)
+    return v.select("vec_id", F.posexplode("vec").alias("dim", "f")).where("f <> 0").select("vec_id", "dim", F.round(F.col("f").cast("double"), 5).alias("x"))
+
+
+@query("doc_ngrams_whole", "WITH " + WHOLE_GRAMS.format(key="doc_id", table="documents", d=64) + " SELECT vec_id AS doc_id, dim, n FROM cells")
+def _(spark, sf_dir):
+    return featurize.trigram_cells(read_table(spark, sf_dir, "documents"), "doc_id", 64)
+
+
 ORDER_SQL = """f AS (SELECT l_orderkey AS vec_id, count(*)::DOUBLE AS lines, sum(l_quantity) AS q, avg(l_extendedprice) AS p, max(l_discount) AS d, avg(CASE WHEN l_returnflag = 'R' THEN 1.0::DOUBLE ELSE 0 END) AS r, avg(cos(dayofyear(l_shipdate) * (6.283185307179586::DOUBLE / 365.25::DOUBLE))) AS c FROM lineitem GROUP BY 1)"""
 
 
@@ -725,6 +740,13 @@ def _(spark, sf_dir):
     return exact_knn(items, docs, 1, "cosine", exclude_self=False).select("qid", F.round(1 - F.col("dist"), 4).alias("best"))
 
 
+@query("ood_queries_knn_whole", ORACLES["ood_queries_knn"].replace("substr(lower(text), 1, 500)", "lower(text)"))
+def _(spark, sf_dir):
+    docs = featurize.document_vectors(spark, sf_dir, 64)
+    items = featurize.text_vectors(read_table(spark, sf_dir, "benchmark"), "item_id", 64).select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
+    return exact_knn(items, docs, 1, "cosine", exclude_self=False).select("qid", F.round(1 - F.col("dist"), 4).alias("best"))
+
+
 @query("sql_knn", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(pow(list_distance(v, qv), 2), 6), vec_id) <= 3")
 def _(spark, sf_dir):
     udx.register(spark)

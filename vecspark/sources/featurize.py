@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from .vectors import read_table
 
 EVENT_TYPES = 5
+PIECE = 1000  #: trigrams a piece of text has; a substring is found by walking from the start, so long texts are cut first
 
 
 def trigram_cells(texts: DataFrame, key: str, d: int, chars: int | None = None) -> DataFrame:
@@ -16,7 +17,8 @@ def trigram_cells(texts: DataFrame, key: str, d: int, chars: int | None = None)
     if chars:
         text = F.substring(text, 1, chars)
     n = F.greatest(F.length("t") - 2, F.lit(1))
-    grams = texts.select(key, text.alias("t")).where("length(t) > 0").select(key, F.explode(F.transform(F.sequence(F.lit(1), n), lambda i: F.substring(F.col("t"), i, F.lit(3)))).alias("g"))
+    pieces = texts.select(key, text.alias("t")).where("length(t) > 0").select(key, F.explode(F.transform(F.sequence(F.lit(0), F.floor((n - 1) / PIECE).cast("int")), lambda p: F.substring(F.col("t"), p * PIECE + 1, F.lit(PIECE + 2)))).alias("t"))
+    grams = pieces.select(key, F.explode(F.transform(F.sequence(F.lit(1), n), lambda i: F.substring(F.col("t"), i, F.lit(3)))).alias("g"))
     # texts repeat few trigrams, so hashing each pair of key and trigram once is far less work
     counted = grams.groupBy(key, "g").agg(F.count(F.lit(1)).alias("n"))
     h = F.conv(F.substring(F.md5("g"), 1, 8), 16, 10).cast("long")
@@ -30,14 +32,14 @@ def dense(cells: DataFrame, key: str, value: Column, d: int) -> DataFrame:
     return held.select(F.col(key).alias("vec_id"), F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda i: F.coalesce(F.col("m")[i], F.lit(0.0)).cast("float")).alias("vec"))
 
 
-def text_vectors(texts: DataFrame, key: str, d: int = 512, chars: int | None = 2000) -> DataFrame:
+def text_vectors(texts: DataFrame, key: str, d: int = 512, chars: int | None = None) -> DataFrame:
     cells = trigram_cells(texts, key, d, chars)
     rooted = cells.withColumn("r", F.signum("n") * F.sqrt(F.abs("n")))
     norm = rooted.groupBy(key).agg(F.sqrt(F.sum(F.col("r") * F.col("r"))).alias("norm"))
     return dense(rooted.join(norm, key), key, F.col("r") / F.col("norm"), d)
 
 
-def document_vectors(spark: SparkSession, sf_dir: str, d: int = 512, chars: int | None = 2000) -> DataFrame:
+def document_vectors(spark: SparkSession, sf_dir: str, d: int = 512, chars: int | None = None) -> DataFrame:
     return text_vectors(read_table(spark, sf_dir, "documents"), "doc_id", d, chars)
 
 
