@@ -5,7 +5,11 @@ import hashlib
 import numpy as np
 from pyspark.sql import functions as F
 
+from vecspark.operators import index
+from vecspark.operators.assign import assign_full
+from vecspark.operators.seeding import every_20th, start_matrix
 from vecspark.sources import featurize
+from vecspark.sources.vectors import embeddings
 
 
 def cells(text: str, d: int) -> dict:
@@ -28,3 +32,16 @@ def test_text_vectors_read_every_character(spark):
     tail = docs.where("doc_id = 9").withColumn("text", F.concat("text", F.lit("unseen ending " * 40)))
     whole = [featurize.text_vectors(x, "doc_id", 64).first()["vec"] for x in (docs.where("doc_id = 9"), tail)]
     assert whole[0] != whole[1]
+
+
+def test_searches_take_any_number_of_queries_in_blocks(spark, small, monkeypatch):
+    v = embeddings(spark, small)
+    queries, y = every_20th(v), start_matrix(v, 10, 0)
+    lists = v.join(assign_full(v, y, dtype=np.float64), "vec_id")
+    ask = lambda: [sorted(map(tuple, df.collect())) for df in (index.exact_knn(queries, v, 5), index.index_search(queries, lists, y, 5, 3))]
+    n, whole = queries.count(), ask()
+    assert n > 7 and {r[0] for r in whole[0]} == {r[0] for r in queries.collect()}
+    monkeypatch.setattr(index, "QUERY_BLOCK", 3)
+    monkeypatch.setattr(index, "PAIRS_AT_ONCE", 50)
+    assert ask() == whole
+    assert len([*index.query_blocks(queries)]) == -(-n // 3)

@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from itertools import islice
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -13,6 +16,7 @@ from .assign import assign_full, assign_pruned
 from .model import Model, matrix
 
 QUERY_BLOCK = 20_000  #: queries broadcast at once
+PAIRS_AT_ONCE = 2_000_000  #: distances that a task holds
 
 
 def query_matrix(queries: DataFrame, limit: int = QUERY_BLOCK) -> tuple[np.ndarray, np.ndarray]:
@@ -20,9 +24,26 @@ def query_matrix(queries: DataFrame, limit: int = QUERY_BLOCK) -> tuple[np.ndarr
     rows = queries.select("qid", "qvec").orderBy("qid").limit(limit + 1).collect()
     if len(rows) > limit:
         raise ValueError(f"more than {limit} queries at once; pass them in blocks")
+    return stacked(rows)
+
+
+def stacked(rows: list) -> tuple[np.ndarray, np.ndarray]:
     return np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.float64).reshape(len(rows), -1)
 
 
+def query_blocks(queries: DataFrame, limit: int | None = None):
+    """(qid, vectors) of every `limit` queries in the order of qid; a set within the bound, and an empty one, is one block."""
+    limit = limit or QUERY_BLOCK
+    ordered = queries.select("qid", "qvec").orderBy("qid")
+    rows = ordered.limit(limit + 1).collect()
+    if len(rows) <= limit:
+        yield stacked(rows)
+        return
+    rows = ordered.toLocalIterator()
+    while block := list(islice(rows, limit)):
+        yield stacked(block)
+
+
 def scores(q: np.ndarray, x: np.ndarray, metric: str) -> np.ndarray:
     """What is least for the best match: squared distance, negative inner product, or one less the cosine."""
     if metric == "l2":
@@ -34,28 +55,38 @@ def scores(q: np.ndarray, x: np.ndarray, metric: str) -> np.ndarray:
 
 
 def exact_knn(queries: DataFrame, vectors: DataFrame, topk: int = 10, metric: str = "l2", exclude_self: bool = True) -> DataFrame:
-    """(qid, rank, vec_id, dist): each task keeps its own best topk of a query, and a window ranks those of all tasks."""
-    ids, q = query_matrix(queries)
+    """(qid, rank, vec_id, dist): each task keeps its own best topk of a query, and a window ranks those of all tasks.
+
+    The vectors are scanned once for each block of queries.
+    """
+    found = [block_knn(ids, q, vectors, topk, metric, exclude_self) for ids, q in query_blocks(queries)]
+    return top_rank(reduce(DataFrame.union, found), topk)
+
+
+def block_knn(ids: np.ndarray, q: np.ndarray, vectors: DataFrame, topk: int, metric: str, exclude_self: bool) -> DataFrame:
     shipped = vectors.sparkSession.sparkContext.broadcast((ids, q))
 
     def search(batches):
         own, qm = shipped.value
-        best_id, best_d = np.full((len(own), 0), 0, np.int64), np.full((len(own), 0), np.inf)
+        best_id, best_d = np.zeros((len(own), topk), np.int64), np.full((len(own), topk), np.inf)
         for batch in batches:
             if not batch.num_rows or not len(own):
                 continue
             vid, x = batch.column(0).to_numpy(), matrix(batch.column(1), np.float64)
-            d = np.round(scores(qm, x, metric), 9)
-            if exclude_self:
-                d[own[:, None] == vid[None, :]] = np.inf
-            d, v = np.concatenate([best_d, d], 1), np.concatenate([best_id, np.broadcast_to(vid, d.shape)], 1)
-            order = np.lexsort((v, d), axis=1)[:, :topk]
-            best_d, best_id = np.take_along_axis(d, order, 1), np.take_along_axis(v, order, 1)
+            few = max(1, PAIRS_AT_ONCE // batch.num_rows)
+            for at in range(0, len(own), few):
+                part = slice(at, at + few)
+                d = np.round(scores(qm[part], x, metric), 9)
+                if exclude_self:
+                    d[own[part, None] == vid[None, :]] = np.inf
+                v = np.concatenate([best_id[part], np.broadcast_to(vid, d.shape)], 1)
+                d = np.concatenate([best_d[part], d], 1)
+                order = np.lexsort((v, d), axis=1)[:, :topk]
+                best_d[part], best_id[part] = np.take_along_axis(d, order, 1), np.take_along_axis(v, order, 1)
         r, c = np.nonzero(np.isfinite(best_d))
         yield pa.RecordBatch.from_arrays([pa.array(own[r]), pa.array(best_id[r, c]), pa.array(best_d[r, c])], names=["qid", "vec_id", "dist"])
 
-    found = vectors.select("vec_id", "vec").mapInArrow(search, "qid long, vec_id long, dist double")
-    return top_rank(found, topk)
+    return vectors.select("vec_id", "vec").mapInArrow(search, "qid long, vec_id long, dist double")
 
 
 def top_rank(found: DataFrame, topk: int) -> DataFrame:
@@ -103,9 +134,13 @@ def route(spark: SparkSession, queries: DataFrame, centroids: np.ndarray, nprobe
 
 
 def index_search(queries: DataFrame, lists: DataFrame, centroids: np.ndarray, topk: int = 10, nprobe: int = 1, exclude_self: bool = True) -> DataFrame:
-    """(qid, rank, vec_id, dist) from the lists of the nprobe nearest centroids."""
-    spark = queries.sparkSession
-    ids, q = query_matrix(queries)
+    """(qid, rank, vec_id, dist) from the lists of the nprobe nearest centroids; the lists are read once for each block of queries."""
+    found = [block_search(ids, q, lists, centroids, topk, nprobe, exclude_self) for ids, q in query_blocks(queries)]
+    return top_rank(reduce(DataFrame.union, found), topk)
+
+
+def block_search(ids: np.ndarray, q: np.ndarray, lists: DataFrame, centroids: np.ndarray, topk: int, nprobe: int, exclude_self: bool) -> DataFrame:
+    spark = lists.sparkSession
     d = np.round(sq_dists(q, centroids.astype(np.float64)), 9)
     probes = np.argsort(d, axis=1, kind="stable")[:, :nprobe]
     asking: dict[int, list[int]] = {}
@@ -127,21 +162,24 @@ def index_search(queries: DataFrame, lists: DataFrame, centroids: np.ndarray, to
             cid, vid, x = batch.column(0).to_numpy(), batch.column(1).to_numpy(), matrix(batch.column(2), np.float64)
             out = []
             for c in np.unique(cid):
-                qs = by_cid.get(int(c))
-                if qs is None:
+                asked = by_cid.get(int(c))
+                if asked is None:
                     continue
                 rows = np.flatnonzero(cid == c)
-                dist = np.round(sq_dists(qm[qs], x[rows]), 9)
-                if exclude_self:
-                    dist[own[qs][:, None] == vid[rows][None, :]] = np.inf
-                keep = np.lexsort((np.broadcast_to(vid[rows], dist.shape), dist), axis=1)[:, :topk]
-                d_top = np.take_along_axis(dist, keep, 1)
-                r, k = np.nonzero(np.isfinite(d_top))
-                out.append((own[qs][r], vid[rows][keep[r, k]], d_top[r, k]))
+                few = max(1, PAIRS_AT_ONCE // len(rows))
+                for at in range(0, len(asked), few):
+                    qs = asked[at : at + few]
+                    dist = np.round(sq_dists(qm[qs], x[rows]), 9)
+                    if exclude_self:
+                        dist[own[qs][:, None] == vid[rows][None, :]] = np.inf
+                    keep = np.lexsort((np.broadcast_to(vid[rows], dist.shape), dist), axis=1)[:, :topk]
+                    d_top = np.take_along_axis(dist, keep, 1)
+                    r, k = np.nonzero(np.isfinite(d_top))
+                    out.append((own[qs][r], vid[rows][keep[r, k]], d_top[r, k]))
             if out:
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([o[i] for o in out])) for i in range(3)], names=["qid", "vec_id", "dist"])
 
-    return top_rank(wanted.select("cid", "vec_id", "vec").mapInArrow(search, "qid long, vec_id long, dist double"), topk)
+    return wanted.select("cid", "vec_id", "vec").mapInArrow(search, "qid long, vec_id long, dist double")
 
 
 def recall_at(found: DataFrame, truth: DataFrame, k: int, per_query: bool = False) -> DataFrame:

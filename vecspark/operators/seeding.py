@@ -62,3 +62,8 @@ def sample_rows(vectors: DataFrame, frac: float | None = None, max_per_centroid:
 def sample_queries(vectors: DataFrame, n: int = 1000, seed: int = 1) -> DataFrame:
     """(qid, qvec): rows of the data themselves, by hash order."""
     return vectors.orderBy(*hash_order(seed)).limit(n).select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))
+
+
+def every_20th(vectors: DataFrame) -> DataFrame:
+    """(qid, qvec): the rows whose id is divisible by 20, the query set of the searches."""
+    return vectors.where("vec_id % 20 = 0").select(F.col("vec_id").alias("qid"), F.col("vec").alias("qvec"))

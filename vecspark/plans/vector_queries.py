@@ -14,7 +14,7 @@ from vecspark.operators.clustering import BoundedKMeans, LloydKMeans, MiniBatchK
 from vecspark.operators.index import build_index, exact_knn, exact_knn_sql, index_search, match_explored, membership_recall, probe_curve, recall_at, route, vectors_explored
 from vecspark.operators.model import Model
 from vecspark.operators.rotation import random_rotation, rotate, rotate_sql
-from vecspark.operators.seeding import default_k, init_kmeanspp, init_random, sample_queries, sample_rows, start_matrix
+from vecspark.operators.seeding import default_k, every_20th, init_kmeanspp, init_random, sample_queries, sample_rows, start_matrix
 from vecspark.operators.stopping import RecallPlateau, plateau
 from vecspark.sources import featurize
 from vecspark.sources.files import shared_path
@@ -446,6 +446,8 @@ for kind in ("prefix", "pca"):
 
 QUERY_CTE = f"qs AS (SELECT vec_id AS qid, v AS qv FROM v ORDER BY md5(vec_id || ':1'), vec_id LIMIT {NQ})"
 
+EVERY_CTE = "qs AS (SELECT vec_id AS qid, v AS qv FROM v WHERE vec_id % 20 = 0)"
+
 
 def knn_cte(score: str) -> str:
     return f"tr AS (SELECT qid, CAST(row_number() OVER (PARTITION BY qid ORDER BY s, vec_id) AS INTEGER) AS rank, vec_id, s FROM (SELECT q.qid, v.vec_id, round({score}, 9) AS s FROM v, qs q WHERE v.vec_id <> q.qid) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY s, vec_id) <= {TOPK})"
@@ -460,6 +462,11 @@ def knn_query(name: str, metric: str, score: str):
         v = embeddings(spark, sf_dir)
         return exact_knn(sample_queries(v, NQ), v, TOPK, metric).withColumn("dist", F.round("dist", 6))
 
+    @query(f"{name}_every20", f"WITH {V}, {EVERY_CTE}, {knn_cte(score)} SELECT qid, rank, vec_id, round(s, 6) AS dist FROM tr")
+    def _(spark, sf_dir):
+        v = embeddings(spark, sf_dir)
+        return exact_knn(every_20th(v), v, TOPK, metric).withColumn("dist", F.round("dist", 6))
+
 
 knn_query("exact_knn_10", "l2", L2)
 knn_query("exact_knn_ip", "ip", "-list_inner_product(v.v, q.qv)")
@@ -472,6 +479,12 @@ def _(spark, sf_dir):
     return exact_knn_sql(sample_queries(v, NQ), v, TOPK).withColumn("dist", F.round("dist", 6))
 
 
+@query("exact_knn_sql_every20", f"WITH {V}, {EVERY_CTE}, {knn_cte(L2)} SELECT qid, rank, vec_id, round(s, 6) AS dist FROM tr")
+def _(spark, sf_dir):
+    v = embeddings(spark, sf_dir)
+    return exact_knn_sql(every_20th(v), v, TOPK).withColumn("dist", F.round("dist", 6))
+
+
 def probe_cte(nprobe: int) -> str:
     return f"pr AS (SELECT qid, cid, CAST(row_number() OVER (PARTITION BY qid ORDER BY s, cid) AS INTEGER) AS probe, s FROM (SELECT q.qid, c.cid, round(pow(list_distance(c.y, q.qv), 2), 9) AS s FROM c0 c, qs q) QUALIFY row_number() OVER (PARTITION BY qid ORDER BY s, cid) <= {nprobe})"
 
