@@ -3,11 +3,13 @@
 import hashlib
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from vecspark.operators import index
 from vecspark.operators.assign import assign_full
 from vecspark.operators.seeding import every_20th, start_matrix
+from vecspark.queries import QUERIES
 from vecspark.sources import featurize
 from vecspark.sources.vectors import embeddings
 
@@ -45,3 +47,11 @@ def test_searches_take_any_number_of_queries_in_blocks(spark, small, monkeypatch
     monkeypatch.setattr(index, "PAIRS_AT_ONCE", 50)
     assert ask() == whole
     assert len([*index.query_blocks(queries)]) == -(-n // 3)
+
+
+@pytest.mark.parametrize("name", ["index_search_fitted", "index_on_disk_search_fitted"])
+def test_index_search_reaches_its_recall(spark, medium, name):
+    v = embeddings(spark, medium)
+    truth = index.exact_knn(every_20th(v), v, 10)
+    recall = index.recall_at(QUERIES[name](spark, medium), truth, 10).first()[0]
+    assert 0.9 <= recall < 1

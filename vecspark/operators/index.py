@@ -110,6 +110,10 @@ def build_index(vectors: DataFrame, model: Model, path: str, cid_buckets: int =
         work = assign_pruned(rotate(vectors, model.rotation), model.centroids @ model.rotation, model.d1 or None)
     else:
         work = assign_full(vectors, model.centroids)
+    return write_lists(vectors, work, path, cid_buckets)
+
+
+def write_lists(vectors: DataFrame, work: DataFrame, path: str, cid_buckets: int) -> DataFrame:
     lists = vectors.join(work.select("vec_id", "cid"), "vec_id").withColumn("cid_bucket", F.pmod("cid", F.lit(cid_buckets)))
     # a large cluster may hold a large share of the rows, so a list is spread over files by a salt of the id
     salt = F.pmod(F.xxhash64("vec_id"), F.lit(8))
@@ -219,6 +223,23 @@ def probe_curve(queries: DataFrame, assignment: DataFrame, centroids: np.ndarray
     return hits.join(explored, "nprobe").join(F.broadcast(queries_n)).select("nprobe", (F.col("hits") / (F.col("nq") * k)).alias("recall"), (F.col("total") / F.col("nq")).alias("explored"))
 
 
+def least_nprobe(queries: DataFrame, assignment: DataFrame, centroids: np.ndarray, truth: DataFrame, k: int, recall: float = 0.9) -> tuple[int, float, float]:
+    """(nprobe, recall, explored): the least level whose measured recall is enough; routing goes only as far as it must.
+
+    Up to 64 lists every level is tried, beyond that levels an eighth apart; all lists together find everything.
+    """
+    lists, cap = len(centroids), 8
+    while True:
+        cap = min(cap, lists)
+        levels = [1]
+        while levels[-1] < cap:
+            levels.append(min(cap, levels[-1] + max(1, levels[-1] // 8 if levels[-1] >= 64 else 1)))
+        enough = probe_curve(queries, assignment, centroids, truth, k, levels).where(F.col("recall") >= recall).orderBy("nprobe").first()
+        if enough or cap == lists:
+            return (enough["nprobe"], enough["recall"], enough["explored"]) if enough else (lists, 1.0, float(assignment.count()))
+        cap *= 4
+
+
 def match_explored(curve: DataFrame, explored: float) -> DataFrame:
     """The least nprobe of a curve that explores as much as is asked for (its largest, if none does)."""
     enough = F.col("explored") >= F.lit(explored)
