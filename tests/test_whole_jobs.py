@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 
 from vecspark.operators import index
 from vecspark.operators.assign import assign_full
+from vecspark.operators.quantise import tile_assign
 from vecspark.operators.seeding import every_20th, start_matrix
 from vecspark.queries import QUERIES
 from vecspark.sources import featurize
@@ -55,3 +56,19 @@ def test_index_search_reaches_its_recall(spark, medium, name):
     truth = index.exact_knn(every_20th(v), v, 10)
     recall = index.recall_at(QUERIES[name](spark, medium), truth, 10).first()[0]
     assert 0.9 <= recall < 1
+
+
+def test_tiles_are_exact_ranks_without_one_task_of_all_rows(spark):
+    rng = np.random.default_rng(2)
+    for n in (0, 3, 1003):
+        x = np.where(rng.random((n, 2)) < 0.4, 0.5, rng.random((n, 2)))
+        df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, vec array<double>")
+        got = tile_assign(df, 2, 4)
+        plan = got._jdf.queryExecution().optimizedPlan().toString()
+        assert plan.count("windowspecdefinition(") == plan.count("windowspecdefinition(range")
+        want = {i: [] for i in range(n)}
+        for c in range(2):
+            for t, part in enumerate(np.array_split(np.lexsort((np.arange(n), x[:, c])), 4)):
+                for i in part:
+                    want[int(i)].append(str(t))
+        assert {r["vec_id"]: r["tile"] for r in got.collect()} == {i: "_".join(t) for i, t in want.items()}
