@@ -2,6 +2,7 @@
 
 import hashlib
 
+import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -10,7 +11,7 @@ from vecspark.operators import index
 from vecspark.operators.assign import assign_full
 from vecspark.operators.quantise import tile_assign
 from vecspark.operators.seeding import every_20th, start_matrix
-from vecspark.queries import QUERIES
+from vecspark.queries import ORACLES, QUERIES
 from vecspark.sources import featurize
 from vecspark.sources.vectors import embeddings
 
@@ -72,3 +73,14 @@ def test_tiles_are_exact_ranks_without_one_task_of_all_rows(spark):
                 for i in part:
                     want[int(i)].append(str(t))
         assert {r["vec_id"]: r["tile"] for r in got.collect()} == {i: "_".join(t) for i, t in want.items()}
+
+
+def test_sessions_open_at_the_end_are_kept(spark, tmp_path):
+    rows = [(1, 0, "2024-01-01 00:00:00"), (2, 0, "2024-01-01 06:00:00"), (3, 0, "2024-01-01 12:00:01"), (4, 7, "2024-01-01 12:30:00")]
+    events = spark.createDataFrame(rows, "event_id long, user_id long, ts string").withColumn("ts", F.to_timestamp_ntz("ts"))
+    events.coalesce(1).write.parquet(f"{tmp_path}/events.parquet")
+    got = sorted((r["user_id"], r["start"], r["n"]) for r in QUERIES["stream_session"](spark, str(tmp_path)).collect())
+    at = 1704067200
+    con = duckdb.connect()
+    con.sql(f"create view events as select * from read_parquet('{tmp_path}/events.parquet/*.parquet')")
+    assert got == [(0, at, 2), (0, at + 43201, 1), (7, at + 45000, 1)] == sorted(con.sql(ORACLES["stream_session"]).fetchall())

@@ -74,10 +74,15 @@ def _(spark, sf_dir):
     return drain(counted.select(F.unix_timestamp("window.start").alias("start"), "n"), "complete")
 
 
-@keep("stream_session")
+# a session takes in an event that comes just as its gap ends
+@keep("stream_session", """WITH e AS (SELECT user_id, ts, event_id, CASE WHEN ts - lag(ts) OVER w <= INTERVAL '6 hours' THEN 0 ELSE 1 END AS opens FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)),
+s AS (SELECT user_id, ts, sum(opens) OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS UNBOUNDED PRECEDING) AS session FROM e)
+SELECT user_id, CAST(floor(epoch(min(ts))) AS BIGINT) AS start, count(*) AS n FROM s GROUP BY user_id, session""")
 def _(spark, sf_dir):
-    counted = events(spark, sf_dir).groupBy(F.session_window("ts", "6 hours"), "user_id").agg(F.count(F.lit(1)).alias("n"))
-    return drain(counted.select("user_id", F.unix_timestamp("session_window.start").alias("start"), "n"))
+    """Every session, those still open at the end too: no watermark closes one, and the last batch is complete."""
+    stream = stream_table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    counted = stream.groupBy(F.session_window("ts", "6 hours"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return drain(counted.select("user_id", F.unix_timestamp("session_window.start").alias("start"), "n"), "complete")
 
 
 @keep("stream_dedup", "SELECT count(DISTINCT (user_id, event_type)) AS n FROM events")
