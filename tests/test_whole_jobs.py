@@ -84,3 +84,11 @@ def test_sessions_open_at_the_end_are_kept(spark, tmp_path):
     con = duckdb.connect()
     con.sql(f"create view events as select * from read_parquet('{tmp_path}/events.parquet/*.parquet')")
     assert got == [(0, at, 2), (0, at + 43201, 1), (7, at + 45000, 1)] == sorted(con.sql(ORACLES["stream_session"]).fetchall())
+
+
+def test_pair_queries_ask_every_20th_row(spark, small):
+    v = embeddings(spark, small)
+    wanted = {r["qid"] for r in every_20th(v).collect()}
+    for name in ("l2_array_every20", "sql_knn_every20"):
+        assert {r["qid"] for r in QUERIES[name](spark, small).select("qid").distinct().collect()} == wanted
+    assert QUERIES["scan_embeddings_all_ids"](spark, small).where("NOT vec_id BETWEEN 10 AND 400").count() > 0

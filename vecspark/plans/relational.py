@@ -82,6 +82,11 @@ def _(spark, sf_dir):
     return read_table(spark, sf_dir, "embeddings").where(F.col("label").isin(1, 2) & F.col("vec_id").between(10, 400)).select("vec_id", "label")
 
 
+@keep("scan_embeddings_all_ids", "SELECT vec_id, label FROM embeddings WHERE label IN (1, 2)")
+def _(spark, sf_dir):
+    return read_table(spark, sf_dir, "embeddings").where(F.col("label").isin(1, 2)).select("vec_id", "label")
+
+
 ORDERS = "SELECT o_orderkey, o_custkey, o_totalprice FROM orders"
 
 
@@ -132,6 +137,11 @@ def _(spark, sf_dir):
     return read_table(spark, sf_dir, "documents").where(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1).isin("0", "1") & F.col("lang").rlike("^(en|de)$")).select("doc_id")
 
 
+@keep("filter_lang_all_ids", "SELECT doc_id FROM documents WHERE regexp_matches(lang, '^(en|de)$')")
+def _(spark, sf_dir):
+    return read_table(spark, sf_dir, "documents").where(F.col("lang").rlike("^(en|de)$")).select("doc_id")
+
+
 # ---- joins ------------------------------------------------------------------------------------------------------
 
 JOINED = "SELECT o_custkey, count(*) AS n, round(sum(l_quantity), 2) AS q FROM orders JOIN lineitem ON l_orderkey = o_orderkey GROUP BY 1"

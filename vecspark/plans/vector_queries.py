@@ -98,49 +98,66 @@ def _(spark, sf_dir):
 PAIRS = f"WITH {V}, q AS (SELECT vec_id AS qid, v AS qv FROM v WHERE vec_id < 5)"
 
 
-def five(v):
-    return F.broadcast(v.where("vec_id < 5").agg(F.collect_list(F.struct(F.col("vec_id").alias("qid"), F.col("vec").alias("qv"))).alias("qs")))
+EVERY_PAIRS = PAIRS.replace("WHERE vec_id < 5", "WHERE vec_id % 20 = 0")
+ASKED_AT_ONCE = 1000  #: queries in one broadcast row
 
 
-def query_pairs(spark, sf_dir):
+def asked(v, which):
+    """The query rows in blocks, each one row to broadcast."""
+    held = v.where(which).groupBy(F.floor(F.col("vec_id") / (20 * ASKED_AT_ONCE)).alias("block")).agg(F.collect_list(F.struct(F.col("vec_id").alias("qid"), F.col("vec").alias("qv"))).alias("qs"))
+    return F.broadcast(held.select("qs"))
+
+
+def query_pairs(spark, sf_dir, which="vec_id < 5"):
     v = embeddings(spark, sf_dir)
-    return v.join(five(v)).select("vec_id", "vec", F.explode("qs").alias("q")).select("vec_id", "vec", "q.qid", "q.qv")
+    return v.join(asked(v, which)).select("vec_id", "vec", F.explode("qs").alias("q")).select("vec_id", "vec", "q.qid", "q.qv")
 
 
-@query("l2_array", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
-def _(spark, sf_dir):
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(vc.l2("vec", "qv"), 6).alias("d"))
+def pair_query(name: str, tail: str):
+    """The query over the first five rows, and as the same name with _every20 over the rows whose id is divisible by 20."""
+
+    def keep(f):
+        query(name, PAIRS + tail)(f)
+        query(f"{name}_every20", EVERY_PAIRS + tail)(lambda spark, sf_dir: f(spark, sf_dir, "vec_id % 20 = 0"))
+        return f
 
+    return keep
 
-@query("l2_by_inner_product", PAIRS + " SELECT qid, vec_id, round(greatest(list_inner_product(v, v) + list_inner_product(qv, qv) - 2 * list_inner_product(v, qv), 0), 6) AS d FROM v, q")
-def _(spark, sf_dir):
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(F.greatest(vc.sq_norm("vec") + vc.sq_norm("qv") - 2 * vc.dot("vec", "qv"), F.lit(0.0)), 6).alias("d"))
 
+@pair_query("l2_array", " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(vc.l2("vec", "qv"), 6).alias("d"))
 
-@query("head_plus_tail", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
-def _(spark, sf_dir):
+
+@pair_query("l2_by_inner_product", " SELECT qid, vec_id, round(greatest(list_inner_product(v, v) + list_inner_product(qv, qv) - 2 * list_inner_product(v, qv), 0), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(F.greatest(vc.sq_norm("vec") + vc.sq_norm("qv") - 2 * vc.dot("vec", "qv"), F.lit(0.0)), 6).alias("d"))
+
+
+@pair_query("head_plus_tail", " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
     both = vc.l2(vc.head("vec", 8), vc.head("qv", 8)) + vc.l2(vc.tail("vec", 8, D), vc.tail("qv", 8, D))
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(both, 6).alias("d"))
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(both, 6).alias("d"))
 
 
-@query("partial_l2_d1", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v[:8], qv[:8]), 2), 6) AS d FROM v, q")
-def _(spark, sf_dir):
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(vc.l2(vc.head("vec", 8), vc.head("qv", 8)), 6).alias("d"))
+@pair_query("partial_l2_d1", " SELECT qid, vec_id, round(pow(list_distance(v[:8], qv[:8]), 2), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(vc.l2(vc.head("vec", 8), vc.head("qv", 8)), 6).alias("d"))
 
 
-@query("dot_array", PAIRS + " SELECT qid, vec_id, round(list_inner_product(v, qv), 6) AS s FROM v, q")
-def _(spark, sf_dir):
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(vc.dot("vec", "qv"), 6).alias("s"))
+@pair_query("dot_array", " SELECT qid, vec_id, round(list_inner_product(v, qv), 6) AS s FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(vc.dot("vec", "qv"), 6).alias("s"))
 
 
-@query("cosine_array", PAIRS + " SELECT qid, vec_id, round(list_cosine_similarity(v, qv), 6) AS s FROM v, q")
-def _(spark, sf_dir):
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(vc.cosine("vec", "qv"), 6).alias("s"))
+@pair_query("cosine_array", " SELECT qid, vec_id, round(list_cosine_similarity(v, qv), 6) AS s FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(vc.cosine("vec", "qv"), 6).alias("s"))
 
 
-@query("udf_distance", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
-def _(spark, sf_dir):
-    return query_pairs(spark, sf_dir).select("qid", "vec_id", F.round(udx.vec_l2("vec", "qv"), 6).alias("d"))
+@pair_query("udf_distance", " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return query_pairs(spark, sf_dir, which).select("qid", "vec_id", F.round(udx.vec_l2("vec", "qv"), 6).alias("d"))
 
 
 @query("blocks_of_vector", f"WITH {V} SELECT vec_id, CAST(b AS INTEGER) AS blk, len(v[8 + b * 16 + 1 : least(64, 8 + b * 16 + 16)]) AS n, round(list_sum(v[8 + b * 16 + 1 : least(64, 8 + b * 16 + 16)]), 6) AS s FROM v, range(4) t(b)")
@@ -189,18 +206,18 @@ def _(spark, sf_dir):
 
 # ---- rotation, seeding ------------------------------------------------------------------------------------------
 
-def _pair_dists(v):
-    return v.join(five(v)).select("vec_id", "vec", F.explode("qs").alias("q")).select(F.col("q.qid").alias("qid"), "vec_id", F.round(vc.l2("vec", "q.qv"), 6).alias("d"))
+def _pair_dists(v, which):
+    return v.join(asked(v, which)).select("vec_id", "vec", F.explode("qs").alias("q")).select(F.col("q.qid").alias("qid"), "vec_id", F.round(vc.l2("vec", "q.qv"), 6).alias("d"))
 
 
-@query("rotation_preserves_l2", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
-def _(spark, sf_dir):
-    return _pair_dists(rotate(embeddings(spark, sf_dir), random_rotation(D, 3), np.float64))
+@pair_query("rotation_preserves_l2", " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return _pair_dists(rotate(embeddings(spark, sf_dir), random_rotation(D, 3), np.float64), which)
 
 
-@query("rotate_sql", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
-def _(spark, sf_dir):
-    return _pair_dists(rotate_sql(embeddings(spark, sf_dir), random_rotation(D, 3)))
+@pair_query("rotate_sql", " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q")
+def _(spark, sf_dir, which="vec_id < 5"):
+    return _pair_dists(rotate_sql(embeddings(spark, sf_dir), random_rotation(D, 3)), which)
 
 
 @query("init_random_md5", f"WITH {V}, {start_sql()} SELECT cid, round(list_sum(y), 6) AS s FROM c0")
@@ -787,10 +804,10 @@ def _(spark, sf_dir):
     return exact_knn(items, docs, 1, "cosine", exclude_self=False).select("qid", F.round(1 - F.col("dist"), 4).alias("best"))
 
 
-@query("sql_knn", PAIRS + " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(pow(list_distance(v, qv), 2), 6), vec_id) <= 3")
-def _(spark, sf_dir):
+@pair_query("sql_knn", " SELECT qid, vec_id, round(pow(list_distance(v, qv), 2), 6) AS d FROM v, q QUALIFY row_number() OVER (PARTITION BY qid ORDER BY round(pow(list_distance(v, qv), 2), 6), vec_id) <= 3")
+def _(spark, sf_dir, which="vec_id < 5"):
     udx.register(spark)
-    query_pairs(spark, sf_dir).createOrReplaceTempView("vecspark_pairs")
+    query_pairs(spark, sf_dir, which).createOrReplaceTempView("vecspark_pairs")
     return spark.sql("SELECT qid, vec_id, d FROM (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY d, vec_id) AS r FROM (SELECT qid, vec_id, round(vec_l2(vec, qv), 6) AS d FROM vecspark_pairs)) WHERE r <= :top", args={"top": 3})
 
 
