@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .tables import table
+from .tables import discard, settle, table
 from .textkit import Segments, blocks, lower_ascii, releasing, segment_hash, text_arrays, words
 
 #: The base patterns, their least lengths, and the order of kinds.
@@ -334,9 +334,19 @@ def fit(texts: list[str], params: SecretParams) -> SecretModel:
 
 
 def fit_secrets(documents: DataFrame, params: SecretParams = SecretParams()) -> SecretModel:
+    """Half of the sample's bound is for texts with a base match, which one scan of all texts finds; half for others."""
     short = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text").between(1, params.sample_chars))
-    ids = short.select("doc_id").distinct().orderBy(F.xxhash64("doc_id"), "doc_id").limit(params.sample_rows)
-    rows = short.join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
+
+    def matched(batches):
+        for rows, data, offsets in blocks(batches):
+            held = np.zeros(rows.num_rows, bool)
+            held[[s[0] for s in base_spans(data, offsets)]] = True
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(held)], names=["doc_id", "held"])
+
+    marks = settle(short.mapInArrow(matched, "doc_id long, held boolean").groupBy("doc_id").agg(F.max("held").alias("held")), "secret-marks")
+    some = lambda w: marks.where(w).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max(1, params.sample_rows // 2))
+    rows = short.join(F.broadcast(some("held").union(some("NOT held"))), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
+    discard(marks)
     return releasing(fit)([r[1] for r in sorted(rows)], params)
 
 
