@@ -161,7 +161,7 @@ def hot_strings(b: Block, contexts: np.ndarray, p: SubstringParams) -> tuple[dic
     start = np.arange(count.sum()) + np.repeat(a.lo[contexts] - np.concatenate([[0], np.cumsum(count)])[:-1], count)
     seg = Segments(start, start + p.length, start, len(b.ids))
     key = segment_hash(b.data, seg) if len(start) else np.empty(0, np.uint64)
-    check = segment_hash(b.data[::-1], Segments(len(b.data) - seg.end, len(b.data) - seg.start, start, len(b.ids))) if len(start) else key
+    check = segment_hash(b.data, seg, 0x5851F42D4C957F2D) if len(start) else key
     doc, at = b.id_of[which], b.at[which] + start - a.lo[which]
     order = np.lexsort((at, doc, check, key))
     k, c = key[order], check[order]

@@ -26,9 +26,7 @@ IS_SPACE[list(SPACE_BYTES)] = True
 
 _RNG = np.random.default_rng(20_240_601)
 BYTE_CODE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) * U64(2) + U64(1)
-_BASE = U64(0x9E3779B97F4A7C15 | 5)
-_BASE_INV = U64(pow(int(_BASE), -1, 2**64))
-_powers: dict[str, np.ndarray] = {}
+LANE_SEED = U64(0x2545F4914F6CDD1D)
 
 
 def release() -> None:
@@ -63,17 +61,6 @@ def crc_mod(doc_id: Column, n: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(n))
 
 
-def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """base**i and base**-i modulo 2**64 for i <= n."""
-    if len(_powers.get("up", ())) <= n:
-        size = max(n + 1, BLOCK_BYTES + 2)
-        for name, base in (("up", _BASE), ("down", _BASE_INV)):
-            p = np.full(size, base, np.uint64)
-            p[0] = 1
-            _powers[name] = np.multiply.accumulate(p)
-    return _powers["up"], _powers["down"]
-
-
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser (the published splitmix64 constants)."""
     x = np.array(x, np.uint64, copy=True)
@@ -159,12 +146,29 @@ def lines(data: np.ndarray, offsets: np.ndarray) -> Segments:
     return Segments(start[order], end[back], np.concatenate([np.arange(n_docs), doc])[order], n_docs)
 
 
-def segment_hash(data: np.ndarray, seg: Segments) -> np.ndarray:
-    """64-bit hash of each segment's bytes, the same wherever it stands."""
-    up, down = powers(len(data))
-    sums = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum(BYTE_CODE[data] * up[: len(data)], out=sums[1:])
-    return mix((sums[seg.end] - sums[seg.start]) * down[seg.start] + (seg.end - seg.start).astype(np.uint64))
+def segment_hash(data: np.ndarray, seg: Segments, salt: int = 0) -> np.ndarray:
+    """64-bit hash of each segment's bytes, the same wherever it stands; segments may overlap.
+
+    Eight bytes at a time, every (place, value) has a pseudo-random number of its own and these are added up, so no
+    pattern of bytes collides by its form, as some do under any polynomial modulo a power of two.
+    """
+    seed = LANE_SEED ^ U64(salt)
+    size = seg.end - seg.start
+    lanes = (size + 7) // 8
+    full = np.flatnonzero(lanes)
+    if not len(full):
+        return mix(np.full(len(seg), seed))
+    length, count = size[full], lanes[full]
+    first = np.cumsum(count) - count
+    turn = np.arange(count.sum()) - np.repeat(first, count)
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    eight = np.ndarray(len(data) + 1, "<u8", padded, strides=(1,))[np.repeat(seg.start[full], count) + 8 * turn]
+    rest = np.minimum(np.repeat(length, count) - 8 * turn, 8)
+    lane = eight & (U64(2**64 - 1) >> ((8 - rest) << 3).astype(np.uint64))
+    lane = mix(mix(lane ^ seed) + turn.astype(np.uint64) * U64(0xA24BAED4963EE407))
+    out = np.full(len(seg), seed)
+    out[full] = np.add.reduceat(lane, first) + length.astype(np.uint64)
+    return mix(out)
 
 
 def lower_ascii(data: np.ndarray) -> np.ndarray:
