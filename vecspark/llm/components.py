@@ -9,7 +9,7 @@ from .tables import discard, settle
 
 
 def components(links: DataFrame) -> DataFrame:
-    """(a long, b long) -> (id long, label long), label the least id of its component; ids without links are not listed.
+    """(a, b) -> (id, label) of one orderable type, label the least id of its component; ids without links are not listed.
 
     Every round is written to the shared folder, so that the plan stays short and a lost executor costs a task.
     """

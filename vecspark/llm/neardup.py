@@ -7,13 +7,15 @@ element's multiplicity, and a component's value is its earliest time.  Two bags
 probability equal to their weighted Jaccard similarity, and points are drawn only while they can still come
 before a bag's latest component.
 
-Bags that are equal become one representative first.  In each band bucket all members are compared with the
-bucket's least id; pairs that this leaves open (in buckets that still hold several classes) are compared in
-blocks of bounded size that return only links which join classes.  So every pair that shares a band is decided
-by its exact multiset overlap or already in one class.  The chance that a pair at the threshold shares no band is (1 - 0.8**4)**20, under 3 in 100,000.
+Bags that are equal become one node first, named by its 128-bit key.  In each band bucket every node is held against
+the bucket's centre, its least node.  These comparisons go in rounds: a node meets first the centre that it shares most
+bands with, and later only centres whose class is still another than its own, so that what a round joins is linear
+in the nodes.  Pairs of other members that are of two classes after that are compared in blocks of bounded size that
+return only links which join classes.  So every pair that shares a band is decided by its exact multiset overlap or
+already in one class.  The chance that a pair at the threshold shares no band is (1 - 0.8**4)**20, under 3 in 100,000.
 
 Defined results: texts of 1 to 4 words are one shingle; a text without words is a class of its own, as is a row
-with a null id; rows that repeat an id are one document.  The class id is the least doc_id of the class.
+with a null id; rows that repeat an id are told apart by their texts.  The class id is the least doc_id of the class.
 """
 
 from __future__ import annotations
@@ -22,7 +24,8 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow.compute  # noqa: F401
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .components import components
@@ -36,7 +39,7 @@ class NearDupParams:
     similarity: float = 0.8
     bands: int = 20
     rows: int = 4
-    block: int = 400  #: documents of a block in the comparisons that stay open
+    block: int = 128  #: documents of a block in the comparisons that stay open
 
     @property
     def components(self) -> int:
@@ -112,31 +115,50 @@ def band_keys(signature: np.ndarray, params: NearDupParams) -> np.ndarray:
     return h.view(np.int64)
 
 
+def bag_keys(doc: np.ndarray, key: np.ndarray, weight: np.ndarray, n_docs: int) -> pa.Array:
+    """The 128-bit key of each document's bag; null where it has no shingle."""
+    halves = np.zeros((n_docs, 2), np.uint64)
+    full, start = np.unique(doc, return_index=True)
+    if len(full):
+        for i, salt in enumerate((0x1, 0x5851F42D4C957F2D)):
+            halves[full, i] = np.add.reduceat(mix(mix(key ^ U64(salt)) + weight.astype(np.uint64) * U64(0x9E3779B97F4A7C15)), start)
+    none = np.ones(n_docs, bool)
+    none[full] = False
+    raw = halves.tobytes()
+    return pa.array([None if none[i] else raw[16 * i : 16 * i + 16] for i in range(n_docs)], pa.binary())
+
+
 def signatures(documents: DataFrame, params: NearDupParams) -> DataFrame:
-    """doc_id, n shingles, a 128-bit key of the bag, its band keys."""
+    """doc_id, node (the key of the bag), bands (its band keys, null without a node); a null id has no node either."""
 
     def sign(batches):
         for rows, data, offsets in blocks(batches):
-            n = rows.num_rows
-            keys, doc = shingles(data, offsets, params.words)
-            d, k, w = bags(keys, doc)
+            n, m = rows.num_rows, params.bands
+            d, k, w = bags(*shingles(data, offsets, params.words))
+            node = bag_keys(d, k, w, n)
             band = band_keys(bag_minhash(d, k, w, n, params.components), params)
-            bag = []
-            for salt in (0x1, 0x5851F42D4C957F2D):
-                s = np.zeros(n, np.uint64)
-                full = np.unique(d)
-                if len(d):
-                    start = np.searchsorted(d, full)
-                    s[full] = np.add.reduceat(mix(mix(k ^ U64(salt)) + w.astype(np.uint64) * U64(0x9E3779B97F4A7C15)), start)
-                bag.append(s.view(np.int64))
-            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, n * params.bands + 1, params.bands), pa.int32()), pa.array(band.ravel()))
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(np.bincount(doc, minlength=n).astype(np.int64)), pa.array(bag[0]), pa.array(bag[1]), lists], names=["doc_id", "n", "bag1", "bag2", "bands"])
+            lists = pa.ListArray.from_arrays(pa.array(np.arange(0, n * m + 1, m), pa.int32()), pa.array(band.ravel()))
+            none = pa.compute.or_(pa.compute.is_null(node), pa.compute.is_null(rows.column(0)))
+            node, lists = (pa.compute.if_else(none, pa.nulls(n, x.type), x) for x in (node, lists))
+            yield pa.RecordBatch.from_arrays([rows.column(0), node, lists], names=["doc_id", "node", "bands"])
+
+    return documents.mapInArrow(sign, "doc_id long, node binary, bands array<long>")
 
-    return documents.mapInArrow(sign, "doc_id long, n long, bag1 long, bag2 long, bands array<long>")
+
+def with_nodes(rows: DataFrame, node: str, params: NearDupParams) -> DataFrame:
+    """The rows as they are, and the key of each one's bag in the column `node`."""
+
+    def spell(batches):
+        for part, data, offsets in blocks(batches, "__text"):
+            key = bag_keys(*bags(*shingles(data, offsets, params.words)), part.num_rows)
+            yield pa.RecordBatch.from_arrays([*part.columns[:-1], key], names=[*part.schema.names[:-1], node])
+
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema), f"`{node}` binary"])
+    return rows.withColumn("__text", F.col("text").cast("string")).mapInArrow(spell, schema)
 
 
 def bag_sets(documents: DataFrame, params: NearDupParams) -> DataFrame:
-    """doc_id, items: the bag as a set of (shingle, occurrence) keys."""
+    """node, items: the bag as a set of (shingle, occurrence) keys."""
 
     def spell(batches):
         for rows, data, offsets in blocks(batches):
@@ -145,25 +167,59 @@ def bag_sets(documents: DataFrame, params: NearDupParams) -> DataFrame:
             turn = np.arange(len(at)) - np.repeat(np.concatenate([[0], np.cumsum(w)])[:-1], w) if len(d) else at
             items = mix(k[at] + turn.astype(np.uint64) * U64(0xA24BAED4963EE407)).view(np.int64)
             ends = np.concatenate([[0], np.cumsum(np.bincount(d[at], minlength=rows.num_rows))])
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(items))], names=["doc_id", "items"])
+            node = bag_keys(d, k, w, rows.num_rows)
+            yield pa.RecordBatch.from_arrays([node, pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(items))], names=["node", "items"])
 
-    return documents.mapInArrow(spell, "doc_id long, items array<long>")
+    return documents.mapInArrow(spell, "node binary, items array<long>").where("node is not null")
 
 
-def verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+def verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     """The pairs (a, b) with their exact multiset Jaccard similarity."""
-    left = pairs.join(sets.select(F.col("doc_id").alias("b"), F.col("items").alias("items_b")), "b")
-    both = left.join(sets.select(F.col("doc_id").alias("a"), F.col("items").alias("items_a")), "a")
+    left = pairs.select("a", "b").join(sets.select(F.col("node").alias("b"), F.col("items").alias("items_b")), "b")
+    both = left.join(sets.select(F.col("node").alias("a"), F.col("items").alias("items_a")), "a")
     shared = F.size(F.array_intersect("items_a", "items_b"))
     return both.select("a", "b", (shared / (F.size("items_a") + F.size("items_b") - shared)).alias("similarity"))
 
 
+def labelled(df: DataFrame, column: str, labels: DataFrame, name: str) -> DataFrame:
+    """df with the class of the node in `column`; a node without links is its own class."""
+    known = labels.select(F.col("id").alias(column), F.col("label").alias(name))
+    return df.join(known, column, "left").withColumn(name, F.coalesce(name, column))
+
+
+def extended(labels: DataFrame, links: DataFrame) -> DataFrame:
+    """The classes after more links: components over classes, so the work is that of the new links."""
+    ends = labelled(labelled(links.select("a", "b"), "a", labels, "la"), "b", labels, "lb").where("la <> lb")
+    joined = components(ends.select(F.col("la").alias("a"), F.col("lb").alias("b")))
+    moved = labelled(labels.withColumnRenamed("label", "old"), "old", joined, "label").select("id", "label")
+    return settle(moved.union(joined.join(labels, "id", "left_anti").select("id", "label")), "labels")
+
+
+def centre_links(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """The classes (id, label) that the pairs (a, b, n) of centres and members make, tested in a few rounds.
+
+    A round takes 1, then 2, 4, 8, ... of a member's open pairs, those of most common bands first, and drops pairs whose
+    ends have come into one class by then.  The first round, of one pair a member, decides nearly all.
+    """
+    labels, few = None, 1
+    while True:
+        turn = F.row_number().over(Window.partitionBy("b").orderBy(F.desc("n"), "a"))
+        ranked = settle(pairs.withColumn("turn", turn), "ranked")
+        links = settle(verified(ranked.where(F.col("turn") <= few), sets).where(F.col("similarity") >= similarity).select("a", "b"), "links")
+        labels = settle(components(links), "labels") if labels is None else extended(labels, links)
+        left = labelled(labelled(ranked.where(F.col("turn") > few).drop("turn"), "a", labels, "la"), "b", labels, "lb")
+        pairs = settle(left.where("la <> lb").select("a", "b", "n"), "pairs")
+        if not pairs.limit(1).count():
+            return labels
+        few *= 2
+
+
 def cross_links(group: pa.Table, similarity: float) -> pa.Table:
     """Links (a, b) that join classes, between the documents of a task's two blocks; no more than documents less one.
 
     One document at a time is held against all others through their shingles' posting lists.
     """
-    ids, label = group["id"].to_numpy(), group["label"].to_numpy()
+    ids, label = np.array(group["id"].to_pylist(), object), np.array(group["label"].to_pylist(), object)
     items = group["items"].combine_chunks()
     if isinstance(items, pa.ChunkedArray):
         items = pa.concat_arrays(items.chunks)
@@ -195,7 +251,7 @@ def cross_links(group: pa.Table, similarity: float) -> pa.Table:
             if a != b:
                 parent[a] = b
                 out.append((min(ids[x], ids[y]), max(ids[x], ids[y])))
-    return pa.table({"a": pa.array([r[0] for r in out], pa.int64()), "b": pa.array([r[1] for r in out], pa.int64())})
+    return pa.table({"a": pa.array([r[0] for r in out], pa.binary()), "b": pa.array([r[1] for r in out], pa.binary())})
 
 
 def open_links(in_bucket: DataFrame, labels: DataFrame, sets: DataFrame, params: NearDupParams) -> DataFrame:
@@ -205,9 +261,11 @@ def open_links(in_bucket: DataFrame, labels: DataFrame, sets: DataFrame, params:
     with itself, so the others are compared with each other and with it, block by block: a task holds two blocks
     of at most about `block` documents, whatever the size of the field, and returns links that join classes alone.
     """
-    labelled = in_bucket.join(labels.select(F.col("id").alias("b"), "label"), "b", "left").withColumn("label", F.coalesce("label", "b"))
-    mixed = settle(labelled.groupBy("band", "value").agg(F.min("label").alias("low"), F.max("label").alias("high"), F.count(F.lit(1)).alias("size")).where("low <> high and size > 2").select("band", "value"), "mixed")
-    opened = settle(labelled.join(mixed, ["band", "value"]).select("a", "b", "label"), "open")
+    members = labelled(in_bucket, "b", labels, "label")
+    # the centre itself has met every member, so a bucket is open only where other members are of two classes
+    kinds = members.groupBy("band", "value").agg(F.min("label").alias("low"), F.max("label").alias("high"))
+    mixed = settle(kinds.where("low <> high").select("band", "value"), "mixed")
+    opened = settle(members.join(mixed, ["band", "value"]).select("a", "b", "label"), "open")
     fields = components(opened.select("a", "b").distinct())
     member = settle(opened.select(F.col("b").alias("id"), "label").distinct().join(fields.withColumnRenamed("label", "field"), "id"), "field-members")
     sizes = member.groupBy("field", "label").agg(F.count(F.lit(1)).alias("n"))
@@ -220,48 +278,64 @@ def open_links(in_bucket: DataFrame, labels: DataFrame, sets: DataFrame, params:
     mains = F.transform(F.sequence(F.lit(0), blocks_0 - 1), lambda j: F.struct(own.alias("i"), (-1 - j).alias("j")))
     asked = F.transform(F.sequence(F.lit(0), blocks_1 - 1), lambda i: F.struct(i.alias("i"), (-1 - own).alias("j")))
     tasks = placed.withColumn("task", F.explode(F.when(F.col("side") == 1, F.concat(rivals, mains)).otherwise(asked))).select("field", F.col("task.i").alias("i"), F.col("task.j").alias("j"), "id", "label", "side")
-    ready = tasks.join(sets.withColumnRenamed("doc_id", "id"), "id")
-    return settle(ready.groupBy("field", "i", "j").applyInArrow(releasing(lambda group: cross_links(group, params.similarity)), "a long, b long"), "open-links")
+    ready = tasks.join(sets.withColumnRenamed("node", "id"), "id")
+    return settle(ready.groupBy("field", "i", "j").applyInArrow(releasing(lambda group: cross_links(group, params.similarity)), "a binary, b binary"), "open-links")
 
 
-def near_duplicates(documents: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
-    """doc_id, class_id for every row of `documents`."""
+def classes(documents: DataFrame, params: NearDupParams) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, node) of every row; and of nodes in a class of several rows (node, class_id, keeper).
+
+    The keeper is the node of the class's least id, the lesser one where two texts share that id.
+    """
     docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     sig = settle(signatures(docs, params), "signatures")
-    bag = ["bag1", "bag2", "n"]
-    known = sig.where("n > 0 and doc_id is not null")
-    copies = settle(known.groupBy(*bag).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies")).where("copies > 1").drop("copies"), "copies")
-    members = settle(known.join(copies, bag, "left").select("doc_id", F.coalesce("rep", "doc_id").alias("rep"), F.when(F.coalesce("rep", "doc_id") == F.col("doc_id"), F.col("bands")).alias("bands")), "members")
-    buckets = members.where("bands is not null").select(F.col("doc_id").alias("id"), F.posexplode("bands").alias("band", "value"))
+    known = sig.where("node is not null")
+    nodes = settle(known.groupBy("node").agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("copies"), F.min("bands").alias("bands")), "nodes")
+    buckets = nodes.select(F.col("node").alias("id"), F.posexplode("bands").alias("band", "value"))
     centres = settle(buckets.groupBy("band", "value").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("size")).where("size > 1").drop("size"), "centres")
-    in_bucket = settle(buckets.join(centres, ["band", "value"]).select("band", "value", "a", F.col("id").alias("b")), "buckets")
-    pairs = settle(in_bucket.where("a <> b").select("a", "b").distinct(), "pairs")
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select(F.col("b").alias("doc_id"))).distinct()
-    sets = settle(bag_sets(docs.join(settle(wanted, "wanted"), "doc_id", "left_semi"), params).groupBy("doc_id").agg(F.min("items").alias("items")), "bags")
-    tested = settle(verified(pairs, sets, params.similarity), "tested")
-    links = tested.where(F.col("similarity") >= params.similarity).select("a", "b")
-    labels = components(links)
-    failed = tested.where(F.col("similarity") < params.similarity).select("a", "b")
-    if failed.limit(1).count():
-        links = links.union(open_links(in_bucket, labels, sets, params))
-        labels = components(links)
-    top = members.select("doc_id", "rep").join(labels.withColumnRenamed("id", "rep"), "rep", "left").select("doc_id", F.coalesce("label", "rep").alias("class_id"))
-    least = settle(top.groupBy("doc_id").agg(F.min("class_id").alias("class_id")), "classes")
-    ids = sig.select("doc_id", "n")
-    return ids.join(least, "doc_id", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
+    in_bucket = settle(buckets.join(centres, ["band", "value"]).select("band", "value", "a", F.col("id").alias("b")).where("a <> b"), "buckets")
+    pairs = settle(in_bucket.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n")), "pairs")
+    wanted = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
+    texts = settle(wanted.join(nodes, "node").select(F.col("rep").alias("doc_id")).distinct(), "wanted")
+    sets = settle(bag_sets(docs.join(texts, "doc_id", "left_semi"), params).groupBy("node").agg(F.min("items").alias("items")), "bags")
+    labels = centre_links(pairs, sets, params.similarity)
+    more = open_links(in_bucket, labels, sets, params)
+    if more.limit(1).count():
+        labels = extended(labels, more)
+    linked = labels.withColumnRenamed("id", "node").join(nodes.select("node", "rep"), "node")
+    first = linked.groupBy("label").agg(F.min(F.struct("rep", "node")).alias("first"))
+    of_links = linked.join(first, "label").select("node", F.col("first.rep").alias("class_id"), F.col("first.node").alias("keeper"))
+    alone = nodes.where("copies > 1").join(labels.select(F.col("id").alias("node")), "node", "left_anti")
+    of_copies = alone.select("node", F.col("rep").alias("class_id"), F.col("node").alias("keeper"))
+    return sig.select("doc_id", "node"), settle(of_links.union(of_copies), "classes")
+
+
+def near_duplicates(documents: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
+    """doc_id, class_id for every row of `documents`."""
+    rows, members = classes(documents, params)
+    return rows.join(members.select("node", "class_id"), "node", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 
 def deduplicate(documents: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
-    """The rows of one document of each class, that of the least id; rows with a null id stay."""
-    classes = settle(near_duplicates(documents, params).groupBy("doc_id").agg(F.min("class_id").alias("class_id"), F.count(F.lit(1)).alias("rows")), "classes")
-    gone = classes.where("doc_id is not null and doc_id <> class_id").select("doc_id")
+    """One row of each class, that of the least id; rows with a null id stay.
+
+    Of rows that agree in id and bag of shingles the least one (spelt as JSON) stays.
+    """
+    rows, members = classes(documents, params)
+    own = rows.where("doc_id is not null").join(members, "node", "left")
+    stays = F.col("keeper").isNull() | ((F.col("doc_id") == F.col("class_id")) & (F.col("node") == F.col("keeper")))
+    ids = settle(own.groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows"), F.sum(stays.cast("int")).alias("kept")).where("rows > 1 or kept = 0"), "ids")
     # one plan at every size: what goes grows with the input, so it is never broadcast
-    keep = documents.join(gone.hint("merge"), documents["doc_id"].cast("long") == gone["doc_id"], "left_anti")
-    twice = classes.where("doc_id = class_id and rows > 1").select(F.col("doc_id").alias("__twice"))
+    keep = documents.join(ids.select(F.col("doc_id").alias("__id")).hint("merge"), F.col("doc_id").cast("long") == F.col("__id"), "left_anti")
+    twice = ids.where("rows > 1 and kept > 0").select(F.col("doc_id").alias("__id"))
     if not twice.limit(1).count():
         return keep
-    marked = keep.join(twice, keep["doc_id"].cast("long") == twice["__twice"], "left")
-    return marked.where("__twice is null").drop("__twice").unionByName(marked.where("__twice is not null").dropDuplicates(["__twice"]).drop("__twice"))
+    again = with_nodes(documents.join(twice, F.col("doc_id").cast("long") == F.col("__id"), "left_semi"), "__node", params)
+    first = members.select(F.col("node").alias("__node"), F.col("class_id").alias("__class"), F.col("keeper").alias("__keeper"))
+    stays = F.col("__keeper").isNull() | ((F.col("doc_id").cast("long") == F.col("__class")) & (F.col("__node") == F.col("__keeper")))
+    whole = F.struct(*(F.col(f"`{c}`") for c in documents.columns))
+    least = again.join(first, "__node", "left").where(stays).groupBy("doc_id", "__node").agg(F.min_by(whole, F.to_json(whole)).alias("__row"))
+    return keep.unionByName(least.select("__row.*"))
 
 
 def op3_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
