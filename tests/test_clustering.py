@@ -3,7 +3,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from vecspark.operators.assign import assign_full
-from vecspark.operators.clustering import BoundedKMeans, LloydKMeans, MiniBatchKMeans, PhasedKMeans, TwoLevelKMeans
+from vecspark.operators.clustering import BoundedKMeans, LloydKMeans, MiniBatchKMeans, PhasedKMeans, PivotKMeans, TwoLevelKMeans, share_k
 from vecspark.operators.index import exact_knn, recall_at
 from vecspark.operators.model import Model
 from vecspark.operators.seeding import sample_queries, start_matrix
@@ -61,6 +61,8 @@ def test_bounded_variants_equal_plain(vectors):
     y = LloydKMeans(k=9, max_iter=3, empty="keep", dtype=np.float64).fit(vectors, start_matrix(vectors, 9, 0)).centroids
     for variant in ("elkan", "hamerly"):
         assert np.allclose(BoundedKMeans(9, 3, variant).fit(vectors).centroids, y)
+    for variant in ("each", "all"):
+        assert np.allclose(PivotKMeans(9, 3, empty="keep", variant=variant).fit(vectors).centroids, y)
 
 
 def test_two_levels_and_refinement(spark):
@@ -69,9 +71,85 @@ def test_two_levels_and_refinement(spark):
     model = method.fit(v)
     assert model.k == 16
     assert method.transform(v, model).where("cid between 0 and 15").count() == 600
-    big = TwoLevelKMeans(k=16, task_rows=100).fit(v)
-    assert big.k == 16
-    assert len(TwoLevelKMeans(k=16, refine_iter=2).fit(v).history) == 3
+    assert [h["iter"] for h in model.history] == list(range(1, 9)) and model.counts.sum() == 600
+    assert len(TwoLevelKMeans(k=16, refine_iter=2).fit(v).history) == 10
+    assert TwoLevelKMeans(k=16, sample_frac=0.5, stop=[MaxIter(5)]).fit(v).k == 16
+    assert TwoLevelKMeans(k=4).fit(v.limit(0)).k == 0
+    plain = TwoLevelKMeans(k=16, pruned=False).fit(v)
+    assert model.history[-1]["wcss"] < 1.15 * plain.history[-1]["wcss"]
+
+
+def test_fine_stage_is_lloyd_inside_each_coarse_cluster(spark):
+    v = blobs(spark, 300, 16, 5)
+    method = TwoLevelKMeans(k=9, meso_iter=2, fine_iter=1, pruned=False, dtype=np.float64)
+    coarse = LloydKMeans(k=3, max_iter=2, dtype=np.float64).fit(v)
+    x = {r["vec_id"]: np.array(r["vec"]) for r in v.collect()}
+    meso = {r["vec_id"]: r["cid"] for r in assign_full(v, coarse.centroids, dtype=np.float64).collect()}
+    model = method.fit(v)
+    sizes = np.bincount(list(meso.values()), minlength=3)
+    ends = np.cumsum([n for _, n in sorted(share_k(dict(enumerate(sizes.tolist())), 9).items())])
+    for c, (lo, hi) in enumerate(zip([0, *ends[:-1]], ends)):
+        mean = np.mean([x[i] for i in x if meso[i] == c], axis=0)
+        assert np.allclose((model.centroids[lo:hi] * model.counts[lo:hi, None]).sum(0) / sizes[c], mean)
+
+
+@pytest.mark.parametrize("known", ["queries", "queries and truth"])
+def test_recall_series_is_that_of_full_products(spark, known):
+    """Queries and truth are supplied in the data's own space, and their ids clash with the data's."""
+    v = blobs(spark)
+    rng = np.random.default_rng(5)
+    own = [(i, [float(x) for x in row]) for i, row in enumerate(np.array([r["vec"] for r in sample_queries(v, 40).select(F.col("qvec").alias("vec")).collect()]) + rng.normal(size=(40, 64)) * 0.01)]
+    queries = spark.createDataFrame(own, "qid long, qvec array<float>")
+    truth = exact_knn(queries, v, 10, exclude_self=False) if "truth" in known else None
+    rule = lambda: RecallPlateau(0.0, topk=10, probe_frac=0.1, queries=queries, truth=truth, patience=9)
+    start = start_matrix(v, 12, 0)
+    full, phased, sampled = rule(), rule(), RecallPlateau(0.0, topk=10, probe_frac=0.1, n_queries=40, patience=9)
+    LloydKMeans(k=12, max_iter=4, stop=[full]).fit(v, start)
+    PhasedKMeans(k=12, max_iter=4, stop=[phased]).fit(v, start)
+    PhasedKMeans(k=12, max_iter=4, stop=[sampled]).fit(v, start)
+    assert np.allclose(full.series, phased.series, atol=0.01)
+    assert min(phased.series[1:]) > 0.5 and np.allclose(full.series, sampled.series, atol=0.1)
+
+
+def test_first_threshold_from_the_previous_centroid(spark):
+    v = blobs(spark)
+    y = start_matrix(v, 12, 0)
+    plain = LloydKMeans(k=12, max_iter=4, empty="keep").fit(v, y)
+    kept = PhasedKMeans(k=12, max_iter=4, empty="keep", seed_mode="previous").fit(v, y)
+    assert np.allclose(plain.history[-1]["wcss"], kept.history[-1]["wcss"], rtol=0.01)
+    assert kept.history[0]["changed"] is None and all(h["prune_rate"] > 0.5 for h in kept.history[1:])
+    exact = PhasedKMeans(k=12, max_iter=4, empty="keep", seed_mode="previous", epsilon0=np.inf, dtype=np.float64).fit(v, y)
+    want = LloydKMeans(k=12, max_iter=4, empty="keep", dtype=np.float64).fit(v, y)
+    assert np.allclose(exact.centroids, want.centroids)
+    assert PhasedKMeans(k=12, max_iter=2, seed_mode="previous").fit(v.union(v), y).counts.sum() == 1200
+
+
+def test_stops_when_labels_no_longer_change(spark):
+    v = blobs(spark)
+    model = LloydKMeans(k=12, max_iter=30, empty="keep", stop=[Convergence(None, 0)]).fit(v, start_matrix(v, 12, 0))
+    changed = [h["changed"] for h in model.history]
+    assert changed[0] is None and changed[-1] == 0 and all(c > 0 for c in changed[1:-1]) and len(changed) < 30
+    assert model.history_frame(spark).where("changed = 0").count() == 1
+
+
+def test_mini_batch_prunes_rotated_vectors(spark):
+    """Without rotation the head of unequal scales would mislead the test."""
+    rng = np.random.default_rng(2)
+    x = rng.normal(size=(800, 64)) * np.where(np.arange(64) < 32, 1.0, 0.3)
+    v = spark.createDataFrame([(i, [float(a) for a in row]) for i, row in enumerate(x)], "vec_id long, vec array<float>")
+    y = start_matrix(v, 20, 0)
+    a, b = (MiniBatchKMeans(20, 1, 1.0, epsilon0=e).fit(v, y) for e in (2.1, np.inf))
+    assert np.abs(a.counts - b.counts).sum() <= 0.005 * 800 * 2
+    cid = ((x.astype(np.float32).astype(np.float64)[:, None] - y[None]) ** 2).sum(2).argmin(1)
+    mean = np.array([x.astype(np.float32)[cid == c].mean(0) for c in range(20)])
+    assert np.allclose(b.centroids, mean, atol=1e-6)
+
+
+def test_bounds_follow_rows_and_skip_distances(spark):
+    v = blobs(spark)
+    for variant in ("elkan", "hamerly"):
+        rates = [h["prune_rate"] for h in BoundedKMeans(12, 6, variant).fit(v).history]
+        assert rates[0] == 0 and rates[-1] > 0.5
 
 
 def test_mini_batches_move_toward_the_data(spark):

@@ -3,8 +3,8 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from vecspark.functions.kernels import BatchPlan, CentroidBlocks, Work, assign_full, assign_pruned, elkan, hamerly, lloyd, sq_dists, sq_norms, threshold
-from vecspark.operators.clustering import adjust_head, bounded_scan, repair_empty, share_k
+from vecspark.functions.kernels import BatchPlan, CentroidBlocks, Work, assign_full, assign_pruned, elkan, hamerly, lloyd, pivot_scan, sq_dists, sq_norms, threshold
+from vecspark.operators.clustering import adjust_head, repair_empty, share_k
 from vecspark.operators.rotation import random_rotation, unrotate
 from vecspark.operators.stopping import plateau
 
@@ -101,12 +101,12 @@ def test_bounds_give_the_labels_of_plain_iterations(method):
     assert done <= pairs + len(x) * 6
 
 
-@pytest.mark.parametrize("variant", ["elkan", "hamerly"])
-def test_bounded_scan_is_exact(variant):
+@pytest.mark.parametrize("variant", ["each", "all"])
+def test_pivot_scan_is_exact(variant):
     rng = np.random.default_rng(6)
     y = rng.normal(size=(25, 10)) * 4
     x = y[rng.integers(0, 25, 300)] + rng.normal(size=(300, 10)) * 0.2
-    cid, dist, _ = bounded_scan(x, y, variant)
+    cid, dist, _ = pivot_scan(x, y, variant)
     assert (cid == naive(x, y).argmin(1)).all() and np.allclose(dist, naive(x, y).min(1))
 
 

@@ -89,6 +89,10 @@ class CentroidBlocks:
         pairs = list(zip(self.cuts[:-1], self.cuts[1:], strict=True))
         self.blocks = [np.ascontiguousarray(self.full[:, a:b]) if self.layout == "blocks" else self.full[:, a:b] for a, b in pairs]
 
+    def __reduce__(self):
+        """One copy travels; head, tail and blocks are cut where it arrives."""
+        return CentroidBlocks, (self.full, self.d1, self.step, self.layout)
+
 
 def assign_full(x: np.ndarray, y: CentroidBlocks | np.ndarray, plan: BatchPlan = BatchPlan(), work: Work | None = None):
     """(nearest centroid, squared distance), ties to the lower number; the running best is kept across slices of y."""
@@ -241,78 +245,108 @@ def lloyd(x: np.ndarray, y: np.ndarray, iterations: int, assign=assign_full) ->
     return y
 
 
-def elkan(x: np.ndarray, y: np.ndarray, iterations: int):
-    """Lloyd's labels with triangle-inequality bounds for every pair; (labels, centroids, distances computed, pairs)."""
-    x, y = x.astype(np.float64), y.astype(np.float64).copy()
-    n, k = len(x), len(y)
+def moved_means(x: np.ndarray, y: np.ndarray, cid: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(means of the labels' rows, how far each moved); an empty cluster keeps its centroid."""
+    own, count, sums = centroid_sums(x, cid, len(y))
+    new = y.copy()
+    new[own] = sums / count[:, None]
+    return new, np.sqrt(sq_norms(new - y))
+
+
+def elkan_start(x: np.ndarray, y: np.ndarray):
+    """(labels, upper bounds, lower bounds of every pair, distances computed)."""
     lower = np.sqrt(sq_dists(x, y))
     cid = lower.argmin(1)
-    upper = lower[np.arange(n), cid]
-    done, pairs = n * k, n * k
+    return cid, lower[np.arange(len(x)), cid], lower, lower.size
+
+
+def elkan_step(x: np.ndarray, y: np.ndarray, shift: np.ndarray, cid: np.ndarray, upper: np.ndarray, lower: np.ndarray):
+    """The same after the centroids have moved by `shift` to y: only pairs that the bounds leave open are computed."""
+    cid, lower, upper = cid.copy(), np.maximum(lower - shift, 0), upper + shift[cid]
+    between = np.sqrt(sq_dists(y, y)) / 2
+    np.fill_diagonal(between, np.inf)
+    open_ = np.flatnonzero(upper > between.min(1)[cid])
+    done = len(open_)
+    if done:
+        exact = np.sqrt(sq_norms(x[open_] - y[cid[open_]]))
+        upper[open_] = lower[open_, cid[open_]] = exact
+        may = (upper[open_][:, None] >= lower[open_]) & (upper[open_][:, None] >= between[cid[open_]])
+        r, c = np.nonzero(may)
+        lower[open_[r], c] = np.sqrt(sq_norms(x[open_[r]] - y[c]))
+        done += len(r)
+        seen = np.where(may, lower[open_], np.inf)
+        seen[np.arange(len(open_)), cid[open_]] = upper[open_]
+        cid[open_], upper[open_] = seen.argmin(1), seen.min(1)
+    return cid, upper, lower, done
+
+
+def hamerly_start(x: np.ndarray, y: np.ndarray):
+    """(labels, upper bounds, a lower bound of all other centroids, distances computed)."""
+    d = np.sqrt(sq_dists(x, y))
+    cid = d.argmin(1)
+    rows = np.arange(len(x))
+    upper = d[rows, cid].copy()
+    d[rows, cid] = np.inf
+    return cid, upper, d.min(1) if len(y) > 1 else np.full(len(x), np.inf), d.size
+
+
+def hamerly_step(x: np.ndarray, y: np.ndarray, shift: np.ndarray, cid: np.ndarray, upper: np.ndarray, lower: np.ndarray):
+    cid, upper, lower = cid.copy(), upper + shift[cid], lower - shift.max(initial=0)
+    between = np.sqrt(sq_dists(y, y))
+    np.fill_diagonal(between, np.inf)
+    bound = np.maximum(between.min(1)[cid] / 2, lower)
+    open_ = np.flatnonzero(upper >= bound)
+    upper[open_] = np.sqrt(sq_norms(x[open_] - y[cid[open_]]))
+    done = len(open_)
+    open_ = open_[upper[open_] >= bound[open_]]
+    if len(open_):
+        cid[open_], upper[open_], lower[open_], more = hamerly_start(x[open_], y)
+        done += more
+    return cid, upper, lower, done
+
+
+BOUNDS = {"elkan": (elkan_start, elkan_step), "hamerly": (hamerly_start, hamerly_step)}
+
+
+def bounded(x: np.ndarray, y: np.ndarray, iterations: int, variant: str):
+    """Lloyd's labels with triangle-inequality bounds, inside one task; (labels, centroids, distances computed, pairs)."""
+    begin, step = BOUNDS[variant]
+    x, y = x.astype(np.float64), y.astype(np.float64)
+    cid, upper, lower, done = begin(x, y)
     for turn in range(iterations):
-        own, count, sums = centroid_sums(x, cid, k)
-        new = y.copy()
-        new[own] = sums / count[:, None]
-        shift = np.sqrt(sq_norms(new - y))
-        y = new
-        if turn == iterations - 1:
-            break
-        lower = np.maximum(lower - shift, 0)
-        upper = upper + shift[cid]
-        between = np.sqrt(sq_dists(y, y)) / 2
-        np.fill_diagonal(between, np.inf)
-        near = between.min(1)
-        pairs += n * k
-        open_ = np.flatnonzero(upper > near[cid])
-        if len(open_):
-            exact = np.sqrt(sq_norms(x[open_] - y[cid[open_]]))
-            done += len(open_)
-            upper[open_] = lower[open_, cid[open_]] = exact
-            may = (upper[open_][:, None] >= lower[open_]) & (upper[open_][:, None] >= between[cid[open_]])
-            r, c = np.nonzero(may)
-            lower[open_[r], c] = np.sqrt(sq_norms(x[open_[r]] - y[c]))
-            done += len(r)
-            seen = np.where(may, lower[open_], np.inf)
-            seen[np.arange(len(open_)), cid[open_]] = upper[open_]
-            cid[open_] = seen.argmin(1)
-            upper[open_] = seen.min(1)
-    return cid, y, done, pairs
+        y, shift = moved_means(x, y, cid)
+        if turn < iterations - 1:
+            cid, upper, lower, more = step(x, y, shift, cid, upper, lower)
+            done += more
+    return cid, y, done, iterations * len(x) * len(y)
+
+
+def elkan(x: np.ndarray, y: np.ndarray, iterations: int):
+    return bounded(x, y, iterations, "elkan")
 
 
 def hamerly(x: np.ndarray, y: np.ndarray, iterations: int):
-    """Lloyd's labels with one upper and one lower bound for each row; (labels, centroids, distances computed, pairs)."""
-    x, y = x.astype(np.float64), y.astype(np.float64).copy()
-    n, k = len(x), len(y)
-    rows = np.arange(n)
-
-    def scan(part):
-        d = np.sqrt(sq_dists(x[part], y))
-        j = d.argmin(1)
-        u = d[np.arange(len(part)), j].copy()
-        d[np.arange(len(part)), j] = np.inf
-        return j, u, d.min(1) if k > 1 else np.full(len(part), np.inf)
-
-    cid, upper, lower = scan(rows)
-    done, pairs = n * k, n * k
-    for turn in range(iterations):
-        own, count, sums = centroid_sums(x, cid, k)
-        new = y.copy()
-        new[own] = sums / count[:, None]
-        shift = np.sqrt(sq_norms(new - y))
-        y = new
-        if turn == iterations - 1:
-            break
-        pairs += n * k
-        upper = upper + shift[cid]
-        lower = lower - shift.max()
-        between = np.sqrt(sq_dists(y, y))
-        np.fill_diagonal(between, np.inf)
-        bound = np.maximum(between.min(1)[cid] / 2, lower)
-        open_ = np.flatnonzero(upper >= bound)
-        upper[open_] = np.sqrt(sq_norms(x[open_] - y[cid[open_]]))
-        done += len(open_)
-        open_ = open_[upper[open_] >= bound[open_]]
-        if len(open_):
-            cid[open_], upper[open_], lower[open_] = scan(open_)
-            done += len(open_) * k
-    return cid, y, done, pairs
+    return bounded(x, y, iterations, "hamerly")
+
+
+def pivot_scan(x: np.ndarray, y: np.ndarray, variant: str):
+    """Exact nearest centroids without any state; (cid, squared distance, distances computed).
+
+    Each row first meets some pivot centroids.  "each" then drops every centroid at least twice as far from the nearest
+    pivot as the row is; "all" drops all of them at once if the nearest one is.
+    """
+    between = np.sqrt(sq_dists(y, y)) / 2
+    np.fill_diagonal(between, np.inf)
+    pivots = np.arange(0, len(y), max(1, len(y) // max(1, int(np.sqrt(len(y))))))
+    d = np.sqrt(sq_dists(x, y[pivots]))
+    cid, upper, rows = pivots[d.argmin(1)], d.min(1) * (1 + 1e-12), np.arange(len(x))
+    if variant == "each":
+        may = upper[:, None] >= between[cid]
+    else:
+        may = np.repeat((upper >= between.min(1)[cid])[:, None], len(y), 1)
+    may[rows, cid] = True
+    r, c = np.nonzero(may)
+    exact = np.full((len(x), len(y)), np.inf)
+    exact[r, c] = sq_norms(x[r] - y[c])
+    best = exact.argmin(1)
+    return best, exact[rows, best], d.size + len(r)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from functools import reduce
+import math
 
 import numpy as np
 import pyarrow as pa
@@ -25,13 +25,20 @@ def slices(centroids: np.ndarray, limit: int = BROADCAST_BYTES) -> list[tuple[in
 
 
 class Kernel:
-    """How a batch is assigned: everything that a task needs, of the size of the centroids."""
+    """How a batch is assigned: everything that a task needs, of the size of the centroids.
 
-    def __init__(self, centroids: np.ndarray, pruned: bool = False, d1: int = 0, step: int = 64, epsilon0: float = 2.1, progressive: bool = True, layout: str = "blocks", seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), dtype=np.float32, refinement: str = "grouped"):
+    With a `rotation` the centroids are rotated ones and the batch is rotated on the way in, so that data in its own
+    space needs no pass of its own.
+    """
+
+    def __init__(self, centroids: np.ndarray, pruned: bool = False, d1: int = 0, step: int = 64, epsilon0: float = 2.1, progressive: bool = True, layout: str = "blocks", seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), dtype=np.float32, refinement: str = "grouped", rotation: np.ndarray | None = None):
         self.blocks = CentroidBlocks(np.ascontiguousarray(centroids, dtype), d1 if pruned else centroids.shape[1], step, layout)
         self.pruned, self.epsilon0, self.progressive, self.seed_mode, self.plan, self.dtype, self.refinement = pruned, epsilon0, progressive, seed_mode, plan, dtype, refinement
+        self.rotation = None if rotation is None else rotation.astype(dtype)
 
     def __call__(self, x: np.ndarray, prev=None, work: Work | None = None):
+        if self.rotation is not None:
+            x = x @ self.rotation
         if not self.pruned:
             return kernels.assign_full(x, self.blocks, self.plan, work)
         return kernels.assign_pruned(x, self.blocks, prev, self.epsilon0, self.progressive, self.seed_mode, self.plan, work, refinement=self.refinement)
@@ -41,33 +48,55 @@ def default_step(d: int) -> int:
     return min(64, max(8, d // 8))
 
 
-def run_kernel(vectors: DataFrame, kernel: Kernel, first: int = 0) -> DataFrame:
-    """(vec_id, cid, dist): dist is squared.  A column `prev`, where there is one, seeds the thresholds."""
+def run_kernel(vectors: DataFrame, kernel: Kernel, first: int = 0, carry: tuple[str, ...] = ("vec_id",)) -> DataFrame:
+    """The columns `carry`, cid and dist (squared).
+
+    A column `prev`, where there is one, seeds the thresholds.  Columns `cid` and `dist`, where there are, hold the best of
+    the centroids before `first` and stay where no nearer one is found, so slices follow each other without a shuffle.
+    """
     shipped = vectors.sparkSession.sparkContext.broadcast(kernel)
-    with_prev = "prev" in vectors.columns
+    extra = ["prev"] if "prev" in vectors.columns else []
+    best = ["cid", "dist"] if first else []
+    columns = ["vec", *extra, *best, *carry]
+    kinds = {f.name: f.dataType.simpleString() for f in vectors.schema}
+    skip = 1 + len(extra) + len(best)
 
     def assign(batches):
         own = shipped.value
         for batch in batches:
             if batch.num_rows:
-                prev = batch.column(2).to_numpy(zero_copy_only=False) if with_prev else None
-                cid, dist = own(matrix(batch.column(1), own.dtype), prev)
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array((cid + first).astype(np.int32)), pa.array(dist.astype(np.float64))], names=["vec_id", "cid", "dist"])
-
-    return vectors.select("vec_id", "vec", *(["prev"] if with_prev else [])).mapInArrow(assign, "vec_id long, cid int, dist double")
-
-
-def assign_full(vectors: DataFrame, centroids: np.ndarray, plan: BatchPlan = BatchPlan(), dtype=np.float32, limit: int = BROADCAST_BYTES) -> DataFrame:
+                prev = batch.column(1).to_numpy(zero_copy_only=False) if extra else None
+                cid, dist = own(matrix(batch.column(0), own.dtype), prev)
+                cid, dist = (cid + first).astype(np.int32), dist.astype(np.float64)
+                if best:
+                    old = batch.column(skip - 1).to_numpy()
+                    nearer = dist < old
+                    cid, dist = np.where(nearer, cid, batch.column(skip - 2).to_numpy()), np.where(nearer, dist, old)
+                yield pa.RecordBatch.from_arrays([*batch.columns[skip:], pa.array(cid), pa.array(dist)], names=[*carry, "cid", "dist"])
+
+    schema = ", ".join([*(f"`{c}` {kinds[c]}" for c in carry), "cid int", "dist double"])
+    return vectors.select(*columns).mapInArrow(assign, schema)
+
+
+def in_slices(vectors: DataFrame, centroids: np.ndarray, limit: int, carry: tuple[str, ...], kernel) -> DataFrame:
+    """Slices of the centroids one after the other in one stage, each broadcast within the limit."""
+    parts = slices(centroids, limit)
+    whole = tuple(dict.fromkeys((*carry, "vec")))
+    found = vectors
+    for at, piece in parts:
+        last = at == parts[-1][0]
+        found = run_kernel(found, kernel(piece), at, carry if last else whole)
+    return found
+
+
+def assign_full(vectors: DataFrame, centroids: np.ndarray, plan: BatchPlan = BatchPlan(), dtype=np.float32, limit: int = BROADCAST_BYTES, carry: tuple[str, ...] = ("vec_id",)) -> DataFrame:
     """Nearest centroid by full products; over slices of the centroids where they are too large for one broadcast."""
-    parts = [run_kernel(vectors, Kernel(piece, plan=plan, dtype=dtype), at) for at, piece in slices(centroids, limit)]
-    if len(parts) == 1:
-        return parts[0]
-    best = F.min(F.struct("dist", "cid")).alias("best")
-    return reduce(DataFrame.union, parts).groupBy("vec_id").agg(best).select("vec_id", "best.cid", "best.dist")
+    return in_slices(vectors, centroids, limit, carry, lambda piece: Kernel(piece, plan=plan, dtype=dtype))
 
 
-def assign_pruned(vectors: DataFrame, centroids: np.ndarray, d1: int | None = None, step: int | None = None, epsilon0: float = 2.1, prev: DataFrame | None = None, limit: int = BROADCAST_BYTES, **options) -> DataFrame:
-    """Nearest centroid by head product and pruning.  Vectors and centroids are rotated already.
+def assign_pruned(vectors: DataFrame, centroids: np.ndarray, d1: int | None = None, step: int | None = None, epsilon0: float = 2.1, prev: DataFrame | None = None, limit: int = BROADCAST_BYTES, carry: tuple[str, ...] = ("vec_id",), **options) -> DataFrame:
+    """Nearest centroid by head product and pruning.  Vectors and centroids are rotated already, or `rotation` is given
+    for vectors that are not.
 
     With `prev` (vec_id, cid) the first threshold is the distance to that centroid; a vector without one, and
     every vector where `prev` is not given, takes a threshold that needs no state.
@@ -75,12 +104,9 @@ def assign_pruned(vectors: DataFrame, centroids: np.ndarray, d1: int | None = No
     d = centroids.shape[1]
     options = {"d1": d1 or max(1, d // 8), "step": step or default_step(d), "epsilon0": epsilon0} | options
     if prev is not None and len(centroids) * d * 4 <= limit:
-        both = vectors.join(prev.select("vec_id", F.col("cid").alias("prev")), "vec_id", "left").select("vec_id", "vec", F.coalesce("prev", F.lit(0)).alias("prev"))
-        return run_kernel(both, Kernel(centroids, True, **(options | {"seed_mode": "previous"})))
-    parts = [run_kernel(vectors, Kernel(piece, True, **options), at) for at, piece in slices(centroids, limit)]
-    if len(parts) == 1:
-        return parts[0]
-    return reduce(DataFrame.union, parts).groupBy("vec_id").agg(F.min(F.struct("dist", "cid")).alias("best")).select("vec_id", "best.cid", "best.dist")
+        both = vectors.join(prev.select("vec_id", F.col("cid").alias("prev")), "vec_id", "left").withColumn("prev", F.coalesce("prev", F.lit(0)))
+        return run_kernel(both, Kernel(centroids, True, **(options | {"seed_mode": "previous"})), carry=carry)
+    return in_slices(vectors, centroids, limit, carry, lambda piece: Kernel(piece, True, **options))
 
 
 def assign_sql(vectors: DataFrame, centroids: DataFrame) -> DataFrame:
@@ -91,6 +117,47 @@ def assign_sql(vectors: DataFrame, centroids: DataFrame) -> DataFrame:
     return vectors.join(F.broadcast(every)).select("vec_id", near.alias("near")).select("vec_id", "near.cid", "near.dist")
 
 
+class Sums:
+    """A task's sums by centroid: held densely up to DENSE_BYTES, else given out batch by batch."""
+
+    def __init__(self, k: int, d: int):
+        self.k, self.dense = k, k * d * 8 <= DENSE_BYTES
+        self.total, self.count, self.wcss = (np.zeros((k, d)) if self.dense else None), np.zeros(k, np.int64), np.zeros(k)
+
+    def add(self, x: np.ndarray, cid: np.ndarray, dist: np.ndarray):
+        present, n, sums = kernels.centroid_sums(x, cid, self.k)
+        cost = np.bincount(cid, dist, self.k)
+        if not self.dense:
+            yield sum_rows(present, n, cost[present], sums)
+            return
+        self.total[present] += sums
+        self.count[present] += n
+        self.wcss += cost
+
+    def rest(self):
+        present = np.flatnonzero(self.count)
+        for at in range(0, len(present), 4096):
+            own = present[at : at + 4096]
+            yield sum_rows(own, self.count[own], self.wcss[own], self.total[own])
+
+
+def sum_rows(cids, n, wcss, sums, stats=None) -> pa.RecordBatch:
+    m = len(cids)
+    zero = pa.array(np.zeros(m, np.int64))
+    lists = pa.array([[]] * m, pa.list_(pa.int64()))
+    extra = [zero] * 5 + [lists, lists]
+    if stats is not None:
+        extra = [pa.array([v], pa.int64()) for v in stats[:5]] + [pa.array([v.tolist()], pa.list_(pa.int64())) for v in stats[5:]]
+    total = vector_rows(np.asarray(sums, np.float64)) if m and np.size(sums) else pa.array([[]] * m, pa.list_(pa.float64()))
+    columns = [pa.array(np.asarray(cids, np.int32)), pa.array(np.asarray(n, np.int64)), pa.array(np.asarray(wcss, np.float64)), total, *extra]
+    return pa.RecordBatch.from_arrays(columns, names=[c.split()[0] for c in SUMS.split(", ")])
+
+
+def work_row(work: Work) -> pa.RecordBatch:
+    stats = [work.rows, work.head_mul_adds, work.tail_mul_adds, work.tested, work.rejected_head, work.block_tested, work.block_rejected]
+    return sum_rows([-1], [0], [0.0], np.zeros((1, 0)), stats)
+
+
 def iteration_sums(vectors: DataFrame, kernel: Kernel) -> DataFrame:
     """One scan: each task's sums and counts by centroid, and its work as rows of cid -1.
 
@@ -100,41 +167,41 @@ def iteration_sums(vectors: DataFrame, kernel: Kernel) -> DataFrame:
 
     def scan(batches):
         own, work = shipped.value, Work()
-        k, d = own.blocks.k, own.blocks.d
-        dense = k * d * 8 <= DENSE_BYTES
-        total, count, wcss = (np.zeros((k, d)) if dense else None), np.zeros(k, np.int64), np.zeros(k)
+        sums = Sums(own.blocks.k, own.blocks.d)
+        for batch in batches:
+            if batch.num_rows:
+                x = matrix(batch.column(0), own.dtype)
+                cid, dist = own(x, None, work)
+                yield from sums.add(x, cid, dist)
+        yield from sums.rest()
+        yield work_row(work)
+
+    return vectors.select("vec").mapInArrow(scan, SUMS)
+
 
-        def rows(cids, n, w, sums, stats=None):
-            m = len(cids)
-            zero = pa.array(np.zeros(m, np.int64))
-            lists = pa.array([[]] * m, pa.list_(pa.int64()))
-            extra = [zero] * 5 + [lists, lists] if stats is None else [pa.array([v], pa.int64()) for v in stats[:5]] + [pa.array([v.tolist()], pa.list_(pa.int64())) for v in stats[5:]]
-            return pa.RecordBatch.from_arrays([pa.array(np.asarray(cids, np.int32)), pa.array(np.asarray(n, np.int64)), pa.array(np.asarray(w, np.float64)), vector_rows(np.asarray(sums, np.float64)) if m and np.size(sums) else pa.array([[]] * m, pa.list_(pa.float64())), *extra], names=[c.split()[0] for c in SUMS.split(", ")])
+def labelled_sums(labelled: DataFrame, k: int, d: int) -> DataFrame:
+    """Each task's sums and counts by centroid of rows (vec, cid, dist) that have their labels already."""
 
+    def scan(batches):
+        sums = Sums(k, d)
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            x = matrix(batch.column(0), own.dtype)
-            cid, dist = own(x, None, work)
-            present, n, sums = kernels.centroid_sums(x, cid, k)
-            if dense:
-                total[present] += sums
-                count[present] += n
-                wcss += np.bincount(cid, dist, k)
-            else:
-                yield rows(present, n, np.bincount(cid, dist, k)[present], sums)
-        if dense:
-            present = np.flatnonzero(count)
-            for at in range(0, len(present), 4096):
-                own_rows = present[at : at + 4096]
-                yield rows(own_rows, count[own_rows], wcss[own_rows], total[own_rows])
-        yield rows([-1], [0], [0.0], np.zeros((1, 0)), [work.rows, work.head_mul_adds, work.tail_mul_adds, work.tested, work.rejected_head, work.block_tested, work.block_rejected])
+            if batch.num_rows:
+                yield from sums.add(matrix(batch.column(0), np.float64), batch.column(1).to_numpy(), batch.column(2).to_numpy())
+        yield from sums.rest()
+
+    return labelled.select("vec", "cid", "dist").mapInArrow(scan, SUMS)
 
-    return vectors.select("vec").mapInArrow(scan, SUMS)
 
+#: Partial sums that one task of the merge may hold of a centroid.
+MERGED_AT_ONCE = 64
 
-def merge_sums(sums: DataFrame) -> DataFrame:
-    """One row for each centroid, and one of cid -1 with the work of all tasks: a single shuffle, by centroid."""
+
+def merge_sums(sums: DataFrame, tasks: int | None = None) -> DataFrame:
+    """One row for each centroid, and one of cid -1 with the work of all tasks.
+
+    One shuffle by centroid; from many tasks the sums meet in two steps, so that no group has more than about the root
+    of the number of tasks.
+    """
 
     def longest(column: pa.ChunkedArray) -> list[int]:
         lists = column.to_pylist()
@@ -152,6 +219,10 @@ def merge_sums(sums: DataFrame) -> DataFrame:
             out[c] = pa.array([longest(group[c])], pa.list_(pa.int64()))
         return pa.table(out)
 
+    tasks = tasks or sums._jdf.queryExecution().toRdd().getNumPartitions()
+    if tasks > MERGED_AT_ONCE:
+        part = F.pmod(F.spark_partition_id(), F.lit(math.isqrt(tasks)))
+        sums = sums.withColumn("part", part).groupBy("cid", "part").applyInArrow(lambda group: add(group.drop_columns("part")), SUMS)
     return sums.groupBy("cid").applyInArrow(add, SUMS)
 
 

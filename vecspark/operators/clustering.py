@@ -7,17 +7,17 @@ import time
 from dataclasses import dataclass, field
 
 import numpy as np
-import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from vecspark.functions import kernels
-from vecspark.functions.kernels import BatchPlan
+from vecspark.functions.kernels import BatchPlan, CentroidBlocks, Work
 
-from .assign import Kernel, assign_full, assign_pruned, collect_sums, default_step, iteration_sums
-from .model import Model, matrix, vector_rows
+from .assign import SUMS, Kernel, Sums, assign_full, assign_pruned, collect_sums, default_step, in_slices, iteration_sums, labelled_sums, slices, work_row
+from .model import BROADCAST_BYTES, Model, matrix
 from .rotation import random_rotation, rotate, unrotate
-from .seeding import default_k, init_kmeanspp, sample_rows, start_matrix
+from .seeding import default_k, hash_order, init_kmeanspp, sample_rows, start_matrix
+from .state import RowState
 from .stopping import StopRule
 
 
@@ -115,13 +115,14 @@ class LloydKMeans:
             y = start_matrix(data, k, self.seed)
         k = len(y)
         for rule in self.stop:
-            rule.prepare(data, k)
+            rule.prepare(data, k, rotation)
+        state = RowState(data, d) if self.keeps_labels() else None
         d1, history, counts = self.first_head(d), [], np.zeros(k, np.int64)
         scale = None
         setup = time.perf_counter() - began
         for turn in range(1, self.max_iter + 1):
             at = time.perf_counter()
-            sums, work = collect_sums(iteration_sums(data, self.kernel(y, turn, d1)))
+            sums, work = self.scan(data, y, turn, d1) if state is None else self.carried(state, y, turn, d1)
             new, counts = y.copy(), np.zeros(k, np.int64)
             for cid, (rows, _, total) in sums.items():
                 new[cid], counts[cid] = total / rows, rows
@@ -138,7 +139,7 @@ class LloydKMeans:
             record = {
                 "iter": turn, "d1": d1, "prune_rate": rate, "wcss": sum(s[1] for s in sums.values()), "shift": float(((new - y) ** 2).sum()), "empty": n_empty,
                 "mul_adds": int(work["head_mul_adds"] + work["tail_mul_adds"]), "head_mul_adds": int(work["head_mul_adds"]), "tail_mul_adds": int(work["tail_mul_adds"]), "tested": int(work["tested"]), "rejected": int(work["rejected"]),
-                "block_prune": [r / t if t else 0.0 for r, t in zip(work["block_rejected"], work["block_tested"], strict=True)], "rows": int(work["rows"]), "counts": lists,
+                "block_prune": [r / t if t else 0.0 for r, t in zip(work["block_rejected"], work["block_tested"], strict=True)], "rows": int(work["rows"]), "counts": lists, "changed": work.get("changed"),
             }
             scale = scale if scale is not None else max(record["wcss"] / max(1, record["rows"]), 1e-12)
             previous, y = y, new
@@ -150,17 +151,40 @@ class LloydKMeans:
             if over or (self.tol_shift is not None and record["shift"] <= self.tol_shift * scale):
                 break
             d1 = self.next_head(d1, rate, d)
+        if state is not None:
+            state.close()
         params = {"k": k, "d": d, "method": type(self).__name__, "seed": self.seed}
         out = unrotate(y, rotation) if rotation is not None else y
         return Model(out, counts, history, rotation, d1, params)
 
+    def keeps_labels(self) -> bool:
+        """Whether an iteration needs each row's label of the one before."""
+        return any(rule.needs_labels for rule in self.stop)
+
+    def scan(self, data: DataFrame, y: np.ndarray, turn: int, d1: int):
+        """(sums, work) of one iteration: one scan, over slices of the centroids where they are too large for one broadcast."""
+        if len(slices(y)) == 1:
+            return collect_sums(iteration_sums(data, self.kernel(y, turn, d1)))
+        found = in_slices(data, y, BROADCAST_BYTES, ("vec",), lambda piece: self.kernel(piece, turn, d1))
+        return collect_sums(labelled_sums(found, *y.shape))
+
+    def carried(self, state: RowState, y: np.ndarray, turn: int, d1: int):
+        """The same with each row's label kept: one scan that writes labels, one that adds up."""
+        shipped = state.spark.sparkContext.broadcast(self.kernel(y, turn, d1))
+
+        def step(x, old, upper, lower, work):
+            return *shipped.value(x, old, work), None, None
+
+        work = state.advance(step)
+        return state.sums(len(y)), work
+
     def farthest(self, data: DataFrame, centroids: np.ndarray, n: int) -> np.ndarray:
-        near = assign_full(data, centroids, self.plan, self.dtype)
-        rows = near.orderBy(F.desc("dist"), "vec_id").limit(n).join(data, "vec_id").collect()
+        near = assign_full(data, centroids, self.plan, self.dtype, carry=("vec_id", "vec"))
+        rows = near.orderBy(F.desc("dist"), "vec_id").limit(n).collect()
         return np.array([r["vec"] for r in rows], np.float64)
 
-    def transform(self, vectors: DataFrame, model: Model) -> DataFrame:
-        return assign_full(vectors, model.centroids, self.plan, self.dtype)
+    def transform(self, vectors: DataFrame, model: Model, carry: tuple[str, ...] = ("vec_id",)) -> DataFrame:
+        return assign_full(vectors, model.centroids, self.plan, self.dtype, carry=carry)
 
 
 @dataclass
@@ -168,8 +192,9 @@ class PhasedKMeans(LloydKMeans):
     """Iterations that take a full product once, and from then on a head product and progressive pruning.
 
     The data is rotated once and the centroids are rotated back at the end.  The head width follows the share of
-    pairs that the head test rejects.  The first threshold of a row needs no state by default ("head_nearest");
-    `seed_mode="first_batch"` and the other switches are for ablations.
+    pairs that the head test rejects.  The first threshold of a row needs no state by default ("head_nearest"); with
+    `seed_mode="previous"` it is the distance to the centroid of the iteration before, whose labels are then kept beside
+    the data.  "first_batch" and the other switches are for ablations.
     """
 
     d1: int | None = None
@@ -201,16 +226,20 @@ class PhasedKMeans(LloydKMeans):
             return Kernel(centroids, plan=self.plan, dtype=self.dtype)
         return self.pruned(centroids, d1)
 
+    def keeps_labels(self):
+        return self.seed_mode == "previous" or super().keeps_labels()
+
     def pruned(self, centroids, d1):
         d = centroids.shape[1]
         return Kernel(centroids, True, d1, self.step or default_step(d), self.epsilon0, self.progressive, self.layout, self.seed_mode, self.plan, self.dtype, self.refinement)
 
-    def transform(self, vectors, model):
-        """The last assignment, by the same pruned kernel."""
+    def transform(self, vectors, model, carry=("vec_id",)):
+        """The last assignment, by the same pruned kernel; the data is rotated on the way, in no pass of its own."""
         if model.rotation is None:
-            return super().transform(vectors, model)
-        options = {"progressive": self.progressive, "layout": self.layout, "seed_mode": self.seed_mode, "plan": self.plan, "dtype": self.dtype, "refinement": self.refinement}
-        return assign_pruned(rotate(vectors, model.rotation, self.dtype), model.centroids @ model.rotation, model.d1, self.step, self.epsilon0, **options)
+            return super().transform(vectors, model, carry)
+        seed_mode = "head_nearest" if self.seed_mode == "previous" else self.seed_mode
+        options = {"progressive": self.progressive, "layout": self.layout, "seed_mode": seed_mode, "plan": self.plan, "dtype": self.dtype, "refinement": self.refinement}
+        return assign_pruned(vectors, model.centroids @ model.rotation, model.d1, self.step, self.epsilon0, rotation=model.rotation, carry=carry, **options)
 
 
 def share_k(sizes: dict[int, int], k: int, rule: str = "proportional") -> dict[int, int]:
@@ -240,8 +269,9 @@ def share_k(sizes: dict[int, int], k: int, rule: str = "proportional") -> dict[i
 class TwoLevelKMeans:
     """A few coarse clusters first, then fine ones inside each; optionally a few flat iterations after.
 
-    Small coarse clusters are finished inside one task each; one with more than `task_rows` rows is clustered by
-    the distributed loop, so no task ever holds an unbounded group.
+    Both stages use the pruned kernel.  The fine stage is one loop over all coarse clusters at once: rows are dealt by
+    (coarse cluster, hash), so tasks are of one size whatever the clusters' sizes, and an iteration is one scan in
+    which a row meets the centroids of its own coarse cluster alone.
     """
 
     k: int
@@ -250,81 +280,147 @@ class TwoLevelKMeans:
     fine_k: str = "proportional"
     refine_iter: int = 0
     pruned: bool = True
-    task_rows: int = 200_000
+    sample_frac: float | None = None
+    stop: list[StopRule] = field(default_factory=list)  #: rules of the fine stage
     seed: int = 0
     dtype: type = np.float32
 
-    def level(self, k: int, iterations: int) -> LloydKMeans:
-        cls = PhasedKMeans if self.pruned else LloydKMeans
-        return cls(k=k, max_iter=iterations, seed=self.seed, dtype=self.dtype)
+    def level(self, k: int, iterations: int, rotated: bool = False) -> LloydKMeans:
+        if not self.pruned:
+            return LloydKMeans(k=k, max_iter=iterations, seed=self.seed, dtype=self.dtype)
+        return PhasedKMeans(k=k, max_iter=iterations, seed=self.seed, dtype=self.dtype, rotate=not rotated)
 
     def fit(self, vectors: DataFrame) -> Model:
         from vecspark.sources.files import settle
 
         began = time.perf_counter()
         vectors = vectors.select("vec_id", "vec")
-        coarse = self.level(max(1, math.isqrt(self.k)), self.meso_iter)
-        meso = coarse.fit(vectors)
-        placed = settle(vectors.join(coarse.transform(vectors, meso).select("vec_id", F.col("cid").alias("meso")), "vec_id"), "meso")
+        if self.sample_frac:
+            vectors = sample_rows(vectors, self.sample_frac, seed=self.seed)
+        first = vectors.limit(1).collect()
+        if not first:
+            return Model(np.zeros((0, 0), np.float32), np.zeros(0, np.int64))
+        d = len(first[0]["vec"])
+        rotation = random_rotation(d, self.seed) if self.pruned else None
+        data = settle(rotate(vectors, rotation, self.dtype), "rotated") if self.pruned else vectors
+        coarse = self.level(max(1, math.isqrt(self.k)), self.meso_iter, True)
+        meso = coarse.fit(data)
+        if self.pruned:
+            placed = assign_pruned(data, meso.centroids, meso.d1, carry=("vec_id", "vec"), dtype=self.dtype)
+        else:
+            placed = assign_full(data, meso.centroids, dtype=self.dtype, carry=("vec_id", "vec"))
+        placed = placed.select("vec_id", "vec", F.col("cid").alias("meso"))
+        tasks = data.sparkSession.sparkContext.defaultParallelism
+        tasks = max(tasks, data._jdf.queryExecution().toRdd().getNumPartitions())
+        placed = settle(placed.repartitionByRange(tasks, "meso", F.xxhash64("vec_id")), "meso")
         sizes = {r["meso"]: r["count"] for r in placed.groupBy("meso").count().collect()}  # at most sqrt(k) rows
         shares = share_k(sizes, self.k, self.fine_k)
-        small = [c for c in shares if sizes[c] <= self.task_rows]
-        plan, seed, iterations, dtype = BatchPlan(), self.seed, self.fine_iter, self.dtype
-        shipped = vectors.sparkSession.sparkContext.broadcast(shares)
-
-        def fine(group: pa.Table) -> pa.Table:
-            c = group["meso"][0].as_py()
-            order = np.argsort(group["vec_id"].to_numpy(), kind="stable")
-            x = matrix(group["vec"], dtype)[order]
-            rng = np.random.default_rng(seed + 7919 * c)
-            y = x[np.sort(rng.choice(len(x), min(len(x), shipped.value[c]), replace=False))].astype(np.float64)
-            for turn in range(iterations):
-                cid, _ = kernels.assign_full(x.astype(np.float64), y, plan)
-                own, n, sums = kernels.centroid_sums(x, cid, len(y))
-                counts = np.zeros(len(y), np.int64)
-                y[own], counts[own] = sums / n[:, None], n
-                y, counts = repair_empty(y, counts, seed=seed + turn)
-            return pa.table({"meso": pa.array(np.full(len(y), c, np.int32)), "n": pa.array(counts), "centroid": vector_rows(y, pa.float64())})
-
-        pieces = []
-        if small:
-            rows = placed.where(F.col("meso").isin(small)).groupBy("meso").applyInArrow(fine, "meso int, n long, centroid array<double>")
-            pieces = [(r["meso"], np.array(r["centroid"])) for r in rows.collect()]  # k centroids
-        for c in sorted(set(shares) - set(small)):
-            own = self.level(shares[c], self.fine_iter).fit(placed.where(F.col("meso") == c).select("vec_id", "vec"))
-            pieces += [(c, y) for y in own.centroids]
-        pieces.sort(key=lambda p: p[0])
-        y = np.array([p[1] for p in pieces])
-        mul_adds = sum(h["mul_adds"] for h in meso.history) + sum(sizes[c] * shares[c] for c in shares) * y.shape[1] * self.fine_iter
-        history = [{"iter": 1, "d1": 0, "prune_rate": None, "mul_adds": int(mul_adds), "wcss": None, "shift": None, "empty": 0, "secs": time.perf_counter() - began}]
-        model = Model(y, np.zeros(len(y), np.int64), history, meso.rotation, meso.d1, {"k": len(y), "method": "TwoLevelKMeans"})
+        y, first_of = self.starts(placed, sizes, shares)
+        for rule in self.stop:
+            rule.prepare(data, len(y), rotation)
+        d1, counts, history = max(1, d // 8), np.zeros(len(y), np.int64), list(meso.history)
+        history[0]["setup_secs"] = time.perf_counter() - began - sum(h["secs"] for h in history)
+        for turn in range(1, self.fine_iter + 1):
+            at = time.perf_counter()
+            sums, work = collect_sums(self.fine_sums(placed, y, first_of, turn, d1))
+            new, counts = y.copy(), np.zeros(len(y), np.int64)
+            for cid, (rows, _, total) in sums.items():
+                new[cid], counts[cid] = total / rows, rows
+            empty, lists = int((counts == 0).sum()), counts
+            for c, (lo, hi) in first_of.items():
+                new[lo:hi], counts[lo:hi] = repair_empty(new[lo:hi], counts[lo:hi], seed=self.seed + 7919 * c + turn)
+            rate = work["rejected"] / work["tested"] if work["tested"] else None
+            previous, y = y, new
+            record = {"iter": len(history) + 1, "d1": d1, "prune_rate": rate, "wcss": sum(s[1] for s in sums.values()), "shift": float(((y - previous) ** 2).sum()), "empty": empty, "mul_adds": int(work["head_mul_adds"] + work["tail_mul_adds"]), "head_mul_adds": int(work["head_mul_adds"]), "tail_mul_adds": int(work["tail_mul_adds"]), "tested": int(work["tested"]), "rejected": int(work["rejected"]), "counts": lists}
+            over = any([rule.observe(record, y, data, previous) for rule in self.stop])
+            record.pop("counts")
+            record["secs"] = time.perf_counter() - at
+            history.append(record)
+            if over:
+                break
+            d1 = adjust_head(d1, rate, d) if self.pruned else d
+        out = unrotate(y, rotation) if self.pruned else y
+        model = Model(out, counts, history, rotation, d1, {"k": len(y), "method": "TwoLevelKMeans"})
         if self.refine_iter:
-            flat = self.level(len(y), self.refine_iter).fit(vectors, y)
+            flat = self.level(len(y), self.refine_iter).fit(vectors, out)
             model = Model(flat.centroids, flat.counts, history + flat.history, flat.rotation, flat.d1, model.params)
         return model
 
-    def transform(self, vectors: DataFrame, model: Model) -> DataFrame:
-        return self.level(model.k, 1).transform(vectors, model)
+    def starts(self, placed: DataFrame, sizes: dict[int, int], shares: dict[int, int]) -> tuple[np.ndarray, dict[int, tuple[int, int]]]:
+        """Random rows of each coarse cluster as its first fine centroids, and each cluster's range of centroid numbers.
+
+        A hashed share that holds more than enough rows of each cluster is ranked, never a whole cluster.
+        """
+        spark = placed.sparkSession
+        few = [(c, shares[c], min(1.0, (2.0 * shares[c] + 40) / sizes[c])) for c in sorted(shares)]
+        wanted = F.broadcast(spark.createDataFrame(few, "meso int, wanted int, share double"))  # at most sqrt(k) rows
+        u = F.conv(F.substring(hash_order(self.seed)[0], 1, 8), 16, 10).cast("double") / float(2**32)
+        drawn = placed.join(wanted, "meso").where(u < F.col("share"))
+        rank = F.row_number().over(Window.partitionBy("meso").orderBy(*hash_order(self.seed)))
+        rows = drawn.withColumn("rank", rank).where("rank <= wanted").select("meso", "rank", "vec").collect()  # at most k rows
+        first_of, at = {}, 0
+        for c in sorted(shares):
+            first_of[c] = (at, at + shares[c])
+            at += shares[c]
+        y = np.zeros((at, len(rows[0]["vec"])), np.float64)
+        got = dict.fromkeys(first_of, 0)
+        for r in rows:
+            y[first_of[r["meso"]][0] + r["rank"] - 1] = r["vec"]
+            got[r["meso"]] += 1
+        for c, (lo, hi) in first_of.items():  # a draw that fell short repeats rows; the split of empty clusters parts them
+            short = np.arange(lo + got[c], hi)
+            y[short] = y[lo + (short - lo) % max(1, got[c])]
+        return y, first_of
+
+    def fine_sums(self, placed: DataFrame, y: np.ndarray, first_of: dict[int, tuple[int, int]], turn: int, d1: int) -> DataFrame:
+        k, d = y.shape
+        pruned, dtype, step = self.pruned and turn > 1, self.dtype, default_step(d)
+        shipped = placed.sparkSession.sparkContext.broadcast((y.astype(dtype), first_of))
+
+        def scan(batches):
+            own, ranges = shipped.value
+            sums, work, kept = Sums(k, d), Work(), {}
+            for batch in batches:
+                if not batch.num_rows:
+                    continue
+                x, meso = matrix(batch.column(0), dtype), batch.column(1).to_numpy()
+                for c in np.unique(meso):
+                    rows = np.flatnonzero(meso == c)
+                    lo, hi = ranges[int(c)]
+                    if c not in kept:
+                        kept = {c: CentroidBlocks(own[lo:hi], d1 if pruned else d, step)}  # rows come by coarse cluster
+                    mine = x if len(rows) == len(x) else x[rows]
+                    cid, dist = kernels.assign_pruned(mine, kept[c], work=work, refinement="grouped")
+                    yield from sums.add(mine, cid + lo, dist)
+            yield from sums.rest()
+            yield work_row(work)
+
+        return placed.select("vec", "meso").mapInArrow(scan, SUMS)
+
+    def transform(self, vectors: DataFrame, model: Model, carry: tuple[str, ...] = ("vec_id",)) -> DataFrame:
+        return self.level(model.k, 1).transform(vectors, model, carry)
 
 
 @dataclass
 class MiniBatchKMeans:
-    """Batches by hash; each is assigned by the pruned kernel and moves centroids at a rate of 1 over their count."""
+    """Batches by hash; each is assigned by the pruned kernel, on rotated data, and moves centroids at a rate of 1 over their count."""
 
     k: int
     batches: int = 10
     batch_frac: float = 0.1
+    epsilon0: float = 2.1
     stop: list[StopRule] = field(default_factory=list)
     seed: int = 0
 
-    def fit(self, vectors: DataFrame) -> Model:
+    def fit(self, vectors: DataFrame, start: np.ndarray | None = None) -> Model:
         vectors = vectors.select("vec_id", "vec")
-        y = start_matrix(vectors, self.k, self.seed)
+        y = start_matrix(vectors, self.k, self.seed) if start is None else start.astype(np.float64)
         counts, history = np.zeros(len(y), np.int64), []
+        rotation = random_rotation(y.shape[1], self.seed) if len(y) else None
         for rule in self.stop:
-            rule.prepare(vectors, self.k)
+            rule.prepare(vectors, self.k, None)
         for turn in range(1, self.batches + 1):
-            record = self.update(sample_rows(vectors, self.batch_frac, seed=self.seed + turn), y, counts)
+            record = self.update(sample_rows(vectors, self.batch_frac, seed=self.seed + turn), y, counts, rotation, self.epsilon0)
             record["iter"] = turn
             history.append(record)
             if any([rule.observe(record, y, vectors, y) for rule in self.stop]):
@@ -332,10 +428,14 @@ class MiniBatchKMeans:
         return Model(y, counts, history, None, 0, {"k": len(y), "method": "MiniBatchKMeans"})
 
     @staticmethod
-    def update(batch: DataFrame, y: np.ndarray, counts: np.ndarray) -> dict:
-        """One batch, in place: a cluster's n new rows of mean m move it by n/(count+n) of the way to m."""
+    def update(batch: DataFrame, y: np.ndarray, counts: np.ndarray, rotation: np.ndarray, epsilon0: float = 2.1) -> dict:
+        """One batch, in place: a cluster's n new rows of mean m move it by n/(count+n) of the way to m.
+
+        The test of the pruned kernel holds for rotated vectors only, so tasks rotate the batch; sums are in its own space.
+        """
         d = y.shape[1]
-        sums, work = collect_sums(iteration_sums(batch, Kernel(y, True, max(1, d // 2), default_step(d), dtype=np.float64)))
+        kernel = Kernel(y @ rotation, True, max(1, d // 2), default_step(d), epsilon0, dtype=np.float64, rotation=rotation)
+        sums, work = collect_sums(iteration_sums(batch, kernel))
         before = y.copy()
         for cid, (n, _, total) in sums.items():
             counts[cid] += n
@@ -347,9 +447,8 @@ class MiniBatchKMeans:
 class BoundedKMeans:
     """Triangle-inequality variants, "elkan" or "hamerly", with exactly the labels of plain iterations.
 
-    Bounds that follow each row from one iteration to the next are state of the size of the data; the kernels
-    `elkan` and `hamerly` keep them for rows that one task holds.  This distributed form keeps no state: each
-    iteration is one scan, and the bounds are those that follow from a row's distance to pivot centroids.
+    Each row's bounds follow it from one iteration to the next in a table beside the data: an upper bound of the distance
+    to its own centroid and lower bounds of all k ("elkan") or of the nearest other one ("hamerly").
     """
 
     k: int
@@ -357,57 +456,68 @@ class BoundedKMeans:
     variant: str = "elkan"
     seed: int = 0
 
-    def fit(self, vectors: DataFrame) -> Model:
+    def fit(self, vectors: DataFrame, start: np.ndarray | None = None) -> Model:
         vectors = vectors.select("vec_id", "vec")
-        y = start_matrix(vectors, self.k, self.seed)
-        history = []
-        counts = np.zeros(len(y), np.int64)
+        y = start_matrix(vectors, self.k, self.seed) if start is None else start.astype(np.float64)
+        history, counts, shift = [], np.zeros(len(y), np.int64), None
+        if not len(y):
+            return Model(y, counts)
+        k, d = y.shape
+        state = RowState(vectors, d, k if self.variant == "elkan" else 1)
         for turn in range(1, self.max_iter + 1):
-            shipped = vectors.sparkSession.sparkContext.broadcast((y, self.variant))
-
-            def scan(batches, shipped=shipped):
-                own, variant = shipped.value
-                for batch in batches:
-                    if batch.num_rows:
-                        x = matrix(batch.column(0), np.float64)
-                        cid, dist, done = bounded_scan(x, own, variant)
-                        present, n, sums = kernels.centroid_sums(x, cid, len(own))
-                        yield pa.RecordBatch.from_arrays([pa.array(present.astype(np.int32)), pa.array(n), pa.array(np.bincount(cid, dist, len(own))[present]), vector_rows(sums, pa.float64()), pa.array(np.where(np.arange(len(present)) == 0, done, 0))], names=["cid", "n", "wcss", "total", "done"])
-
-            rows = vectors.select("vec").mapInArrow(scan, "cid int, n long, wcss double, total array<double>, done long")
-            partial = rows.groupBy("cid").applyInArrow(lambda g: pa.table({"cid": g["cid"].slice(0, 1), "n": [sum(g["n"].to_pylist())], "wcss": [sum(g["wcss"].to_pylist())], "total": vector_rows(matrix(g["total"], np.float64).sum(0, keepdims=True)), "done": [sum(g["done"].to_pylist())]}), "cid int, n long, wcss double, total array<double>, done long").collect()
-            new, counts = y.copy(), np.zeros(len(y), np.int64)
-            for r in partial:
-                new[r["cid"]], counts[r["cid"]] = np.array(r["total"]) / r["n"], r["n"]
-            shift = float(((new - y) ** 2).sum())
-            n = int(counts.sum())
-            history.append({"iter": turn, "d1": y.shape[1], "wcss": sum(r["wcss"] for r in partial), "shift": shift, "empty": int((counts == 0).sum()), "mul_adds": int(sum(r["done"] for r in partial)) * y.shape[1], "prune_rate": 1 - sum(r["done"] for r in partial) / max(1, n * len(y)), "secs": 0.0})
+            at = time.perf_counter()
+            shipped = vectors.sparkSession.sparkContext.broadcast((y, shift))
+            variant = self.variant
+
+            def step(x, cid, upper, lower, work, shipped=shipped, variant=variant):
+                own, moved = shipped.value
+                begin, again = kernels.BOUNDS[variant]
+                if cid is None:
+                    cid, upper, lower, done = begin(x, own)
+                else:
+                    cid, upper, lower, done = again(x, own, moved, cid, upper, lower if variant == "elkan" else lower.ravel())
+                work.rows += len(x)
+                work.tested += len(x) * len(own)
+                work.rejected_head += len(x) * len(own) - done
+                work.head_mul_adds += done * own.shape[1]
+                return cid, kernels.sq_norms(x - own[cid]), upper, lower
+
+            work = state.advance(step)
+            sums = state.sums(k)
+            new, counts = y.copy(), np.zeros(k, np.int64)
+            for cid, (n, _, total) in sums.items():
+                new[cid], counts[cid] = total / n, n
+            shift = np.sqrt(kernels.sq_norms(new - y))
+            history.append({"iter": turn, "d1": d, "wcss": sum(s[1] for s in sums.values()), "shift": float((shift**2).sum()), "empty": int((counts == 0).sum()), "changed": work["changed"], "mul_adds": work["head_mul_adds"], "tested": work["tested"], "rejected": work["rejected"], "prune_rate": work["rejected"] / max(1, work["tested"]), "secs": time.perf_counter() - at})
             y = new
-            if shift == 0:
+            if not shift.any():
                 break
-        return Model(y, counts, history, None, 0, {"k": len(y), "method": self.variant})
+        state.close()
+        return Model(y, counts, history, None, 0, {"k": k, "method": self.variant})
 
 
-def bounded_scan(x: np.ndarray, y: np.ndarray, variant: str):
-    """Exact nearest centroids with distances skipped by the triangle inequality; (cid, squared distance, distances computed).
+class PivotKernel(Kernel):
+    """Full products replaced by the triangle inequality around pivot centroids."""
 
-    Each row first meets one pivot centroid.  "elkan" then drops every centroid at least twice as far from the
-    pivot as the row is; "hamerly" drops all of them at once if the nearest one is.
-    """
-    between = np.sqrt(kernels.sq_dists(y, y)) / 2
-    np.fill_diagonal(between, np.inf)
-    stride = max(1, len(y) // max(1, math.isqrt(len(y))))
-    pivots = np.arange(0, len(y), stride)
-    d = np.sqrt(kernels.sq_dists(x, y[pivots]))
-    cid = pivots[d.argmin(1)]
-    upper = d.min(1)
-    done = d.size
-    may = upper[:, None] * (1 + 1e-12) >= between[cid] if variant == "elkan" else np.broadcast_to((upper * (1 + 1e-12) >= between.min(1)[cid])[:, None], (len(x), len(y)))
-    may = may.copy()
-    may[np.arange(len(x)), cid] = True
-    r, c = np.nonzero(may)
-    exact = np.full((len(x), len(y)), np.inf)
-    exact[r, c] = kernels.sq_norms(x[r] - y[c])
-    done += len(r)
-    best = exact.argmin(1)
-    return best, exact[np.arange(len(x)), best], done
+    def __init__(self, centroids: np.ndarray, variant: str):
+        super().__init__(centroids, dtype=np.float64)
+        self.variant = variant
+
+    def __call__(self, x, prev=None, work=None):
+        cid, dist, done = kernels.pivot_scan(x, self.blocks.full, self.variant)
+        if work is not None:
+            work.rows += len(x)
+            work.tested += len(x) * self.blocks.k
+            work.rejected_head += len(x) * self.blocks.k - done
+            work.head_mul_adds += done * self.blocks.d
+        return cid, dist
+
+
+@dataclass
+class PivotKMeans(LloydKMeans):
+    """The stateless relative of the bounded variants: labels of plain iterations, pivots in place of kept bounds."""
+
+    variant: str = "each"
+
+    def kernel(self, centroids, turn, d1):
+        return PivotKernel(centroids, self.variant)

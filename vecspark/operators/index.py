@@ -103,22 +103,38 @@ def exact_knn_sql(queries: DataFrame, vectors: DataFrame, topk: int = 10, exclud
 
 
 def build_index(vectors: DataFrame, model: Model, path: str, cid_buckets: int = 4096, pruned: bool = True) -> DataFrame:
-    """Lists as Parquet by cid_bucket, sorted by cid inside, so a search prunes folders and row groups."""
-    if pruned and model.rotation is not None:
-        from .rotation import rotate
+    """Lists as Parquet by cid_bucket, sorted by cid inside, so a search prunes folders and row groups.
 
-        work = assign_pruned(rotate(vectors, model.rotation), model.centroids @ model.rotation, model.d1 or None)
+    A vector and its list number come from one scan; nothing is joined.
+    """
+    carry = tuple(vectors.columns)
+    if pruned and model.rotation is not None:
+        placed = assign_pruned(vectors, model.centroids @ model.rotation, model.d1 or None, rotation=model.rotation, carry=carry)
     else:
-        work = assign_full(vectors, model.centroids)
-    return write_lists(vectors, work, path, cid_buckets)
+        placed = assign_full(vectors, model.centroids, carry=carry)
+    return write_lists(placed.drop("dist"), path, cid_buckets)
+
 
+BUCKETS = "cid_buckets"  #: the key under which the column cid remembers the number of folders
 
-def write_lists(vectors: DataFrame, work: DataFrame, path: str, cid_buckets: int) -> DataFrame:
-    lists = vectors.join(work.select("vec_id", "cid"), "vec_id").withColumn("cid_bucket", F.pmod("cid", F.lit(cid_buckets)))
+
+def write_lists(placed: DataFrame, path: str, cid_buckets: int) -> DataFrame:
+    """`placed` has cid beside the vectors' columns."""
+    marked = placed.withColumn("cid", F.col("cid").alias("cid", metadata={BUCKETS: cid_buckets}))
+    lists = marked.withColumn("cid_bucket", F.pmod("cid", F.lit(cid_buckets)))
     # a large cluster may hold a large share of the rows, so a list is spread over files by a salt of the id
     salt = F.pmod(F.xxhash64("vec_id"), F.lit(8))
     lists.repartition("cid_bucket", salt).sortWithinPartitions("cid_bucket", "cid").write.mode("overwrite").partitionBy("cid_bucket").parquet(path)
-    return vectors.sparkSession.read.parquet(path)
+    return placed.sparkSession.read.parquet(path)
+
+
+def only_lists(lists: DataFrame, cids: list[int]) -> DataFrame:
+    """The wanted lists: folders are pruned by cid_bucket, row groups by cid."""
+    if "cid_bucket" in lists.columns and (n := lists.schema["cid"].metadata.get(BUCKETS)):
+        folders = sorted({c % n for c in cids})
+        if len(folders) < n:
+            lists = lists.where(F.col("cid_bucket").isin(folders))
+    return lists.where(F.col("cid").isin(cids)) if len(cids) <= 10_000 else lists
 
 
 def route(spark: SparkSession, queries: DataFrame, centroids: np.ndarray, nprobe: int) -> DataFrame:
@@ -152,11 +168,7 @@ def block_search(ids: np.ndarray, q: np.ndarray, lists: DataFrame, centroids: np
         for c in row:
             asking.setdefault(int(c), []).append(i)
     shipped = spark.sparkContext.broadcast((ids, q, {c: np.array(v) for c, v in asking.items()}))
-    wanted = lists
-    if "cid_bucket" in lists.columns:
-        n = lists.select(F.max("cid_bucket")).first()[0]
-        if n is not None and len(asking) <= 10_000:
-            wanted = lists.where(F.col("cid").isin([*asking]))
+    wanted = only_lists(lists, sorted(asking))
 
     def search(batches):
         own, qm, by_cid = shipped.value

@@ -8,6 +8,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from vecspark.sources.files import discard, settle
+
 from .assign import Kernel, run_kernel
 
 
@@ -31,22 +33,37 @@ def start_matrix(vectors: DataFrame, k: int, seed: int) -> np.ndarray:
     return np.array([r["vec"] for r in vectors.select("vec_id", "vec").orderBy(*hash_order(seed)).limit(k).collect()], np.float64)
 
 
+NEAR_ROUNDS = 32  #: seeding rounds between two writings of the nearest distances
+
+
 def init_kmeanspp(vectors: DataFrame, k: int, seed: int = 0, power: float = 2.0, greedy_far: bool = False) -> np.ndarray:
     """D^power-weighted sequential seeding: one scan and one chosen row for each centroid.
 
     The weighted draw is the row of least -log(u) / weight with u hashed from the row and the round, so it is a
-    top-1 by scan and does not depend on partitioning.  `greedy_far` takes the farthest row instead.
+    top-1 by scan and does not depend on partitioning.  `greedy_far` takes the farthest row instead.  The nearest
+    distance so far travels with the rows and is written down every few rounds, so a round computes the distances to
+    the last few centroids alone.
     """
     chosen = start_matrix(vectors, 1, seed)
+    rows = vectors.select("vec_id", "vec")
+    known, near = 0, rows.withColumn("near", F.lit(float("inf")))
     while len(chosen) < k:
-        near = run_kernel(vectors, Kernel(chosen, dtype=np.float64)).join(vectors, "vec_id")
+        fresh = run_kernel(near, Kernel(chosen[known:], dtype=np.float64), carry=("vec_id", "vec", "near"))
+        now = fresh.select("vec_id", "vec", F.least("near", "dist").alias("near"))
+        if len(chosen) - known == NEAR_ROUNDS:
+            old, now = near, settle(now, "near")
+            if known:
+                discard(old)
+            near, known = now, len(chosen)
         u = (F.conv(F.substring(F.md5(F.concat_ws(":", "vec_id", F.lit(seed), F.lit(len(chosen)))), 1, 12), 16, 10).cast("double") + 1) / float(2**48 + 1)
-        weight = F.pow(F.sqrt("dist"), F.lit(power))
-        key = F.desc("dist") if greedy_far else F.asc(F.when(weight > 0, -F.log(u) / weight).otherwise(float("inf")))
-        rows = near.orderBy(key, "vec_id").limit(1).collect()
-        if not rows:
+        weight = F.pow(F.sqrt("near"), F.lit(power))
+        key = F.desc("near") if greedy_far else F.asc(F.when(weight > 0, -F.log(u) / weight).otherwise(float("inf")))
+        found = now.orderBy(key, "vec_id").limit(1).collect()
+        if not found:
             break
-        chosen = np.concatenate([chosen, [rows[0]["vec"]]])
+        chosen = np.concatenate([chosen, [found[0]["vec"]]])
+    if known:
+        discard(near)
     return chosen
 
 

@@ -8,15 +8,19 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from vecspark.functions.kernels import sq_dists
+from vecspark.sources.files import discard, settle
 
-from .index import exact_knn, query_matrix
+from .assign import assign_full
+from .index import exact_knn, route
+from .rotation import rotate
 from .seeding import sample_queries
 
 
 class StopRule:
-    def prepare(self, vectors: DataFrame, k: int) -> None:
-        """Called once before the first iteration."""
+    needs_labels = False  #: whether `changed`, the number of labels that changed, is wanted in the record
+
+    def prepare(self, vectors: DataFrame, k: int, rotation: np.ndarray | None = None) -> None:
+        """Called once before the first iteration, with the space that vectors and centroids will be in."""
 
     def observe(self, record: dict, centroids: np.ndarray, vectors: DataFrame, assigned: np.ndarray) -> bool:
         """`centroids` are the updated ones; `assigned` those that this iteration's lists were built with."""
@@ -38,6 +42,10 @@ class Convergence(StopRule):
     tol_shift: float | None = 0.0
     tol_changed: int | None = None
 
+    @property
+    def needs_labels(self) -> bool:
+        return self.tol_changed is not None
+
     def observe(self, record, centroids, vectors, assigned) -> bool:
         moved = self.tol_shift is not None and record["shift"] <= self.tol_shift
         same = self.tol_changed is not None and record.get("changed") is not None and record["changed"] <= self.tol_changed
@@ -63,7 +71,12 @@ def plateau(series: list[float], tol: float, patience: int = 2, rule: str = "pat
 
 @dataclass
 class RecallPlateau(StopRule):
-    """Stops when the recall that the centroids would give no longer improves; works with any iterative clustering."""
+    """Stops when the recall that the centroids would give no longer improves; works with any iterative clustering.
+
+    Queries and their true neighbours stay distributed: an iteration places the neighbours, routes the queries and joins
+    the two.  Supplied queries are in the data's own space and are rotated with it.  By default a query is not its
+    own neighbour where it was drawn from the data, and ids of supplied queries have nothing to do with those of the data.
+    """
 
     tol: float = 0.005
     patience: int = 2
@@ -73,30 +86,40 @@ class RecallPlateau(StopRule):
     lists: str = "current"  #: "current": lists of the assignment just computed; "reassign": of the updated centroids
     queries: DataFrame | None = None
     truth: DataFrame | None = None
+    exclude_self: bool | None = None
     n_queries: int = 1000
     seed: int = 1
     series: list[float] = field(default_factory=list)
 
-    def prepare(self, vectors: DataFrame, k: int) -> None:
+    def prepare(self, vectors: DataFrame, k: int, rotation: np.ndarray | None = None) -> None:
         self.series = []
-        queries = self.queries if self.queries is not None else sample_queries(vectors, self.n_queries, self.seed)
-        self.qid, self.q = query_matrix(queries)
-        truth = self.truth if self.truth is not None else exact_knn(queries, vectors, self.topk)
-        rows = truth.where(F.col("rank") <= self.topk).select("qid", "vec_id").collect()  # n_queries * topk rows
-        self.wanted = [(int(r[0]), int(r[1])) for r in rows]
-        self.neighbours = vectors.join(F.broadcast(vectors.sparkSession.createDataFrame([(v,) for v in {v for _, v in self.wanted}], "vec_id long")), "vec_id").select("vec_id", "vec").collect() if self.wanted else []
-        self.at = {r["vec_id"]: i for i, r in enumerate(self.neighbours)}
-        self.x = np.array([r["vec"] for r in self.neighbours], np.float64)
+        if self.queries is None:
+            queries = sample_queries(vectors, self.n_queries, self.seed)
+        else:
+            queries = self.queries.select("qid", F.col("qvec").alias("vec"))
+            if rotation is not None:
+                queries = rotate(queries, rotation, np.float64)
+            queries = queries.select("qid", F.col("vec").alias("qvec"))
+        self.asked = settle(queries, "asked")
+        own = self.queries is None if self.exclude_self is None else self.exclude_self
+        truth = self.truth if self.truth is not None else exact_knn(self.asked, vectors, self.topk, exclude_self=own)
+        self.wanted = settle(truth.where(F.col("rank") <= self.topk).select("qid", "vec_id").distinct(), "wanted")
+        self.n_wanted, self.n_asked = self.wanted.count(), self.asked.count()
+        ids = self.wanted.select("vec_id").distinct()
+        self.neighbours = settle(vectors.join(ids, "vec_id", "left_semi").select("vec_id", "vec"), "neighbours")
 
     def observe(self, record, centroids, vectors, assigned) -> bool:
         nprobe = max(1, int(np.ceil(self.probe_frac * len(centroids))))
-        home = sq_dists(self.x, centroids if self.lists == "reassign" else assigned).argmin(1) if len(self.x) else np.empty(0, int)
-        probes = np.argpartition(sq_dists(self.q, centroids), min(nprobe, len(centroids)) - 1, axis=1)[:, :nprobe] if len(self.q) else np.zeros((0, 1), int)
-        probed = {int(i): set(p.tolist()) for i, p in zip(self.qid, probes, strict=True)}
-        hits = sum(home[self.at[v]] in probed[q] for q, v in self.wanted)
-        record["recall"] = hits / max(1, len(self.wanted))
+        lists = centroids if self.lists == "reassign" else assigned
+        home = assign_full(self.neighbours, np.asarray(lists, np.float64), dtype=np.float64)
+        probes = settle(route(vectors.sparkSession, self.asked, centroids, nprobe).select("qid", "cid"), "probes")
+        placed = self.wanted.join(home.select("vec_id", "cid"), "vec_id")
+        hits = placed.join(probes, ["qid", "cid"], "left_semi").select("qid", "vec_id").distinct().count()
+        record["recall"] = hits / max(1, self.n_wanted)
         counts = record.get("counts")
-        if counts is not None and len(probes):
-            record["explored"] = float(np.mean([counts[p].sum() for p in probes]))
+        if counts is not None and self.n_asked:
+            asked = probes.groupBy("cid").count().collect()  # at most k rows
+            record["explored"] = float(sum(r["count"] * counts[r["cid"]] for r in asked) / self.n_asked)
+        discard(probes)
         self.series.append(record["recall"])
         return plateau(self.series, self.tol, self.patience, self.rule)

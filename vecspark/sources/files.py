@@ -26,6 +26,15 @@ def settle(df: DataFrame, what: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def discard(df: DataFrame) -> None:
+    """Deletes the files that a settled table was read from, once nothing reads it any more."""
+    spark = df.sparkSession
+    conf = spark.sparkContext._jsc.hadoopConfiguration()
+    for folder in {f.rpartition("/")[0] for f in df.inputFiles()}:
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(folder)
+        path.getFileSystem(conf).delete(path, True)
+
+
 def round_trip(df: DataFrame, kind: str, **options) -> DataFrame:
     """Through csv, json, orc, parquet or text, with the schema given and not inferred."""
     path = shared_path(df.sparkSession, kind)

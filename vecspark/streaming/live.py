@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from vecspark.operators.assign import Kernel, run_kernel
 from vecspark.operators.clustering import MiniBatchKMeans
 from vecspark.operators.model import Model
+from vecspark.operators.rotation import random_rotation
 from vecspark.operators.seeding import start_matrix
 from vecspark.sources.files import shared_path
 from vecspark.sources.vectors import embeddings, read_table
@@ -144,10 +145,11 @@ def _(spark, sf_dir):
 def _(spark, sf_dir):
     v = embeddings(spark, sf_dir)
     y, counts = start_matrix(v, 22, 0), np.zeros(22, np.int64)
+    rotation = random_rotation(y.shape[1], 0)
     stream = stream_table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").alias("vec"))
 
     def update(batch: DataFrame, number: int) -> None:
-        MiniBatchKMeans.update(batch, y, counts)
+        MiniBatchKMeans.update(batch, y, counts, rotation, np.inf)
 
     run = stream.writeStream.foreachBatch(update).option("checkpointLocation", shared_path(spark, "minibatch")).trigger(availableNow=True).start()
     run.awaitTermination()
