@@ -1,15 +1,18 @@
 """Language-model scoring with a weighted backoff automaton learned from the whole corpus.
 
-States are the empty history and every history (of up to order - 1 tokens) seen in training; an arc of a state
-carries the smoothed probability of a token seen after it, and a state's failure arc leads to its shorter
-history at the weight mu / (count + mu).  Probabilities are Dirichlet-smoothed at each order over the order
-below, down to (c + 1) / (N + V + 1).  A text is one left-to-right traversal from the start state.
+States are the empty history and every history of up to order - 1 tokens that training has seen.  An arc of a state
+carries the log probability of a token seen after it and leads to the state of the longest known history that ends in
+that token; a state's failure arc leads to its shorter history and carries the backoff weight mu / (count + mu).
+Probabilities are Dirichlet-smoothed at each order over the order below, down to (c + 1) / (N + V + 1), so an unseen
+token is the product of the backoff weights on the way and the probability at the state that knows it.  A text is
+one left-to-right traversal that carries its state and adds up weights; texts, cut into stretches, go side by
+side, and a stretch first reads the order - 1 tokens before it, which fix the state it would have been in.
 
 The corpus's counts are not cut, capped or sampled, and neither counts nor automaton ever meet in one place:
-texts are dealt into blocks of a few MB; a block sends each n-gram that it holds once, with its training count,
-to the n-gram's key range; a key range adds up and answers every block in the order of its questions (so an
-answer is counts alone); a block then builds the part of the automaton that its texts can reach and traverses
-it.  Hot n-grams come once a block.  N and V arrive with the answers.
+texts are packed into blocks of a few MB; a block sends each n-gram that it holds once, with its training count,
+to the n-gram's key range (ranges that it has nothing for get no row); a key range adds up and answers every block in
+the order of its questions (so an answer is counts alone); a block then builds the part of the automaton that its
+texts can reach and traverses it.  Hot n-grams come once a block.  N and V are summed over the key ranges.
 
 Defined results: a null text is the empty text, whose one token is the end; with no training rows c, N and V are
 0 and every token costs log10(1) = 0.  Sums of logarithms are taken in whole 1e-9, so that they do not depend
@@ -22,12 +25,13 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .language import Lookup
-from .tables import table
-from .textkit import U64, crc_mod, lower_ascii, mix, releasing, segment_hash, text_arrays, words
+from .tables import settle, table
+from .textkit import U64, crc_mod, lower_ascii, mix, release, releasing, segment_hash, text_arrays, words
 
 QUANTUM = 1e9
 END_TOKEN = U64(0xE4D0E4D0E4D0E4D1)
@@ -36,10 +40,11 @@ START_TOKEN = U64(0x57A9757A9757A975)
 
 @dataclass(frozen=True)
 class LmParams:
-    order: int = 2
+    order: int = 3
     mu: float = 5.0
     block_bytes: int = 6 << 20
     range_bytes: int = 24 << 20
+    stretch: int = 256  #: tokens that a step-by-step traversal reads of a text before the next stretch of it begins
 
 
 def token_stream(data: np.ndarray, offsets: np.ndarray):
@@ -129,61 +134,208 @@ def cuts(keys: np.ndarray, ranges: int) -> np.ndarray:
 
 
 class BackoffAutomaton:
-    """The states and arcs that a set of n-grams with counts spans."""
-
-    def __init__(self, keys: np.ndarray, counts: np.ndarray, total: int, kinds: int, params: LmParams):
-        self.find = Lookup(keys)
-        self.counts, self.total, self.kinds, self.params = counts, total, kinds, params
-
-    def count(self, keys: np.ndarray) -> np.ndarray:
-        row = self.find.find(keys)
-        return np.where((row >= 0) & (keys != 0), self.counts[np.maximum(row, 0)] if len(self.counts) else 0, 0)
-
-    def traverse(self, tokens: np.ndarray, doc: np.ndarray, keys: list[np.ndarray]):
-        """log10 weight of each token on the way from the start, and its training count.
-
-        The state before a token is the longest history that training has seen; the failure arcs taken from it
-        are those of the histories whose arc for the token is missing.
-        """
-        mu = self.params.mu
-        c = self.count(keys[0])
-        p = (c + 1) / (self.total + (self.kinds + 1))
-        base = np.log10(p)
-        ends = self.count(ngram_keys(np.array([END_TOKEN]), np.zeros(1, int), 1)[0])[0]
-        for n in range(2, len(keys) + 1):
-            history = np.zeros(len(tokens), np.int64)
-            history[1:] = self.count(keys[n - 2][:-1])
-            if n == 2:
-                history[1:][tokens[:-1] == START_TOKEN] = ends
-            arc = self.count(keys[n - 1])
-            p = np.where((history > 0) & (keys[n - 1] != 0), (arc + mu * p) / (history + mu), p)
-        return base, np.log10(p), c
+    """The states, arcs and failure arcs that a block's n-grams with training counts span.
+
+    State 0 is the empty history.  `grams[n - 1]` are the distinct n-grams seen in training; those of fewer than `order`
+    tokens are states too.
+    """
+
+    def __init__(self, tokens: np.ndarray, keys: list[np.ndarray], distinct: np.ndarray, counts: np.ndarray, total: int, kinds: int, params: LmParams):
+        self.order, self.total, self.kinds = len(keys), total, kinds
+        mu = params.mu
+        self.unseen = np.log10(1 / (total + (kinds + 1)))
+        find = Lookup(distinct)
+
+        def count(k: np.ndarray) -> np.ndarray:
+            row = find.find(k)
+            return np.where((row >= 0) & (k != 0), counts[np.maximum(row, 0)] if len(counts) else 0, 0)
+
+        # the token of an arc is its number among the block's tokens; a start symbol is the state that it leads to
+        self.alphabet, self.token = np.unique(tokens, return_inverse=True)
+        ends = int(count(ngram_keys(np.array([END_TOKEN]), np.zeros(1, int), 1)[0])[0])
+        start = np.flatnonzero(self.alphabet == START_TOKEN)
+        # states by history length: the empty one, the start (a history of one token), then the n-grams seen
+        state_key, state_count, n_states = [], [], 1
+        arcs_at, arcs_of, arcs_to, arcs_p, arcs_c = [], [], [], [], []
+        fail, fail_weight = [np.zeros(1, np.int64)], [np.zeros(1)]
+        self.start = 0
+        lower_p = None  # by place: the probability of its token under the history of n - 2 tokens
+        # by place in the block: the state of the n - 1 tokens that end there, 0 where training has not seen them
+        history_state, self_count = np.zeros(len(tokens), np.int64), np.zeros(1, np.int64)
+        for n in range(1, self.order + 1):
+            key = keys[n - 1]
+            seen_at = np.flatnonzero(key)
+            gram, first, group = np.unique(key[seen_at], return_index=True, return_inverse=True)
+            at = seen_at[first]
+            c = count(gram)
+            known = c > 0
+            if n == 1:
+                p, source = (c + 1) / (total + (kinds + 1)), np.zeros(len(gram), np.int64)
+            else:
+                # the state of the history is exact where that history has been seen; else the arc cannot exist
+                source = np.where(at > 0, history_state[np.maximum(at - 1, 0)], 0)
+                history = self_count[source]
+                p = np.where(known, (c + mu * lower_p[at]) / (history + mu), 0)
+            arcs_at.append(at[known])
+            arcs_of.append(source[known])
+            arcs_p.append(p[known])
+            arcs_c.append(c[known])
+            # probability under this order at every place, for the order above
+            here = np.zeros(len(tokens))
+            here[seen_at] = p[group]
+            if n == 1:
+                lower_p = here
+            else:
+                held = np.zeros(len(tokens), np.int64)
+                held[1:] = self_count[history_state[:-1]] * (history_state[:-1] > 0)
+                back = np.where(held > 0, mu / (held + mu), 1.0) * lower_p
+                arc_here = np.zeros(len(tokens), bool)
+                arc_here[seen_at] = known[group]
+                lower_p = np.where(arc_here, here, back)
+            if n == self.order:
+                # an arc of the longest history leads to the state of what ends it one token shorter
+                arcs_to.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
+                break
+            # the n-grams seen are the states of length n; their failure arcs lead to what ends them one token shorter
+            number = np.full(len(gram), -1, np.int64)
+            number[known] = n_states + np.arange(known.sum())
+            arcs_to.append(number[known])
+            n_states += int(known.sum())
+            state_count.append(c[known])
+            fail.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
+            exact = np.zeros(len(tokens), np.int64)
+            exact[seen_at] = np.maximum(number[group], 0)
+            if n == 1 and len(start) and ends:
+                # the start of a text is a history of its own, as often as texts end
+                self.start = n_states
+                n_states += 1
+                state_count.append(np.array([ends]))
+                fail.append(np.zeros(1, np.int64))
+                exact[tokens == START_TOKEN] = self.start
+            history_state = exact
+            self_count = np.concatenate([[0], *state_count])
+        self.fail = np.concatenate(fail)
+        weights = np.concatenate([[0], *state_count]) if state_count else np.zeros(1)
+        self.fail_weight = np.where(weights > 0, np.log10(mu / (weights + mu)), 0.0)
+        size = max(1, len(self.alphabet))
+        key = np.concatenate(arcs_of) * size + self.token[np.concatenate(arcs_at)]
+        by = np.argsort(key)
+        self.size, self.arc_key, self.arc_weight = size, key[by], np.log10(np.concatenate(arcs_p)[by])
+        self.arc_to, self.arc_count = np.concatenate(arcs_to)[by], np.concatenate(arcs_c)[by]
+
+    def arc(self, state: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place, whether there is one) of the arcs of these states for these tokens."""
+        key = state * self.size + token
+        at = np.minimum(np.searchsorted(self.arc_key, key), max(0, len(self.arc_key) - 1))
+        return at, self.arc_key[at] == key if len(self.arc_key) else np.zeros(len(key), bool)
+
+    def step(self, state: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(weight, next state) of one token from each state: failure arcs until a state has an arc for it."""
+        weight, to = np.zeros(len(state)), np.zeros(len(state), np.int64)
+        left, state = np.arange(len(state)), state.copy()
+        while len(left):
+            at, found = self.arc(state[left], token[left])
+            done = left[found]
+            weight[done] += self.arc_weight[at[found]]
+            to[done] = self.arc_to[at[found]]
+            left = left[~found]
+            root = state[left] == 0
+            weight[left[root]] += self.unseen
+            left = left[~root]
+            weight[left] += self.fail_weight[state[left]]
+            state[left] = self.fail[state[left]]
+        return weight, to
+
+    def traverse(self, tokens: np.ndarray, doc: np.ndarray, stretch: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(log10 base probability, log10 weight, training count) of each token; a text's start symbol has none."""
+        n = len(tokens)
+        weight = np.zeros(n)
+        opens = np.flatnonzero(np.concatenate([[True], doc[1:] != doc[:-1]])) if n else np.empty(0, np.int64)
+        size = np.diff(np.concatenate([opens, [n]]))
+        pieces = np.maximum(1, -(-(size - 1) // stretch))
+        turn = np.arange(pieces.sum()) - np.repeat(np.cumsum(pieces) - pieces, pieces)
+        text_open = np.repeat(opens, pieces)
+        begin = text_open + 1 + turn * stretch
+        end = np.minimum(begin + stretch, text_open + np.repeat(size, pieces))
+        place = np.maximum(begin - (self.order - 1), text_open + 1)  # reads itself into the state before `begin`
+        state = np.where(place == text_open + 1, self.start, 0)
+        live = np.flatnonzero(place < end)
+        while len(live):
+            w, state[live] = self.step(state[live], self.token[place[live]])
+            own = place[live] >= begin[live]
+            weight[place[live][own]] = w[own]
+            place[live] += 1
+            live = live[place[live] < end[live]]
+        at, found = self.arc(np.zeros(n, np.int64), self.token)
+        known = np.where(found, self.arc_count[at] if len(self.arc_count) else 0, 0)
+        return np.log10((known + 1) / (self.total + (self.kinds + 1))), weight, known
 
 
 def whole_sum(values: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
     return np.bincount(doc, np.rint(values * QUANTUM), n) / QUANTUM
 
 
+def packed_texts(documents: DataFrame, held_out, limit: int) -> DataFrame:
+    """(block, rows): the texts in blocks of about `limit` bytes, each one compressed Arrow table.
+
+    A block is a run of rows of one input partition and is named by that partition and its turn there.
+    """
+
+    def pack(batches):
+        from pyspark import TaskContext
+
+        number, turn, held, size = TaskContext.get().partitionId(), 0, [], 0
+        for batch in batches:
+            text = batch.column(2)
+            ends = np.cumsum(pa.compute.fill_null(pa.compute.binary_length(text), 0).to_numpy(zero_copy_only=False))
+            at = 0
+            while at < batch.num_rows:
+                before = ends[at - 1] if at else 0
+                to = min(batch.num_rows, max(at + 1, int(np.searchsorted(ends, before + limit - size, "right"))))
+                held.append(batch.slice(at, to - at))
+                size += int(ends[to - 1] - before)
+                at = to
+                if size >= limit or at < batch.num_rows:
+                    yield squeezed(number, turn, held)
+                    turn, held, size = turn + 1, [], 0
+        if held:
+            yield squeezed(number, turn, held)
+
+    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), held_out.alias("held_out"), F.col("text").cast("string").alias("text"))
+    return settle(rows.mapInArrow(pack, "block long, rows binary"), "blocks")
+
+
+def squeezed(number: int, turn: int, held: list) -> pa.RecordBatch:
+    sink = pa.BufferOutputStream()
+    whole = pa.Table.from_batches(held).combine_chunks()
+    with pa.ipc.new_stream(sink, whole.schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+        out.write_table(whole)
+    return pa.RecordBatch.from_arrays([pa.array([number << 32 | turn], pa.int64()), pa.array([sink.getvalue().to_pybytes()], pa.binary())], names=["block", "rows"])
+
+
+def unsqueezed(blob: pa.Scalar) -> pa.Table:
+    return pa.ipc.open_stream(blob.as_buffer()).read_all().combine_chunks()
+
+
+SCORED = (("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64()))
+
+
 def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams()) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score; held-out rows teach nothing."""
     size = documents.agg(F.sum(F.octet_length(F.col("text").cast("string")))).first()[0] or 0
-    n_blocks = max(1, -(-size // params.block_bytes))
     ranges = max(1, -(-size * params.order * 3 // (5 * params.range_bytes)))
-    docs = documents.select(F.col("doc_id").cast("long").alias("doc_id"), held_out.alias("held_out"), F.col("text").cast("string").alias("text"))
-    docs = docs.withColumn("block", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n_blocks)).cast("int")).repartition("block")
-
-    def ask(group: pa.Table) -> pa.Table:
-        _, _, _, keys, counts = block_counts(group["text"].combine_chunks(), group["held_out"].to_numpy(), params.order)
-        at = cuts(keys, ranges)
-        block = group["block"][0].as_py()
-        return pa.table(
-            {
-                "block": pa.array(np.full(ranges, block, np.int32)),
-                "part": pa.array(np.arange(ranges, dtype=np.int32)),
-                "keys": pa.array([packed_keys(keys[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
-                "counts": pa.array([packed(counts[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
-            }
-        )
+    docs = packed_texts(documents, held_out, params.block_bytes)
+
+    def ask(batches):
+        for batch in batches:
+            for block, blob in zip(batch.column(0), batch.column(1), strict=True):
+                rows = unsqueezed(blob)
+                _, _, _, keys, counts = block_counts(rows["text"].combine_chunks(), rows["held_out"].to_numpy(), params.order)
+                at = cuts(keys, ranges)
+                part = np.flatnonzero(np.diff(at))
+                pieces = list(zip(at[part], at[part + 1], strict=True))
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), block.as_py())), pa.array(part.astype(np.int32)), pa.array([packed_keys(keys[a:b]) for a, b in pieces], pa.binary()), pa.array([packed(counts[a:b]) for a, b in pieces], pa.binary())], names=["block", "part", "keys", "counts"])
+            release()
 
     def answer(group: pa.Table) -> pa.Table:
         blobs = [unpacked_keys(x.as_py()) for x in group["keys"]]
@@ -193,44 +345,35 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
         single = (union & U64(3)) == 0
         at = np.concatenate([[0], np.cumsum([len(b) for b in blobs])])
         found = totals[place]
-        n = group.num_rows
+        first = np.arange(group.num_rows) == 0  # the range's own share of N and V stands in one row
         return pa.table(
             {
                 "block": group["block"],
                 "part": group["part"],
                 "found": pa.array([packed(found[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
-                "tokens": pa.array(np.full(n, totals[single].sum(), np.int64)),
-                "kinds": pa.array(np.full(n, (totals[single] > 0).sum(), np.int64)),
+                "tokens": pa.array(np.where(first, totals[single].sum(), 0)),
+                "kinds": pa.array(np.where(first, (totals[single] > 0).sum(), 0)),
             }
         )
 
     def score(texts: pa.Table, answers: pa.Table) -> pa.Table:
-        n = texts.num_rows
-        if not n:
-            return texts.select(["doc_id", "held_out"]).append_column("n_tokens", pa.array([], pa.int64())).append_column("n_known", pa.array([], pa.int64())).append_column("train_tokens", pa.array([], pa.int64())).append_column("base_score", pa.array([], pa.float64())).append_column("score", pa.array([], pa.float64()))
-        held = texts["held_out"].to_numpy()
-        tokens, doc, keys, distinct, _ = block_counts(texts["text"].combine_chunks(), held, params.order)
+        if not texts.num_rows:
+            return pa.schema(SCORED).empty_table()
+        rows = unsqueezed(texts["rows"][0])
+        n, held = rows.num_rows, rows["held_out"].to_numpy()
+        tokens, doc, keys, distinct, _ = block_counts(rows["text"].combine_chunks(), held, params.order)
         answers = answers.sort_by("part")
         counts = np.concatenate([unpacked(x.as_py()) for x in answers["found"]])
-        total, kinds = int(answers["tokens"].to_numpy().sum()), int(answers["kinds"].to_numpy().sum())
-        base, weight, c = BackoffAutomaton(distinct, counts, total, kinds, params).traverse(tokens, doc, keys)
+        base, weight, c = BackoffAutomaton(tokens, keys, distinct, counts, total, kinds, params).traverse(tokens, doc, params.stretch)
         real = tokens != START_TOKEN
         d = doc[real]
-        return pa.table(
-            {
-                "doc_id": texts["doc_id"],
-                "held_out": texts["held_out"],
-                "n_tokens": pa.array(np.bincount(d, minlength=n).astype(np.int64)),
-                "n_known": pa.array(np.bincount(d, c[real] > 0, n).astype(np.int64)),
-                "train_tokens": pa.array(np.full(n, total, np.int64)),
-                "base_score": pa.array(whole_sum(base[real], d, n)),
-                "score": pa.array(whole_sum(weight[real], d, n)),
-            }
-        )
+        columns = [rows["doc_id"], rows["held_out"], np.bincount(d, minlength=n), np.bincount(d, c[real] > 0, n).astype(np.int64), np.full(n, total), whole_sum(base[real], d, n), whole_sum(weight[real], d, n)]
+        return pa.table([pa.array(x) if isinstance(x, np.ndarray) else x for x in columns], schema=pa.schema(SCORED))
 
-    asked = docs.groupBy("block").applyInArrow(releasing(ask), "block int, part int, keys binary, counts binary")
-    answered = asked.groupBy("part").applyInArrow(releasing(answer), "block int, part int, found binary, tokens long, kinds long")
-    return docs.groupBy("block").cogroup(answered.groupBy("block")).applyInArrow(releasing(score), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    asked = docs.mapInArrow(ask, "block long, part int, keys binary, counts binary")
+    answered = settle(asked.groupBy("part").applyInArrow(releasing(answer), "block long, part int, found binary, tokens long, kinds long"), "answers")
+    total, kinds = (int(x or 0) for x in answered.agg(F.sum("tokens"), F.sum("kinds")).first())
+    return docs.groupBy("block").cogroup(answered.select("block", "part", "found").groupBy("block")).applyInArrow(releasing(score), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def op10_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -246,27 +389,38 @@ CRC_SQL = """(list_reduce(
 OP10_SQL = f"""
 WITH docs AS (
   SELECT doc_id, xor({CRC_SQL}, 4294967295::BIGINT) % 7 = 2 AS held_out,
-    list_concat(['<s>'], list_concat(list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[ \\t-\\r]+'), lambda w: w <> ''), ['</s>'])) AS words
+    list_concat(['0'], list_concat(list_transform(list_filter(regexp_split_to_array(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[ \\t-\\r]+'), lambda w: w <> ''), lambda w: '1:' || w), ['2'])) AS words
   FROM documents
 ), toks AS (
-  SELECT doc_id, held_out, unnest(words) AS w, unnest(list_concat([NULL], words[:-2])) AS prev, unnest(range(len(words))) AS i FROM docs
+  SELECT doc_id, held_out, unnest(words) AS w, unnest(list_concat([NULL], words[:-2])) AS h1, unnest(list_concat([NULL, NULL], words[:-3])) AS h0, unnest(range(len(words))) AS i FROM docs
 ), seen AS (
-  SELECT doc_id, held_out, CASE WHEN i = n_last THEN '2' ELSE '1:' || w END AS w, CASE WHEN i = 1 THEN '0' ELSE '1:' || prev END AS h
-  FROM (SELECT *, max(i) OVER (PARTITION BY doc_id) AS n_last FROM toks) WHERE i > 0
+  SELECT doc_id, held_out, w, h1, h0 || ' ' || h1 AS h2 FROM toks WHERE i > 0
 ), uni AS (
   SELECT w, count(*) AS c FROM seen WHERE NOT held_out GROUP BY 1
 ), total AS (
   SELECT CAST(coalesce(sum(c), 0) AS BIGINT) AS n, count(*) AS v FROM uni
 ), pair AS (
-  SELECT h, w, count(*) AS c FROM seen WHERE NOT held_out GROUP BY 1, 2
-), hist AS (
-  SELECT CASE WHEN w = '2' THEN '0' ELSE w END AS h, c FROM uni
-), scored AS (
-  SELECT s.doc_id, s.held_out, coalesce(u.c, 0) AS c, t.n, (coalesce(u.c, 0) + 1)::DOUBLE / (t.n + t.v + 1)::DOUBLE AS p, coalesce(p.c, 0) AS arc, coalesce(x.c, 0) AS hc
-  FROM seen s CROSS JOIN total t LEFT JOIN uni u USING (w) LEFT JOIN pair p ON p.h = s.h AND p.w = s.w LEFT JOIN hist x ON x.h = s.h
+  SELECT h1, w, count(*) AS c FROM seen WHERE NOT held_out GROUP BY 1, 2
+), three AS (
+  SELECT h2, w, count(*) AS c FROM seen WHERE NOT held_out AND h2 IS NOT NULL GROUP BY 1, 2
+), one_back AS (
+  SELECT CASE WHEN w = '2' THEN '0' ELSE w END AS h1, c FROM uni
+), two_back AS (
+  SELECT h1 || ' ' || w AS h2, c FROM pair
+), found AS (
+  SELECT s.doc_id, s.held_out, coalesce(u.c, 0) AS c, t.n, (coalesce(u.c, 0) + 1)::DOUBLE / (t.n + t.v + 1)::DOUBLE AS p1,
+    coalesce(p.c, 0) AS c2, coalesce(x.c, 0) AS n1, coalesce(q.c, 0) AS c3, coalesce(y.c, 0) AS n2
+  FROM seen s CROSS JOIN total t LEFT JOIN uni u USING (w) LEFT JOIN pair p ON p.h1 = s.h1 AND p.w = s.w LEFT JOIN one_back x ON x.h1 = s.h1
+    LEFT JOIN three q ON q.h2 = s.h2 AND q.w = s.w LEFT JOIN two_back y ON y.h2 = s.h2
+), arcs AS (
+  SELECT *, (c2 + 5.0::DOUBLE * p1) / (n1 + 5.0::DOUBLE) AS p2, log10(5.0::DOUBLE / (n1 + 5.0::DOUBLE)) AS back1, log10(5.0::DOUBLE / (n2 + 5.0::DOUBLE)) AS back2 FROM found
+), walked AS (
+  SELECT *, CASE WHEN c3 > 0 THEN log10((c3 + 5.0::DOUBLE * p2) / (n2 + 5.0::DOUBLE))
+    WHEN c2 > 0 THEN CASE WHEN n2 > 0 THEN back2 ELSE 0 END + log10(p2)
+    ELSE CASE WHEN n2 > 0 THEN back2 ELSE 0 END + CASE WHEN n1 > 0 THEN back1 ELSE 0 END + log10(p1) END AS weight FROM arcs
 )
 SELECT doc_id, held_out, count(*) AS n_tokens, count(*) FILTER (c > 0) AS n_known, n AS train_tokens,
-  CAST(sum(CAST(round_even(log10(p) * 1e9::DOUBLE, 0) AS BIGINT)) AS DOUBLE) / 1e9::DOUBLE AS base_score,
-  CAST(sum(CAST(round_even(log10(CASE WHEN hc > 0 THEN (arc + 5.0::DOUBLE * p) / (hc + 5.0::DOUBLE) ELSE p END) * 1e9::DOUBLE, 0) AS BIGINT)) AS DOUBLE) / 1e9::DOUBLE AS score
-FROM scored GROUP BY doc_id, held_out, n
+  CAST(sum(CAST(round_even(log10(p1) * 1e9::DOUBLE, 0) AS BIGINT)) AS DOUBLE) / 1e9::DOUBLE AS base_score,
+  CAST(sum(CAST(round_even(weight * 1e9::DOUBLE, 0) AS BIGINT)) AS DOUBLE) / 1e9::DOUBLE AS score
+FROM walked GROUP BY doc_id, held_out, n
 """
