@@ -51,7 +51,7 @@ def test_searches_take_any_number_of_queries_in_blocks(spark, small, monkeypatch
     assert len([*index.query_blocks(queries)]) == -(-n // 3)
 
 
-@pytest.mark.parametrize("name", ["index_search_fitted", "index_on_disk_search_fitted"])
+@pytest.mark.parametrize("name", ["index_search_fitted", "index_on_disk_search_fitted", "index_search_10", "index_on_disk_search"])
 def test_index_search_reaches_its_recall(spark, medium, name):
     v = embeddings(spark, medium)
     truth = index.exact_knn(every_20th(v), v, 10)
@@ -89,6 +89,25 @@ def test_sessions_open_at_the_end_are_kept(spark, tmp_path):
 def test_pair_queries_ask_every_20th_row(spark, small):
     v = embeddings(spark, small)
     wanted = {r["qid"] for r in every_20th(v).collect()}
-    for name in ("l2_array_every20", "sql_knn_every20"):
+    for name in ("l2_array", "sql_knn", "exact_knn_10"):
         assert {r["qid"] for r in QUERIES[name](spark, small).select("qid").distinct().collect()} == wanted
-    assert QUERIES["scan_embeddings_all_ids"](spark, small).where("NOT vec_id BETWEEN 10 AND 400").count() > 0
+    assert QUERIES["scan_embeddings"](spark, small).where("NOT vec_id BETWEEN 10 AND 400").count() > 0
+
+
+def test_a_search_lists_only_the_folders_it_needs(spark, small, tmp_path):
+    from vecspark.operators.model import Model
+
+    v = embeddings(spark, small)
+    y = start_matrix(v, 16, 0)
+    lists = index.build_index(v, Model(y, np.zeros(16, int)), str(tmp_path / "index"), cid_buckets=8)
+    plan = index.only_lists(lists, [3, 11])._jdf.queryExecution().executedPlan().toString()
+    assert "PartitionFilters: [cid_bucket" in plan.replace("isnotnull(cid_bucket#", "") or "cid_bucket" in plan.split("PartitionFilters: [")[1].split("]")[0]
+    assert {r[0] for r in index.only_lists(lists, [3, 11]).select("cid").distinct().collect()} <= {3, 11}
+    assert len(index.only_lists(lists, [3, 11]).inputFiles()) <= len(lists.inputFiles())
+
+
+def test_pieces_of_long_texts_keep_their_documents_apart(spark):
+    docs = spark.createDataFrame([(1, "a" * 500_000), (2, "b" * 300), (1001, "c" * 10), (None, "x"), (3, None), (4, "")], "doc_id long, text string")
+    got = featurize.chunks(docs, 400).collect()
+    assert len({r["piece_id"] for r in got}) == len(got) == 1250 + 1 + 1
+    assert {(r["piece_id"] // featurize.PIECES, r["text"][0]) for r in got} == {(1, "a"), (2, "b"), (1001, "c")}

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from vecspark.functions.kernels import BatchPlan, CentroidBlocks, Work, assign_full, assign_pruned, elkan, hamerly
 from vecspark.operators import measures
-from vecspark.operators.clustering import BoundedKMeans, LloydKMeans, PhasedKMeans, TwoLevelKMeans
+from vecspark.operators.clustering import BoundedKMeans, LloydKMeans, PhasedKMeans, PivotKMeans, TwoLevelKMeans
 from vecspark.operators.index import exact_knn, match_explored, probe_curve, query_matrix
 from vecspark.operators.model import Model
 from vecspark.operators.rotation import random_rotation
@@ -39,7 +39,7 @@ FIXTURES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 class Bench:
     """A fixture with queries and exact neighbours, made once."""
 
-    def __init__(self, spark: SparkSession, sf_dir: str, fixture: str, n_queries: int = 200, topk: int = 10, queries: DataFrame | None = None):
+    def __init__(self, spark: SparkSession, sf_dir: str, fixture: str, n_queries: int = 1000, topk: int = 100, queries: DataFrame | None = None):
         self.spark, self.fixture, self.topk = spark, fixture, topk
         self.vectors = settle(FIXTURES[fixture](spark, sf_dir).repartition(spark.sparkContext.defaultParallelism), f"fixture-{fixture}")
         self.n = self.vectors.count()
@@ -52,7 +52,8 @@ class Bench:
 
     def measure(self, workload: str, params: dict, model: Model, secs: float, method=None, probe_fracs=(0.05,)) -> list[tuple]:
         lists = settle((method or LloydKMeans(k=model.k)).transform(self.vectors, model), "lists")
-        curve = {r["nprobe"]: r for r in probe_curve(self.queries, lists, model.centroids.astype(np.float64), self.truth, self.topk, sorted({max(1, int(np.ceil(f * model.k))) for f in probe_fracs})).collect()}
+        levels = sorted({max(1, int(np.ceil(f * model.k))) for f in probe_fracs})
+        curves = {k: probe_curve(self.queries, lists, model.centroids.astype(np.float64), self.truth, k, levels).collect() for k in sorted({min(10, self.topk), self.topk})}
         work = measures.work_report(model.history, self.n, model.k, self.d)
         size = measures.points_per_cluster(lists, model.k).first()
         out = {"secs": secs, "wcss": lists.agg(F.sum("dist")).first()[0], "mul_adds": work["mul_adds"], "work_of_full": work["of_full"], "iterations": len(model.history), "ppc_mean": size["ppc_mean"], "ppc_std": size["ppc_std"]}
@@ -60,8 +61,9 @@ class Bench:
         if rates:
             out["prune_rate"], out["d1"] = float(np.mean(rates)), model.history[-1]["d1"]
         rows = self.rows(workload, params, out)
-        for n, r in curve.items():
-            rows += self.rows(workload, params | {"nprobe": n}, {"recall": r["recall"], "explored": r["explored"], "explored_share": r["explored"] / self.n})
+        for k, curve in curves.items():
+            for r in curve:
+                rows += self.rows(workload, params | {"nprobe": r["nprobe"]}, {f"recall_{k}": r["recall"], "explored": r["explored"], "explored_share": r["explored"] / self.n})
         return rows
 
     def rows(self, workload: str, params: dict, values: dict) -> list[tuple]:
@@ -105,7 +107,7 @@ def w03_cluster_counts(spark, sf_dir, ks=(10, 32, 100, 400, 1000), iterations=5)
 def w04_stopping(spark, sf_dir, fixture="doc", cap=25) -> DataFrame:
     """Also exploration across iterations: the history of each rule."""
     b, rows = Bench(spark, sf_dir, fixture), []
-    rules = {"recall_.005": [RecallPlateau(0.005, topk=10, probe_frac=0.05, queries=b.queries, truth=b.truth)], "recall_.0025": [RecallPlateau(0.0025, topk=10, probe_frac=0.05, queries=b.queries, truth=b.truth)], "cap_10": None, "movement": [Convergence(1e-3)]}
+    rules = {"recall_.005": [RecallPlateau(0.005, topk=b.topk, probe_frac=0.05, queries=b.queries, truth=b.truth, exclude_self=True)], "recall_.0025": [RecallPlateau(0.0025, topk=b.topk, probe_frac=0.05, queries=b.queries, truth=b.truth, exclude_self=True)], "cap_10": None, "movement": [Convergence(1e-3)]}
     for name, stop in rules.items():
         method = PhasedKMeans(k=b.k, max_iter=10 if stop is None else cap, stop=stop or [])
         own, model = b.fit("w04", {"rule": name}, method)
@@ -135,21 +137,26 @@ def w08_partitions(spark, sf_dir, counts=(1, 2, 4, 8)) -> DataFrame:
     """Seconds of one iteration by the number of tasks that it may use at once."""
     b, rows = Bench(spark, sf_dir, "doc"), []
     start = start_matrix(b.vectors, b.k, 0)
+    LloydKMeans(k=b.k, max_iter=1).fit(b.vectors, start)  # what a session does once is not measured
+    one: dict[str, float] = {}
     for n in counts:
-        own = settle(b.vectors.coalesce(n), "parts")
-        began = time.perf_counter()
-        LloydKMeans(k=b.k, max_iter=2).fit(own, start)
-        rows += b.rows("w08", {"tasks": n}, {"secs": time.perf_counter() - began})
+        own = settle(b.vectors.repartition(n), "parts")
+        for name, cls in (("full", LloydKMeans), ("phased", PhasedKMeans)):
+            began = time.perf_counter()
+            cls(k=b.k, max_iter=3).fit(own, start)
+            secs = time.perf_counter() - began
+            rows += b.rows("w08", {"method": name, "tasks": n}, {"secs": secs, "speedup": measures.speedup(one.setdefault(name, secs), secs)})
     return frame(spark, rows)
 
 
 def w09_phases(spark, sf_dir, fixture="doc", iterations=10) -> DataFrame:
     """Also the overhead of exact neighbours: shares of set-up, first iteration, head product and refinement."""
     b = Bench(spark, sf_dir, fixture)
-    model = PhasedKMeans(k=b.k, max_iter=iterations).fit(b.vectors)
+    rule = RecallPlateau(-1.0, topk=b.topk, probe_frac=0.05, queries=b.queries, truth=b.truth, exclude_self=True)
+    model = PhasedKMeans(k=b.k, max_iter=iterations, stop=[rule]).fit(b.vectors)
     later = model.history[1:]
     head, tail = sum(h["head_mul_adds"] for h in later), sum(h["tail_mul_adds"] for h in later)
-    values = measures.phase_times(model.history) | {f"share_{k}": v for k, v in measures.overhead_shares(model.history, b.truth_secs).items()} | {"head_share_of_work": head / max(1, head + tail)}
+    values = measures.phase_times(model.history) | {f"share_{k}": v for k, v in measures.overhead_shares(model.history, b.truth_secs, recall_secs=rule.secs).items()} | {f"phase_{k}": v for k, v in measures.phase_profile(model.history).items()} | {"head_share_of_work": head / max(1, head + tail)}
     return frame(spark, b.rows("w09", {}, values))
 
 
@@ -167,10 +174,11 @@ def w10_head_widths(spark, sf_dir, fixtures=("doc", "emb"), shares=(1 / 16, 1 /
 
 def w11_ablation(spark, sf_dir, fixture="doc", iterations=6) -> DataFrame:
     b, rows = Bench(spark, sf_dir, fixture), []
-    variants = {"phased": {}, "no_first_threshold": {"seed_mode": "first_batch", "plan": BatchPlan(4096, 128)}, "no_layout": {"layout": "rows"}, "no_progressive": {"progressive": False}, "no_adaptation": {"adapt": False}}
+    variants = {"phased": {}, "previous_centroid": {"seed_mode": "previous"}, "no_first_threshold": {"seed_mode": "first_batch", "plan": BatchPlan(4096, 128)}, "no_layout": {"layout": "rows"}, "no_progressive": {"progressive": False}, "no_adaptation": {"adapt": False}}
     for name, options in variants.items():
         rows += b.fit("w11", {"variant": name}, PhasedKMeans(k=b.k, max_iter=iterations, refinement="pairs", **options))[0]
-    rows += b.fit("w11", {"variant": "grouped_products"}, PhasedKMeans(k=b.k, max_iter=iterations))[0]
+    for name in ("grouped", "auto"):
+        rows += b.fit("w11", {"variant": f"refinement_{name}"}, PhasedKMeans(k=b.k, max_iter=iterations, refinement=name))[0]
     rows += b.fit("w11", {"variant": "full"}, LloydKMeans(k=b.k, max_iter=iterations))[0]
     return frame(spark, rows)
 
@@ -198,7 +206,7 @@ def w15_space(spark, sf_dir) -> DataFrame:
 
 
 def w16_other_variants(spark, sf_dir, fixture="doc", k=100, iterations=5) -> DataFrame:
-    """Distances that triangle-inequality bounds skip, with bounds kept (one task) and without (distributed); the platform's own."""
+    """Distances that triangle-inequality bounds skip: kept bounds in a task and distributed, pivots without state; the platform's own."""
     from pyspark.ml.clustering import BisectingKMeans, KMeans
     from pyspark.ml.functions import array_to_vector
 
@@ -208,8 +216,10 @@ def w16_other_variants(spark, sf_dir, fixture="doc", k=100, iterations=5) -> Dat
     for name, f in (("elkan", elkan), ("hamerly", hamerly)):
         began = time.perf_counter()
         _, _, done, pairs = f(x, x[:k], iterations)
-        rows += b.rows("w16", {"method": f"{name}_kept_bounds"}, {"skipped": 1 - done / pairs, "secs": time.perf_counter() - began})
+        rows += b.rows("w16", {"method": f"{name}_in_a_task"}, {"skipped": 1 - done / pairs, "secs": time.perf_counter() - began})
         rows += b.fit("w16", {"method": name}, BoundedKMeans(k, iterations, name))[0]
+    for name in ("each", "all"):
+        rows += b.fit("w16", {"method": f"pivot_{name}"}, PivotKMeans(k, iterations, variant=name))[0]
     rows += b.fit("w16", {"method": "phased"}, PhasedKMeans(k=k, max_iter=iterations))[0]
     ml = b.vectors.select("vec_id", array_to_vector("vec").alias("features"))
     for name, est in (("platform", KMeans(k=k, maxIter=iterations, initMode="random", seed=1)), ("platform_bisecting", BisectingKMeans(k=k, maxIter=iterations, seed=1))):
@@ -250,14 +260,16 @@ def w18_two_levels(spark, sf_dir, fixtures=("doc",), seeds=1) -> DataFrame:
     return frame(spark, rows)
 
 
-def w19_iteration_grid(spark, sf_dir, fixture="doc", meso=(1, 3, 5), fine=(1, 5, 8)) -> DataFrame:
-    """The rows of the front alone carry the metric `on_front`."""
+def w19_iteration_grid(spark, sf_dir, fixture="doc", meso=(1, 3, 5), fine=(1, 5, 8), fracs=(0.3,)) -> DataFrame:
+    """The rows of the front alone carry the metric `on_front`; also two levels on a sample of the rows."""
     b, rows, grid = Bench(spark, sf_dir, fixture), [], []
     for m in meso:
         for f in fine:
             own, model = b.fit("w19", {"meso": m, "fine": f}, TwoLevelKMeans(k=b.k, meso_iter=m, fine_iter=f))
             rows += own
-            grid.append((m, f, float(sum(h["mul_adds"] for h in model.history)), next(r[4] for r in own if r[3] == "recall")))
+            grid.append((m, f, float(sum(h["mul_adds"] for h in model.history)), next(r[4] for r in own if r[3].startswith("recall"))))
+    for frac in fracs:
+        rows += b.fit("w19", {"sample": frac}, TwoLevelKMeans(k=b.k, sample_frac=frac))[0]
     front = measures.pareto(spark.createDataFrame(grid, "meso int, fine int, work double, recall double"), ["work"], ["recall"]).collect()
     for r in front:
         rows += b.rows("w19", {"meso": r["meso"], "fine": r["fine"]}, {"on_front": 1.0})

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from dataclasses import dataclass, field
+from time import perf_counter
 
 import numpy as np
 
@@ -22,9 +23,13 @@ class BatchPlan:
         return self.x_rows * self.y_rows * width
 
 
+#: What a task's seconds are counted for.
+PHASES = ("norms", "product", "first_threshold", "test", "refinement", "sums")
+
+
 @dataclass
 class Work:
-    """What an assignment did: multiply-adds in products and in refinement, pairs tested and rejected by stage."""
+    """What an assignment did: multiply-adds in products and in refinement, pairs tested and rejected by stage, seconds by phase."""
 
     rows: int = 0
     head_mul_adds: int = 0
@@ -33,6 +38,15 @@ class Work:
     rejected_head: int = 0
     block_tested: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
     block_rejected: np.ndarray = field(default_factory=lambda: np.zeros(0, np.int64))
+    secs: np.ndarray = field(default_factory=lambda: np.zeros(len(PHASES)))
+    since: float = 0.0
+
+    def lap(self, phase: str | None = None) -> None:
+        """The time since the last lap goes to `phase`; without one a lap begins."""
+        now = perf_counter()
+        if phase:
+            self.secs[PHASES.index(phase)] += now - self.since
+        self.since = now
 
     def block(self, i: int, tested: int, rejected: int) -> None:
         if len(self.block_tested) <= i:
@@ -96,42 +110,54 @@ class CentroidBlocks:
 
 def assign_full(x: np.ndarray, y: CentroidBlocks | np.ndarray, plan: BatchPlan = BatchPlan(), work: Work | None = None):
     """(nearest centroid, squared distance), ties to the lower number; the running best is kept across slices of y."""
+    work = work or Work()
+    work.lap()
     full = y.full if isinstance(y, CentroidBlocks) else y
     y_sq = y.full_sq if isinstance(y, CentroidBlocks) else sq_norms(full)
     cid, dist = np.zeros(len(x), np.int64), np.full(len(x), np.inf, x.dtype)
+    folded_y = np.ascontiguousarray(np.concatenate([-2 * full, y_sq[:, None]], 1).T)
     for at in range(0, len(x), plan.x_rows):
         part = slice(at, at + plan.x_rows)
-        xb, xn = x[part], sq_norms(x[part])
+        xb, xn = folded(x[part]), sq_norms(x[part])
+        work.lap("norms")
         for lo in range(0, len(full), plan.y_rows):
-            d = sq_dists(xb, full[lo : lo + plan.y_rows], xn, y_sq[lo : lo + plan.y_rows])
+            d = xb @ folded_y[:, lo : lo + plan.y_rows]
+            work.lap("product")
             j = d.argmin(1)
-            best = d[np.arange(len(xb)), j]
+            best = np.maximum(d[np.arange(len(xb)), j] + xn, 0)
             closer = best < dist[part]
             cid[part] = np.where(closer, j + lo, cid[part])
             dist[part] = np.where(closer, best, dist[part])
-    if work is not None:
-        work.rows += len(x)
-        work.head_mul_adds += len(x) * full.size
+            work.lap("test")
+    work.rows += len(x)
+    work.head_mul_adds += len(x) * full.size
     return cid, dist
 
 
-def refine(x_tail, blocks: CentroidBlocks, rows, cols, partial, tau, epsilon0, progressive, work: Work | None):
+def refine(x_blocks, blocks: CentroidBlocks, rows, cols, partial, tau, epsilon0, progressive, work: Work | None, pair_limit: int = 1 << 15):
     """The pairs (rows, cols) whose exact distance was reached, with it; the others were given up on the way.
 
-    A pair that has been given up never comes back, whatever its partial distance.
+    `x_blocks(i)` is the batch's i-th block of dimensions, contiguous like the centroids' one, so a pair costs two short
+    copies; pairs go in pieces that fit a cache and are compacted after each block.  A pair that has been given up
+    never comes back, whatever its partial distance.
     """
     cuts = blocks.cuts if progressive else [blocks.d1, blocks.d]
     for i, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
-        own = blocks.blocks[i] if progressive else blocks.full[:, a:b]
-        diff = x_tail[rows, a - blocks.d1 : b - blocks.d1] - own[cols]
-        partial = partial + np.einsum("ij,ij->i", diff, diff)
-        keep = partial <= threshold(b, blocks.d, tau[rows], epsilon0)
-        if work is not None:
-            work.tail_mul_adds += diff.size
-            work.block(i, len(rows), int(len(rows) - keep.sum()))
-        rows, cols, partial = rows[keep], cols[keep], partial[keep]
         if not len(rows):
             break
+        x, own = x_blocks(a, b), blocks.blocks[i] if progressive else blocks.tail
+        limit, tested, kept = threshold(b, blocks.d, tau, epsilon0), len(rows), []
+        for at in range(0, tested, pair_limit):
+            part = slice(at, at + pair_limit)
+            diff = x.take(rows[part], 0)
+            diff -= own.take(cols[part], 0)
+            partial[part] += np.einsum("ij,ij->i", diff, diff)
+            kept.append(np.flatnonzero(partial[part] <= limit.take(rows[part])) + at)
+        keep = np.concatenate(kept)
+        rows, cols, partial = rows[keep], cols[keep], partial[keep]
+        if work is not None:
+            work.tail_mul_adds += tested * (b - a)
+            work.block(i, tested, tested - len(rows))
     return rows, cols, partial
 
 
@@ -139,7 +165,7 @@ def refine_grouped(tail, y: CentroidBlocks, lo: int, d, keep, best, tau, work: W
     """Exact distances by small products: rows of one nearest centroid share most of their candidates.
 
     Each such group takes one product over the tail with the union of its rows' candidates.  It multiplies more
-    than going pair by pair, but gathers nothing, which is what costs time in numpy.  best and tau are updated.
+    than going pair by pair, but gathers nothing.  best and tau are updated.
     """
     tail_sq = sq_norms(tail)
     order = np.argsort(best, kind="stable")
@@ -159,72 +185,116 @@ def refine_grouped(tail, y: CentroidBlocks, lo: int, d, keep, best, tau, work: W
         best[rows[closer]], tau[rows[closer]] = c[closer], value[closer]
 
 
-def assign_pruned(x, y: CentroidBlocks, prev=None, epsilon0: float = 2.1, progressive: bool = True, seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), work: Work | None = None, pair_limit: int = 1 << 19, refinement: str = "pairs"):
+DENSE_SHARE = 1 / 12  #: of a slice's pairs, beyond which "auto" takes one product
+
+
+def folded(x: np.ndarray) -> np.ndarray:
+    """x and a column of ones: with centroids as (-2 y, |y|^2) one product gives distances less the rows' own norms."""
+    out = np.ones((len(x), x.shape[1] + 1), x.dtype)
+    out[:, :-1] = x
+    return out
+
+
+def assign_pruned(x, y: CentroidBlocks, prev=None, epsilon0: float = 2.1, progressive: bool = True, seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), work: Work | None = None, refinement: str = "auto"):
     """Nearest centroids by a head product for all pairs and block-wise refinement of those that the test leaves.
 
     seed_mode names the first threshold: "previous" (distance to the centroid `prev`), "head_nearest" (exact
     distance to the centroid that is nearest over the head; needs no state) or "first_batch" (a full product with
     the first slice of centroids).  refinement names how the pairs that the head leaves are decided: "pairs" (each on
-    its own, block by block, the least work) or "grouped" (see `refine_grouped`, the least time here).
+    its own, block by block), "auto" (so too, but by a product over the tail where the head leaves many of a slice's
+    pairs) or "grouped" (small products, see `refine_grouped`).
     """
     if y.d1 >= y.d:
         return assign_full(x, y, plan, work)
+    work = work or Work()
+    work.lap()
     n = len(x)
     cid, dist = np.zeros(n, np.int64), np.full(n, np.inf, x.dtype)
+    head_y = np.ascontiguousarray(np.concatenate([-2 * y.head, y.head_sq[:, None]], 1).T)
+    tail_y = np.ascontiguousarray(np.concatenate([-2 * y.tail, y.tail_sq[:, None]], 1).T) if refinement == "auto" else None
     for at in range(0, n, plan.x_rows):
         xb = x[at : at + plan.x_rows]
         m = len(xb)
-        head = np.ascontiguousarray(xb[:, : y.d1])
-        tail = xb[:, y.d1 :]
-        head_sq = sq_norms(head)
+        every = np.arange(m)
+        head = folded(xb[:, : y.d1])
+        head_sq, row_sq = sq_norms(xb[:, : y.d1]), sq_norms(xb)
+        work.lap("norms")
+        cut: dict[int, np.ndarray] = {}
+
+        def x_blocks(a: int, b: int, xb=xb, cut=cut) -> np.ndarray:
+            if a not in cut:
+                cut[a] = np.ascontiguousarray(xb[:, a:b])
+            return cut[a]
+
         best, tau = np.zeros(m, np.int64), np.full(m, np.inf, x.dtype)
         if seed_mode == "previous":
             best = np.asarray(prev[at : at + plan.x_rows], np.int64).copy()
-            diff = xb - y.full[best]
-            tau = np.einsum("ij,ij->i", diff, diff)
-            if work is not None:
-                work.tail_mul_adds += diff.size
+            diff = xb - y.full.take(best, 0)
+            tau = sq_norms(diff)
+            work.tail_mul_adds += diff.size
+            work.lap("first_threshold")
         for lo in range(0, y.k, plan.y_rows):
             hi = min(y.k, lo + plan.y_rows)
             if seed_mode == "first_batch" and lo == 0:
                 d = sq_dists(xb, y.full[lo:hi], None, y.full_sq[lo:hi])
                 best = d.argmin(1)
-                tau = d[np.arange(m), best]
-                if work is not None:
-                    work.head_mul_adds += m * (hi - lo) * y.d
+                tau = d[every, best]
+                work.head_mul_adds += m * (hi - lo) * y.d
+                work.lap("first_threshold")
                 continue
-            d = sq_dists(head, y.head[lo:hi], head_sq, y.head_sq[lo:hi])
-            if work is not None:
-                work.head_mul_adds += m * (hi - lo) * y.d1
+            d = head @ head_y[:, lo:hi]  # less head_sq
+            work.head_mul_adds += m * (hi - lo) * y.d1
+            work.lap("product")
             if seed_mode == "head_nearest":
                 j = d.argmin(1) + lo
-                diff = xb - y.full[j]
-                exact = np.einsum("ij,ij->i", diff, diff)
+                diff = xb - y.full.take(j, 0)
+                exact = sq_norms(diff)
                 closer = (exact < tau) | ((exact == tau) & (j < best))
                 best, tau = np.where(closer, j, best), np.where(closer, exact, tau)
-                if work is not None:
-                    work.tail_mul_adds += diff.size
-            keep = d <= threshold(y.d1, y.d, tau, epsilon0)[:, None]
-            if work is not None:
-                work.tested += d.size
-                work.rejected_head += int(d.size - keep.sum())
+                d[every, j - lo] = np.inf  # decided already
+                work.tail_mul_adds += diff.size
+            elif seed_mode == "previous":
+                own = np.flatnonzero((best >= lo) & (best < hi))
+                d[own, best[own] - lo] = np.inf
+            work.lap("first_threshold")
+            keep = d <= (threshold(y.d1, y.d, tau, epsilon0) - head_sq)[:, None]
+            work.tested += d.size
+            work.rejected_head += int(d.size - np.count_nonzero(keep))
+            work.lap("test")
             if refinement == "grouped":
-                refine_grouped(tail, y, lo, d, keep, best, tau, work)
+                d += head_sq[:, None]
+                refine_grouped(xb[:, y.d1 :], y, lo, d, keep, best, tau, work)
+                work.lap("refinement")
+                continue
+            flat = np.flatnonzero(keep)
+            if not len(flat):
+                continue
+            if refinement == "auto" and len(flat) > DENSE_SHARE * d.size:
+                # so many pairs are left that one product over the tail costs less than going pair by pair
+                d += folded(xb[:, y.d1 :]) @ tail_y[:, lo:hi]
+                d[~keep] = np.inf
+                j = d.argmin(1)
+                exact = np.maximum(d[every, j] + row_sq, 0)
+                closer = (exact < tau) | ((exact == tau) & (j + lo < best))
+                best, tau = np.where(closer, j + lo, best), np.where(closer, exact, tau)
+                work.tail_mul_adds += m * (hi - lo) * (y.d - y.d1)
+                work.lap("refinement")
+                continue
+            r = flat // (hi - lo)
+            c = flat - r * (hi - lo)
+            partial = np.maximum(d.ravel()[flat] + head_sq[r], 0)
+            work.lap("test")
+            r, c, exact = refine(x_blocks, y, r, c + lo, partial, tau, epsilon0, progressive, work)
+            work.lap("refinement")
+            if not len(r):
                 continue
-            rows, cols = np.nonzero(keep)
-            for start in range(0, len(rows), pair_limit):
-                r, c = rows[start : start + pair_limit], cols[start : start + pair_limit]
-                r, c, exact = refine(tail, y, r, c + lo, d[r, c], tau, epsilon0, progressive, work)
-                if not len(r):
-                    continue
-                order = np.lexsort((c, exact, r))
-                first = order[np.concatenate([[True], r[order][1:] != r[order][:-1]])]
-                r, c, exact = r[first], c[first], exact[first]
-                closer = (exact < tau[r]) | ((exact == tau[r]) & (c < best[r]))
-                best[r[closer]], tau[r[closer]] = c[closer], exact[closer]
+            order = np.lexsort((c, exact, r))
+            first = order[np.concatenate([[True], r[order][1:] != r[order][:-1]])]
+            r, c, exact = r[first], c[first], exact[first]
+            closer = (exact < tau[r]) | ((exact == tau[r]) & (c < best[r]))
+            best[r[closer]], tau[r[closer]] = c[closer], exact[closer]
         cid[at : at + m], dist[at : at + m] = best, tau
-    if work is not None:
-        work.rows += n
+    work.rows += n
     return cid, dist
 
 

@@ -14,7 +14,7 @@ from vecspark.functions.kernels import BatchPlan, CentroidBlocks, Work
 
 from .model import BROADCAST_BYTES, matrix, vector_rows
 
-SUMS = "cid int, n long, wcss double, total array<double>, rows long, head_mul_adds long, tail_mul_adds long, tested long, rejected long, block_tested array<long>, block_rejected array<long>"
+SUMS = "cid int, n long, wcss double, total array<double>, rows long, head_mul_adds long, tail_mul_adds long, tested long, rejected long, block_tested array<long>, block_rejected array<long>, secs array<double>"
 DENSE_BYTES = 256 << 20
 
 
@@ -31,7 +31,7 @@ class Kernel:
     space needs no pass of its own.
     """
 
-    def __init__(self, centroids: np.ndarray, pruned: bool = False, d1: int = 0, step: int = 64, epsilon0: float = 2.1, progressive: bool = True, layout: str = "blocks", seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), dtype=np.float32, refinement: str = "grouped", rotation: np.ndarray | None = None):
+    def __init__(self, centroids: np.ndarray, pruned: bool = False, d1: int = 0, step: int = 64, epsilon0: float = 2.1, progressive: bool = True, layout: str = "blocks", seed_mode: str = "head_nearest", plan: BatchPlan = BatchPlan(), dtype=np.float32, refinement: str = "auto", rotation: np.ndarray | None = None):
         self.blocks = CentroidBlocks(np.ascontiguousarray(centroids, dtype), d1 if pruned else centroids.shape[1], step, layout)
         self.pruned, self.epsilon0, self.progressive, self.seed_mode, self.plan, self.dtype, self.refinement = pruned, epsilon0, progressive, seed_mode, plan, dtype, refinement
         self.rotation = None if rotation is None else rotation.astype(dtype)
@@ -145,16 +145,16 @@ def sum_rows(cids, n, wcss, sums, stats=None) -> pa.RecordBatch:
     m = len(cids)
     zero = pa.array(np.zeros(m, np.int64))
     lists = pa.array([[]] * m, pa.list_(pa.int64()))
-    extra = [zero] * 5 + [lists, lists]
+    extra = [zero] * 5 + [lists, lists, pa.array([[]] * m, pa.list_(pa.float64()))]
     if stats is not None:
-        extra = [pa.array([v], pa.int64()) for v in stats[:5]] + [pa.array([v.tolist()], pa.list_(pa.int64())) for v in stats[5:]]
+        extra = [pa.array([v], pa.int64()) for v in stats[:5]] + [pa.array([v.tolist()], pa.list_(pa.int64())) for v in stats[5:7]] + [pa.array([stats[7].tolist()], pa.list_(pa.float64()))]
     total = vector_rows(np.asarray(sums, np.float64)) if m and np.size(sums) else pa.array([[]] * m, pa.list_(pa.float64()))
     columns = [pa.array(np.asarray(cids, np.int32)), pa.array(np.asarray(n, np.int64)), pa.array(np.asarray(wcss, np.float64)), total, *extra]
     return pa.RecordBatch.from_arrays(columns, names=[c.split()[0] for c in SUMS.split(", ")])
 
 
 def work_row(work: Work) -> pa.RecordBatch:
-    stats = [work.rows, work.head_mul_adds, work.tail_mul_adds, work.tested, work.rejected_head, work.block_tested, work.block_rejected]
+    stats = [work.rows, work.head_mul_adds, work.tail_mul_adds, work.tested, work.rejected_head, work.block_tested, work.block_rejected, work.secs]
     return sum_rows([-1], [0], [0.0], np.zeros((1, 0)), stats)
 
 
@@ -172,7 +172,9 @@ def iteration_sums(vectors: DataFrame, kernel: Kernel) -> DataFrame:
             if batch.num_rows:
                 x = matrix(batch.column(0), own.dtype)
                 cid, dist = own(x, None, work)
+                work.lap()
                 yield from sums.add(x, cid, dist)
+                work.lap("sums")
         yield from sums.rest()
         yield work_row(work)
 
@@ -203,10 +205,10 @@ def merge_sums(sums: DataFrame, tasks: int | None = None) -> DataFrame:
     of the number of tasks.
     """
 
-    def longest(column: pa.ChunkedArray) -> list[int]:
+    def longest(column: pa.ChunkedArray) -> list:
         lists = column.to_pylist()
-        width = max(map(len, lists))
-        return np.sum([np.pad(np.array(x, np.int64), (0, width - len(x))) for x in lists], axis=0).tolist()
+        width, kind = max(map(len, lists)), column.type.value_type.to_pandas_dtype()
+        return np.sum([np.pad(np.array(x, kind), (0, width - len(x))) for x in lists], axis=0).tolist()
 
     def add(group: pa.Table) -> pa.Table:
         out = {"cid": group["cid"].slice(0, 1)}
@@ -217,6 +219,7 @@ def merge_sums(sums: DataFrame, tasks: int | None = None) -> DataFrame:
             out[c] = pa.array([sum(group[c].to_pylist())], pa.int64())
         for c in ("block_tested", "block_rejected"):
             out[c] = pa.array([longest(group[c])], pa.list_(pa.int64()))
+        out["secs"] = pa.array([longest(group["secs"])], pa.list_(pa.float64()))
         return pa.table(out)
 
     tasks = tasks or sums._jdf.queryExecution().toRdd().getNumPartitions()
@@ -228,7 +231,7 @@ def merge_sums(sums: DataFrame, tasks: int | None = None) -> DataFrame:
 
 def collect_sums(sums: DataFrame) -> tuple[dict[int, tuple[int, float, np.ndarray]], dict]:
     """cid -> (n, wcss, sum), and the work; one job, whose k rows reach the driver."""
-    out, work = {}, {c: 0 for c in ("rows", "head_mul_adds", "tail_mul_adds", "tested", "rejected")} | {"block_tested": [], "block_rejected": []}
+    out, work = {}, {c: 0 for c in ("rows", "head_mul_adds", "tail_mul_adds", "tested", "rejected")} | {"block_tested": [], "block_rejected": [], "secs": []}
     for r in merge_sums(sums).collect():
         if r["cid"] < 0:
             work = {c: r[c] for c in work}

@@ -106,7 +106,9 @@ class LloydKMeans:
         k = self.k or default_k(n)
         if self.sample_frac or self.max_per_centroid:
             vectors = sample_rows(vectors, self.sample_frac, self.max_per_centroid, k, self.seed, n)
+        turned = time.perf_counter()
         data, rotation = self.prepare(vectors, d)
+        turned = time.perf_counter() - turned
         if start is not None:
             y = start.astype(np.float64) @ rotation if rotation is not None else start.astype(np.float64)
         elif self.init == "kmeans++":
@@ -123,9 +125,11 @@ class LloydKMeans:
         for turn in range(1, self.max_iter + 1):
             at = time.perf_counter()
             sums, work = self.scan(data, y, turn, d1) if state is None else self.carried(state, y, turn, d1)
+            updated = time.perf_counter()
             new, counts = y.copy(), np.zeros(k, np.int64)
             for cid, (rows, _, total) in sums.items():
                 new[cid], counts[cid] = total / rows, rows
+            updated = time.perf_counter() - updated
             if self.metric == "cosine":
                 norm = np.linalg.norm(new, axis=1, keepdims=True)
                 new = np.where(norm > 0, new / np.where(norm > 0, norm, 1), new)
@@ -133,8 +137,9 @@ class LloydKMeans:
             far = None
             if n_empty and self.empty == "farthest":
                 far = self.farthest(data, y, n_empty)
-            lists = counts
+            lists, split = counts, time.perf_counter()
             new, counts = repair_empty(new, counts, self.empty, seed=self.seed * 1000 + turn, far=far)
+            split = time.perf_counter() - split
             rate = work["rejected"] / work["tested"] if work["tested"] else None
             record = {
                 "iter": turn, "d1": d1, "prune_rate": rate, "wcss": sum(s[1] for s in sums.values()), "shift": float(((new - y) ** 2).sum()), "empty": n_empty,
@@ -146,6 +151,7 @@ class LloydKMeans:
             over = any([rule.observe(record, y, data, previous) for rule in self.stop])
             record["secs"] = time.perf_counter() - at
             record["setup_secs"] = setup if turn == 1 else 0.0
+            record["phases"] = dict(zip(kernels.PHASES, work.get("secs") or [], strict=False)) | {"rotation": turned if turn == 1 else 0.0, "update": updated, "split": split}
             record.pop("counts")
             history.append(record)
             if over or (self.tol_shift is not None and record["shift"] <= self.tol_shift * scale):
@@ -204,7 +210,7 @@ class PhasedKMeans(LloydKMeans):
     progressive: bool = True
     layout: str = "blocks"
     seed_mode: str = "head_nearest"
-    refinement: str = "grouped"  #: "pairs": pair by pair, block by block; the ablations use it
+    refinement: str = "auto"  #: "pairs": always pair by pair, block by block; "grouped": by small products
     rotate: bool = True
 
     def prepare(self, vectors, d):
@@ -390,7 +396,7 @@ class TwoLevelKMeans:
                     if c not in kept:
                         kept = {c: CentroidBlocks(own[lo:hi], d1 if pruned else d, step)}  # rows come by coarse cluster
                     mine = x if len(rows) == len(x) else x[rows]
-                    cid, dist = kernels.assign_pruned(mine, kept[c], work=work, refinement="grouped")
+                    cid, dist = kernels.assign_pruned(mine, kept[c], work=work)
                     yield from sums.add(mine, cid + lo, dist)
             yield from sums.rest()
             yield work_row(work)

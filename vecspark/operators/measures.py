@@ -53,10 +53,20 @@ def phase_times(history: list[dict]) -> dict[str, float]:
     return {"setup": sum(h.get("setup_secs", 0.0) for h in history), "first": history[0]["secs"] if history else 0.0, "rest": sum(h["secs"] for h in history[1:])}
 
 
-def overhead_shares(history: list[dict], truth_secs: float = 0.0, init_secs: float = 0.0) -> dict[str, float]:
+def phase_profile(history: list[dict]) -> dict[str, float]:
+    """Each phase's share of the seconds that tasks (norms, products, test, refinement, sums) and driver (rotation, update,
+    split) have counted, added up over iterations; tasks count side by side, so the shares are of work and not of the clock."""
+    total: dict[str, float] = {}
+    for h in history:
+        for phase, secs in (h.get("phases") or {}).items():
+            total[phase] = total.get(phase, 0.0) + secs
+    return {phase: secs / max(1e-12, sum(total.values())) for phase, secs in total.items()}
+
+
+def overhead_shares(history: list[dict], truth_secs: float = 0.0, init_secs: float = 0.0, recall_secs: float = 0.0) -> dict[str, float]:
     loop = sum(h["secs"] for h in history)
     total = max(1e-12, loop + truth_secs + init_secs)
-    return {"truth": truth_secs / total, "init": init_secs / total, "first_iteration": (history[0]["secs"] if history else 0.0) / max(1e-12, loop)}
+    return {"truth": truth_secs / total, "recall": recall_secs / total, "init": init_secs / total, "first_iteration": (history[0]["secs"] if history else 0.0) / max(1e-12, loop)}
 
 
 def speedup(base_secs: float, secs: float) -> float:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -90,9 +91,10 @@ class RecallPlateau(StopRule):
     n_queries: int = 1000
     seed: int = 1
     series: list[float] = field(default_factory=list)
+    secs: float = 0.0  #: what the rule itself has taken
 
     def prepare(self, vectors: DataFrame, k: int, rotation: np.ndarray | None = None) -> None:
-        self.series = []
+        self.series, self.secs = [], 0.0
         if self.queries is None:
             queries = sample_queries(vectors, self.n_queries, self.seed)
         else:
@@ -109,6 +111,7 @@ class RecallPlateau(StopRule):
         self.neighbours = settle(vectors.join(ids, "vec_id", "left_semi").select("vec_id", "vec"), "neighbours")
 
     def observe(self, record, centroids, vectors, assigned) -> bool:
+        began = time.perf_counter()
         nprobe = max(1, int(np.ceil(self.probe_frac * len(centroids))))
         lists = centroids if self.lists == "reassign" else assigned
         home = assign_full(self.neighbours, np.asarray(lists, np.float64), dtype=np.float64)
@@ -121,5 +124,6 @@ class RecallPlateau(StopRule):
             asked = probes.groupBy("cid").count().collect()  # at most k rows
             record["explored"] = float(sum(r["count"] * counts[r["cid"]] for r in asked) / self.n_asked)
         discard(probes)
+        self.secs += time.perf_counter() - began
         self.series.append(record["recall"])
         return plateau(self.series, self.tol, self.patience, self.rule)

@@ -77,12 +77,7 @@ def rounded(c: Column, n: int = 6) -> Column:
 
 # ---- scans and sinks --------------------------------------------------------------------------------------------
 
-@keep("scan_embeddings", "SELECT vec_id, label FROM embeddings WHERE label IN (1, 2) AND vec_id BETWEEN 10 AND 400")
-def _(spark, sf_dir):
-    return read_table(spark, sf_dir, "embeddings").where(F.col("label").isin(1, 2) & F.col("vec_id").between(10, 400)).select("vec_id", "label")
-
-
-@keep("scan_embeddings_all_ids", "SELECT vec_id, label FROM embeddings WHERE label IN (1, 2)")
+@keep("scan_embeddings", "SELECT vec_id, label FROM embeddings WHERE label IN (1, 2)")
 def _(spark, sf_dir):
     return read_table(spark, sf_dir, "embeddings").where(F.col("label").isin(1, 2)).select("vec_id", "label")
 
@@ -132,12 +127,7 @@ def _(spark, sf_dir):
     return read_table(spark, sf_dir, "embeddings").where(F.col("label").eqNullSafe(F.col("label")) & (F.col("label") != 5)).select("vec_id", band.alias("band"))
 
 
-@keep("filter_sample_md5", "SELECT doc_id FROM documents WHERE substr(md5(CAST(doc_id AS VARCHAR)), 1, 1) IN ('0', '1') AND regexp_matches(lang, '^(en|de)$')")
-def _(spark, sf_dir):
-    return read_table(spark, sf_dir, "documents").where(F.substring(F.md5(F.col("doc_id").cast("string")), 1, 1).isin("0", "1") & F.col("lang").rlike("^(en|de)$")).select("doc_id")
-
-
-@keep("filter_lang_all_ids", "SELECT doc_id FROM documents WHERE regexp_matches(lang, '^(en|de)$')")
+@keep("filter_lang", "SELECT doc_id FROM documents WHERE regexp_matches(lang, '^(en|de)$')")
 def _(spark, sf_dir):
     return read_table(spark, sf_dir, "documents").where(F.col("lang").rlike("^(en|de)$")).select("doc_id")
 

@@ -13,9 +13,9 @@ from pyspark.sql import functions as F
 
 from vecspark.operators.assign import Kernel, run_kernel
 from vecspark.operators.clustering import MiniBatchKMeans
-from vecspark.operators.model import Model
 from vecspark.operators.rotation import random_rotation
 from vecspark.operators.seeding import start_matrix
+from vecspark.plans.vector_queries import A0, centroid_rows, minibatch_sql
 from vecspark.sources.files import shared_path
 from vecspark.sources.vectors import embeddings, read_table
 
@@ -96,7 +96,7 @@ def _(spark, sf_dir):
     return drain(events(spark, sf_dir).dropDuplicatesWithinWatermark(["user_id"]).select("user_id", "event_type"))
 
 
-@keep("stream_interval_join")
+@keep("stream_interval_join", "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts BETWEEN a.ts AND a.ts + INTERVAL 1 HOUR WHERE a.event_type = 'view' AND b.event_type = 'purchase'")
 def _(spark, sf_dir):
     a = events(spark, sf_dir).where("event_type = 'view'").select(F.col("user_id").alias("u"), F.col("ts").alias("ta"), F.col("event_id").alias("a"))
     b = events(spark, sf_dir).where("event_type = 'purchase'").select(F.col("user_id").alias("w"), F.col("ts").alias("tb"), F.col("event_id").alias("b"))
@@ -129,7 +129,7 @@ def assign_stream(vectors: DataFrame, centroids: np.ndarray) -> DataFrame:
     return run_kernel(vectors, Kernel(centroids, True, max(1, centroids.shape[1] // 8), 8, np.inf, dtype=np.float64))
 
 
-@keep("stream_assign")
+@keep("stream_assign", A0)
 def _(spark, sf_dir):
     y = start_matrix(embeddings(spark, sf_dir), 22, 0)
     return drain(assign_stream(stream_table(spark, sf_dir, "embeddings").select("vec_id", F.col("embedding").alias("vec")), y)).select("vec_id", "cid", F.round("dist", 6).alias("dist"))
@@ -141,7 +141,7 @@ def _(spark, sf_dir):
     return drain(stream_table(spark, sf_dir, "embeddings").select("vec_id", "label").join(wanted, "label")).groupBy("label").agg(F.count(F.lit(1)).alias("n"))
 
 
-@keep("stream_minibatch")
+@keep("stream_minibatch", minibatch_sql(1, None))
 def _(spark, sf_dir):
     v = embeddings(spark, sf_dir)
     y, counts = start_matrix(v, 22, 0), np.zeros(22, np.int64)
@@ -153,4 +153,4 @@ def _(spark, sf_dir):
 
     run = stream.writeStream.foreachBatch(update).option("checkpointLocation", shared_path(spark, "minibatch")).trigger(availableNow=True).start()
     run.awaitTermination()
-    return Model(y, counts).frame(spark)
+    return centroid_rows(spark, y, counts)
