@@ -60,3 +60,35 @@ def test_dropping_and_empty_tables(make_docs, items, text):
     assert find_leaks(docs.where("false"), items).count() == 0 and drop_leaks(docs.where("false"), items).count() == 0
     h, seg = word_hashes(*text_arrays(pa.array(["A-b C", "a b c"], pa.large_string())))
     assert (h[:3] == h[3:]).all() and len(seg) == 6
+
+
+def test_items_without_an_id_are_not_the_item_minus_one(spark, make_docs, text):
+    items = spark.createDataFrame([(None, text(600, 30)), (-1, text(601, 30))], "item_id long, text string")
+    got = sorted((r["doc_id"], r["item_id"]) for r in find_leaks(make_docs([text(600, 30), text(601, 30)]), items).collect() if r["item_id"] is not None)
+    assert got == [(1, -1)]
+    assert find_leaks(make_docs([text(600, 30)]), items).where("item_id is null").count() == 1
+
+
+def test_recall_against_exhaustive_alignment(spark, make_docs):
+    """Every text is aligned with every item; of the pairs at the threshold or above nine in ten or more are found."""
+    rng = np.random.default_rng(8)
+    p = LeakParams()
+    vocabulary = [f"w{i}" for i in range(400)]
+    item_words = [list(rng.choice(vocabulary, 25)) for _ in range(12)]
+    texts = []
+    for i in range(48):
+        own = [w if rng.random() > (i % 6) * 0.1 else f"x{rng.integers(1e6)}" for w in item_words[i % 12]]
+        texts.append(" ".join([*rng.choice(vocabulary, 30), *own, *rng.choice(vocabulary, 30)]))
+    items = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(item_words)], "item_id long, text string")
+    got = {(r["doc_id"], r["item_id"]) for r in find_leaks(make_docs(texts), items).collect()}
+    wanted = set()
+    for d, t in enumerate(texts):
+        words = t.split(" ")
+        for j, item in enumerate(item_words):
+            h = np.zeros((len(item) + 1, len(words) + 1), int)
+            for a in range(1, len(item) + 1):
+                for b in range(1, len(words) + 1):
+                    h[a, b] = max(0, h[a - 1, b - 1] + (p.match if item[a - 1] == words[b - 1] else p.mismatch), h[a - 1, b] + p.gap, h[a, b - 1] + p.gap)
+            if h.max() >= p.threshold * p.match * len(item):
+                wanted.add((d, j))
+    assert got <= wanted and len(wanted) > 25 and len(got) >= 0.9 * len(wanted)

@@ -53,8 +53,9 @@ def word_hashes(data: np.ndarray, offsets: np.ndarray):
 class ItemIndex:
     """The seeds of a slice of items: n-gram -> (item, ...)."""
 
-    def __init__(self, item_ids: np.ndarray, tokens: np.ndarray, first: np.ndarray, params: LeakParams):
+    def __init__(self, item_ids: np.ndarray, tokens: np.ndarray, first: np.ndarray, params: LeakParams, unnamed: np.ndarray | None = None):
         self.ids, self.tokens, self.first, self.params = item_ids, tokens, first, params
+        self.unnamed = np.zeros(len(item_ids), bool) if unnamed is None else unnamed  #: items whose id is null
         n = params.seed_words
         item = np.repeat(np.arange(len(item_ids)), np.diff(first))
         grams = gram_hash(tokens, n)
@@ -161,7 +162,7 @@ def item_slices(items: DataFrame, params: LeakParams) -> Iterator[ItemIndex]:
 
     def index() -> ItemIndex:
         first = np.concatenate([[0], np.cumsum([len(x) for x in parts])]).astype(np.int64)
-        return ItemIndex(np.array(ids), np.concatenate(parts), first, params)
+        return ItemIndex(np.array([-1 if i is None else i for i in ids], np.int64), np.concatenate(parts), first, params, np.array([i is None for i in ids]))
 
     for row in rows.toLocalIterator():
         h, _ = word_hashes(*text_arrays(pa.array([row["text"]], pa.large_string())))
@@ -170,7 +171,7 @@ def item_slices(items: DataFrame, params: LeakParams) -> Iterator[ItemIndex]:
         if held and held + len(h) > params.slice_grams:
             yield index()
             ids, parts, held = [], [], 0
-        ids.append(-1 if row["item_id"] is None else row["item_id"])
+        ids.append(row["item_id"])
         parts.append(h)
         held += len(h)
     if held:
@@ -218,7 +219,7 @@ def find_leaks(documents: DataFrame, items: DataFrame, params: LeakParams = Leak
                 h, seg = word_hashes(data, offsets)
                 d, item, share, lo, hi = own.leaks(h, seg.doc, rows.num_rows)
                 if len(d):
-                    yield pa.RecordBatch.from_arrays([rows.column(0).take(pa.array(d)), pa.array(own.ids[item]), pa.array(share), pa.array(lo), pa.array(hi)], names=["doc_id", "item_id", "score", "first_word", "end_word"])
+                    yield pa.RecordBatch.from_arrays([rows.column(0).take(pa.array(d)), pa.array(own.ids[item], mask=own.unnamed[item]), pa.array(share), pa.array(lo), pa.array(hi)], names=["doc_id", "item_id", "score", "first_word", "end_word"])
 
         found.append(texts.mapInArrow(search, schema))
     return reduce(DataFrame.union, found) if found else documents.sparkSession.createDataFrame([], schema)
