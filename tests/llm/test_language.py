@@ -1,7 +1,7 @@
 import numpy as np
 from pyspark.sql import functions as F
 
-from vecspark.llm.language import UNITS, Lookup, fit_languages, identify_language, learn, op2_language_id
+from vecspark.llm.language import UNITS, LanguageParams, Lookup, fit_languages, identify_language, learn, op2_language_id
 from vecspark.llm.textkit import text_arrays
 
 import pyarrow as pa
@@ -64,3 +64,16 @@ def test_odd_texts_and_empty_tables(make_docs, odd_texts):
     assert [rows[i]["lang_pred"] for i in range(len(odd_texts))] == ["und", "und", "und", "en", "en", "en", "en", "en", "en", "und", "en"]
     assert {r["lang_pred"] for r in identify_language(docs, fit_languages(docs.where("false"))).collect()} == {"und"}
     assert identify_language(docs.where("false"), fit_languages(docs)).count() == 0
+
+
+def test_more_languages_than_one_table_holds_and_only_long_texts(spark):
+    """Every language is predictable, and one whose texts are all long is learned too."""
+    alphabets = {f"l{i:02d}": [chr(97 + (i * 7 + j) % 26) + chr(97 + (i * 3 + j * j) % 26) + chr(97 + (i + 5 * j) % 26) for j in range(12)] for i in range(9)}
+    rng = np.random.default_rng(1)
+    rows = [(i * 100 + n, name, " ".join(rng.choice(parts, 9000 if name == "l08" else 60))) for i, (name, parts) in enumerate(alphabets.items()) for n in range(12)]
+    docs = spark.createDataFrame(rows, "doc_id long, lang string, text string")
+    one, sliced = fit_languages(docs), fit_languages(docs, LanguageParams(languages=2))
+    assert len(one) == 1 and len(sliced) == 5
+    predict = lambda trees: {r["doc_id"]: (r["lang_pred"], round(r["score"], 9), r["bits"]) for r in identify_language(docs, trees).collect()}
+    got = predict(sliced)
+    assert got == predict(one) and np.mean([got[i][0] == name for i, name, _ in rows]) > 0.95

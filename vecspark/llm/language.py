@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .tables import table
+from .tables import stretch, table
 from .textkit import blocks, crc_mod, has_letter, releasing, text_arrays
 
 ORDER = 4
@@ -31,9 +31,9 @@ UNITS = 4096  #: code lengths are whole numbers of 1/4096 bit, so that sums are
 @dataclass(frozen=True)
 class LanguageParams:
     rows_per_language: int = 300  #: bound of the sample
-    languages: int = 400  #: bound of the number of languages, the most frequent first
-    total_rows: int = 12_000  #: bound over all languages, shared out evenly where there are many
-    sample_chars: int = 20_000  #: longest text in the sample
+    languages: int = 400  #: languages whose trees stand in one table; more languages make more tables, none is left out
+    total_rows: int = 12_000  #: bound over all languages, shared out evenly where there are many, one row each at the least
+    sample_chars: int = 20_000  #: characters of a text that the sample takes, from a place drawn by a hash
     min_rows: int = 1
 
 
@@ -157,41 +157,44 @@ def learn(samples: dict[str, list[str]]) -> ContextTrees:
     return trees
 
 
-def fit_languages(documents: DataFrame, params: LanguageParams = LanguageParams(), where=None) -> ContextTrees:
-    """Learns from text and lang alone; doc_id only picks rows of the bounded sample."""
-    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", F.length("text").alias("n")).where(f"lang is not null and n between 1 and {params.sample_chars}")
+def fit_languages(documents: DataFrame, params: LanguageParams = LanguageParams(), where=None) -> list[ContextTrees]:
+    """Learns from text and lang alone; doc_id only picks rows of the bounded sample.  Tables of languages in the order of their names."""
+    rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", F.length("text").alias("n")).where("lang is not null and n >= 1")
     if where is not None:
         rows = rows.where(where)
-    top = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(params.languages)
+    top = rows.groupBy("lang").count()
     per_language = max(1, min(params.rows_per_language, params.total_rows // max(1, top.count())))
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
     # four times the rows wanted are let through, so that a frequent language doesn't meet in one task
     share = (F.xxhash64("doc_id") / F.lit(float(2**64)) + 0.5) <= F.lit(4.0 * per_language) / F.col("count")
-    ids = rows.join(F.broadcast(top), "lang").where(share).withColumn("at", F.row_number().over(order)).where(F.col("at") <= per_language).select("doc_id", "lang").distinct()
-    found = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", "text").where(f"length(text) between 1 and {params.sample_chars}").join(F.broadcast(ids), ["doc_id", "lang"])
+    ids = rows.join(top, "lang").where(share).withColumn("at", F.row_number().over(order)).where(F.col("at") <= per_language).select("doc_id", "lang").distinct()
+    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang", F.col("text").cast("string").alias("text")).where("length(text) >= 1")
+    found = texts.join(F.broadcast(ids), ["doc_id", "lang"]).withColumn("text", stretch(F.col("text"), F.col("doc_id"), params.sample_chars))
     samples: dict[str, list[str]] = {}
     for lang, text in found.groupBy("doc_id", "lang").agg(F.min("text").alias("text")).select("lang", "text").collect():
         samples.setdefault(lang, []).append(text)
-    return releasing(learn)({k: sorted(v) for k, v in samples.items() if len(v) >= params.min_rows})
+    names = sorted(k for k, v in samples.items() if len(v) >= params.min_rows)
+    parts = [names[i : i + params.languages] for i in range(0, len(names), params.languages)] or [[]]
+    return [releasing(learn)({k: sorted(samples[k]) for k in part}) for part in parts]
 
 
-def identify_language(documents: DataFrame, trees: ContextTrees, held_out=None) -> DataFrame:
+def identify_language(documents: DataFrame, trees: list[ContextTrees], held_out=None) -> DataFrame:
     """doc_id, held_out, lang_pred, score (posterior under equal priors), bits (code length of the best)."""
     shipped = documents.sparkSession.sparkContext.broadcast(trees)
 
     def score(batches):
-        model = shipped.value
-        names = np.array([*model.languages, "und"], object)
+        models = [m for m in shipped.value if m.languages]
+        names = np.array([*(name for m in models for name in m.languages), "und"], object)
         for rows, data, offsets in blocks(batches):
             n = rows.num_rows
-            if model.languages:
-                bits = model.code_lengths(data, offsets) / UNITS
+            if models:
+                bits = np.concatenate([m.code_lengths(data, offsets) for m in models], 1) / UNITS
                 best = bits.argmin(1)
                 least = bits[np.arange(n), best]
                 post = 1 / np.exp2(np.minimum(60, bits - least[:, None]) * -1).sum(1)
             else:
                 best, least, post = np.zeros(n, int), np.zeros(n), np.zeros(n)
-            known = has_letter(data, offsets) & bool(model.languages)
+            known = has_letter(data, offsets) & bool(models)
             yield pa.RecordBatch.from_arrays(
                 [rows.column(0), rows.column(1), pa.array(names[np.where(known, best, len(names) - 1)], pa.string()), pa.array(np.where(known, post, 0.0)), pa.array(np.where(known, least, 0.0))],
                 names=["doc_id", "held_out", "lang_pred", "score", "bits"],

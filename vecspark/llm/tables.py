@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -19,6 +19,8 @@ def shared_folder(spark: SparkSession) -> str:
         current = spark.sparkContext._jsc.sc().getCheckpointDir()
         if current.isDefined():
             return current.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("name a shared folder in spark.checkpoint.dir")
         folder = "/tmp/vecspark-checkpoints"
         spark.sparkContext.setCheckpointDir(folder)
         return spark.sparkContext._jsc.sc().getCheckpointDir().get()
@@ -45,16 +47,22 @@ def discard(df: DataFrame) -> None:
         path.getFileSystem(conf).delete(path, True)
 
 
+def stretch(text: Column, key: Column, chars: int) -> Column:
+    """The whole text up to `chars` characters; of a longer one that many, from a place that a hash of the key draws."""
+    start = F.pmod(F.xxhash64(key), F.greatest(F.length(text) - chars, F.lit(0)) + 1).cast("int") + 1
+    return F.when(F.length(text) <= chars, text).otherwise(F.substring(text, start, F.lit(chars)))
+
+
 def labelled_sample(documents: DataFrame, labels: DataFrame, label: str, rows: int, max_chars: int, where=None) -> list:
-    """At most `rows` rows (doc_id, text, y), in the order of a hash of the id, of texts up to `max_chars`.
+    """At most `rows` rows (doc_id, text, y), in the order of a hash of the id; of a text over `max_chars` a stretch of it.
 
-    The bound serves classifier fitting alone.  A label or text that is null is left out; where an id stands
+    The bounds serve classifier fitting alone.  A label or text that is null is left out; where an id stands
     more than once the smallest text and the largest label stand for it.
     """
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("y")).where("doc_id is not null and y is not null")
     if where is not None:
         marks = marks.where(where(F.col("doc_id")))
     ids = marks.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
-    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where(F.col("text").isNotNull() & (F.length("text") <= max_chars))
-    found = texts.join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y"))
+    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("text is not null")
+    found = texts.join(F.broadcast(ids), "doc_id").withColumn("text", stretch(F.col("text"), F.col("doc_id"), max_chars)).groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y"))
     return sorted(found.collect())
