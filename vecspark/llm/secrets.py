@@ -64,7 +64,7 @@ N_FEATURES = sum(_SIZES.values())
 @dataclass(frozen=True)
 class SecretParams:
     sample_rows: int = 3000  #: bound of the sample of texts
-    sample_chars: int = 20_000
+    sample_chars: int = 20_000  #: of a longer text, as many characters from its first base match (or from a drawn place) on
     lines: int = 4000  #: bound of the lines of either sort
     window: int = 40  #: tokens of a training line
     epochs: int = 8
@@ -99,10 +99,13 @@ def tokenise(data: np.ndarray, offsets: np.ndarray):
         np.cumsum(table[data], out=c[1:])
         return c[seg.end] - c[seg.start]
 
-    one, two = counted(_COUNT_1), counted(_COUNT_2)
-    part = lambda x, i: ((x >> np.uint64(16 * i)) & np.uint64(0xFFFF)).astype(np.int64)
-    low, up, dig, sym, hexa, wide = part(one, 0), part(one, 1), part(one, 2), part(one, 3), part(two, 0), part(two, 1)
     length = seg.end - seg.start
+    if length.max() > 0xFFFF:  # the packed counters would run over
+        low, up, dig, sym, hexa, wide = (counted(mask).astype(np.int64) for mask in (_LOWER, _UPPER, _DIGIT, _SYMBOL, _HEX, _WIDE))
+    else:
+        one, two = counted(_COUNT_1), counted(_COUNT_2)
+        part = lambda x, i: ((x >> np.uint64(16 * i)) & np.uint64(0xFFFF)).astype(np.int64)
+        low, up, dig, sym, hexa, wide = part(one, 0), part(one, 1), part(one, 2), part(one, 3), part(two, 0), part(two, 1)
     kind = (_DIGIT.astype(np.int8) + 2 * (_LOWER | _UPPER | _WIDE))[data]
     turn = np.zeros(len(data) + 1, np.int32)
     np.cumsum(kind[1:] != kind[:-1], out=turn[1:-1])
@@ -335,7 +338,21 @@ def fit(texts: list[str], params: SecretParams) -> SecretModel:
 
 def fit_secrets(documents: DataFrame, params: SecretParams = SecretParams()) -> SecretModel:
     """Half of the sample's bound is for texts with a base match, which one scan of all texts finds; half for others."""
-    short = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.length("text").between(1, params.sample_chars))
+    short = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("length(text) >= 1")
+
+    def cut(batches):
+        for rows, data, offsets in blocks(batches):
+            ids, texts = rows.column(0).to_pylist(), rows.column(1).to_pylist()
+            long_ = [i for i, t in enumerate(texts) if len(t) > params.sample_chars]
+            first = {}
+            for s in base_spans(data, offsets) if long_ else []:
+                first.setdefault(s[0], int(s[2]))
+            for i in long_:
+                begin = int(offsets[i])
+                at = len(data[begin : first[i]].tobytes().decode("utf-8", "replace")) if i in first else ((ids[i] or 0) * 2654435761) % len(texts[i])
+                at = max(0, min(at - 200, len(texts[i]) - params.sample_chars))
+                texts[i] = texts[i][at : at + params.sample_chars]
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.array(texts, pa.string())], names=["doc_id", "text"])
 
     def matched(batches):
         for rows, data, offsets in blocks(batches):
@@ -345,7 +362,8 @@ def fit_secrets(documents: DataFrame, params: SecretParams = SecretParams()) ->
 
     marks = settle(short.mapInArrow(matched, "doc_id long, held boolean").groupBy("doc_id").agg(F.max("held").alias("held")), "secret-marks")
     some = lambda w: marks.where(w).select("doc_id").orderBy(F.xxhash64("doc_id"), "doc_id").limit(max(1, params.sample_rows // 2))
-    rows = short.join(F.broadcast(some("held").union(some("NOT held"))), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
+    chosen = short.join(F.broadcast(some("held").union(some("NOT held"))), "doc_id").select("doc_id", "text")
+    rows = chosen.mapInArrow(cut, "doc_id long, text string").groupBy("doc_id").agg(F.min("text").alias("text")).collect()
     discard(marks)
     return releasing(fit)([r[1] for r in sorted(rows)], params)
 
