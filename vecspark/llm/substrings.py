@@ -10,6 +10,9 @@ asks an anchor's key range about each distinct (anchor, context) that it holds,
 repeats an earlier one as a whole (all its strings go), or is the first of its kind while other contexts share
 its anchor.  Only the latter are sent on, so exact copies never are.
 
+Equal contexts are recognised by a 64-bit hash of their bytes beside the 64-bit key of their anchor, and the strings of hot
+anchors by two 64-bit hashes; contexts that are sorted are compared byte by byte.
+
 Hot anchors.  A line that very many texts hold gives an anchor of very many contexts, all of which would meet in
 one key range.  The strings of such contexts are therefore dealt out by their own hash (of 128 bits), first of all
 inside the block, so that a string that is everywhere comes once a block and others spread over all ranges.
@@ -312,8 +315,10 @@ def deduplicate_substrings(documents: DataFrame, p: SubstringParams = SubstringP
         b = Block(group, p)
         i = b.asked
         at = cuts(b.anchors.key[i], ranges)
-        number = np.full(ranges, group["block"][0].as_py(), np.int32)
-        return pa.table({"block": pa.array(number), "part": pa.array(np.arange(ranges, dtype=np.int32)), "key": blob(b.anchors.key[i], at, np.uint64), "context": blob(b.context[i], at, np.uint64), "id": blob(b.id_of[i], at, np.int64), "at": blob(b.at[i], at, np.int64)})
+        part = np.flatnonzero(np.diff(at))  # ranges that the block has nothing for get no row, so messages grow with the data alone
+        some = lambda x, kind: pa.array([x[at[j] : at[j + 1]].astype(kind).tobytes() for j in part], pa.binary())
+        number = np.full(len(part), group["block"][0].as_py(), np.int32)
+        return pa.table({"block": pa.array(number), "part": pa.array(part.astype(np.int32)), "key": some(b.anchors.key[i], np.uint64), "context": some(b.context[i], np.uint64), "id": some(b.id_of[i], np.int64), "at": some(b.at[i], np.int64)})
 
     def answer(group: pa.Table) -> pa.Table:
         read = lambda name, kind: [np.frombuffer(x.as_py(), kind) for x in group[name]]
@@ -345,7 +350,7 @@ def deduplicate_substrings(documents: DataFrame, p: SubstringParams = SubstringP
         if not texts.num_rows:
             return schema.empty_table()
         b = Block(texts, p)
-        state = np.concatenate([np.frombuffer(x.as_py(), np.uint8) for x in answers.sort_by("part")["state"]])
+        state = np.concatenate([np.empty(0, np.uint8), *(np.frombuffer(x.as_py(), np.uint8) for x in answers.sort_by("part")["state"])])
         a = b.anchors
         gone = np.concatenate([b.again, b.asked[state == 1]])
         number = texts["block"][0].as_py()
