@@ -82,6 +82,37 @@ def test_stage_keeps_one_row_of_each_class(make_docs, text):
     assert deduplicate(docs).columns == docs.columns and deduplicate(docs.where("false")).count() == 0
 
 
+def test_rows_that_repeat_an_id_are_told_apart_by_their_texts(make_docs, text):
+    a, b, c = text(1, 60), text(2, 60), text(3, 60)
+    docs = make_docs([a, b, c, b, None, "", "", a + " end"], [1, 1, 2, 1, 4, 4, 4, 0])
+    want = sorted([(0, a + " end"), (1, b), (2, c), (4, "")])
+    for parts in (1, 5):
+        assert sorted((r["doc_id"], r["text"] or "") for r in deduplicate(docs.repartition(parts)).collect()) == want
+    only = deduplicate(make_docs([a, b, c], [1, 1, 2]))
+    assert sorted((r["doc_id"], r["text"]) for r in only.collect()) == sorted([(1, a), (1, b), (2, c)])
+
+
+def test_near_copies_that_are_similar_enough_are_found(make_docs, text):
+    """Planted copies with one to nine edited words in 200; what is at 0.8 or more from the original by brute force is found."""
+    rng = np.random.default_rng(3)
+    texts, original = [], {}
+    for g in range(25):
+        base = text(100 + g, 200)
+        first = len(texts)
+        texts.append(base)
+        for k in range(1, 10):
+            w = base.split(" ")
+            for at in rng.choice(200, k, replace=False):
+                w[at] = f"edit{rng.integers(1e9)}"
+            original[len(texts)] = first
+            texts.append(" ".join(w))
+    got = {r["doc_id"]: r["class_id"] for r in near_duplicates(make_docs(texts)).collect()}
+    bags = [bag(t) for t in texts]
+    close = [(i, j) for i, j in original.items() if sum((bags[i] & bags[j]).values()) >= 0.8 * sum((bags[i] | bags[j]).values())]
+    assert len(close) > 80 and np.mean([got[i] == got[j] for i, j in close]) >= 0.99
+    assert got == brute([*range(len(texts))], texts)
+
+
 @pytest.mark.parametrize("links", [[], [(1, 2)], [(i, i + 1) for i in range(40)], [(0, i) for i in range(1, 50)], [(1, 2), (3, 4), (2, 3), (8, 9)]])
 def test_components(spark, links):
     root = {}
