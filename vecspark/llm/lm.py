@@ -13,6 +13,8 @@ texts are packed into blocks of a few MB; a block sends each n-gram that it hold
 to the n-gram's key range (ranges that it has nothing for get no row); a key range adds up and answers every block in
 the order of its questions (so an answer is counts alone); a block then builds the part of the automaton that its
 texts can reach and traverses it.  Hot n-grams come once a block.  N and V are summed over the key ranges.
+Tokens and pairs are asked about first, longer n-grams by a round each: where either shorter n-gram inside one occurs in
+no other block, neither does it, so its count is the block's own and no question is sent.
 
 Defined results: a null text is the empty text, whose one token is the end; with no training rows c, N and V are
 0 and every token costs log10(1) = 0.  Sums of logarithms are taken in whole 1e-9, so that they do not depend
@@ -21,6 +23,7 @@ on the order.  Rows of equal id are scored each.
 
 from __future__ import annotations
 
+import uuid
 from dataclasses import dataclass
 
 import numpy as np
@@ -30,7 +33,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .language import Lookup
-from .tables import settle, table
+from .tables import new_path, settle, table
 from .textkit import U64, crc_mod, lower_ascii, mix, release, releasing, segment_hash, text_arrays, words
 
 QUANTUM = 1e9
@@ -81,19 +84,57 @@ def ngram_keys(tokens: np.ndarray, doc: np.ndarray, order: int) -> list[np.ndarr
     return keys
 
 
-def block_counts(texts: pa.Array, held: np.ndarray, order: int):
-    """Everything of a block: tokens, doc, keys by order, the sorted distinct keys, and their training counts."""
-    data, offsets = text_arrays(texts)
+def read_block(rows: pa.Table, order: int):
+    """(tokens, doc, keys by order, whether each token is held out) of a block."""
+    data, offsets = text_arrays(rows["text"].combine_chunks())
     tokens, doc = token_stream(data, offsets)
-    keys = ngram_keys(tokens, doc, order)
-    stacked = np.concatenate(keys)
-    train = np.tile(~held[doc], order)
-    stacked, train = stacked[stacked != 0], train[stacked != 0]
-    order_by = np.argsort(stacked)
-    k = stacked[order_by]
+    return tokens, doc, ngram_keys(tokens, doc, order), rows["held_out"].to_numpy()[doc]
+
+
+def gram_counts(keys: list[np.ndarray], held: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The sorted distinct n-grams of these orders and their training counts in the block."""
+    stacked, train = np.concatenate(keys), np.tile(~held, len(keys))
+    train = train[stacked != 0]
+    stacked = stacked[stacked != 0]
+    by = np.argsort(stacked)
+    k = stacked[by]
     edge = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.empty(0, np.int64)
-    counts = np.add.reduceat(train[order_by].astype(np.int64), edge) if len(k) else np.empty(0, np.int64)
-    return tokens, doc, keys, k[edge], counts
+    return k[edge], np.add.reduceat(train[by].astype(np.int64), edge) if len(k) else np.empty(0, np.int64)
+
+
+class Counted:
+    """A block's n-grams with what the corpus has answered about them, round by round."""
+
+    def __init__(self, rows: pa.Table, order: int):
+        self.tokens, self.doc, self.keys, self.held = read_block(rows, order)
+        self.order, self.round = order, 0
+        self.asked, self.own = gram_counts(self.keys[:2], self.held)
+        self.grams, self.totals = np.empty(0, np.uint64), np.empty(0, np.int64)
+        self.rest = (np.empty(0, np.uint64), np.empty(0, np.int64))
+
+    def hear(self, found: np.ndarray) -> None:
+        """Takes the answers to what is asked in this round; what the next one asks is in `asked` and `own`.
+
+        An answer is twice the training count, and one more where another block holds the n-gram too, in training or not.
+        """
+        found, shared = found >> 1, (found & 1) > 0
+        grams, totals = np.concatenate([self.asked, self.rest[0]]), np.concatenate([found, self.rest[1]])
+        more = np.concatenate([shared, np.zeros(len(self.rest[0]), bool)])
+        self.grams, self.totals = np.concatenate([self.grams, grams]), np.concatenate([self.totals, totals])
+        self.round += 1
+        n = self.round + 2
+        if n > self.order:
+            return
+        # an n-gram occurs elsewhere only where both (n - 1)-grams inside it do
+        find = Lookup(grams)
+        place = find.find(self.keys[n - 2])
+        elsewhere = (place >= 0) & (self.keys[n - 2] != 0) & (more[np.maximum(place, 0)] if len(more) else False)
+        both = elsewhere.copy()
+        both[1:] &= elsewhere[:-1]
+        keys, own = gram_counts([self.keys[n - 1]], self.held)
+        asked, asked_own = gram_counts([np.where(both, self.keys[n - 1], U64(0))], self.held)
+        local = ~np.isin(keys, asked, assume_unique=True)
+        self.asked, self.own, self.rest = asked, asked_own, (keys[local], own[local])
 
 
 def packed(counts: np.ndarray) -> bytes:
@@ -275,10 +316,14 @@ def whole_sum(values: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
     return np.bincount(doc, np.rint(values * QUANTUM), n) / QUANTUM
 
 
-def packed_texts(documents: DataFrame, held_out, limit: int) -> DataFrame:
+MOST_BUCKETS = 100_000
+
+
+def packed_texts(documents: DataFrame, held_out, limit: int, size: int) -> DataFrame:
     """(block, rows): the texts in blocks of about `limit` bytes, each one compressed Arrow table.
 
-    A block is a run of rows of one input partition and is named by that partition and its turn there.
+    A block is a run of rows of one input partition and is named by that partition and its turn there.  The table is
+    bucketed by block, so that answers travel to the texts and texts never travel.
     """
 
     def pack(batches):
@@ -302,7 +347,12 @@ def packed_texts(documents: DataFrame, held_out, limit: int) -> DataFrame:
             yield squeezed(number, turn, held)
 
     rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), held_out.alias("held_out"), F.col("text").cast("string").alias("text"))
-    return settle(rows.mapInArrow(pack, "block long, rows binary"), "blocks")
+    spark = documents.sparkSession
+    buckets = min(MOST_BUCKETS, max(2 * spark.sparkContext.defaultParallelism, -(-size // (8 * limit))))
+    name = f"vecspark_{uuid.uuid4().hex}"
+    packed_rows = rows.mapInArrow(pack, "block long, rows binary")
+    packed_rows.write.bucketBy(buckets, "block").option("path", new_path(spark, "blocks")).saveAsTable(name)
+    return spark.table(name)
 
 
 def squeezed(number: int, turn: int, held: list) -> pa.RecordBatch:
@@ -317,63 +367,102 @@ def unsqueezed(blob: pa.Scalar) -> pa.Table:
     return pa.ipc.open_stream(blob.as_buffer()).read_all().combine_chunks()
 
 
+def spread(keys: np.ndarray, counts: np.ndarray, block: int, ranges: int) -> dict:
+    """A block's questions by key range."""
+    at = cuts(keys, ranges)
+    part = np.flatnonzero(np.diff(at))
+    pieces = list(zip(at[part], at[part + 1], strict=True))
+    return {
+        "block": pa.array(np.full(len(part), block, np.int64)),
+        "part": pa.array(part.astype(np.int32)),
+        "keys": pa.array([packed_keys(keys[a:b]) for a, b in pieces], pa.binary()),
+        "counts": pa.array([packed(counts[a:b]) for a, b in pieces], pa.binary()),
+    }
+
+
+def answer(group: pa.Table) -> pa.Table:
+    """A key range's counts added up, for each block in the order of its questions; see `Counted.hear` for the form."""
+    blobs = [unpacked_keys(x.as_py()) for x in group["keys"]]
+    counts = np.concatenate([unpacked(x.as_py()) for x in group["counts"]])
+    union, place = np.unique(np.concatenate(blobs), return_inverse=True)
+    totals = np.bincount(place, counts, len(union)).astype(np.int64)
+    single = (union & U64(3)) == 0
+    at = np.concatenate([[0], np.cumsum([len(b) for b in blobs])])
+    found = 2 * totals[place] + (np.bincount(place, minlength=len(union)) > 1)[place]
+    first = np.arange(group.num_rows) == 0  # the range's own share of N and V stands in one row
+    return pa.table(
+        {
+            "block": group["block"],
+            "part": group["part"],
+            "found": pa.array([packed(found[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
+            "tokens": pa.array(np.where(first, totals[single].sum(), 0)),
+            "kinds": pa.array(np.where(first, (totals[single] > 0).sum(), 0)),
+        }
+    )
+
+
+def heard(texts: pa.Table, answers: pa.Table, order: int, rounds: int) -> tuple[pa.Table, Counted]:
+    rows = unsqueezed(texts["rows"][0])
+    counted = Counted(rows, order)
+    turn, part = answers["turn"].to_numpy(), answers["part"].to_numpy()
+    by = np.lexsort((part, turn))
+    for r in range(rounds):
+        mine = by[turn[by] == r]
+        counted.hear(np.concatenate([np.empty(0, np.int64), *(unpacked(answers["found"][int(i)].as_py()) for i in mine)]))
+    return rows, counted
+
+
+QUESTIONS = "block long, part int, keys binary, counts binary"
+ANSWERS = "block long, part int, found binary, tokens long, kinds long"
 SCORED = (("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("train_tokens", pa.int64()), ("base_score", pa.float64()), ("score", pa.float64()))
 
 
 def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams()) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score; held-out rows teach nothing."""
     size = documents.agg(F.sum(F.octet_length(F.col("text").cast("string")))).first()[0] or 0
-    ranges = max(1, -(-size * params.order * 3 // (5 * params.range_bytes)))
-    docs = packed_texts(documents, held_out, params.block_bytes)
+    ranges = max(1, -(-size * 6 // (5 * params.range_bytes)))
+    docs, order = packed_texts(documents, held_out, params.block_bytes, size), params.order
 
-    def ask(batches):
+    def first_questions(batches):
         for batch in batches:
             for block, blob in zip(batch.column(0), batch.column(1), strict=True):
-                rows = unsqueezed(blob)
-                _, _, _, keys, counts = block_counts(rows["text"].combine_chunks(), rows["held_out"].to_numpy(), params.order)
-                at = cuts(keys, ranges)
-                part = np.flatnonzero(np.diff(at))
-                pieces = list(zip(at[part], at[part + 1], strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), block.as_py())), pa.array(part.astype(np.int32)), pa.array([packed_keys(keys[a:b]) for a, b in pieces], pa.binary()), pa.array([packed(counts[a:b]) for a, b in pieces], pa.binary())], names=["block", "part", "keys", "counts"])
+                _, _, keys, held = read_block(unsqueezed(blob), min(order, 2))
+                yield pa.RecordBatch.from_pydict(spread(*gram_counts(keys, held), block.as_py(), ranges))
             release()
 
-    def answer(group: pa.Table) -> pa.Table:
-        blobs = [unpacked_keys(x.as_py()) for x in group["keys"]]
-        counts = np.concatenate([unpacked(x.as_py()) for x in group["counts"]])
-        union, place = np.unique(np.concatenate(blobs), return_inverse=True)
-        totals = np.bincount(place, counts, len(union)).astype(np.int64)
-        single = (union & U64(3)) == 0
-        at = np.concatenate([[0], np.cumsum([len(b) for b in blobs])])
-        found = totals[place]
-        first = np.arange(group.num_rows) == 0  # the range's own share of N and V stands in one row
-        return pa.table(
-            {
-                "block": group["block"],
-                "part": group["part"],
-                "found": pa.array([packed(found[a:b]) for a, b in zip(at, at[1:])], pa.binary()),
-                "tokens": pa.array(np.where(first, totals[single].sum(), 0)),
-                "kinds": pa.array(np.where(first, (totals[single] > 0).sum(), 0)),
-            }
-        )
+    def more_questions(rounds: int):
+        def ask(texts: pa.Table, answers: pa.Table) -> pa.Table:
+            if not texts.num_rows:
+                return pa.table(spread(np.empty(0, np.uint64), np.empty(0, np.int64), 0, ranges))
+            _, counted = heard(texts, answers, order, rounds)
+            return pa.table(spread(counted.asked, counted.own, texts["block"][0].as_py(), ranges))
+
+        return ask
 
     def score(texts: pa.Table, answers: pa.Table) -> pa.Table:
         if not texts.num_rows:
             return pa.schema(SCORED).empty_table()
-        rows = unsqueezed(texts["rows"][0])
-        n, held = rows.num_rows, rows["held_out"].to_numpy()
-        tokens, doc, keys, distinct, _ = block_counts(rows["text"].combine_chunks(), held, params.order)
-        answers = answers.sort_by("part")
-        counts = np.concatenate([unpacked(x.as_py()) for x in answers["found"]])
-        base, weight, c = BackoffAutomaton(tokens, keys, distinct, counts, total, kinds, params).traverse(tokens, doc, params.stretch)
+        rows, counted = heard(texts, answers, order, rounds)
+        n, tokens, doc = rows.num_rows, counted.tokens, counted.doc
+        automaton = BackoffAutomaton(tokens, counted.keys, counted.grams, counted.totals, total, kinds, params)
+        base, weight, c = automaton.traverse(tokens, doc, params.stretch)
         real = tokens != START_TOKEN
         d = doc[real]
         columns = [rows["doc_id"], rows["held_out"], np.bincount(d, minlength=n), np.bincount(d, c[real] > 0, n).astype(np.int64), np.full(n, total), whole_sum(base[real], d, n), whole_sum(weight[real], d, n)]
         return pa.table([pa.array(x) if isinstance(x, np.ndarray) else x for x in columns], schema=pa.schema(SCORED))
 
-    asked = docs.mapInArrow(ask, "block long, part int, keys binary, counts binary")
-    answered = settle(asked.groupBy("part").applyInArrow(releasing(answer), "block long, part int, found binary, tokens long, kinds long"), "answers")
-    total, kinds = (int(x or 0) for x in answered.agg(F.sum("tokens"), F.sum("kinds")).first())
-    return docs.groupBy("block").cogroup(answered.select("block", "part", "found").groupBy("block")).applyInArrow(releasing(score), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+    rounds, answers = max(1, order - 1), None
+    for turn in range(rounds):
+        if turn == 0:
+            asked = docs.mapInArrow(first_questions, QUESTIONS)
+        else:
+            asked = docs.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(releasing(more_questions(turn)), QUESTIONS)
+        found = settle(asked.groupBy("part").applyInArrow(releasing(answer), ANSWERS), "answers")
+        if turn == 0:
+            total, kinds = (int(x or 0) for x in found.agg(F.sum("tokens"), F.sum("kinds")).first())
+        own = found.select("block", F.lit(turn).alias("turn"), "part", "found")
+        answers = own if answers is None else answers.union(own)
+    return docs.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(releasing(score), "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
 def op10_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
