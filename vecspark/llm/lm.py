@@ -32,7 +32,6 @@ import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .language import Lookup
 from .tables import new_path, settle, table
 from .textkit import U64, crc_mod, lower_ascii, mix, release, releasing, segment_hash, text_arrays, words
 
@@ -45,7 +44,7 @@ START_TOKEN = U64(0x57A9757A9757A975)
 class LmParams:
     order: int = 3
     mu: float = 5.0
-    block_bytes: int = 6 << 20
+    block_bytes: int = 4 << 20
     range_bytes: int = 24 << 20
     stretch: int = 256  #: tokens that a step-by-step traversal reads of a text before the next stretch of it begins
 
@@ -84,57 +83,61 @@ def ngram_keys(tokens: np.ndarray, doc: np.ndarray, order: int) -> list[np.ndarr
     return keys
 
 
-def read_block(rows: pa.Table, order: int):
-    """(tokens, doc, keys by order, whether each token is held out) of a block."""
-    data, offsets = text_arrays(rows["text"].combine_chunks())
-    tokens, doc = token_stream(data, offsets)
-    return tokens, doc, ngram_keys(tokens, doc, order), rows["held_out"].to_numpy()[doc]
+class Grams:
+    """The distinct n-grams of one order in a block: sorted keys, a place of each, its number by place (-1: none), counts."""
 
-
-def gram_counts(keys: list[np.ndarray], held: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The sorted distinct n-grams of these orders and their training counts in the block."""
-    stacked, train = np.concatenate(keys), np.tile(~held, len(keys))
-    train = train[stacked != 0]
-    stacked = stacked[stacked != 0]
-    by = np.argsort(stacked)
-    k = stacked[by]
-    edge = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.empty(0, np.int64)
-    return k[edge], np.add.reduceat(train[by].astype(np.int64), edge) if len(k) else np.empty(0, np.int64)
+    def __init__(self, key: np.ndarray, held: np.ndarray):
+        at = np.flatnonzero(key)
+        self.key, first, number = np.unique(key[at], return_index=True, return_inverse=True)
+        self.place = at[first]
+        self.number = np.full(len(key), -1, np.int32)
+        self.number[at] = number
+        self.own = np.bincount(number[~held[at]], minlength=len(self.key))
+        self.total, self.shared = self.own.copy(), np.zeros(len(self.key), bool)
 
 
 class Counted:
-    """A block's n-grams with what the corpus has answered about them, round by round."""
+    """A block's n-grams with what the corpus has answered about them, round by round.
+
+    `asked` and `own` are the sorted n-grams that the round asks about, and their training counts in the block.
+    """
 
     def __init__(self, rows: pa.Table, order: int):
-        self.tokens, self.doc, self.keys, self.held = read_block(rows, order)
-        self.order, self.round = order, 0
-        self.asked, self.own = gram_counts(self.keys[:2], self.held)
-        self.grams, self.totals = np.empty(0, np.uint64), np.empty(0, np.int64)
-        self.rest = (np.empty(0, np.uint64), np.empty(0, np.int64))
+        data, offsets = text_arrays(rows["text"].combine_chunks())
+        self.tokens, self.doc = token_stream(data, offsets)
+        self.keys = ngram_keys(self.tokens, self.doc, order)
+        self.held = rows["held_out"].to_numpy()[self.doc]
+        self.order = order
+        self.grams = [Grams(key, self.held) for key in self.keys[:2]]
+        self.ask([np.ones(len(g.key), bool) for g in self.grams])
+
+    def ask(self, which: list[np.ndarray]) -> None:
+        """The last orders, one mask each, and of those the n-grams that the masks name."""
+        self.which = list(zip(self.grams[-len(which) :], which, strict=True))
+        keys = np.concatenate([g.key[w] for g, w in self.which])
+        self.by = np.argsort(keys, kind="stable")
+        self.asked, self.own = keys[self.by], np.concatenate([g.own[w] for g, w in self.which])[self.by]
 
     def hear(self, found: np.ndarray) -> None:
-        """Takes the answers to what is asked in this round; what the next one asks is in `asked` and `own`.
+        """Takes the answers to what is asked in this round; then `asked` is what the next one asks.
 
         An answer is twice the training count, and one more where another block holds the n-gram too, in training or not.
         """
-        found, shared = found >> 1, (found & 1) > 0
-        grams, totals = np.concatenate([self.asked, self.rest[0]]), np.concatenate([found, self.rest[1]])
-        more = np.concatenate([shared, np.zeros(len(self.rest[0]), bool)])
-        self.grams, self.totals = np.concatenate([self.grams, grams]), np.concatenate([self.totals, totals])
-        self.round += 1
-        n = self.round + 2
-        if n > self.order:
+        answers = np.empty(len(found), np.int64)
+        answers[self.by] = found
+        at = 0
+        for g, w in self.which:
+            mine = answers[at : at + w.sum()]
+            g.total[w], g.shared[w] = mine >> 1, (mine & 1) > 0
+            at += len(mine)
+        if len(self.grams) == self.order:
             return
-        # an n-gram occurs elsewhere only where both (n - 1)-grams inside it do
-        find = Lookup(grams)
-        place = find.find(self.keys[n - 2])
-        elsewhere = (place >= 0) & (self.keys[n - 2] != 0) & (more[np.maximum(place, 0)] if len(more) else False)
-        both = elsewhere.copy()
-        both[1:] &= elsewhere[:-1]
-        keys, own = gram_counts([self.keys[n - 1]], self.held)
-        asked, asked_own = gram_counts([np.where(both, self.keys[n - 1], U64(0))], self.held)
-        local = ~np.isin(keys, asked, assume_unique=True)
-        self.asked, self.own, self.rest = asked, asked_own, (keys[local], own[local])
+        # an n-gram is in another block only where both (n - 1)-grams inside it are
+        before = self.grams[-1]
+        elsewhere = np.append(before.shared, False)[before.number]
+        g = Grams(self.keys[len(self.grams)], self.held)
+        self.grams.append(g)
+        self.ask([elsewhere[g.place] & elsewhere[g.place - 1]])
 
 
 def packed(counts: np.ndarray) -> bytes:
@@ -177,41 +180,31 @@ def cuts(keys: np.ndarray, ranges: int) -> np.ndarray:
 class BackoffAutomaton:
     """The states, arcs and failure arcs that a block's n-grams with training counts span.
 
-    State 0 is the empty history.  `grams[n - 1]` are the distinct n-grams seen in training; those of fewer than `order`
-    tokens are states too.
+    State 0 is the empty history.  The n-grams seen in training are the arcs; those of fewer than `order` tokens are states too.
     """
 
-    def __init__(self, tokens: np.ndarray, keys: list[np.ndarray], distinct: np.ndarray, counts: np.ndarray, total: int, kinds: int, params: LmParams):
-        self.order, self.total, self.kinds = len(keys), total, kinds
+    def __init__(self, tokens: np.ndarray, grams: list[Grams], total: int, kinds: int, params: LmParams):
+        self.order, self.total, self.kinds = len(grams), total, kinds
         mu = params.mu
         self.unseen = np.log10(1 / (total + (kinds + 1)))
-        find = Lookup(distinct)
-
-        def count(k: np.ndarray) -> np.ndarray:
-            row = find.find(k)
-            return np.where((row >= 0) & (k != 0), counts[np.maximum(row, 0)] if len(counts) else 0, 0)
-
         # the token of an arc is its number among the block's tokens; a start symbol is the state that it leads to
         self.alphabet, self.token = np.unique(tokens, return_inverse=True)
-        ends = int(count(ngram_keys(np.array([END_TOKEN]), np.zeros(1, int), 1)[0])[0])
+        end_key = ngram_keys(np.array([END_TOKEN]), np.zeros(1, int), 1)[0]
+        ends = int(grams[0].total[grams[0].key == end_key].sum())
         start = np.flatnonzero(self.alphabet == START_TOKEN)
         # states by history length: the empty one, the start (a history of one token), then the n-grams seen
-        state_key, state_count, n_states = [], [], 1
+        state_count, n_states = [], 1
         arcs_at, arcs_of, arcs_to, arcs_p, arcs_c = [], [], [], [], []
-        fail, fail_weight = [np.zeros(1, np.int64)], [np.zeros(1)]
+        fail = [np.zeros(1, np.int64)]
         self.start = 0
         lower_p = None  # by place: the probability of its token under the history of n - 2 tokens
         # by place in the block: the state of the n - 1 tokens that end there, 0 where training has not seen them
         history_state, self_count = np.zeros(len(tokens), np.int64), np.zeros(1, np.int64)
-        for n in range(1, self.order + 1):
-            key = keys[n - 1]
-            seen_at = np.flatnonzero(key)
-            gram, first, group = np.unique(key[seen_at], return_index=True, return_inverse=True)
-            at = seen_at[first]
-            c = count(gram)
+        for n, gram in enumerate(grams, 1):
+            at, c, group = gram.place, gram.total, gram.number
             known = c > 0
             if n == 1:
-                p, source = (c + 1) / (total + (kinds + 1)), np.zeros(len(gram), np.int64)
+                p, source = (c + 1) / (total + (kinds + 1)), np.zeros(len(c), np.int64)
             else:
                 # the state of the history is exact where that history has been seen; else the arc cannot exist
                 source = np.where(at > 0, history_state[np.maximum(at - 1, 0)], 0)
@@ -222,30 +215,26 @@ class BackoffAutomaton:
             arcs_p.append(p[known])
             arcs_c.append(c[known])
             # probability under this order at every place, for the order above
-            here = np.zeros(len(tokens))
-            here[seen_at] = p[group]
+            here = np.append(p, 0.0)[group]
             if n == 1:
                 lower_p = here
             else:
                 held = np.zeros(len(tokens), np.int64)
                 held[1:] = self_count[history_state[:-1]] * (history_state[:-1] > 0)
                 back = np.where(held > 0, mu / (held + mu), 1.0) * lower_p
-                arc_here = np.zeros(len(tokens), bool)
-                arc_here[seen_at] = known[group]
-                lower_p = np.where(arc_here, here, back)
+                lower_p = np.where(np.append(known, False)[group], here, back)
             if n == self.order:
                 # an arc of the longest history leads to the state of what ends it one token shorter
                 arcs_to.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
                 break
             # the n-grams seen are the states of length n; their failure arcs lead to what ends them one token shorter
-            number = np.full(len(gram), -1, np.int64)
-            number[known] = n_states + np.arange(known.sum())
-            arcs_to.append(number[known])
+            number = np.zeros(len(c) + 1, np.int64)
+            number[:-1][known] = n_states + np.arange(known.sum())
+            arcs_to.append(number[:-1][known])
             n_states += int(known.sum())
             state_count.append(c[known])
             fail.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
-            exact = np.zeros(len(tokens), np.int64)
-            exact[seen_at] = np.maximum(number[group], 0)
+            exact = number[group]
             if n == 1 and len(start) and ends:
                 # the start of a text is a history of its own, as often as texts end
                 self.start = n_states
@@ -426,8 +415,8 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
     def first_questions(batches):
         for batch in batches:
             for block, blob in zip(batch.column(0), batch.column(1), strict=True):
-                _, _, keys, held = read_block(unsqueezed(blob), min(order, 2))
-                yield pa.RecordBatch.from_pydict(spread(*gram_counts(keys, held), block.as_py(), ranges))
+                counted = Counted(unsqueezed(blob), min(order, 2))
+                yield pa.RecordBatch.from_pydict(spread(counted.asked, counted.own, block.as_py(), ranges))
             release()
 
     def more_questions(rounds: int):
@@ -444,7 +433,10 @@ def score_corpus(documents: DataFrame, held_out, params: LmParams = LmParams())
             return pa.schema(SCORED).empty_table()
         rows, counted = heard(texts, answers, order, rounds)
         n, tokens, doc = rows.num_rows, counted.tokens, counted.doc
-        automaton = BackoffAutomaton(tokens, counted.keys, counted.grams, counted.totals, total, kinds, params)
+        grams = counted.grams
+        del counted
+        automaton = BackoffAutomaton(tokens, grams, total, kinds, params)
+        del grams
         base, weight, c = automaton.traverse(tokens, doc, params.stretch)
         real = tokens != START_TOKEN
         d = doc[real]
