@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .components import components
-from .tables import settle, table
+from .tables import discard, settle, table
 from .textkit import U64, blocks, mix, releasing, segment_hash, words
 
 
@@ -192,7 +192,10 @@ def extended(labels: DataFrame, links: DataFrame) -> DataFrame:
     ends = labelled(labelled(links.select("a", "b"), "a", labels, "la"), "b", labels, "lb").where("la <> lb")
     joined = components(ends.select(F.col("la").alias("a"), F.col("lb").alias("b")))
     moved = labelled(labels.withColumnRenamed("label", "old"), "old", joined, "label").select("id", "label")
-    return settle(moved.union(joined.join(labels, "id", "left_anti").select("id", "label")), "labels")
+    out = settle(moved.union(joined.join(labels, "id", "left_anti").select("id", "label")), "labels")
+    discard(joined)
+    discard(labels)
+    return out
 
 
 def centre_links(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
@@ -209,7 +212,10 @@ def centre_links(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFr
         labels = settle(components(links), "labels") if labels is None else extended(labels, links)
         left = labelled(labelled(ranked.where(F.col("turn") > few).drop("turn"), "a", labels, "la"), "b", labels, "lb")
         pairs = settle(left.where("la <> lb").select("a", "b", "n"), "pairs")
+        discard(ranked)
+        discard(links)
         if not pairs.limit(1).count():
+            discard(pairs)
             return labels
         few *= 2
 
@@ -295,8 +301,8 @@ def classes(documents: DataFrame, params: NearDupParams) -> tuple[DataFrame, Dat
     centres = settle(buckets.groupBy("band", "value").agg(F.min("id").alias("a"), F.count(F.lit(1)).alias("size")).where("size > 1").drop("size"), "centres")
     in_bucket = settle(buckets.join(centres, ["band", "value"]).select("band", "value", "a", F.col("id").alias("b")).where("a <> b"), "buckets")
     pairs = settle(in_bucket.groupBy("a", "b").agg(F.count(F.lit(1)).alias("n")), "pairs")
-    wanted = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
-    texts = settle(wanted.join(nodes, "node").select(F.col("rep").alias("doc_id")).distinct(), "wanted")
+    wanted = settle(pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct(), "wanted")
+    texts = settle(wanted.join(nodes, "node").select(F.col("rep").alias("doc_id")).distinct(), "texts")
     sets = settle(bag_sets(docs.join(texts, "doc_id", "left_semi"), params).groupBy("node").agg(F.min("items").alias("items")), "bags")
     labels = centre_links(pairs, sets, params.similarity)
     more = open_links(in_bucket, labels, sets, params)
@@ -307,7 +313,10 @@ def classes(documents: DataFrame, params: NearDupParams) -> tuple[DataFrame, Dat
     of_links = linked.join(first, "label").select("node", F.col("first.rep").alias("class_id"), F.col("first.node").alias("keeper"))
     alone = nodes.where("copies > 1").join(labels.select(F.col("id").alias("node")), "node", "left_anti")
     of_copies = alone.select("node", F.col("rep").alias("class_id"), F.col("node").alias("keeper"))
-    return sig.select("doc_id", "node"), settle(of_links.union(of_copies), "classes")
+    found = settle(of_links.union(of_copies), "classes")
+    for done in (nodes, centres, in_bucket, pairs, wanted, texts, sets, labels, more):
+        discard(done)
+    return sig.select("doc_id", "node"), found
 
 
 def near_duplicates(documents: DataFrame, params: NearDupParams = NearDupParams()) -> DataFrame:
