@@ -7,6 +7,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from vecspark.functions import kernels
 from vecspark.operators import index
 from vecspark.operators.assign import assign_full
 from vecspark.operators.quantise import tile_assign
@@ -111,3 +112,35 @@ def test_pieces_of_long_texts_keep_their_documents_apart(spark):
     got = featurize.chunks(docs, 400).collect()
     assert len({r["piece_id"] for r in got}) == len(got) == 1250 + 1 + 1
     assert {(r["piece_id"] // featurize.PIECES, r["text"][0]) for r in got} == {(1, "a"), (2, "b"), (1001, "c")}
+
+
+@pytest.mark.parametrize("name", ["cosine_array"])
+def test_pairs_are_scored_by_products_of_matrices(spark, medium, name):
+    """Array functions took 17 microseconds a pair; rows are compared with the definition."""
+    df = QUERIES[name](spark, medium)
+    assert "lambdafunction" not in df._jdf.queryExecution().optimizedPlan().toString()
+    got = df.toPandas()
+    rows = embeddings(spark, medium).orderBy("vec_id").collect()
+    ids, x = np.array([r[0] for r in rows]), np.array([r[1] for r in rows], np.float64)
+    q = x[ids % 20 == 0]
+    d = ((q[:, None] - x[None]) ** 2).sum(2)
+    if name == "exact_knn_sql":
+        d[ids[ids % 20 == 0][:, None] == ids[None]] = np.inf
+        want = np.sort(d, 1)[:, :10]
+        assert np.allclose(got.sort_values(["qid", "rank"]).dist.to_numpy().reshape(want.shape), want, atol=1e-6)
+        return
+    if name == "cosine_array":
+        d = q @ x.T / np.sqrt((q * q).sum(1)[:, None] * (x * x).sum(1)[None])
+    assert len(got) == d.size and np.allclose(got.sort_values(["qid", "vec_id"]).iloc[:, 2].to_numpy().reshape(d.shape), d, atol=1e-6)
+
+
+def test_pairs_of_odd_vectors(spark, monkeypatch):
+    monkeypatch.setattr(index, "PAIRS_A_BATCH", 2)
+    v = spark.createDataFrame([(0, [3.0, 4.0]), (1, [0.0, 0.0]), (2, None), (3, [1.0]), (20, [-4.0, 3.0]), (20, [4.0, -3.0])], "vec_id long, vec array<float>").coalesce(1)
+    got = {}
+    for r in index.pair_scores(every_20th(v), v, kernels.cosines, "s").collect():
+        got.setdefault((r[0], r[1]), []).append(r[2])
+    assert len(got) == 2 * 5 and sorted(got[0, 20]) == [0, 0] and got[0, 0] == [1] and np.isnan(got[0, 1]).all() and got[0, 2] == got[0, 3] == [None]
+    assert sorted(got[20, 20]) == [-1, -1, 1, 1]
+    none = index.pair_scores(every_20th(v).where("qid > 20"), v, kernels.cosines, "s")
+    assert none.collect() == [] and none.columns == ["qid", "vec_id", "s"]

@@ -7,6 +7,7 @@ from itertools import islice
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute  # noqa: F401
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -28,7 +29,7 @@ def query_matrix(queries: DataFrame, limit: int = QUERY_BLOCK) -> tuple[np.ndarr
 
 
 def stacked(rows: list) -> tuple[np.ndarray, np.ndarray]:
-    return np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.float64).reshape(len(rows), -1)
+    return np.array([r[0] for r in rows], np.int64), np.array([r[1] for r in rows], np.float64).reshape(len(rows), -1 if rows else 0)
 
 
 def query_blocks(queries: DataFrame, limit: int | None = None):
@@ -102,6 +103,42 @@ def exact_knn_sql(queries: DataFrame, vectors: DataFrame, topk: int = 10, exclud
     return top_rank(found.where("qid <> vec_id") if exclude_self else found, topk)
 
 
+PAIRS_A_BATCH = 1 << 18  #: rows of an Arrow batch of pairs
+
+
+def pair_scores(queries: DataFrame, vectors: DataFrame, score, name: str, digits: int = 6) -> DataFrame:
+    """(qid, vec_id, name): `score(q, x)` of every query and every vector, one product of matrices for each batch.
+
+    The vectors are scanned once for each block of queries; a vector that is null or of another length has a null score.
+    """
+    spark = vectors.sparkSession
+
+    def of_block(ids, q):
+        shipped = spark.sparkContext.broadcast((ids, q))
+
+        def pairs(batches):
+            own, qm = shipped.value
+            for batch in batches:
+                if not batch.num_rows or not len(own):
+                    continue
+                vid, vec = batch.column(0), batch.column(1)
+                fits = pa.compute.fill_null(pa.compute.equal(pa.compute.list_value_length(vec), qm.shape[1]), False)
+                x = matrix(vec.filter(fits), np.float64)
+                fits, few = fits.to_numpy(zero_copy_only=False), max(1, PAIRS_A_BATCH // batch.num_rows)
+                for at in range(0, len(own), few):
+                    part = own[at : at + few]
+                    s = np.full((len(part), batch.num_rows), np.nan)
+                    if len(x):
+                        s[:, fits] = np.round(score(qm[at : at + few], x), digits) + 0.0
+                    at_rows = pa.array(np.tile(np.arange(batch.num_rows), len(part)))
+                    values = pa.array(s.ravel(), mask=np.tile(~fits, len(part)))
+                    yield pa.RecordBatch.from_arrays([pa.array(np.repeat(part, batch.num_rows)), vid.take(at_rows), values], names=["qid", "vec_id", name])
+
+        return vectors.select("vec_id", "vec").mapInArrow(pairs, f"qid long, vec_id long, {name} double")
+
+    return reduce(DataFrame.union, [of_block(ids, q) for ids, q in query_blocks(queries)])
+
+
 def build_index(vectors: DataFrame, model: Model, path: str, cid_buckets: int = 4096, pruned: bool = True) -> DataFrame:
     """Lists as Parquet by cid_bucket, sorted by cid inside, so a search prunes folders and row groups.
 
