@@ -96,10 +96,8 @@ def top_rank(found: DataFrame, topk: int) -> DataFrame:
 
 
 def exact_knn_sql(queries: DataFrame, vectors: DataFrame, topk: int = 10, exclude_self: bool = True) -> DataFrame:
-    """The same as one broadcast row of the stated query set and row-local distances."""
-    pairs = vectors.join(F.broadcast(queries.agg(F.collect_list(F.struct("qid", "qvec")).alias("qs")))).select("vec_id", "vec", F.explode("qs").alias("q"))
-    dist = F.aggregate(F.zip_with("vec", "q.qvec", lambda a, b: (a.cast("double") - b.cast("double")) * (a.cast("double") - b.cast("double"))), F.lit(0.0), lambda s, v: s + v)
-    found = pairs.select(F.col("q.qid").alias("qid"), "vec_id", F.round(dist, 9).alias("dist"))
+    """The same with every pair as a row: distances by products of matrices, ranks by a window over all pairs."""
+    found = pair_scores(queries, vectors, sq_dists, "dist", 9).where("dist is not null")
     return top_rank(found.where("qid <> vec_id") if exclude_self else found, topk)
 
 
