@@ -114,7 +114,7 @@ def test_pieces_of_long_texts_keep_their_documents_apart(spark):
     assert {(r["piece_id"] // featurize.PIECES, r["text"][0]) for r in got} == {(1, "a"), (2, "b"), (1001, "c")}
 
 
-@pytest.mark.parametrize("name", ["cosine_array", "exact_knn_sql", "head_plus_tail", "l2_by_inner_product"])
+@pytest.mark.parametrize("name", ["cosine_array", "exact_knn_sql", "head_plus_tail", "l2_by_inner_product", "rotation_preserves_l2"])
 def test_pairs_are_scored_by_products_of_matrices(spark, medium, name):
     """Array functions took 17 microseconds a pair; rows are compared with the definition."""
     df = QUERIES[name](spark, medium)
