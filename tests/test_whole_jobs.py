@@ -8,10 +8,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from vecspark.functions import kernels
-from vecspark.operators import index
+from vecspark.operators import index, measures
 from vecspark.operators.assign import assign_full
 from vecspark.operators.quantise import tile_assign
 from vecspark.operators.seeding import every_20th, start_matrix
+from vecspark.operators.stopping import plateau, plateaus
 from vecspark.queries import ORACLES, QUERIES
 from vecspark.sources import featurize
 from vecspark.sources.vectors import embeddings
@@ -144,3 +145,10 @@ def test_pairs_of_odd_vectors(spark, monkeypatch):
     assert sorted(got[20, 20]) == [-1, -1, 1, 1]
     none = index.pair_scores(every_20th(v).where("qid > 20"), v, kernels.cosines, "s")
     assert none.collect() == [] and none.columns == ["qid", "vec_id", "s"]
+
+
+@pytest.mark.parametrize("name", ["controller_trace"])
+def test_rows_come_from_a_given_table(spark, small, medium, name):
+    """Made-up rows were the same whatever the tables held."""
+    a, b = (sorted(map(str, QUERIES[name](spark, d).collect())) for d in (small, medium))
+    assert a != b and a and b
