@@ -147,8 +147,20 @@ def test_pairs_of_odd_vectors(spark, monkeypatch):
     assert none.collect() == [] and none.columns == ["qid", "vec_id", "s"]
 
 
-@pytest.mark.parametrize("name", ["controller_trace", "default_k_table", "iter_lag", "model_json_roundtrip"])
+@pytest.mark.parametrize("name", ["controller_trace", "default_k_table", "iter_lag", "model_json_roundtrip", "pareto_front"])
 def test_rows_come_from_a_given_table(spark, small, medium, name):
     """Made-up rows were the same whatever the tables held."""
     a, b = (sorted(map(str, QUERIES[name](spark, d).collect())) for d in (small, medium))
     assert a != b and a and b
+
+
+def test_pareto_front_is_that_of_all_pairs(spark):
+    rng = np.random.default_rng(1)
+    rows = [(i, int(a), float(b), int(c)) for i, (a, b, c) in enumerate(rng.integers(0, 30, (400, 3)))] + [(900, None, 1.0, 1), (901, 2, None, 3)]
+    df = spark.createDataFrame(rows, "id int, a int, b double, c int").repartition(5)
+    best = lambda r, s: s[1] <= r[1] and s[2] <= r[2] and s[3] >= r[3] and s[1:] != r[1:]
+    full = [r for r in rows if None not in r]
+    want = sorted(r[0] for r in full if not any(best(r, s) for s in full)) + [900, 901]
+    front = measures.pareto(df, ["a", "b"], ["c"])
+    assert sorted(r["id"] for r in front.collect()) == want and front.columns == df.columns
+    assert measures.pareto(df.where("id < 0"), ["a"], ["c"]).collect() == []
