@@ -147,13 +147,22 @@ def test_pairs_of_odd_vectors(spark, monkeypatch):
     assert none.collect() == [] and none.columns == ["qid", "vec_id", "s"]
 
 
-@pytest.mark.parametrize("name", ["controller_trace", "default_k_table", "iter_lag", "model_json_roundtrip", "pareto_front"])
+@pytest.mark.parametrize("name", ["controller_trace", "default_k_table", "iter_lag", "model_json_roundtrip", "pareto_front", "patience_trace"])
 def test_rows_come_from_a_given_table(spark, small, medium, name):
     """Made-up rows were the same whatever the tables held."""
     a, b = (sorted(map(str, QUERIES[name](spark, d).collect())) for d in (small, medium))
     assert a != b and a and b
 
 
+def test_plateaus_are_those_of_every_prefix():
+    rng = np.random.default_rng(0)
+    for rule in ("patience", "window"):
+        for patience in (1, 2, 3):
+            x = np.round(rng.random(60), 2).tolist()
+            assert plateaus(x, 0.1, patience, rule) == [plateau(x[: i + 1], 0.1, patience, rule) for i in range(60)]
+    assert plateaus([], 0.1) == []
+
+
 def test_pareto_front_is_that_of_all_pairs(spark):
     rng = np.random.default_rng(1)
     rows = [(i, int(a), float(b), int(c)) for i, (a, b, c) in enumerate(rng.integers(0, 30, (400, 3)))] + [(900, None, 1.0, 1), (901, 2, None, 3)]
