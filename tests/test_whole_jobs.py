@@ -147,7 +147,7 @@ def test_pairs_of_odd_vectors(spark, monkeypatch):
     assert none.collect() == [] and none.columns == ["qid", "vec_id", "s"]
 
 
-@pytest.mark.parametrize("name", ["controller_trace", "default_k_table", "iter_lag", "model_json_roundtrip", "pareto_front", "patience_trace", "recursive_iter_table", "space_model_table", "split_empty", "theta_table"])
+@pytest.mark.parametrize("name", ["controller_trace", "default_k_table", "iter_lag", "model_json_roundtrip", "pareto_front", "patience_trace", "recursive_iter_table", "space_model_table", "split_empty", "theta_table", "two_level_shares"])
 def test_rows_come_from_a_given_table(spark, small, medium, name):
     """Made-up rows were the same whatever the tables held."""
     a, b = (sorted(map(str, QUERIES[name](spark, d).collect())) for d in (small, medium))
