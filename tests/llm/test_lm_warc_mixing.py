@@ -144,3 +144,20 @@ def test_sql_twins(spark, small, name):
     want = con.sql(ORACLES[name]).df()[list(got.columns)]
     key = lambda df: sorted(map(str, df.astype(object).where(df.notna(), None).itertuples(index=False, name=None)))
     assert [re.sub(r"(\d)\.0\b", r"\1", x) for x in key(got)] == [re.sub(r"(\d)\.0\b", r"\1", x) for x in key(want)]
+
+
+def test_the_empty_history_answers_by_token_and_grams_keep_their_order():
+    """Every arc of the empty history was searched for among those of all states."""
+    from vecspark.llm.lm import BackoffAutomaton, Grams, LmParams, ngram_keys
+
+    tokens = np.array([5, 7, 5, 7, 9, 5], np.uint64) + np.uint64(1 << 40)
+    doc = np.zeros(6, int)
+    held = np.array([False] * 5 + [True])
+    grams = [Grams(k, held) for k in ngram_keys(tokens, doc, 2)]
+    for g, k in zip(grams, ngram_keys(tokens, doc, 2), strict=True):
+        assert (np.diff(g.key.astype(object)) > 0).all() and (k[g.place] == g.key).all() and (g.key[g.number[k > 0]] == k[k > 0]).all()
+    assert sorted(grams[0].own) == [1, 2, 2]
+    a = BackoffAutomaton(tokens, grams, 5, 3, LmParams(order=2))
+    assert a.root_count[a.token].tolist() == [2, 2, 2, 2, 1, 2] and (a.arc_key >= a.size).all()
+    weight, to = a.step(np.zeros(6, np.int64), a.token)
+    assert np.allclose(10**weight, (a.root_count[a.token] + 1) / 9) and (to == a.root_to[a.token]).all()

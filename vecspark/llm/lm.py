@@ -88,8 +88,13 @@ class Grams:
 
     def __init__(self, key: np.ndarray, held: np.ndarray):
         at = np.flatnonzero(key)
-        self.key, first, number = np.unique(key[at], return_index=True, return_inverse=True)
-        self.place = at[first]
+        by = np.argsort(key[at])  # np.unique's own sort is stable and slower, and any place of an n-gram serves
+        at = at[by]
+        ordered = key[at]
+        new = np.ones(len(at), bool)
+        new[1:] = ordered[1:] != ordered[:-1]
+        self.key, self.place = ordered[new], at[new]
+        number = np.cumsum(new, dtype=np.int32) - 1
         self.number = np.full(len(key), -1, np.int32)
         self.number[at] = number
         self.own = np.bincount(number[~held[at]], minlength=len(self.key))
@@ -187,14 +192,14 @@ class BackoffAutomaton:
         self.order, self.total, self.kinds = len(grams), total, kinds
         mu = params.mu
         self.unseen = np.log10(1 / (total + (kinds + 1)))
-        # the token of an arc is its number among the block's tokens; a start symbol is the state that it leads to
-        self.alphabet, self.token = np.unique(tokens, return_inverse=True)
+        # the token of an arc is its number among the block's tokens, and the start symbol's is behind them
+        starts = grams[0].number < 0
+        self.token = np.where(starts, len(grams[0].key), grams[0].number).astype(np.int64)
         end_key = ngram_keys(np.array([END_TOKEN]), np.zeros(1, int), 1)[0]
         ends = int(grams[0].total[grams[0].key == end_key].sum())
-        start = np.flatnonzero(self.alphabet == START_TOKEN)
         # states by history length: the empty one, the start (a history of one token), then the n-grams seen
         state_count, n_states = [], 1
-        arcs_at, arcs_of, arcs_to, arcs_p, arcs_c = [], [], [], [], []
+        arcs_at, arcs_of, arcs_to, arcs_p, arcs_c = [], [], [], [], []  # by order
         fail = [np.zeros(1, np.int64)]
         self.start = 0
         lower_p = None  # by place: the probability of its token under the history of n - 2 tokens
@@ -235,26 +240,31 @@ class BackoffAutomaton:
             state_count.append(c[known])
             fail.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
             exact = number[group]
-            if n == 1 and len(start) and ends:
+            if n == 1 and ends and starts.any():
                 # the start of a text is a history of its own, as often as texts end
                 self.start = n_states
                 n_states += 1
                 state_count.append(np.array([ends]))
                 fail.append(np.zeros(1, np.int64))
-                exact[tokens == START_TOKEN] = self.start
+                exact[starts] = self.start
             history_state = exact
             self_count = np.concatenate([[0], *state_count])
         self.fail = np.concatenate(fail)
         weights = np.concatenate([[0], *state_count]) if state_count else np.zeros(1)
         self.fail_weight = np.where(weights > 0, np.log10(mu / (weights + mu)), 0.0)
-        size = max(1, len(self.alphabet))
-        key = np.concatenate(arcs_of) * size + self.token[np.concatenate(arcs_at)]
+        self.size = len(grams[0].key) + 1
+        # the empty history's arcs stand by token, the others sorted by state and token
+        own = self.token[arcs_at[0]]
+        self.root_weight, self.root_to, self.root_count = np.full(self.size, self.unseen), np.zeros(self.size, np.int64), np.zeros(self.size, np.int64)
+        self.root_weight[own], self.root_to[own], self.root_count[own] = np.log10(arcs_p[0]), arcs_to[0], arcs_c[0]
+        none = np.empty(0, np.int64)
+        key = np.concatenate([none, *(of * self.size + self.token[at] for of, at in zip(arcs_of[1:], arcs_at[1:], strict=True))])
         by = np.argsort(key)
-        self.size, self.arc_key, self.arc_weight = size, key[by], np.log10(np.concatenate(arcs_p)[by])
-        self.arc_to, self.arc_count = np.concatenate(arcs_to)[by], np.concatenate(arcs_c)[by]
+        self.arc_key, self.arc_weight = key[by], np.log10(np.concatenate([np.empty(0), *arcs_p[1:]])[by])
+        self.arc_to = np.concatenate([none, *arcs_to[1:]])[by]
 
     def arc(self, state: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(place, whether there is one) of the arcs of these states for these tokens."""
+        """(place, whether there is one) of the arcs of these states, none of them the empty history, for these tokens."""
         key = state * self.size + token
         at = np.minimum(np.searchsorted(self.arc_key, key), max(0, len(self.arc_key) - 1))
         return at, self.arc_key[at] == key if len(self.arc_key) else np.zeros(len(key), bool)
@@ -264,14 +274,16 @@ class BackoffAutomaton:
         weight, to = np.zeros(len(state)), np.zeros(len(state), np.int64)
         left, state = np.arange(len(state)), state.copy()
         while len(left):
+            root = state[left] == 0
+            done = left[root]
+            weight[done] += self.root_weight[token[done]]
+            to[done] = self.root_to[token[done]]
+            left = left[~root]
             at, found = self.arc(state[left], token[left])
             done = left[found]
             weight[done] += self.arc_weight[at[found]]
             to[done] = self.arc_to[at[found]]
             left = left[~found]
-            root = state[left] == 0
-            weight[left[root]] += self.unseen
-            left = left[~root]
             weight[left] += self.fail_weight[state[left]]
             state[left] = self.fail[state[left]]
         return weight, to
@@ -296,8 +308,7 @@ class BackoffAutomaton:
             weight[place[live][own]] = w[own]
             place[live] += 1
             live = live[place[live] < end[live]]
-        at, found = self.arc(np.zeros(n, np.int64), self.token)
-        known = np.where(found, self.arc_count[at] if len(self.arc_count) else 0, 0)
+        known = self.root_count[self.token]
         return np.log10((known + 1) / (self.total + (self.kinds + 1))), weight, known
 
 
