@@ -61,3 +61,34 @@ def test_scores_equal_a_plain_forward_pass(make_docs, text, odd_texts):
         p = 1 / (1 + np.exp(-np.clip(model.slope * z + model.shift, -30, 30)))
         want = p
         assert np.isclose(got[i], want, atol=1e-4), (i, got[i], want)
+
+
+def test_every_labelled_row_and_character_is_learned_from(spark):
+    """Counts, model and thresholds came from 1500 rows a label and 20000 characters of a text."""
+    from vecspark.llm import toxicity as t
+
+    params = ToxicParams(steps=30, epochs=2, shard_rows=1000, rounds=2)
+    filler = "plain words and more of them " * 800
+    rows = [(i, ("word " * (i % 5)) + ("awful nasty" if i % 2 else "fine day") + (filler + " zzrare" if i in (3, 5, 9, 11, 15) else ""), i % 2, "en" if i % 3 else None) for i in range(4000)]
+    docs = spark.createDataFrame([(r[0], r[1], r[3]) for r in rows], "doc_id long, text string, lang string")
+    labels = spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id long, toxic int")
+    marks = labels.select("doc_id", F.col("toxic").alias("y"))
+    hashed = t.hashed_rows(docs, marks, 4, params)
+    held = {r[0] for r in docs.where("pmod(xxhash64(doc_id), 5) = 4").select("doc_id").collect()}
+    assert hashed.count() == 4000 and hashed.where("held").count() == len(held)
+    want = np.zeros((2, 1 << params.hash_bits))
+    for i, text, y, _ in rows:
+        if i not in held:
+            parts = word_parts(*text_arrays(pa.array([text], pa.large_string())), params.hash_bits)[0]
+            want[y][np.unique(parts[parts >= 0])] += 1
+    assert (t.texts_by_row(hashed, params) == want).all()
+    model = fit_toxicity(docs, labels, params)
+    z, y, langs = t.held_margins(hashed, model)
+    assert len(z) == len(held) and set(langs) == {"en", ""} and set(model.thresholds) == {"en", ""}
+    again = t.calibrate(t.replace(model, thresholds={}), z, y, langs, 0.5, params)
+    assert (again.slope, again.shift, again.thresholds) == (model.slope, model.shift, model.thresholds)
+    assert ((model.probability(z) >= 0.5) == (y == 1)).all()
+    rare = word_parts(*text_arrays(pa.array(["zzrare"], pa.large_string())), params.hash_bits)[0][0, 0]
+    assert model.row_of[rare] < len(model.embedding) - 1
+    other = fit_toxicity(docs.repartition(7), labels.repartition(3), params)
+    assert np.allclose(other.embedding, model.embedding, atol=1e-4) and np.isclose(other.shift, model.shift, atol=1e-3)

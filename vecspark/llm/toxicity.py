@@ -7,14 +7,20 @@ text, each keeps its largest response, and a logistic layer reads those.  Hash r
 probability is calibrated on rows held out of the training, to the share of toxic rows among all labels; a
 threshold for each language is calibrated on the same rows and serves the `flagged` column alone.
 
-The training reads a bounded sample of labelled rows (`ToxicParams`); every text is scored whole.
+Every labelled row teaches, by its whole text.  The rows' words are hashed once; the counts by hash row, and with them
+the start, are those of all training rows.  Rows are dealt by a hash of the id to shards of about `shard_rows`; in
+each round every shard goes on from the same model over all its rows, label-weighted so that both labels count alike, and
+the shards' models are averaged by their rows (one shard is plain training).  Every fifth row by hash calibrates, and all
+of those do: slope, shift and thresholds come from the margins of them all.  Rows that repeat an id teach each.
 Defined results: a null text is the empty text and has the score of a text without words; with no usable labels
 the score is the share of toxic labels, or 0 where there are none.  The score never sees lang, source or labels.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+import pickle
+import uuid
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
@@ -23,7 +29,7 @@ from pyspark.sql import functions as F
 
 from .decontaminate import word_hashes
 from .quality import platt
-from .tables import labelled_sample, table
+from .tables import discard, new_path, table
 from .textkit import Segments, blocks, crc_mod, lower_ascii, mix, releasing, segment_hash, text_arrays
 
 WIDTHS = (1, 2, 3)
@@ -47,8 +53,8 @@ def word_parts(data: np.ndarray, offsets: np.ndarray, bits: int):
 
 @dataclass(frozen=True)
 class ToxicParams:
-    sample_rows: int = 1500  #: bound of the sample, for either label
-    sample_chars: int = 20_000
+    shard_rows: int = 3000  #: about as many labelled rows train side by side with other shards
+    rounds: int = 5  #: averages of the shards' models
     hash_bits: int = 15
     size: int = 12  #: of an embedding
     filters: int = 8  #: of each width
@@ -117,35 +123,40 @@ def convolve(e: np.ndarray, pad: np.ndarray, kernel: np.ndarray) -> np.ndarray:
     return out
 
 
-def fit(rows: list, prior: float, params: ToxicParams) -> ToxicModel:
-    """rows: (text, y, lang).  Adam on the log loss; every fifth row calibrates."""
+def prior_model(prior: float, params: ToxicParams) -> ToxicModel:
+    """Scores every text by the share of toxic labels."""
+    p, size, n_filters = min(max(prior, 1e-4), 1 - 1e-4), params.size, params.filters
+    return ToxicModel(np.zeros((1, size), np.float32), np.zeros((1 << params.hash_bits) + 1, np.int64), [np.zeros((w, size, n_filters), np.float32) for w in WIDTHS], [np.zeros(n_filters, np.float32) for _ in WIDTHS], np.zeros(n_filters * len(WIDTHS)), 0.0, 1.0, float(np.log(p / (1 - p))))
+
+
+def start_model(texts_with: np.ndarray, n: np.ndarray, params: ToxicParams) -> ToxicModel:
+    """texts_with: by label and hash row the training texts that hold it; n: the training texts by label."""
     rng = np.random.default_rng(params.seed)
-    y = np.array([r[1] for r in rows], float)
     size, n_filters = params.size, params.filters
-    if len(y) < 10 or y.min() == y.max():
-        p = min(max(prior, 1e-4), 1 - 1e-4)
-        return ToxicModel(np.zeros((1, size), np.float32), np.zeros((1 << params.hash_bits) + 1, np.int64), [np.zeros((w, size, n_filters), np.float32) for w in WIDTHS], [np.zeros(n_filters, np.float32) for _ in WIDTHS], np.zeros(n_filters * len(WIDTHS)), 0.0, 1.0, float(np.log(p / (1 - p))))
-    hashed = []
-    for text, *_ in rows:
-        hashed.append(word_parts(*text_arrays(pa.array([text], pa.large_string())), params.hash_bits)[0])
-    held = np.arange(len(y)) % 5 == 4
-    train = np.flatnonzero(~held)
-    texts_with = np.zeros((2, 1 << params.hash_bits))
-    for i in train:
-        texts_with[int(y[i])][np.unique(hashed[i][hashed[i] >= 0])] += 1
     known = np.flatnonzero(texts_with.sum(0) >= params.min_texts)
     zero = len(known)
     row_of = np.full((1 << params.hash_bits) + 1, zero, np.int64)
     row_of[known] = np.arange(zero)
     embedding = rng.normal(0, 0.1, (zero + 1, size)).astype(np.float32)
-    n1, n0 = max(1, (y[train] == 1).sum()), max(1, (y[train] == 0).sum())
+    n0, n1 = max(1, n[0]), max(1, n[1])
     embedding[:zero, 0] = np.log((texts_with[1, known] + 0.5) / (n1 + 1)) - np.log((texts_with[0, known] + 0.5) / (n0 + 1))
     embedding[zero] = 0
     kernels = [rng.normal(0, 0.3 / np.sqrt(w * size), (w, size, n_filters)).astype(np.float32) for w in WIDTHS]
     for k in kernels:
         k[0, 0] += 0.3
-    model = ToxicModel(embedding, row_of, kernels, [np.zeros(n_filters, np.float32) for _ in WIDTHS], rng.normal(0, 0.2, n_filters * len(WIDTHS)) + 0.1, 0.0)
-    ids = [row_of[h] for h in hashed]
+    return ToxicModel(embedding, row_of, kernels, [np.zeros(n_filters, np.float32) for _ in WIDTHS], rng.normal(0, 0.2, n_filters * len(WIDTHS)) + 0.1, 0.0)
+
+
+def epochs_of(n: int, params: ToxicParams) -> int:
+    return max(params.epochs, -(-params.steps // max(1, n // params.batch)))
+
+
+def train(model: ToxicModel, hashed: list, y: np.ndarray, label_weight: np.ndarray, epochs: int, params: ToxicParams, turn: int = 0) -> ToxicModel:
+    """Adam on the log loss from the given model over all the rows; hashed: each text's hash rows."""
+    rng = np.random.default_rng([params.seed, turn])
+    n_filters, zero = params.filters, len(model.embedding) - 1
+    model = replace(model, embedding=model.embedding.copy(), kernels=[k.copy() for k in model.kernels], offsets=[b.copy() for b in model.offsets], weights=model.weights.copy())
+    ids = [model.row_of[h] for h in hashed]
     state: dict[str, list] = {}
 
     def adam(name, value, grad, step):
@@ -156,10 +167,10 @@ def fit(rows: list, prior: float, params: ToxicParams) -> ToxicModel:
         v += 0.01 * grad * grad
         value -= params.rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-6)
 
-    bias, step = np.zeros(1), 0
-    batches = max(1, len(train) // params.batch)
-    for _ in range(max(params.epochs, -(-params.steps // batches))):
-        for batch in np.array_split(rng.permutation(train), batches):
+    bias, step = np.full(1, model.bias), 0
+    batches = max(1, len(ids) // params.batch)
+    for _ in range(epochs):
+        for batch in np.array_split(rng.permutation(len(ids)), batches):
             step += 1
             per = np.array([len(ids[i]) for i in batch])
             seq, starts, lengths, pad = padded(np.concatenate([ids[i] for i in batch]), per, zero)
@@ -172,7 +183,7 @@ def fit(rows: list, prior: float, params: ToxicParams) -> ToxicModel:
                 pooled.append(np.take_along_axis(r, at, 0) + b)
             x = np.concatenate(pooled, 1)
             active = np.maximum(x, 0)
-            g = (1 / (1 + np.exp(-np.clip(active @ model.weights + bias[0], -30, 30))) - y[batch]) / len(batch)
+            g = label_weight[y[batch]] * (1 / (1 + np.exp(-np.clip(active @ model.weights + bias[0], -30, 30))) - y[batch]) / len(batch)
             gx = np.where(x > 0, g[:, None] * model.weights, 0).astype(np.float32)
             adam("weights", model.weights, active.T @ g + 1e-4 * model.weights, step)
             adam("bias", bias, np.array([g.sum()]), step)
@@ -189,20 +200,44 @@ def fit(rows: list, prior: float, params: ToxicParams) -> ToxicModel:
             ge[zero] = 0
             adam("embedding", model.embedding, ge, step)
     model.bias = float(bias[0])
-    z = np.array([model.margins(hashed[i], np.array([len(hashed[i])]))[0] for i in np.flatnonzero(held)])
-    yh = y[held]
-    model.slope, model.shift = platt(z, yh)
-    share = min(max(yh.mean(), 1e-3), 1 - 1e-3)
+    return model
+
+
+def calibrate(model: ToxicModel, z: np.ndarray, y: np.ndarray, langs: np.ndarray, prior: float, params: ToxicParams) -> ToxicModel:
+    """Slope, shift and thresholds by language from the margins of all rows held out of the training."""
+    model.slope, model.shift = platt(z, y) if len(y) else (1.0, 0.0)
     prior = min(max(prior, 1e-3), 1 - 1e-3)
+    share = min(max(y.mean(), 1e-3), 1 - 1e-3) if len(y) else prior
     model.shift += float(np.log(prior / (1 - prior)) - np.log(share / (1 - share)))
     p = model.probability(z)
-    weight = np.where(yh == 1, prior / share, (1 - prior) / (1 - share))
-    langs = np.array([r[2] if r[2] is not None else "" for r in (rows[i] for i in np.flatnonzero(held))])
+    weight = np.where(y == 1, prior / share, (1 - prior) / (1 - share))
     for lang in np.unique(langs):
-        model.thresholds[str(lang)] = calibrated_threshold(p[langs == lang], yh[langs == lang], weight[langs == lang], params.precision)
+        mine = langs == lang
+        model.thresholds[str(lang)] = calibrated_threshold(p[mine], y[mine], weight[mine], params.precision)
     return model
 
 
+def weights_of(n: np.ndarray) -> np.ndarray:
+    return n.sum() / (2 * np.maximum(1, n))
+
+
+def fit(rows: list, prior: float, params: ToxicParams) -> ToxicModel:
+    """rows: (text, y, lang), all at once; every fifth row calibrates."""
+    y = np.array([r[1] for r in rows], np.int64)
+    if len(y) < 10 or y.min() == y.max():
+        return prior_model(prior, params)
+    hashed = [word_parts(*text_arrays(pa.array([text], pa.large_string())), params.hash_bits)[0] for text, *_ in rows]
+    held = np.arange(len(y)) % 5 == 4
+    own = np.flatnonzero(~held)
+    texts_with = np.zeros((2, 1 << params.hash_bits))
+    for i in own:
+        texts_with[y[i]][np.unique(hashed[i][hashed[i] >= 0])] += 1
+    n = np.bincount(y[own], minlength=2)
+    model = train(start_model(texts_with, n, params), [hashed[i] for i in own], y[own], weights_of(n), epochs_of(len(own), params), params)
+    z = np.array([model.margins(hashed[i], np.array([len(hashed[i])]))[0] for i in np.flatnonzero(held)])
+    return calibrate(model, z, y[held], np.array([r[2] or "" for r in rows])[held], prior, params)
+
+
 def calibrated_threshold(p: np.ndarray, y: np.ndarray, weight: np.ndarray, precision: float) -> float:
     """The lowest threshold at which the precision aimed at holds, rows weighted as labels have them; 0.5 where no row is toxic."""
     if not y.any():
@@ -212,18 +247,120 @@ def calibrated_threshold(p: np.ndarray, y: np.ndarray, weight: np.ndarray, preci
     return float(min(0.5, p[order][reached[-1]])) if len(reached) else 0.5
 
 
+def narrow(bits: int) -> type:
+    return np.int16 if bits < 16 else np.int32
+
+
+def unpacked(blob, bits: int) -> np.ndarray:
+    return np.frombuffer(blob.as_buffer(), narrow(bits)).reshape(-1, 1 + len(PREFIXES)).astype(np.int64)
+
+
+def hashed_rows(documents: DataFrame, marks: DataFrame, shards: int, params: ToxicParams) -> DataFrame:
+    """(shard, held, y, lang, parts) of every labelled text, bucketed by shard: hash rows of its words."""
+    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang")).where("text is not null")
+    h = F.xxhash64("doc_id", F.lit("shard"))
+    rows = texts.join(marks, "doc_id").select(F.pmod(h, F.lit(shards)).cast("int").alias("shard"), (F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 4).alias("held"), "y", "lang", "text")
+
+    def hashing(batches):
+        for batch, data, offsets in blocks(batches):
+            parts, per = word_parts(data, offsets, params.hash_bits)
+            flat = parts.astype(narrow(params.hash_bits)).tobytes()
+            ends = np.concatenate([[0], np.cumsum(per)]) * parts.shape[1] * np.dtype(narrow(params.hash_bits)).itemsize
+            out = pa.array([flat[a:b] for a, b in zip(ends, ends[1:])], pa.binary())
+            yield pa.RecordBatch.from_arrays([*batch.columns[:4], out], names=["shard", "held", "y", "lang", "parts"])
+
+    spark = documents.sparkSession
+    name, buckets = f"vecspark_{uuid.uuid4().hex}", min(shards, 4 * spark.sparkContext.defaultParallelism)
+    hashed = rows.mapInArrow(hashing, "shard int, held boolean, y int, lang string, parts binary").repartition(buckets, "shard")
+    hashed.write.bucketBy(buckets, "shard").option("path", new_path(spark, "hashed")).saveAsTable(name)
+    return spark.table(name)
+
+
+def texts_by_row(rows: DataFrame, params: ToxicParams) -> np.ndarray:
+    """By label and hash row the number of training texts that hold it."""
+    size = 1 << params.hash_bits
+
+    def count(batches):
+        total = np.zeros(2 * size, np.int64)
+        for batch in batches:
+            for y, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                held = np.unique(unpacked(blob, params.hash_bits))
+                total[held[held >= 0] + size * y] += 1
+        cell = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(cell.astype(np.int32)), pa.array(total[cell])], names=["cell", "n"])
+
+    found = rows.where("not held").select("y", "parts").mapInArrow(count, "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).collect()
+    out = np.zeros(2 * size)
+    out[[r["cell"] for r in found]] = [r["n"] for r in found]
+    return out.reshape(2, size)
+
+
+def pieces(model: ToxicModel) -> list[np.ndarray]:
+    return [model.embedding, *model.kernels, *model.offsets, model.weights, np.array([model.bias])]
+
+
+def averaged_round(rows: DataFrame, model: ToxicModel, label_weight: np.ndarray, epochs: int, params: ToxicParams, turn: int) -> ToxicModel:
+    """Every shard goes on from the model; their models' mean, weighted by rows, is added up on the executors."""
+    shipped = rows.sparkSession.sparkContext.broadcast(model)
+
+    def go_on(group: pa.Table) -> pa.Table:
+        y, m = group["y"].to_numpy().astype(np.int64), shipped.value
+        hashed = [unpacked(x, params.hash_bits) for x in group["parts"]]
+        by = np.lexsort(([h.sum() for h in hashed], [len(h) for h in hashed], y))  # files come in any order
+        done = train(m, [hashed[i] for i in by], y[by], label_weight, epochs, params, turn)
+        return pa.table({"n": pa.array([len(y)]), "blob": pa.array([pickle.dumps([len(y) * p.astype(np.float64) for p in pieces(done)])], pa.binary())})
+
+    def add_up(batches):
+        n, total = 0, None
+        for batch in batches:
+            for k, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                own = pickle.loads(blob.as_py())
+                n, total = n + k, own if total is None else [a + b for a, b in zip(total, own, strict=True)]
+        if total is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([n]), pa.array([pickle.dumps(total)], pa.binary())], names=["n", "blob"])
+
+    kind = "n long, blob binary"
+    sums = rows.where("not held").select("shard", "y", "parts").groupBy("shard").applyInArrow(releasing(go_on), kind).mapInArrow(add_up, kind)
+    n, blob = sums.repartition(1).mapInArrow(add_up, kind).first()
+    mean = [p / n for p in pickle.loads(blob)]
+    k = len(WIDTHS)
+    return replace(model, embedding=mean[0].astype(np.float32), kernels=[x.astype(np.float32) for x in mean[1 : 1 + k]], offsets=[x.astype(np.float32) for x in mean[1 + k : 1 + 2 * k]], weights=mean[-2], bias=float(mean[-1][0]))
+
+
+def held_margins(rows: DataFrame, model: ToxicModel) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(margins, labels, languages) of every row that calibrates."""
+    shipped = rows.sparkSession.sparkContext.broadcast(model)
+
+    def margins(batches):
+        for batch in batches:
+            parts = [unpacked(x, shipped.value.bits) for x in batch.column(2)]
+            z = np.array([shipped.value.margins(p, np.array([len(p)]))[0] for p in parts], float)
+            yield pa.RecordBatch.from_arrays([pa.array(z), *batch.columns[:2]], names=["z", "y", "lang"])
+
+    found = rows.where("held").select("y", "lang", "parts").mapInArrow(margins, "z double, y int, lang string").toPandas().sort_values(["z", "y", "lang"])
+    return found.z.to_numpy(), found.y.to_numpy(), found.lang.to_numpy(str)
+
+
 def fit_toxicity(documents: DataFrame, labels: DataFrame, params: ToxicParams = ToxicParams(), where=None) -> ToxicModel:
     use = labels.where("toxic is not null")
     if where is not None:
         use = use.where(where(F.col("doc_id")))
     n, toxic = use.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.when(F.col("toxic") > 0, 1).otherwise(0)), F.lit(0))).first()
-    rows = []
-    for value in (0, 1):
-        rows += labelled_sample(documents, use.where(F.col("toxic") == value), "toxic", params.sample_rows, params.sample_chars)
-    ids = documents.sparkSession.createDataFrame([(r[0],) for r in rows], "doc_id long")
-    lang = dict(documents.select(F.col("doc_id").cast("long").alias("doc_id"), "lang").join(F.broadcast(ids), "doc_id").groupBy("doc_id").agg(F.min("lang")).collect())
-    order = np.random.default_rng(params.seed).permutation(len(rows))
-    return releasing(fit)([(rows[i][1], rows[i][2], lang.get(rows[i][0])) for i in order], toxic / n if n else 0.0, params)
+    prior = toxic / n if n else 0.0
+    marks = use.where("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max((F.col("toxic") > 0).cast("int")).alias("y"))
+    shards = max(1, round(n / params.shard_rows))
+    rows = hashed_rows(documents, marks, shards, params)
+    counts = {(r["held"], r["y"]): r["n"] for r in rows.groupBy("held", "y").agg(F.count(F.lit(1)).alias("n")).collect()}
+    by_label = np.array([counts.get((False, y), 0) for y in (0, 1)])
+    if sum(counts.values()) < 10 or not by_label.all():
+        return prior_model(prior, params)
+    rounds, epochs = params.rounds if shards > 1 else 1, epochs_of(by_label.sum() // shards, params)
+    model = start_model(texts_by_row(rows, params), by_label, params)
+    for turn in range(rounds):
+        model = averaged_round(rows, model, weights_of(by_label), -(-epochs // rounds), params, turn)
+    model = calibrate(model, *held_margins(rows, model), prior, params)
+    discard(rows)
+    return model
 
 
 def score_toxicity(documents: DataFrame, model: ToxicModel, held_out) -> DataFrame:
