@@ -90,5 +90,6 @@ def test_every_labelled_row_and_character_is_learned_from(spark):
     assert ((model.probability(z) >= 0.5) == (y == 1)).all()
     rare = word_parts(*text_arrays(pa.array(["zzrare"], pa.large_string())), params.hash_bits)[0][0, 0]
     assert model.row_of[rare] < len(model.embedding) - 1
+    assert all((r["score"] >= 0.5) == r["doc_id"] % 2 for r in score_toxicity(docs, model, F.lit(False)).collect())
     other = fit_toxicity(docs.repartition(7), labels.repartition(3), params)
     assert np.allclose(other.embedding, model.embedding, atol=1e-4) and np.isclose(other.shift, model.shift, atol=1e-3)

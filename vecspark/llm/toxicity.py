@@ -259,7 +259,7 @@ def hashed_rows(documents: DataFrame, marks: DataFrame, shards: int, params: Tox
     """(shard, held, y, lang, parts) of every labelled text, bucketed by shard: hash rows of its words."""
     texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.coalesce(F.col("lang").cast("string"), F.lit("")).alias("lang")).where("text is not null")
     h = F.xxhash64("doc_id", F.lit("shard"))
-    rows = texts.join(marks, "doc_id").select(F.pmod(h, F.lit(shards)).cast("int").alias("shard"), (F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 4).alias("held"), "y", "lang", "text")
+    rows = texts.join(marks.hint("merge"), "doc_id").select(F.pmod(h, F.lit(shards)).cast("int").alias("shard"), (F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 4).alias("held"), "y", "lang", "text")
 
     def hashing(batches):
         for batch, data, offsets in blocks(batches):
@@ -271,7 +271,7 @@ def hashed_rows(documents: DataFrame, marks: DataFrame, shards: int, params: Tox
 
     spark = documents.sparkSession
     name, buckets = f"vecspark_{uuid.uuid4().hex}", min(shards, 4 * spark.sparkContext.defaultParallelism)
-    hashed = rows.mapInArrow(hashing, "shard int, held boolean, y int, lang string, parts binary").repartition(buckets, "shard")
+    hashed = rows.mapInArrow(hashing, "shard int, held boolean, y int, lang string, parts binary")
     hashed.write.bucketBy(buckets, "shard").option("path", new_path(spark, "hashed")).saveAsTable(name)
     return spark.table(name)
 
@@ -308,7 +308,7 @@ def averaged_round(rows: DataFrame, model: ToxicModel, label_weight: np.ndarray,
         hashed = [unpacked(x, params.hash_bits) for x in group["parts"]]
         by = np.lexsort(([h.sum() for h in hashed], [len(h) for h in hashed], y))  # files come in any order
         done = train(m, [hashed[i] for i in by], y[by], label_weight, epochs, params, turn)
-        return pa.table({"n": pa.array([len(y)]), "blob": pa.array([pickle.dumps([len(y) * p.astype(np.float64) for p in pieces(done)])], pa.binary())})
+        return pa.table({"n": pa.array([len(y)]), "blob": pa.array([pickle.dumps([np.float32(len(y)) * p.astype(np.float32) for p in pieces(done)])], pa.binary())})
 
     def add_up(batches):
         n, total = 0, None
@@ -322,7 +322,7 @@ def averaged_round(rows: DataFrame, model: ToxicModel, label_weight: np.ndarray,
     kind = "n long, blob binary"
     sums = rows.where("not held").select("shard", "y", "parts").groupBy("shard").applyInArrow(releasing(go_on), kind).mapInArrow(add_up, kind)
     n, blob = sums.repartition(1).mapInArrow(add_up, kind).first()
-    mean = [p / n for p in pickle.loads(blob)]
+    mean = [p.astype(np.float64) / n for p in pickle.loads(blob)]
     k = len(WIDTHS)
     return replace(model, embedding=mean[0].astype(np.float32), kernels=[x.astype(np.float32) for x in mean[1 : 1 + k]], offsets=[x.astype(np.float32) for x in mean[1 + k : 1 + 2 * k]], weights=mean[-2], bias=float(mean[-1][0]))
 
