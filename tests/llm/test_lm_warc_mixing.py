@@ -161,3 +161,39 @@ def test_the_empty_history_answers_by_token_and_grams_keep_their_order():
     assert a.root_count[a.token].tolist() == [2, 2, 2, 2, 1, 2] and (a.arc_key >= a.size).all()
     weight, to = a.step(np.zeros(6, np.int64), a.token)
     assert np.allclose(10**weight, (a.root_count[a.token] + 1) / 9) and (to == a.root_to[a.token]).all()
+
+
+def test_arcs_are_found_by_place_and_grams_that_stand_alone_are_not_sorted(text):
+    """Each arc was searched for by state and token among all arcs of the block, after a sort of every n-gram."""
+    import pyarrow as pa
+
+    from vecspark.llm.lm import BackoffAutomaton, Grams, LmParams, ngram_keys, sorting, token_stream
+    from vecspark.llm.textkit import text_arrays
+
+    texts = [text(i, 60) for i in range(30)] + ["", "once only", "once only"] + [text(3, 60)]
+    tokens, doc = token_stream(*text_arrays(pa.array(texts, pa.large_string())))
+    held, keys = doc % 4 == 1, ngram_keys(tokens, doc, 3)
+    two = Grams(keys[1], held)
+    once = np.append(two.size == 1, False)[two.number]
+    alone = once | np.append(False, once[:-1])
+    three, plain = Grams(keys[2], held, alone), Grams(keys[2], held)
+    here = keys[2] > 0
+    assert 0 < (alone & here).sum() < here.sum() and len(three.key) == len(plain.key)
+    for name in ("key", "own", "size"):
+        assert (getattr(three, name)[three.number[here]] == getattr(plain, name)[plain.number[here]]).all()
+    a = BackoffAutomaton(tokens, [Grams(keys[0], held), two, three], 1000, 300, LmParams())
+    seen = {k: i for i, k in enumerate(a.arc_key.tolist())}
+    assert len(seen) == sum((g.own > 0).sum() for g in (two, three))
+    state, fails = a.start, 0
+    for i in np.flatnonzero(doc == 0)[1:]:
+        while state:
+            at = a.arc(np.array([state]), np.array([i]))[0]
+            assert (at > 0) == (state * a.size + a.token[i] in seen)
+            if at > 0:
+                break
+            state, fails = a.fail[state], fails + 1
+        state = a.arc_to[at - a.arcs] if state else a.root_to[a.token[i]]
+    assert state == 0 or state < len(a.fail)
+    keys = np.array([5, 4, 5, 2**40 + 1, 2**40, 4], np.uint64)
+    assert sorting(keys).tolist() == np.argsort(keys, kind="stable").tolist() == [1, 5, 0, 2, 4, 3]
+    assert len(sorting(keys[:0])) == 0

@@ -60,3 +60,22 @@ def test_one_very_long_word(make_docs, n):
     assert len({r["class_id"] for r in classes(docs).where("doc_id < 2").collect()}) == 1
     rows = {r["doc_id"]: r for r in scan_secrets(docs, fit_secrets(docs, SecretParams(epochs=1))).collect()}
     assert rows[2]["n_assign"] == 1 and rows[2]["n_hex"] == 1 and rows[0]["n_assign"] == 0
+
+
+def test_segment_hashes_add_up_eight_bytes_at_a_time():
+    """Lane by lane, with the first eight bytes of all segments taken at once; numbers mixed in slices."""
+    from vecspark.llm.textkit import LANE_SEED, MIX_AT_ONCE, U64, Segments, mix, segment_hash
+
+    x = np.arange(2 * MIX_AT_ONCE + 3, dtype=np.uint64)
+    assert (mix(x) == np.concatenate([mix(x[i : i + 1000]) for i in range(0, len(x), 1000)])).all() and x[1] == 1
+    assert mix(np.zeros(0, np.uint64)).shape == (0,) and mix(x[:6].reshape(2, 3).T).tolist() == mix(x[:6]).reshape(2, 3).T.tolist()
+    data = np.frombuffer(bytes(range(1, 200)), np.uint8)
+    start = np.array([0, 3, 3, 50, 100, 182, 7])
+    size = np.array([1, 8, 9, 0, 99, 17, 16])
+    got = segment_hash(data, Segments(start, start + size, start, 1), 3)
+    for s, n, h in zip(start, size, got, strict=True):
+        total = np.full(1, U64(n) if n else LANE_SEED ^ U64(3))
+        for turn in range((n + 7) // 8):
+            lane = np.frombuffer(data[s + 8 * turn : min(s + n, s + 8 * turn + 8)].tobytes().ljust(8, b"\0"), "<u8")
+            total += mix(mix(lane ^ (LANE_SEED ^ U64(3))) + np.full(1, turn, np.uint64) * U64(0xA24BAED4963EE407))
+        assert mix(total)[0] == h

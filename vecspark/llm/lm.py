@@ -69,13 +69,12 @@ def ngram_keys(tokens: np.ndarray, doc: np.ndarray, order: int) -> list[np.ndarr
 
     The two low bits of a key hold n - 1.  A start symbol alone is no n-gram: its history count is that of ends.
     """
-    keys = []
+    keys, h = [], np.full(len(tokens), 78, np.uint64)
     for n in range(1, order + 1):
         key = np.zeros(len(tokens), np.uint64)
         if len(tokens) >= n:
-            h = np.full(len(tokens) - n + 1, 77 + n, np.uint64)
-            for i in range(n):
-                h = mix(h * U64(0x9DDFEA08EB382D69) + tokens[i : len(tokens) - n + 1 + i])
+            # h: of the n tokens that start at each place, grown by a token each time
+            h = mix(h[: len(tokens) - n + 1] * U64(0x9DDFEA08EB382D69) + tokens[n - 1 :])
             inside = doc[n - 1 :] == doc[: len(doc) - n + 1]
             key[n - 1 :] = np.where(inside, (h & ~U64(3)) | U64(n - 1), U64(0))
         key[tokens == START_TOKEN] = 0
@@ -83,21 +82,42 @@ def ngram_keys(tokens: np.ndarray, doc: np.ndarray, order: int) -> list[np.ndarr
     return keys
 
 
+def sorting(keys: np.ndarray) -> np.ndarray:
+    """A stable argsort of hashes: numbers are sorted, several times faster than their places, with the place in the low bits."""
+    bits = U64(len(keys).bit_length())
+    places = np.sort((keys >> bits << bits) | np.arange(len(keys), dtype=np.uint64))
+    places &= (U64(1) << bits) - U64(1)
+    by = places.view(np.int64)
+    ordered = keys[by]
+    # keys that differ in the low bits alone may stand in the wrong order
+    return np.argsort(keys, kind="stable") if (ordered[1:] < ordered[:-1]).any() else by
+
+
 class Grams:
-    """The distinct n-grams of one order in a block: sorted keys, a place of each, its number by place (-1: none), counts."""
+    """The distinct n-grams of one order in a block: keys, a place of each, its number by place (-1: none), counts.
+
+    `alone` marks places whose n-gram is known to stand nowhere else in the block; the others come first, sorted by key,
+    and those follow in the order of the text.
+    """
 
-    def __init__(self, key: np.ndarray, held: np.ndarray):
-        at = np.flatnonzero(key)
-        by = np.argsort(key[at])  # np.unique's own sort is stable and slower, and any place of an n-gram serves
-        at = at[by]
+    def __init__(self, key: np.ndarray, held: np.ndarray, alone: np.ndarray | None = None):
+        at = np.flatnonzero(key if alone is None else (key > 0) & ~alone)
+        at = at[sorting(key[at])]
         ordered = key[at]
         new = np.ones(len(at), bool)
         new[1:] = ordered[1:] != ordered[:-1]
-        self.key, self.place = ordered[new], at[new]
-        number = np.cumsum(new, dtype=np.int32) - 1
+        first = np.flatnonzero(new)
+        self.key, self.place = ordered[first], at[first]
         self.number = np.full(len(key), -1, np.int32)
-        self.number[at] = number
-        self.own = np.bincount(number[~held[at]], minlength=len(self.key))
+        self.number[at] = np.cumsum(new, dtype=np.int32) - 1
+        taught = np.concatenate([[0], np.cumsum(~held[at])])
+        self.size = np.diff(np.append(first, len(at)))  #: places of each n-gram
+        self.own = np.diff(taught[np.append(first, len(at))])
+        if alone is not None:
+            rest = np.flatnonzero(alone & (key > 0))
+            self.number[rest] = np.arange(len(first), len(first) + len(rest), dtype=np.int32)
+            self.key, self.place = np.concatenate([self.key, key[rest]]), np.concatenate([self.place, rest])
+            self.size, self.own = np.concatenate([self.size, np.ones(len(rest), np.int64)]), np.concatenate([self.own, ~held[rest]])
         self.total, self.shared = self.own.copy(), np.zeros(len(self.key), bool)
 
 
@@ -120,7 +140,7 @@ class Counted:
         """The last orders, one mask each, and of those the n-grams that the masks name."""
         self.which = list(zip(self.grams[-len(which) :], which, strict=True))
         keys = np.concatenate([g.key[w] for g, w in self.which])
-        self.by = np.argsort(keys, kind="stable")
+        self.by = sorting(keys)
         self.asked, self.own = keys[self.by], np.concatenate([g.own[w] for g, w in self.which])[self.by]
 
     def hear(self, found: np.ndarray) -> None:
@@ -137,10 +157,13 @@ class Counted:
             at += len(mine)
         if len(self.grams) == self.order:
             return
-        # an n-gram is in another block only where both (n - 1)-grams inside it are
-        before = self.grams[-1]
+        # an n-gram is in another block, or at another place of this one, only where both (n - 1)-grams inside it are
+        before, key = self.grams[-1], self.keys[len(self.grams)]
         elsewhere = np.append(before.shared, False)[before.number]
-        g = Grams(self.keys[len(self.grams)], self.held)
+        once = np.append(before.size == 1, False)[before.number]
+        alone = once.copy()
+        alone[1:] |= once[:-1]
+        g = Grams(key, self.held, alone)
         self.grams.append(g)
         self.ask([elsewhere[g.place] & elsewhere[g.place - 1]])
 
@@ -185,7 +208,10 @@ def cuts(keys: np.ndarray, ranges: int) -> np.ndarray:
 class BackoffAutomaton:
     """The states, arcs and failure arcs that a block's n-grams with training counts span.
 
-    State 0 is the empty history.  The n-grams seen in training are the arcs; those of fewer than `order` tokens are states too.
+    State 0 is the empty history; behind it stand the tokens, the start and the longer n-grams of fewer than `order`
+    tokens, each at its number.  The n-grams seen in training are the arcs, and the states among them those that can be reached.
+    An arc of a state other than the empty one is found by the place of its token: of the n-grams that end there it
+    is the one that is a token longer than the state's history.
     """
 
     def __init__(self, tokens: np.ndarray, grams: list[Grams], total: int, kinds: int, params: LmParams):
@@ -194,98 +220,88 @@ class BackoffAutomaton:
         self.unseen = np.log10(1 / (total + (kinds + 1)))
         # the token of an arc is its number among the block's tokens, and the start symbol's is behind them
         starts = grams[0].number < 0
-        self.token = np.where(starts, len(grams[0].key), grams[0].number).astype(np.int64)
+        self.size = len(grams[0].key) + 1
+        self.token = np.where(starts, np.int32(self.size - 1), grams[0].number)
         end_key = ngram_keys(np.array([END_TOKEN]), np.zeros(1, int), 1)[0]
         ends = int(grams[0].total[grams[0].key == end_key].sum())
-        # states by history length: the empty one, the start (a history of one token), then the n-grams seen
-        state_count, n_states = [], 1
-        arcs_at, arcs_of, arcs_to, arcs_p, arcs_c = [], [], [], [], []  # by order
-        fail = [np.zeros(1, np.int64)]
-        self.start = 0
-        lower_p = None  # by place: the probability of its token under the history of n - 2 tokens
-        # by place in the block: the state of the n - 1 tokens that end there, 0 where training has not seen them
-        history_state, self_count = np.zeros(len(tokens), np.int64), np.zeros(1, np.int64)
-        for n, gram in enumerate(grams, 1):
-            at, c, group = gram.place, gram.total, gram.number
-            known = c > 0
-            if n == 1:
-                p, source = (c + 1) / (total + (kinds + 1)), np.zeros(len(c), np.int64)
-            else:
-                # the state of the history is exact where that history has been seen; else the arc cannot exist
-                source = np.where(at > 0, history_state[np.maximum(at - 1, 0)], 0)
-                history = self_count[source]
-                p = np.where(known, (c + mu * lower_p[at]) / (history + mu), 0)
-            arcs_at.append(at[known])
-            arcs_of.append(source[known])
-            arcs_p.append(p[known])
-            arcs_c.append(c[known])
-            # probability under this order at every place, for the order above
-            here = np.append(p, 0.0)[group]
-            if n == 1:
-                lower_p = here
-            else:
-                held = np.zeros(len(tokens), np.int64)
-                held[1:] = self_count[history_state[:-1]] * (history_state[:-1] > 0)
-                back = np.where(held > 0, mu / (held + mu), 1.0) * lower_p
-                lower_p = np.where(np.append(known, False)[group], here, back)
+        # the empty history's arcs stand by token
+        self.root_count = np.append(grams[0].total, 0)
+        p = (self.root_count + 1) / (total + (kinds + 1))
+        self.root_base = np.log10(p)
+        self.root_weight, self.root_to = self.root_base, np.where(self.root_count > 0, np.arange(1, self.size + 1), 0)
+        if self.order == 1:
+            self.root_to = np.zeros(self.size, np.int64)
+        # the start of a text is a history of its own, as often as texts end
+        self.start = self.size if self.order > 1 and ends and starts.any() else 0
+        state_count = np.append(grams[0].total, ends)  # of the histories of this length, by number
+        self.first = [1]  # state of each history length's number 0
+        fail, counts = [np.zeros(1 + self.size, np.int32)], [np.zeros(1, np.int64), state_count]
+        number, states = self.token, np.where(state_count > 0, np.arange(1, self.size + 1, dtype=np.int32), np.int32(0))
+        history = states[number]  # by place: the state of the n - 1 tokens that end there, 0 where training has not seen them
+        to, weights, self.arc_at, self.sources = [], [], [], []
+        for n, gram in enumerate(grams[1:], 2):
+            at, c = gram.place, gram.total
+            base = self.first[-1] + len(state_count)
+            # an arc's history and the n-gram one token shorter have been seen where the arc has; no other arc is ever taken
+            p = (c + mu * p[number[at]]) / (state_count[number[at - 1]] + mu)
+            weights.append(np.log10(p))
+            states = np.where(c > 0, np.arange(base, base + len(c), dtype=np.int32), np.int32(0))
+            # arcs are numbered as the states of their n-grams are or would be
+            mine = np.append(states, 0)[gram.number]
+            self.arc_at.append(mine)
+            self.sources.append((history, at[c > 0]))
             if n == self.order:
                 # an arc of the longest history leads to the state of what ends it one token shorter
-                arcs_to.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
+                to.append(history[at])
                 break
-            # the n-grams seen are the states of length n; their failure arcs lead to what ends them one token shorter
-            number = np.zeros(len(c) + 1, np.int64)
-            number[:-1][known] = n_states + np.arange(known.sum())
-            arcs_to.append(number[:-1][known])
-            n_states += int(known.sum())
-            state_count.append(c[known])
-            fail.append(history_state[at[known]] if n > 1 else np.zeros(known.sum(), np.int64))
-            exact = number[group]
-            if n == 1 and ends and starts.any():
-                # the start of a text is a history of its own, as often as texts end
-                self.start = n_states
-                n_states += 1
-                state_count.append(np.array([ends]))
-                fail.append(np.zeros(1, np.int64))
-                exact[starts] = self.start
-            history_state = exact
-            self_count = np.concatenate([[0], *state_count])
-        self.fail = np.concatenate(fail)
-        weights = np.concatenate([[0], *state_count]) if state_count else np.zeros(1)
+            to.append(states)
+            fail.append(history[at])
+            counts.append(c)
+            self.first.append(base)
+            # a place without such an n-gram has none of a longer one either
+            number, state_count, history = gram.number, c, mine
+        none = np.empty(0, np.int32)
+        self.arcs = 1 + self.size  # number of the first arc that is not the empty history's
+        self.arc_weight, self.arc_to = np.concatenate([np.empty(0), *weights]), np.concatenate([none, *to])
+        self.fail, weights = np.concatenate(fail), np.concatenate(counts)
         self.fail_weight = np.where(weights > 0, np.log10(mu / (weights + mu)), 0.0)
-        self.size = len(grams[0].key) + 1
-        # the empty history's arcs stand by token, the others sorted by state and token
-        own = self.token[arcs_at[0]]
-        self.root_weight, self.root_to, self.root_count = np.full(self.size, self.unseen), np.zeros(self.size, np.int64), np.zeros(self.size, np.int64)
-        self.root_weight[own], self.root_to[own], self.root_count[own] = np.log10(arcs_p[0]), arcs_to[0], arcs_c[0]
+
+    @property
+    def arc_key(self) -> np.ndarray:
+        """State and token of every arc but the empty history's, as one number."""
         none = np.empty(0, np.int64)
-        key = np.concatenate([none, *(of * self.size + self.token[at] for of, at in zip(arcs_of[1:], arcs_at[1:], strict=True))])
-        by = np.argsort(key)
-        self.arc_key, self.arc_weight = key[by], np.log10(np.concatenate([np.empty(0), *arcs_p[1:]])[by])
-        self.arc_to = np.concatenate([none, *arcs_to[1:]])[by]
-
-    def arc(self, state: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(place, whether there is one) of the arcs of these states, none of them the empty history, for these tokens."""
-        key = state * self.size + token
-        at = np.minimum(np.searchsorted(self.arc_key, key), max(0, len(self.arc_key) - 1))
-        return at, self.arc_key[at] == key if len(self.arc_key) else np.zeros(len(key), bool)
-
-    def step(self, state: np.ndarray, token: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """(weight, next state) of one token from each state: failure arcs until a state has an arc for it."""
-        weight, to = np.zeros(len(state)), np.zeros(len(state), np.int64)
-        left, state = np.arange(len(state)), state.copy()
+        return np.concatenate([none, *(state[at - 1].astype(np.int64) * self.size + self.token[at] for state, at in self.sources)])
+
+    def arc(self, state: np.ndarray, place: np.ndarray) -> np.ndarray:
+        """Arcs of these states, none of them the empty history, for the tokens at these places; 0 where there is none."""
+        at = self.arc_at[0][place]
+        for first, longer in zip(self.first[1:], self.arc_at[1:], strict=True):
+            at = np.where(state >= first, longer[place], at)
+        return at
+
+    def step(self, state: np.ndarray, token: np.ndarray, place: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
+        """(weight, next state) of one token from each state: failure arcs until a state has an arc for it.
+
+        The empty history needs the token alone, other states its place.
+        """
+        weight, to, state = np.zeros(len(state)), np.zeros(len(state), np.int32), state.copy()
+        left = np.flatnonzero(state)
         while len(left):
-            root = state[left] == 0
-            done = left[root]
-            weight[done] += self.root_weight[token[done]]
-            to[done] = self.root_to[token[done]]
-            left = left[~root]
-            at, found = self.arc(state[left], token[left])
-            done = left[found]
-            weight[done] += self.arc_weight[at[found]]
-            to[done] = self.arc_to[at[found]]
+            at = self.arc(state[left], place[left])
+            found = at > 0
+            done, at = left[found], at[found] - self.arcs
+            weight[done] += self.arc_weight[at]
+            to[done] = self.arc_to[at]
+            state[done] = -1
             left = left[~found]
-            weight[left] += self.fail_weight[state[left]]
-            state[left] = self.fail[state[left]]
+            failed = state[left]
+            weight[left] += self.fail_weight[failed]
+            state[left] = self.fail[failed]
+            left = left[state[left] > 0]
+        root = np.flatnonzero(state == 0)
+        own = token[root]
+        weight[root] += self.root_weight[own]
+        to[root] = self.root_to[own]
         return weight, to
 
     def traverse(self, tokens: np.ndarray, doc: np.ndarray, stretch: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -300,16 +316,19 @@ class BackoffAutomaton:
         begin = text_open + 1 + turn * stretch
         end = np.minimum(begin + stretch, text_open + np.repeat(size, pieces))
         place = np.maximum(begin - (self.order - 1), text_open + 1)  # reads itself into the state before `begin`
-        state = np.where(place == text_open + 1, self.start, 0)
-        live = np.flatnonzero(place < end)
-        while len(live):
-            w, state[live] = self.step(state[live], self.token[place[live]])
-            own = place[live] >= begin[live]
-            weight[place[live][own]] = w[own]
-            place[live] += 1
-            live = live[place[live] < end[live]]
-        known = self.root_count[self.token]
-        return np.log10((known + 1) / (self.total + (self.kinds + 1))), weight, known
+        # the longest stretches first, so that those which go on are always the first ones
+        by = np.argsort(place - end, kind="stable")
+        place, begin, left = place[by], begin[by], (end - place)[by]
+        state = np.where(place == text_open[by] + 1, np.int32(self.start), np.int32(0))
+        live = len(left) - np.searchsorted(left[::-1], np.arange(left[0] if len(left) else 0), "right")
+        for done, m in enumerate(live):
+            here = place[:m] + done
+            w, state = self.step(state[:m], self.token[here], here)
+            if done < self.order - 1:
+                own = here >= begin[:m]
+                here, w = here[own], w[own]
+            weight[here] = w
+        return self.root_base[self.token], weight, self.root_count[self.token]
 
 
 def whole_sum(values: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:

@@ -61,14 +61,22 @@ def crc_mod(doc_id: Column, n: int) -> Column:
     return F.pmod(F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")), F.lit(n))
 
 
+MIX_AT_ONCE = 1 << 14  #: numbers that stay in a core's own cache between the steps
+
+
 def mix(x: np.ndarray) -> np.ndarray:
     """A bijective 64-bit finaliser (the published splitmix64 constants)."""
-    x = np.array(x, np.uint64, copy=True)
-    x ^= x >> U64(30)
-    x *= U64(0xBF58476D1CE4E5B9)
-    x ^= x >> U64(27)
-    x *= U64(0x94D049BB133111EB)
-    x ^= x >> U64(31)
+    x = np.array(x, np.uint64, copy=True, order="C")
+    flat = x.reshape(-1)
+    moved = np.empty(min(len(flat), MIX_AT_ONCE), np.uint64)
+    for at in range(0, len(flat), MIX_AT_ONCE):
+        part = flat[at : at + MIX_AT_ONCE]
+        m = moved[: len(part)]
+        part ^= np.right_shift(part, U64(30), out=m)
+        part *= U64(0xBF58476D1CE4E5B9)
+        part ^= np.right_shift(part, U64(27), out=m)
+        part *= U64(0x94D049BB133111EB)
+        part ^= np.right_shift(part, U64(31), out=m)
     return x
 
 
@@ -154,20 +162,23 @@ def segment_hash(data: np.ndarray, seg: Segments, salt: int = 0) -> np.ndarray:
     """
     seed = LANE_SEED ^ U64(salt)
     size = seg.end - seg.start
-    lanes = (size + 7) // 8
-    full = np.flatnonzero(lanes)
-    if not len(full):
-        return mix(np.full(len(seg), seed))
-    length, count = size[full], lanes[full]
-    first = np.cumsum(count) - count
-    turn = np.arange(count.sum()) - np.repeat(first, count)
     padded = np.concatenate([data, np.zeros(8, np.uint8)])
-    eight = np.ndarray(len(data) + 1, "<u8", padded, strides=(1,))[np.repeat(seg.start[full], count) + 8 * turn]
-    rest = np.minimum(np.repeat(length, count) - 8 * turn, 8)
-    lane = eight & (U64(2**64 - 1) >> ((8 - rest) << 3).astype(np.uint64))
-    lane = mix(mix(lane ^ seed) + turn.astype(np.uint64) * U64(0xA24BAED4963EE407))
+    eights = np.ndarray(len(data) + 1, "<u8", padded, strides=(1,))
+
+    def lanes(start, rest):
+        return (eights[start] & (U64(2**64 - 1) >> ((8 - np.minimum(rest, 8)) << 3).astype(np.uint64))) ^ seed
+
+    # the first eight bytes of all, then what follows them of the longer segments
     out = np.full(len(seg), seed)
-    out[full] = np.add.reduceat(lane, first) + length.astype(np.uint64)
+    full = np.flatnonzero(size)
+    out[full] = mix(mix(lanes(seg.start[full], size[full]))) + size[full].astype(np.uint64)
+    longer = np.flatnonzero(size > 8)
+    if len(longer):
+        count = (size[longer] - 1) // 8
+        first = np.cumsum(count) - count
+        turn = np.arange(1, count.sum() + 1) - np.repeat(first, count)
+        lane = lanes(np.repeat(seg.start[longer], count) + 8 * turn, np.repeat(size[longer], count) - 8 * turn)
+        out[longer] += np.add.reduceat(mix(mix(lane) + turn.astype(np.uint64) * U64(0xA24BAED4963EE407)), first)
     return mix(out)
 
 
