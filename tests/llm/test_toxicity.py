@@ -93,3 +93,91 @@ def test_every_labelled_row_and_character_is_learned_from(spark):
     assert all((r["score"] >= 0.5) == r["doc_id"] % 2 for r in score_toxicity(docs, model, F.lit(False)).collect())
     other = fit_toxicity(docs.repartition(7), labels.repartition(3), params)
     assert np.allclose(other.embedding, model.embedding, atol=1e-4) and np.isclose(other.shift, model.shift, atol=1e-3)
+
+
+def test_training_and_scoring_kernels_equal_plain_ones(text, odd_texts, monkeypatch):
+    """Prefixes, padded columns, convolution in slices, gradients of touched rows and margins of many texts at once."""
+    from vecspark.llm import toxicity as t
+    from vecspark.llm.textkit import Segments, lower_ascii, mix, prefix_hash, segment_hash, words
+
+    texts = [x for x in odd_texts if x is None or len(x) < 5000] + [text(i, 30 + i) for i in range(20)]
+    data, offsets = text_arrays(pa.array(texts, pa.large_string()))
+    parts, per = word_parts(data, offsets, 15)
+    low = lower_ascii(data)
+    seg = words(low, offsets, t.WORD_BYTE)
+    assert (parts[:, 0] == (segment_hash(low, seg) >> np.uint64(49)).astype(int)).all()
+    for j, n in enumerate(t.PREFIXES, 1):
+        head = segment_hash(low, Segments(seg.start, np.minimum(seg.end, seg.start + n), seg.doc, seg.n_docs))
+        longer = seg.end - seg.start > n
+        assert longer.any() and (prefix_hash(low, seg.start[longer], n) == head[longer]).all()
+        assert (parts[:, j] == np.where(longer, (mix(head + np.uint64(n)) >> np.uint64(49)).astype(int), -1)).all()
+
+    rng = np.random.default_rng(1)
+    rows, slopes, zero = rng.integers(0, 9, (4, 50)), rng.normal(size=(50, 3)), 8
+    want = np.zeros((9, 3))
+    np.add.at(want, rows, slopes[None])
+    touched, got = t.summed(rows, slopes, zero)
+    assert np.allclose(got, want[touched], atol=1e-5) and set(touched) == set(rows[rows < zero])
+
+    known = np.array([len(x or "") % 2 for x in texts])
+    hashed = [parts[b - n : b] for n, b in zip(per, np.cumsum(per), strict=True)]
+    counts = np.zeros((2, 1 << 15))
+    for h, label in zip(hashed, known, strict=True):
+        counts[label][np.unique(h[h >= 0])] += 1
+    params = ToxicParams(epochs=2, batch=8, min_texts=1)
+    model = t.start_model(counts, np.bincount(known, minlength=2), params)
+    whole = model.margins(parts, per)
+    monkeypatch.setattr(t, "WORDS_AT_ONCE", 7)
+    monkeypatch.setattr(t, "NUMBERS_AT_ONCE", 100)
+    assert np.allclose(model.margins(parts, per), whole, atol=1e-5)
+    assert np.allclose([model.margins(h, np.array([len(h)]))[0] for h in hashed], whole, atol=1e-5)
+
+    trained = t.train(model, hashed, known, np.array([1.0, 2.0]), 2, params)
+    plain = plainly_trained(model, hashed, known, np.array([1.0, 2.0]), 2, params)
+    for a, b in zip(t.pieces(trained), plain, strict=True):
+        assert np.allclose(a, b, atol=1e-3), np.abs(a - b).max()
+    assert np.abs(t.pieces(trained)[0] - t.pieces(model)[0]).max() > 0.01
+
+
+def plainly_trained(model, hashed, y, label_weight, epochs, params):
+    """Text by text and filter by filter in double precision, with whole gradients and moments of the embedding."""
+    from vecspark.llm.toxicity import PAD, pieces
+
+    values = [np.array(p, float) for p in pieces(model)]
+    moments = [(np.zeros_like(p), np.zeros_like(p)) for p in values]
+    rng, zero, step, n = np.random.default_rng([params.seed, 0]), len(values[0]) - 1, 0, params.filters
+    for _ in range(epochs):
+        for batch in np.array_split(rng.permutation(len(y)), max(1, len(y) // params.batch)):
+            step += 1
+            grads = [np.zeros_like(p) for p in values]
+            embedding, kernels, offsets, weights, bias = values[0], values[1:4], values[4:7], values[7], values[8][0]
+            for i in batch:
+                ids = np.concatenate([model.row_of[hashed[i]], np.full((2 * PAD, 4), zero)])
+                e = embedding[ids].sum(1)
+                places, x = [], []
+                for k, b in zip(kernels, offsets, strict=True):
+                    r = np.array([[(e[a : a + len(k)] * k[:, :, f]).sum() for f in range(n)] for a in range(len(hashed[i]))] + [[0.0] * n])
+                    places.append(r.argmax(0))
+                    x.append(r.max(0) + b)
+                flat = np.concatenate(x)
+                active = np.maximum(flat, 0)
+                g = label_weight[y[i]] * (1 / (1 + np.exp(-(active @ weights + bias))) - y[i]) / len(batch)
+                grads[7] += active * g
+                grads[8] += g
+                gx = np.where(flat > 0, g * weights, 0)
+                for w, k in enumerate(kernels):
+                    for f in range(n):
+                        own = gx[w * n + f]
+                        grads[4 + w][f] += own
+                        for j in range(len(k)):
+                            at = places[w][f] + j
+                            grads[1 + w][j, :, f] += own * e[at]
+                            np.add.at(grads[0], ids[at], own * k[j, :, f])
+            for q in (1, 2, 3, 7):
+                grads[q] += 1e-4 * values[q]
+            grads[0][zero] = 0
+            for p, g, (m, v) in zip(values, grads, moments, strict=True):
+                m[...] = 0.9 * m + 0.1 * g
+                v[...] = 0.99 * v + 0.01 * g * g
+                p -= params.rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-6)
+    return values

@@ -182,6 +182,12 @@ def segment_hash(data: np.ndarray, seg: Segments, salt: int = 0) -> np.ndarray:
     return mix(out)
 
 
+def prefix_hash(data: np.ndarray, start: np.ndarray, n: int) -> np.ndarray:
+    """segment_hash of the n bytes, 8 at most, that begin at each start."""
+    eights = np.ndarray(len(data) + 1, "<u8", np.concatenate([data, np.zeros(8, np.uint8)]), strides=(1,))
+    return mix(mix(mix((eights[start] & (U64(2**64 - 1) >> U64(64 - 8 * n))) ^ LANE_SEED)) + U64(n))
+
+
 def lower_ascii(data: np.ndarray) -> np.ndarray:
     """A-Z in lower case; all else as it is."""
     return np.where((data >= 65) & (data <= 90), data | 0x20, data).astype(np.uint8)

@@ -27,28 +27,30 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .decontaminate import word_hashes
+from .decontaminate import WORD_BYTE
 from .quality import platt
 from .tables import discard, new_path, table
-from .textkit import Segments, blocks, crc_mod, lower_ascii, mix, releasing, segment_hash, text_arrays
+from .textkit import blocks, crc_mod, lower_ascii, mix, prefix_hash, releasing, segment_hash, text_arrays, words
 
 WIDTHS = (1, 2, 3)
 PAD = max(WIDTHS)
 PREFIXES = (4, 5, 6)
+WORDS_AT_ONCE = 1 << 14  #: of a convolution
+NUMBERS_AT_ONCE = 1 << 16  #: of a step of Adam
 
 
 def word_parts(data: np.ndarray, offsets: np.ndarray, bits: int):
     """(hash rows of each word and its prefixes, words by text); -1 where a word is no longer than the prefix."""
-    h, seg = word_hashes(data, offsets)
     low = lower_ascii(data)
-    columns = [h]
-    longer = [np.ones(len(h), bool)]
-    for n in PREFIXES:
-        head = Segments(seg.start, np.minimum(seg.end, seg.start + n), seg.doc, seg.n_docs)
-        columns.append(mix(segment_hash(low, head) + np.uint64(n)))
-        longer.append(seg.end - seg.start > n)
-    rows = (np.stack(columns, 1) >> np.uint64(64 - bits)).astype(np.int64)
-    return np.where(np.stack(longer, 1), rows, -1), seg.per_doc()
+    seg = words(low, offsets, WORD_BYTE)
+    shift = np.uint64(64 - bits)
+    rows = np.full((len(seg), 1 + len(PREFIXES)), -1, np.int64)
+    rows[:, 0] = segment_hash(low, seg) >> shift
+    size = seg.end - seg.start
+    for j, n in enumerate(PREFIXES, 1):
+        longer = np.flatnonzero(size > n)
+        rows[longer, j] = mix(prefix_hash(low, seg.start[longer], n) + np.uint64(n)) >> shift
+    return rows, seg.per_doc()
 
 
 @dataclass(frozen=True)
@@ -85,9 +87,9 @@ class ToxicModel:
 
     def margins(self, parts: np.ndarray, per_doc: np.ndarray) -> np.ndarray:
         """parts: hash rows, as word_parts has them; the last entry of row_of serves -1."""
-        ids, starts, _, pad = padded(self.row_of[parts], per_doc, len(self.embedding) - 1)
+        ids, starts, pad = padded(self.row_of[parts], per_doc, len(self.embedding) - 1)
         e = embed(self.embedding, ids)
-        pooled = np.concatenate([np.maximum.reduceat(convolve(e, pad, k), starts, axis=0) + b for k, b in zip(self.kernels, self.offsets, strict=True)], 1)
+        pooled = np.concatenate([np.maximum.reduceat(convolve(e, pad, [k]), starts, axis=1).T + b for k, b in zip(self.kernels, self.offsets, strict=True)], 1)
         return np.maximum(pooled, 0) @ self.weights + self.bias
 
     def probability(self, z: np.ndarray) -> np.ndarray:
@@ -95,31 +97,43 @@ class ToxicModel:
 
 
 def padded(ids: np.ndarray, per_doc: np.ndarray, zero: int):
-    """Each text's word rows with PAD zero rows behind them; where each text starts, how long it is, and which rows pad."""
+    """Each text's word rows, one column a word, with PAD zero columns behind them; where each text starts, and which columns pad."""
     starts = np.concatenate([[0], np.cumsum(per_doc + PAD)])
-    out = np.full((starts[-1] + PAD, ids.shape[1]), zero, np.int64)
-    pad = np.ones(len(out), bool)
+    out = np.full((ids.shape[1], starts[-1] + PAD), zero, np.int64)
     first = np.concatenate([[0], np.cumsum(per_doc)])[:-1]
     place = np.arange(len(ids)) + np.repeat(starts[:-1] - first, per_doc)
-    out[place] = ids
-    pad[place] = False
-    return out, starts[:-1], per_doc + PAD, pad
+    for row, own in zip(out, ids.T, strict=True):
+        row[place] = own
+    return out, starts[:-1], padding(starts[1:])
+
+
+def padding(ends: np.ndarray) -> np.ndarray:
+    return (ends[:, None] - np.arange(PAD, 0, -1)).ravel()
 
 
 def embed(embedding: np.ndarray, ids: np.ndarray) -> np.ndarray:
-    e = embedding[ids[:, 0]]
-    for j in range(1, ids.shape[1]):
-        e += embedding[ids[:, j]]
+    e = embedding.take(ids[0], axis=0)
+    for own in ids[1:]:
+        e += embedding.take(own, axis=0)
     return e
 
 
-def convolve(e: np.ndarray, pad: np.ndarray, kernel: np.ndarray) -> np.ndarray:
-    """Responses at every place but the last PAD; those of padding rows are 0, whatever follows them."""
-    n = len(e) - PAD
-    out = e[:n] @ kernel[0]
-    for j in range(1, len(kernel)):
-        out += e[j : n + j] @ kernel[j]
-    out[pad[:n]] = 0
+def convolve(e: np.ndarray, pad: np.ndarray, kernels: list[np.ndarray]) -> np.ndarray:
+    """Responses of all filters, a row each, at every place but the last PAD; those of padding are 0, whatever follows it."""
+    n, n_filters = len(e) - PAD, kernels[0].shape[2]
+    flat = np.concatenate([column.T for k in kernels for column in k])
+    out = np.empty((n_filters * len(kernels), n), np.float32)
+    for a in range(0, n, WORDS_AT_ONCE):
+        b = min(n, a + WORDS_AT_ONCE)
+        # one product for all filters and places in a window, whose rows are then added with a shift
+        r = (flat @ e[a : b + PAD].T).reshape(-1, n_filters, b - a + PAD)
+        at = 0
+        for k, own in zip(kernels, out.reshape(len(kernels), n_filters, n), strict=True):
+            own[:, a:b] = r[at, :, : b - a]
+            for j in range(1, len(k)):
+                own[:, a:b] += r[at + j, :, j : b - a + j]
+            at += len(k)
+    out[:, pad] = 0
     return out
 
 
@@ -156,53 +170,80 @@ def train(model: ToxicModel, hashed: list, y: np.ndarray, label_weight: np.ndarr
     rng = np.random.default_rng([params.seed, turn])
     n_filters, zero = params.filters, len(model.embedding) - 1
     model = replace(model, embedding=model.embedding.copy(), kernels=[k.copy() for k in model.kernels], offsets=[b.copy() for b in model.offsets], weights=model.weights.copy())
-    ids = [model.row_of[h] for h in hashed]
-    state: dict[str, list] = {}
-
-    def adam(name, value, grad, step):
-        m, v = state.setdefault(name, [np.zeros_like(value), np.zeros_like(value)])
+    ids = []
+    for h in hashed:
+        own = np.full((h.shape[1], len(h) + PAD), zero, np.int64)
+        own[:, : len(h)] = model.row_of.take(h.T)
+        ids.append(own)
+    tail = np.full((1 + len(PREFIXES), PAD), zero, np.int64)
+    state: dict[str, tuple] = {}
+
+    def adam(name, value, grad, step, rows=slice(None)):
+        """grad: of the given rows, others have none."""
+        if name not in state:
+            state[name] = np.zeros_like(value), np.zeros_like(value)
+        m, v = state[name]
         m *= 0.9
-        m += 0.1 * grad
+        m[rows] += 0.1 * grad
         v *= 0.99
-        v += 0.01 * grad * grad
-        value -= params.rate * (m / (1 - 0.9**step)) / (np.sqrt(v / (1 - 0.99**step)) + 1e-6)
+        v[rows] += 0.01 * grad * grad
+        first, second = 1 - 0.9**step, np.sqrt(1 - 0.99**step)
+        moved = np.empty(min(value.size, NUMBERS_AT_ONCE), value.dtype)
+        x, m, v = value.reshape(-1), m.reshape(-1), v.reshape(-1)
+        for a in range(0, len(x), NUMBERS_AT_ONCE):
+            b = min(len(x), a + NUMBERS_AT_ONCE)
+            t = np.sqrt(v[a:b], out=moved[: b - a])
+            t += 1e-6 * second
+            np.divide(m[a:b], t, out=t)
+            t *= params.rate * second / first
+            x[a:b] -= t
 
     bias, step = np.full(1, model.bias), 0
-    batches = max(1, len(ids) // params.batch)
+    batches, column = max(1, len(ids) // params.batch), np.arange(n_filters * len(WIDTHS))
     for _ in range(epochs):
         for batch in np.array_split(rng.permutation(len(ids)), batches):
             step += 1
-            per = np.array([len(ids[i]) for i in batch])
-            seq, starts, lengths, pad = padded(np.concatenate([ids[i] for i in batch]), per, zero)
+            texts = [ids[i] for i in batch]
+            ends = np.cumsum([x.shape[1] for x in texts])
+            seq = np.concatenate([*texts, tail], axis=1)
             vectors = embed(model.embedding, seq)
-            pooled, places = [], []
-            for k, b in zip(model.kernels, model.offsets, strict=True):
-                r = convolve(vectors, pad, k)
-                at = np.stack([s + r[s : s + n].argmax(0) for s, n in zip(starts, lengths, strict=True)])
-                places.append(at)
-                pooled.append(np.take_along_axis(r, at, 0) + b)
-            x = np.concatenate(pooled, 1)
+            r = convolve(vectors, padding(ends), model.kernels)
+            at = np.stack([a + r[:, a:b].argmax(1) for a, b in zip([0, *ends[:-1]], ends, strict=True)])
+            x = r[column, at] + np.concatenate(model.offsets)
             active = np.maximum(x, 0)
             g = label_weight[y[batch]] * (1 / (1 + np.exp(-np.clip(active @ model.weights + bias[0], -30, 30))) - y[batch]) / len(batch)
             gx = np.where(x > 0, g[:, None] * model.weights, 0).astype(np.float32)
             adam("weights", model.weights, active.T @ g + 1e-4 * model.weights, step)
             adam("bias", bias, np.array([g.sum()]), step)
-            ge = np.zeros_like(model.embedding)
-            for w, (k, at) in enumerate(zip(model.kernels, places, strict=True)):
-                gw = gx[:, w * n_filters : (w + 1) * n_filters]
-                gk = np.zeros_like(k)
+            places, slopes = [], []
+            for w, k in enumerate(model.kernels):
+                gw, own = gx[:, w * n_filters : (w + 1) * n_filters], at[:, w * n_filters : (w + 1) * n_filters]
+                gk, on = np.zeros_like(k), np.nonzero(gw)
                 for j in range(len(k)):
-                    e = vectors[at + j]
-                    gk[j] = np.einsum("bfd,bf->df", e, gw)
-                    np.add.at(ge, seq[at + j], (gw[:, :, None] * k[j].T[None])[:, :, None])
+                    gk[j] = np.einsum("bfd,bf->df", vectors[own + j], gw)
+                    places.append(own[on] + j)
+                    slopes.append(gw[on][:, None] * k[j].T[on[1]])
                 adam(f"kernel{w}", k, gk + 1e-4 * k, step)
                 adam(f"offset{w}", model.offsets[w], gw.sum(0), step)
-            ge[zero] = 0
-            adam("embedding", model.embedding, ge, step)
+            touched, ge = summed(seq[:, np.concatenate(places)], np.concatenate(slopes), zero)
+            adam("embedding", model.embedding, ge, step, touched)
     model.bias = float(bias[0])
     return model
 
 
+def summed(rows: np.ndarray, slopes: np.ndarray, zero: int) -> tuple[np.ndarray, np.ndarray]:
+    """(embedding rows, their gradients): each word's slope is added to all its rows but the zero row, the last one."""
+    part, word = np.nonzero(rows < zero)
+    row, size = rows[part, word], slopes.shape[1]
+    found = np.zeros(zero, bool)
+    found[row] = True
+    touched = np.flatnonzero(found)
+    number = np.empty(zero, np.int64)
+    number[touched] = np.arange(len(touched))
+    cell = (number[row] * size)[:, None] + np.arange(size)
+    return touched, np.bincount(cell.ravel(), slopes[word].ravel(), len(touched) * size).astype(np.float32).reshape(-1, size)
+
+
 def calibrate(model: ToxicModel, z: np.ndarray, y: np.ndarray, langs: np.ndarray, prior: float, params: ToxicParams) -> ToxicModel:
     """Slope, shift and thresholds by language from the margins of all rows held out of the training."""
     model.slope, model.shift = platt(z, y) if len(y) else (1.0, 0.0)
@@ -284,8 +325,9 @@ def texts_by_row(rows: DataFrame, params: ToxicParams) -> np.ndarray:
         total = np.zeros(2 * size, np.int64)
         for batch in batches:
             for y, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                held = np.unique(unpacked(blob, params.hash_bits))
-                total[held[held >= 0] + size * y] += 1
+                held = np.zeros(size + 1, bool)  # -1 is the last one
+                held[unpacked(blob, params.hash_bits)] = True
+                total[size * y : size * (y + 1)] += held[:-1]
         cell = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(cell.astype(np.int32)), pa.array(total[cell])], names=["cell", "n"])
 
@@ -334,7 +376,11 @@ def held_margins(rows: DataFrame, model: ToxicModel) -> tuple[np.ndarray, np.nda
     def margins(batches):
         for batch in batches:
             parts = [unpacked(x, shipped.value.bits) for x in batch.column(2)]
-            z = np.array([shipped.value.margins(p, np.array([len(p)]))[0] for p in parts], float)
+            per = np.array([len(p) for p in parts], np.int64)
+            z, turn = np.empty(len(per)), (np.cumsum(per) - per) // WORDS_AT_ONCE
+            for t in np.unique(turn):
+                own = np.flatnonzero(turn == t)
+                z[own] = shipped.value.margins(np.concatenate([parts[i] for i in own]), per[own])
             yield pa.RecordBatch.from_arrays([pa.array(z), *batch.columns[:2]], names=["z", "y", "lang"])
 
     found = rows.where("held").select("y", "lang", "parts").mapInArrow(margins, "z double, y int, lang string").toPandas().sort_values(["z", "y", "lang"])
